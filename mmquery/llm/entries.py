@@ -7,12 +7,14 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 
 from .byte_bpe import op3_byte_bpe
+from .language_id import op10_language_id
+from .substring_dedup import OP8_SQL, op8_substring_dedup
 from .token_count import op2_token_counts
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op2_token_counts, op3_byte_bpe)}
+    return {f.__name__: f for f in (op2_token_counts, op3_byte_bpe, op8_substring_dedup, op10_language_id)}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op8_substring_dedup": OP8_SQL}
