@@ -7,14 +7,19 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 
 from .byte_bpe import op3_byte_bpe
+from .fingerprint import op5_fingerprints
 from .language_id import op10_language_id
+from .mixing import op7_mixing
+from .ngram_join import OP1_SQL, op1_ngram_jaccard_join
 from .substring_dedup import OP8_SQL, op8_substring_dedup
 from .token_count import op2_token_counts
+from .warc import OP6_SQL, op6_warc
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op2_token_counts, op3_byte_bpe, op8_substring_dedup, op10_language_id)}
+    found = (op1_ngram_jaccard_join, op2_token_counts, op3_byte_bpe, op5_fingerprints, op6_warc, op7_mixing, op8_substring_dedup, op10_language_id)
+    return {f.__name__: f for f in found}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op8_substring_dedup": OP8_SQL}
+    return {"op1_ngram_jaccard_join": OP1_SQL, "op6_warc": OP6_SQL, "op8_substring_dedup": OP8_SQL}
