@@ -88,36 +88,62 @@ class Packer:
         return pa.RecordBatch.from_arrays([pa.array(cols[0], pa.int32()), *(pa.array(c, pa.binary()) for c in cols[1:])], ["bucket", "hashes", "keys", "places"])
 
 
-def _settle(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Of a partition's triples, the places whose hash occurs at least twice, packed by row key."""
-    hs, ks, ps, home_k, home_p = [], [], [], [], []
+def _by_part(key: np.ndarray, place: np.ndarray, n: int) -> pa.RecordBatch:
+    """Places packed for the part of the rows that each key belongs to: a row a part."""
+    part = (common.mix64(key.view(np.uint64)) % common.U64(n)).astype(np.int32)
+    order = np.lexsort((place, key, part))
+    key, place, part = key[order], place[order], part[order]
+    cuts = np.flatnonzero(np.r_[True, part[1:] != part[:-1]]) if len(part) else np.zeros(0, int)
+    ends = np.r_[cuts[1:], len(part)] if len(cuts) else cuts
+    spans = list(zip(cuts, ends, strict=True))
+    return pa.RecordBatch.from_arrays([pa.array(part[cuts], pa.int32()), pa.array([key[x:y].tobytes() for x, y in spans], pa.binary()), pa.array([place[x:y].tobytes() for x, y in spans], pa.binary())], ["part", "keys", "places"])
+
+
+def _settle(n: int):
+    """Of a partition's triples, the places whose hash occurs at least twice, packed by part of the row keys."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        hs, ks, ps, home_k, home_p = [], [], [], [], []
+        for batch in batches:
+            for h, k, p in zip(*(common.column(batch, c).to_pylist() for c in ("hashes", "keys", "places")), strict=True):
+                key, place = np.frombuffer(k, np.int64), np.frombuffer(p, np.uint32)
+                if h:
+                    hs.append(np.frombuffer(h, np.uint64))
+                    ks.append(key)
+                    ps.append(place)
+                else:
+                    home_k.append(key)
+                    home_p.append(place)
+        if hs:
+            h, k, p = np.concatenate(hs), np.concatenate(ks), np.concatenate(ps)
+            del hs, ks, ps
+            order = np.argsort(h, kind="stable")
+            s = h[order]
+            twin = np.zeros(len(s), bool)
+            same = s[1:] == s[:-1]
+            twin[1:] |= same
+            twin[:-1] |= same
+            # a witness alone says that the hash is repeated only where it came from, and that is settled
+            keep = order[twin]
+            keep = keep[p[keep] != WITNESS]
+            home_k.append(k[keep])
+            home_p.append(p[keep])
+        if home_k:
+            yield _by_part(np.concatenate(home_k), np.concatenate(home_p), n)
+
+    return run
+
+
+def _gather(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """The packed places of a part, one row for each row key."""
+    keys, places = [], []
     for batch in batches:
-        for h, k, p in zip(*(common.column(batch, c).to_pylist() for c in ("hashes", "keys", "places")), strict=True):
-            key, place = np.frombuffer(k, np.int64), np.frombuffer(p, np.uint32)
-            if h:
-                hs.append(np.frombuffer(h, np.uint64))
-                ks.append(key)
-                ps.append(place)
-            else:
-                home_k.append(key)
-                home_p.append(place)
-    if hs:
-        h, k, p = np.concatenate(hs), np.concatenate(ks), np.concatenate(ps)
-        del hs, ks, ps
-        order = np.argsort(h, kind="stable")
-        s = h[order]
-        twin = np.zeros(len(s), bool)
-        same = s[1:] == s[:-1]
-        twin[1:] |= same
-        twin[:-1] |= same
-        # a witness alone says that the hash is repeated only where it came from, and that is settled
-        keep = order[twin]
-        keep = keep[p[keep] != WITNESS]
-        home_k.append(k[keep])
-        home_p.append(p[keep])
-    if not home_k:
+        for k, p in zip(*(common.column(batch, c).to_pylist() for c in ("keys", "places")), strict=True):
+            keys.append(np.frombuffer(k, np.int64))
+            places.append(np.frombuffer(p, np.uint32))
+    if not keys:
         return
-    k, p = np.concatenate(home_k), np.concatenate(home_p)
+    k, p = np.concatenate(keys), np.concatenate(places)
     order = np.lexsort((p, k))
     k, p = k[order], p[order]
     cuts = np.flatnonzero(np.r_[True, k[1:] != k[:-1]]) if len(k) else np.zeros(0, int)
@@ -128,13 +154,13 @@ def _settle(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 def _answers(packed: DataFrame, n: int, name: str) -> DataFrame:
-    """One row per row key with the lists of its repeated places."""
-    found = packed.repartitionById(n, "bucket").mapInArrow(_settle, "__k long, places binary")
-    return found.groupBy("__k").agg(F.collect_list("places").alias(name))
+    """One row per row key with its repeated places."""
+    found = packed.repartitionById(n, "bucket").mapInArrow(_settle(n), "part int, keys binary, places binary")
+    return found.repartitionById(n, "part").mapInArrow(_gather, "__k long, places binary").withColumnRenamed("places", name)
 
 
-def _places(lists: list[bytes] | None) -> np.ndarray:
-    return np.unique(np.frombuffer(b"".join(lists), np.uint32)).astype(np.int64) if lists else np.zeros(0, np.int64)
+def _places(packed: bytes | None) -> np.ndarray:
+    return np.unique(np.frombuffer(packed or b"", np.uint32)).astype(np.int64)
 
 
 def _anchors(n: int, window: int, period: int, length: int):
@@ -169,8 +195,8 @@ def _windows(n: int, window: int, period: int):
                 part = batch.slice(lo, hi - lo)
                 words, first = _words(part)
                 touched = np.zeros(len(words) + 1, np.int32)
-                for d, lists in enumerate(common.column(part, "anchors").to_pylist()):
-                    p = _places(lists)
+                for d, packed in enumerate(common.column(part, "anchors").to_pylist()):
+                    p = _places(packed)
                     # every window start from which the anchor is within reach
                     np.add.at(touched, first[d] + np.maximum(p - period + 1, 0), 1)
                     np.add.at(touched, np.minimum(first[d] + p + 1, len(words)), -1)
@@ -213,11 +239,11 @@ def remove_repeats(docs: DataFrame, window: int = WINDOW, joined: bool = True) -
             for lo, hi in common.text_slices(batch):
                 part = batch.slice(lo, hi - lo)
                 texts, counts, gone = [], [], []
-                for text, lists in zip(common.column(part, "text").to_pylist(), common.column(part, "windows").to_pylist(), strict=True):
+                for text, packed in zip(common.column(part, "text").to_pylist(), common.column(part, "windows").to_pylist(), strict=True):
                     words = (text or "").encode().split()
                     lost = np.zeros(len(words) + 1, np.int32)
-                    if lists:
-                        p = _places(lists)
+                    if packed:
+                        p = _places(packed)
                         np.add.at(lost, p, 1)
                         np.add.at(lost, p + window, -1)
                     lost = np.cumsum(lost)[: len(words)] > 0
