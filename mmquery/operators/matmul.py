@@ -11,6 +11,8 @@ import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.pandas.types import to_arrow_schema
+from pyspark.sql.types import LongType, StructField, StructType
 
 #: Side of a square block, in values hashed to one block number.
 SIDE = 2048
@@ -35,7 +37,7 @@ def _bitset(a: np.ndarray, b: np.ndarray) -> np.ndarray:
     """Rows and columns as words; a pair is set where any word has a common bit."""
     left, right = np.packbits(a.astype(bool), axis=1), np.packbits(b.T.astype(bool), axis=1)
     pad = -left.shape[1] % 8
-    left, right = (np.pad(x, ((0, 0), (0, pad))).view(np.uint64) for x in (left, right))
+    left, right = (np.ascontiguousarray(np.pad(x, ((0, 0), (0, pad)))).view(np.uint64) for x in (left, right))
     out = np.zeros((len(left), len(right)), np.int64)
     for i, row in enumerate(left):
         some = np.flatnonzero(row)
@@ -136,15 +138,12 @@ def mm_blocked(r: DataFrame, s: DataFrame, inner: list[str], group: list[str] |
             frame["n"] = out[i, j]
             parts.append(frame)
         if not parts:
-            return None_table
+            return nothing
         done = pd.concat(parts, ignore_index=True)[[f.name for f in fields] + ["n"]]
         return pa.Table.from_pandas(done, schema=arrow, preserve_index=False)
 
-    from pyspark.sql.pandas.types import to_arrow_schema
-    from pyspark.sql.types import LongType, StructField, StructType
-
     arrow = to_arrow_schema(StructType([*fields, StructField("n", LongType())]))
-    None_table = arrow.empty_table()
+    nothing = arrow.empty_table()
     keys = ["__g", "__i", "__k", "__j"]
     blocks = a.groupBy(*keys).cogroup(b.groupBy(*keys)).applyInArrow(product, schema)
     cols = [f.name for f in fields]

@@ -95,11 +95,10 @@ def from_sql(text: str, tables: dict[str, DataFrame]) -> ConjunctiveQuery:
     aliases: dict[str, str] = {}
     conditions = [scope[2]] if scope[2] else []
     for part in re.split(r"(?i)\bjoin\b|,", scope[1]):
-        item, _, on = re.partition(r"(?i)\bon\b", part) if hasattr(re, "partition") else _split_on(part)
+        item, *on = re.split(r"(?i)\bon\b", part, maxsplit=1)
         words = item.split()
         aliases[words[-1]] = words[0]
-        if on:
-            conditions.append(on)
+        conditions += on
     name: dict[tuple[str, str], str] = {}
     fixed: dict[tuple[str, str], object] = {}
 
@@ -122,11 +121,6 @@ def from_sql(text: str, tables: dict[str, DataFrame]) -> ConjunctiveQuery:
     return ConjunctiveQuery(tuple(atoms))
 
 
-def _split_on(part: str) -> tuple[str, str, str]:
-    m = re.split(r"(?i)\bon\b", part, maxsplit=1)
-    return (m[0], "on", m[1]) if len(m) == 2 else (part, "", "")
-
-
 def normalise(q: ConjunctiveQuery) -> ConjunctiveQuery:
     """Atoms of one schema are intersected, and an atom whose schema lies in another's filters that one."""
     by: dict[frozenset, list[Atom]] = {}
