@@ -2,7 +2,7 @@
 
 A text is the set of hashes of its n-grams of words. In each run every set keeps the tokens whose run-specific
 hash falls under 1 / (likeness * size): about one token that two like sets share. Sets with a chosen token
-in common meet in a bucket; a bucket that is too large is split again on tokens sampled anew under its path, up to a
+in common meet in a bucket; a bucket that is too large is split again on tokens that the run samples anew, up to a
 depth; runs are repeated until a pair at the threshold is met with the target recall. Pairs that meet are held
 against small minhash sketches, and those that pass are settled exactly on the texts. Every pair has one home, the least
 bucket its two sets share, so nothing is counted twice and no pair is ever a row: rows are sets in buckets.
@@ -28,10 +28,12 @@ NGRAM = 5
 LIKENESS = 0.8
 RECALL = 0.9995
 DEPTH = 3
+#: Tokens that two sets at the threshold are expected to share in the sample of each level, at least.
+SHARED = (1.0, 3.0, 3.0)
 #: A bucket of more sets than this is split while depth is left.
-BUCKET = 64
+BUCKET = 1024
 #: Sets of a block of a bucket that can't be split further.
-BLOCK = 512
+BLOCK = 1024
 SKETCH = 128
 _NGRAM, _SET, _OTHER = common.U64(0xC2B2AE3D27D4EB4F), common.U64(0x165667B19E3779F9), common.U64(0x27D4EB2F165667C5)
 _MINS = common.seeds(SKETCH, 11) | common.U64(1)
@@ -39,10 +41,8 @@ _MINS = common.seeds(SKETCH, 11) | common.U64(1)
 
 def runs_for(recall: float = RECALL, depth: int = DEPTH) -> int:
     """Runs after which a pair at the threshold has met with this probability, even at full depth."""
-    alive = 1.0
-    for _ in range(depth):
-        alive = 1 - math.exp(-alive)
-    return math.ceil(math.log(1 - recall) / math.log(1 - alive))
+    together = math.prod(1 - math.exp(-x) for x in SHARED[:depth])
+    return math.ceil(math.log(1 - recall) / math.log(1 - together))
 
 
 def shingles(part: pa.RecordBatch, n: int) -> list[np.ndarray]:
@@ -62,39 +62,47 @@ def shingles(part: pa.RecordBatch, n: int) -> list[np.ndarray]:
     return out
 
 
-def _sample(tokens: np.ndarray, path: np.ndarray, likeness: float) -> tuple[np.ndarray, np.ndarray]:
-    """The tokens each path chooses: index of the path, and the longer path."""
-    chance = min(1.0, 1 / (likeness * len(tokens)))
+def _sample(tokens: np.ndarray, seed: np.ndarray, shared: float, likeness: float) -> tuple[np.ndarray, np.ndarray]:
+    """The tokens that each run samples: numbers of the runs, and the drawn hashes."""
+    chance = min(1.0, shared / (likeness * len(tokens)))
     under = common.U64(min(chance * 2.0**64, 2.0**64 - 2048))
-    drawn = common.mix64(tokens[None, :] ^ path[:, None])
+    drawn = common.mix64(tokens[None, :] ^ seed[:, None])
     r, t = np.nonzero(drawn <= under) if chance < 1 else np.indices(drawn.shape).reshape(2, -1)
-    return r, common.mix64(drawn[r, t] + path[r] * common.U64(3))
+    return r, common.mix64(drawn[r, t] ^ seed[r])
 
 
-def _lists(counts: np.ndarray, values: pa.Array) -> pa.Array:
-    return pa.ListArray.from_arrays(pa.array(np.r_[0, np.cumsum(counts)].astype(np.int32)), values)
+def _lists(counts: list[np.ndarray], values: list[np.ndarray], kind: pa.DataType) -> pa.Array:
+    sizes = np.concatenate(counts) if counts else np.zeros(0, np.int64)
+    flat = np.concatenate(values) if values else np.zeros(0, np.uint64)
+    return pa.ListArray.from_arrays(pa.array(np.r_[0, np.cumsum(sizes)].astype(np.int32)), pa.array(flat.view(np.int64) if flat.dtype == np.uint64 else flat, kind))
 
 
-def _forest(sets: list[np.ndarray], runs: int, likeness: float) -> pa.Array:
-    """The chosen paths of each set, three levels deep, as nested lists."""
-    start = common.seeds(runs, 5)
-    levels: list[list] = [[], [], []]
-    counts: list[list] = [[], [], []]
+def _forest(sets: list[np.ndarray], runs: int, likeness: float) -> list[pa.Array]:
+    """Of each set: the chosen paths of the first level, the run of each, and for each run the tokens of deeper levels."""
+    start = [common.seeds(runs, 5 + 1000 * k) for k in range(DEPTH)]
+    first, of_run, size = [], [], []
+    deep: list[list] = [[] for _ in range(1, DEPTH)]
+    deep_size: list[list] = [[] for _ in range(1, DEPTH)]
     for tokens in sets:
         if not len(tokens):
-            counts[0].append(np.zeros(1, np.int64))
+            size.append(np.zeros(1, np.int64))
+            for x in deep_size:
+                x.append(np.zeros(runs, np.int64))
             continue
-        path = start
-        for k in range(DEPTH):
-            up, below = _sample(tokens, path, likeness)
-            counts[k].append(np.bincount(up, minlength=len(path)) if k else np.array([len(below)]))
-            levels[k].append(below)
-            path = below
-    flat = [pa.array((np.concatenate(x) if x else np.zeros(0, np.uint64)).view(np.int64)) for x in levels]
-    each = [np.concatenate(x) if x else np.zeros(0, np.int64) for x in counts]
-    third = _lists(each[2], flat[2])
-    second = _lists(each[1], pa.StructArray.from_arrays([flat[1], third], ["p", "kids"]))
-    return _lists(each[0], pa.StructArray.from_arrays([flat[0], second], ["p", "kids"]))
+        r, drawn = _sample(tokens, start[0], SHARED[0], likeness)
+        first.append(drawn)
+        of_run.append(r.astype(np.int32))
+        size.append(np.array([len(r)]))
+        for k in range(1, DEPTH):
+            r, drawn = _sample(tokens, start[k], SHARED[k], likeness)
+            deep[k - 1].append(drawn)
+            deep_size[k - 1].append(np.bincount(r, minlength=runs))
+    run_lists = pa.ListArray.from_arrays(pa.array(np.r_[0, np.cumsum(np.concatenate(size))].astype(np.int32)), pa.array(np.concatenate(of_run) if of_run else np.zeros(0, np.int32), pa.int32()))
+    out = [_lists(size, first, pa.int64()), run_lists]
+    for values, counts in zip(deep, deep_size, strict=True):
+        inner = _lists(counts, values, pa.int64())
+        out.append(pa.ListArray.from_arrays(pa.array(np.arange(0, (len(sets) + 1) * runs, runs, dtype=np.int32)), inner))
+    return out
 
 
 def set_id(tokens: np.ndarray) -> bytes | None:
@@ -128,13 +136,14 @@ def describe(docs: DataFrame, ngram: int = NGRAM, likeness: float = LIKENESS) ->
                         pa.array([set_id(s) for s in sets], pa.binary()),
                         pa.array([len(s) for s in sets], pa.int64()),
                         pa.array([_sketch(s) if len(s) else None for s in sets], pa.binary()),
-                        _forest(sets, runs, likeness),
+                        *_forest(sets, runs, likeness),
                     ],
-                    ["doc_id", "k", "sid", "size", "sketch", "paths"],
+                    ["doc_id", "k", "sid", "size", "sketch", "paths", "runs", *(f"deep{d}" for d in range(2, DEPTH + 1))],
                 )
 
     kind = keyed.schema["doc_id"].dataType.simpleString()
-    return keyed.mapInArrow(run, f"doc_id {kind}, k long, sid binary, size long, sketch binary, paths array<struct<p:long,kids:array<struct<p:long,kids:array<long>>>>>")
+    deep = "".join(f", deep{d} array<array<long>>" for d in range(2, DEPTH + 1))
+    return keyed.mapInArrow(run, f"doc_id {kind}, k long, sid binary, size long, sketch binary, paths array<long>, runs array<int>{deep}")
 
 
 def row_key():
@@ -160,21 +169,28 @@ def groups(batches: Iterator[pa.RecordBatch], key: str) -> Iterator[pa.Table]:
         yield pa.Table.from_batches(held)
 
 
-def _buckets(sets: DataFrame) -> DataFrame:
-    """(sid, p, n): the final buckets of every set that meets another."""
-    settled = []
-    inc = sets.select("sid", F.explode("paths").alias("x")).select("sid", "x.p", "x.kids")
+def _met(inc: DataFrame, name: str) -> DataFrame:
+    """Of (sid, p, run) incidences those whose path at least two different sets have, once each, with the path's rows n."""
+    own = F.xxhash64("sid")
+    crowd = inc.groupBy("p").agg(F.count("*").alias("n"), F.min(own).alias("a"), F.max(own).alias("b")).where("a <> b").select("p", "n")
+    return common.materialise(inc.join(crowd, "p").distinct(), name)
+
+
+def _buckets(rows: DataFrame) -> DataFrame:
+    """(sid, p, n): the final buckets of every set that meets another; paths over a large bucket grow by a sampled token."""
+    pairs = F.explode(F.arrays_zip("paths", "runs")).alias("x")
+    inc = rows.where("sid is not null").select("sid", pairs).select("sid", F.col("x.paths").alias("p"), F.col("x.runs").alias("run"))
+    out = None
     for depth in range(1, DEPTH + 1):
-        crowd = inc.groupBy("p").agg(F.count("*").alias("n")).where("n > 1")
-        met = common.materialise(inc.join(crowd, "p"), f"met{depth}")
+        met = _met(inc, f"met{depth}")
         last = depth == DEPTH
-        settled.append(met.where(F.lit(last) | (F.col("n") <= BUCKET)).select("sid", "p", "n"))
-        if not last:
-            split = met.where(F.col("n") > BUCKET).select("sid", F.explode("kids").alias("x"))
-            inc = split.select("sid", "x.p", "x.kids") if depth + 1 < DEPTH else split.select("sid", F.col("x").alias("p"))
-    out = settled[0]
-    for s in settled[1:]:
-        out = out.union(s)
+        done = met.where(F.lit(last) | (F.col("n") <= BUCKET)).select("sid", "p", "n")
+        out = done if out is None else out.union(done)
+        large = met.where(F.col("n") > BUCKET)
+        if last or large.isEmpty():
+            break
+        tokens = rows.select("sid", F.col(f"deep{depth + 1}").alias("deep")).join(large.select("sid").distinct(), "sid", "left_semi").dropDuplicates(["sid"])
+        inc = large.join(tokens, "sid").select("sid", "p", "run", F.explode(F.get("deep", F.col("run"))).alias("t")).select("sid", F.xxhash64("p", "t").alias("p"), "run")
     return out
 
 
@@ -268,12 +284,12 @@ def join_rows(docs: DataFrame, ngram: int = NGRAM, likeness: float = LIKENESS) -
     """
     n = common.partitions(docs.sparkSession)
     rows = common.materialise(describe(docs, ngram, likeness), "sets")
-    sets = rows.where("sid is not null").groupBy("sid").agg(F.count("*").alias("copies"), F.min("k").alias("k"), F.first("size").alias("size"), F.first("sketch").alias("sketch"), F.first("paths").alias("paths"))
-    sets = common.materialise(sets, "distinct")
-    units = _units(sets, _buckets(sets)).select("unit", "sid", "size", "sketch", "copies", "k", "homes", "p", "mine", "alone")
+    sets = rows.where("sid is not null").groupBy("sid").agg(F.count("*").alias("copies"), F.min("k").alias("k"), F.first("size").alias("size"), F.first("sketch").alias("sketch"))
+    units = _units(sets, _buckets(rows)).select("unit", "sid", "size", "sketch", "copies", "k", "homes", "p", "mine", "alone")
     part = units.repartition(n, "unit").sortWithinPartitions("unit").mapInArrow(_candidates(likeness), "unit long, sid binary, k long, copies long, partners binary")
     part = common.materialise(part, "candidates")
-    texts = docs.select(row_key(), "text").join(part.select("k").distinct(), "k")
+    # by a shuffle at every size: the side that is sought grows with the corpus
+    texts = docs.select(row_key(), "text").join(part.select("k").distinct().hint("shuffle_hash"), "k")
     held = part.join(texts, "k").dropDuplicates(["unit", "sid"])
     found = held.repartition(n, "unit").sortWithinPartitions("unit").mapInArrow(_settle(ngram, likeness), "sid binary, links long, root binary")
     found = common.materialise(found, "links")
