@@ -195,7 +195,7 @@ def _windows(n: int, window: int, period: int):
                 part = batch.slice(lo, hi - lo)
                 words, first = _words(part)
                 touched = np.zeros(len(words) + 1, np.int32)
-                for d, packed in enumerate(common.column(part, "anchors").to_pylist()):
+                for d, packed in enumerate(common.column(part, "__anchors").to_pylist()):
                     p = _places(packed)
                     # every window start from which the anchor is within reach
                     np.add.at(touched, first[d] + np.maximum(p - period + 1, 0), 1)
@@ -227,9 +227,9 @@ def remove_repeats(docs: DataFrame, window: int = WINDOW, joined: bool = True) -
     period, length = plan_of(window)
     keyed = docs.withColumn("__k", F.xxhash64(F.col("doc_id").cast("string"), F.col("text")))
     x = keyed.repartition(n, "__k")
-    anchors = _answers(x.mapInArrow(_anchors(n, window, period, length), Packer.SCHEMA), n, "anchors")
+    anchors = _answers(x.mapInArrow(_anchors(n, window, period, length), Packer.SCHEMA), n, "__anchors")
     near = x.join(anchors.hint("shuffle_hash"), "__k")
-    full = _answers(near.mapInArrow(_windows(n, window, period), Packer.SCHEMA), n, "windows")
+    full = _answers(near.mapInArrow(_windows(n, window, period), Packer.SCHEMA), n, "__windows")
     judged = x.join(full.hint("shuffle_hash"), "__k", "left")
     schema = T.StructType([*docs.schema.fields, T.StructField("__n_words", T.LongType()), T.StructField("__n_removed", T.LongType())])
     names = docs.columns
@@ -239,7 +239,7 @@ def remove_repeats(docs: DataFrame, window: int = WINDOW, joined: bool = True) -
             for lo, hi in common.text_slices(batch):
                 part = batch.slice(lo, hi - lo)
                 texts, counts, gone = [], [], []
-                for text, packed in zip(common.column(part, "text").to_pylist(), common.column(part, "windows").to_pylist(), strict=True):
+                for text, packed in zip(common.column(part, "text").to_pylist(), common.column(part, "__windows").to_pylist(), strict=True):
                     words = (text or "").encode().split()
                     lost = np.zeros(len(words) + 1, np.int32)
                     if packed:
