@@ -28,8 +28,6 @@ NGRAM = 5
 LIKENESS = 0.8
 RECALL = 0.9995
 DEPTH = 3
-#: Tokens that two sets at the threshold are expected to share in the sample of each level, at least.
-SHARED = (1.0, 3.0, 3.0)
 #: A bucket of more sets than this is split while depth is left.
 BUCKET = 1024
 #: Sets of a block of a bucket that can't be split further.
@@ -39,9 +37,13 @@ _NGRAM, _SET, _OTHER = common.U64(0xC2B2AE3D27D4EB4F), common.U64(0x165667B19E37
 _MINS = common.seeds(SKETCH, 11) | common.U64(1)
 
 
-def runs_for(recall: float = RECALL, depth: int = DEPTH) -> int:
-    """Runs after which a pair at the threshold has met with this probability, even at full depth."""
-    together = math.prod(1 - math.exp(-x) for x in SHARED[:depth])
+def runs_for(recall: float = RECALL, depth: int = DEPTH, likeness: float = LIKENESS) -> int:
+    """Runs after which a pair at the threshold has met with this probability, even at full depth.
+
+    On the first level a run draws about one token that the two share; on each deeper one it draws the set's least token under a hash
+    of the level, which they share with a probability of their likeness.
+    """
+    together = (1 - math.exp(-1.0)) * likeness ** (depth - 1)
     return math.ceil(math.log(1 - recall) / math.log(1 - together))
 
 
@@ -62,47 +64,30 @@ def shingles(part: pa.RecordBatch, n: int) -> list[np.ndarray]:
     return out
 
 
-def _sample(tokens: np.ndarray, seed: np.ndarray, shared: float, likeness: float) -> tuple[np.ndarray, np.ndarray]:
+def _sample(tokens: np.ndarray, seed: np.ndarray, likeness: float) -> tuple[np.ndarray, np.ndarray]:
     """The tokens that each run samples: numbers of the runs, and the drawn hashes."""
-    chance = min(1.0, shared / (likeness * len(tokens)))
+    chance = min(1.0, 1 / (likeness * len(tokens)))
     under = common.U64(min(chance * 2.0**64, 2.0**64 - 2048))
     drawn = common.mix64(tokens[None, :] ^ seed[:, None])
     r, t = np.nonzero(drawn <= under) if chance < 1 else np.indices(drawn.shape).reshape(2, -1)
     return r, common.mix64(drawn[r, t] ^ seed[r])
 
 
-def _lists(counts: list[np.ndarray], values: list[np.ndarray], kind: pa.DataType) -> pa.Array:
-    sizes = np.concatenate(counts) if counts else np.zeros(0, np.int64)
-    flat = np.concatenate(values) if values else np.zeros(0, np.uint64)
-    return pa.ListArray.from_arrays(pa.array(np.r_[0, np.cumsum(sizes)].astype(np.int32)), pa.array(flat.view(np.int64) if flat.dtype == np.uint64 else flat, kind))
-
-
 def _forest(sets: list[np.ndarray], runs: int, likeness: float) -> list[pa.Array]:
-    """Of each set: the chosen paths of the first level, the run of each, and for each run the tokens of deeper levels."""
+    """Of each set: the chosen paths of the first level, and beside each path its run's token of every deeper level."""
     start = [common.seeds(runs, 5 + 1000 * k) for k in range(DEPTH)]
-    first, of_run, size = [], [], []
-    deep: list[list] = [[] for _ in range(1, DEPTH)]
-    deep_size: list[list] = [[] for _ in range(1, DEPTH)]
-    for tokens in sets:
+    columns: list[list] = [[] for _ in range(DEPTH)]
+    size = np.zeros(len(sets), np.int64)
+    for i, tokens in enumerate(sets):
         if not len(tokens):
-            size.append(np.zeros(1, np.int64))
-            for x in deep_size:
-                x.append(np.zeros(runs, np.int64))
             continue
-        r, drawn = _sample(tokens, start[0], SHARED[0], likeness)
-        first.append(drawn)
-        of_run.append(r.astype(np.int32))
-        size.append(np.array([len(r)]))
+        r, drawn = _sample(tokens, start[0], likeness)
+        size[i] = len(r)
+        columns[0].append(drawn)
         for k in range(1, DEPTH):
-            r, drawn = _sample(tokens, start[k], SHARED[k], likeness)
-            deep[k - 1].append(drawn)
-            deep_size[k - 1].append(np.bincount(r, minlength=runs))
-    run_lists = pa.ListArray.from_arrays(pa.array(np.r_[0, np.cumsum(np.concatenate(size))].astype(np.int32)), pa.array(np.concatenate(of_run) if of_run else np.zeros(0, np.int32), pa.int32()))
-    out = [_lists(size, first, pa.int64()), run_lists]
-    for values, counts in zip(deep, deep_size, strict=True):
-        inner = _lists(counts, values, pa.int64())
-        out.append(pa.ListArray.from_arrays(pa.array(np.arange(0, (len(sets) + 1) * runs, runs, dtype=np.int32)), inner))
-    return out
+            columns[k].append(common.mix64(tokens[None, :] ^ start[k][:, None]).min(1)[r])
+    offsets = pa.array(np.r_[0, np.cumsum(size)].astype(np.int32))
+    return [pa.ListArray.from_arrays(offsets, pa.array((np.concatenate(c) if c else np.zeros(0, np.uint64)).view(np.int64))) for c in columns]
 
 
 def set_id(tokens: np.ndarray) -> bytes | None:
@@ -138,12 +123,12 @@ def describe(docs: DataFrame, ngram: int = NGRAM, likeness: float = LIKENESS) ->
                         pa.array([_sketch(s) if len(s) else None for s in sets], pa.binary()),
                         *_forest(sets, runs, likeness),
                     ],
-                    ["doc_id", "k", "sid", "size", "sketch", "paths", "runs", *(f"deep{d}" for d in range(2, DEPTH + 1))],
+                    ["doc_id", "k", "sid", "size", "sketch", "paths", *(f"deep{d}" for d in range(2, DEPTH + 1))],
                 )
 
     kind = keyed.schema["doc_id"].dataType.simpleString()
-    deep = "".join(f", deep{d} array<array<long>>" for d in range(2, DEPTH + 1))
-    return keyed.mapInArrow(run, f"doc_id {kind}, k long, sid binary, size long, sketch binary, paths array<long>, runs array<int>{deep}")
+    deep = "".join(f", deep{d} array<long>" for d in range(2, DEPTH + 1))
+    return keyed.mapInArrow(run, f"doc_id {kind}, k long, sid binary, size long, sketch binary, paths array<long>{deep}")
 
 
 def row_key():
@@ -170,16 +155,16 @@ def groups(batches: Iterator[pa.RecordBatch], key: str) -> Iterator[pa.Table]:
 
 
 def _met(inc: DataFrame, name: str) -> DataFrame:
-    """Of (sid, p, run) incidences those whose path at least two different sets have, once each, with the path's rows n."""
+    """Of incidences (sid, p, deeper tokens) those whose path at least two different sets have, once each, with the path's rows n."""
     own = F.xxhash64("sid")
     crowd = inc.groupBy("p").agg(F.count("*").alias("n"), F.min(own).alias("a"), F.max(own).alias("b")).where("a <> b").select("p", "n")
     return common.materialise(inc.join(crowd, "p").distinct(), name)
 
 
 def _buckets(rows: DataFrame) -> DataFrame:
-    """(sid, p, n): the final buckets of every set that meets another; paths over a large bucket grow by a sampled token."""
-    pairs = F.explode(F.arrays_zip("paths", "runs")).alias("x")
-    inc = rows.where("sid is not null").select("sid", pairs).select("sid", F.col("x.paths").alias("p"), F.col("x.runs").alias("run"))
+    """(sid, p, n): the final buckets of every set that meets another; paths over a large bucket grow by the run's next token."""
+    deep = [f"deep{d}" for d in range(2, DEPTH + 1)]
+    inc = rows.where("sid is not null").select("sid", F.explode(F.arrays_zip("paths", *deep)).alias("x")).select("sid", F.col("x.paths").alias("p"), *(F.col(f"x.{c}") for c in deep))
     out = None
     for depth in range(1, DEPTH + 1):
         met = _met(inc, f"met{depth}")
@@ -189,8 +174,7 @@ def _buckets(rows: DataFrame) -> DataFrame:
         large = met.where(F.col("n") > BUCKET)
         if last or large.isEmpty():
             break
-        tokens = rows.select("sid", F.col(f"deep{depth + 1}").alias("deep")).join(large.select("sid").distinct(), "sid", "left_semi").dropDuplicates(["sid"])
-        inc = large.join(tokens, "sid").select("sid", "p", "run", F.explode(F.get("deep", F.col("run"))).alias("t")).select("sid", F.xxhash64("p", "t").alias("p"), "run")
+        inc = large.select("sid", F.xxhash64("p", f"deep{depth + 1}").alias("p"), *deep[depth:])
     return out
 
 
