@@ -23,7 +23,7 @@ from .pretokens import splitter
 
 RANKS = "byte_bpe_50k.tiktoken"
 MEMO_CHARS = 48
-MEMO_ENTRIES = 200_000
+MEMO_ENTRIES = 150_000
 #: Size classes above this run one pre-token at a time.
 LOCKSTEP = 128
 #: Cells of the trees of one lockstep run.
@@ -192,7 +192,7 @@ def codec(ranks: str) -> Codec:
 
 
 def _apply(docs: DataFrame, id_col: str, text_col: str, row, schema: str, ranks: str) -> DataFrame:
-    slim = docs.select(docs[id_col].alias(id_col), docs[text_col].alias("__text"))
+    slim = common.bounded(docs.select(docs[id_col].alias(id_col), docs[text_col].alias("__text")))
     kind = slim.schema[id_col].dataType.simpleString()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -217,7 +217,7 @@ def encode(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", rank
 
 def decode(encoded: DataFrame, id_col: str = "doc_id", ids_col: str = "ids", ranks: str = RANKS) -> DataFrame:
     """id and decoded bytes of each row of ids; null ids decode to no bytes."""
-    slim = encoded.select(encoded[id_col].alias(id_col), encoded[ids_col].alias("__ids"))
+    slim = common.bounded(encoded.select(encoded[id_col].alias(id_col), encoded[ids_col].alias("__ids")))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         c = codec(ranks)

@@ -149,7 +149,7 @@ def _deal(docs: DataFrame) -> DataFrame:
 
     Cut points come from a quantile sketch; what reaches the driver is one id a section.
     """
-    spark = docs.sparkSession
+    spark = common.bounded(docs).sparkSession
     n = common.partitions(spark)
     key = F.coalesce(F.col("doc_id").cast("long"), F.lit(-(1 << 63)))  # nulls last in descending order
     slim = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text"), key.alias("key"))

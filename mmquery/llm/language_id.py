@@ -30,7 +30,7 @@ ROUNDS = 3
 SMOOTHING = 0.05
 #: Words above this many characters run alone; the fit leaves them out.
 LOCKSTEP = 48
-MEMO_ENTRIES = 300_000
+MEMO_ENTRIES = 100_000
 MEMO_CHARS = 48
 _LETTER = regex.compile(r"\p{L}").search
 _MASK = common.U64((1 << 63) - 1)
@@ -265,7 +265,7 @@ def learn(docs: DataFrame, sample_rows: int = SAMPLE_ROWS, name: str = VOCABULAR
 
 def predict(docs: DataFrame, model: Model) -> DataFrame:
     """All columns of `docs` with __lang and __score: a narrow map that reads nothing but the text."""
-    schema = docs.schema
+    schema = common.bounded(docs).schema
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         scorer = _scorer(model)

@@ -106,7 +106,7 @@ def _sketch(tokens: np.ndarray) -> bytes:
 
 def describe(docs: DataFrame, ngram: int = NGRAM, likeness: float = LIKENESS) -> DataFrame:
     """doc_id, row key, set id, set size, sketch and chosen paths of every row."""
-    keyed = docs.select("doc_id", "text", row_key())
+    keyed = common.bounded(docs.select("doc_id", "text", row_key()))
     runs = runs_for()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

@@ -222,7 +222,7 @@ def remove_repeats(docs: DataFrame, window: int = WINDOW, joined: bool = True) -
     window lose nothing. Rows alike in id and text are separate texts, so their windows repeat each other. Extra
     columns pass through (names starting with two underscores are reserved); an empty table stays empty.
     """
-    spark = docs.sparkSession
+    spark = common.bounded(docs).sparkSession
     n = common.partitions(spark)
     period, length = plan_of(window)
     keyed = docs.withColumn("__k", F.xxhash64(F.col("doc_id").cast("string"), F.col("text")))

@@ -27,7 +27,7 @@ VOCABULARY = "byte_bpe_50k.json"
 LIMIT = 512
 #: Pre-tokens longer than this many characters aren't kept in a worker's memo.
 MEMO_CHARS = 48
-MEMO_ENTRIES = 300_000
+MEMO_ENTRIES = 200_000
 #: Sequences longer than this are merged alone with a heap: rounds over a huge array would cost its square.
 LONG = 1024
 NEVER = np.int64(1) << 40
@@ -163,7 +163,7 @@ def token_counts(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     Null text counts as empty: 0 bytes, 0 tokens. Repeated rows and repeated or null ids each keep a row of their
     own. Extra columns are ignored, whatever their names. An empty table gives an empty result. A narrow map: no shuffle.
     """
-    slim = docs.select(docs[id_col].alias("id"), docs[text_col].alias("text"))
+    slim = common.bounded(docs.select(docs[id_col].alias("id"), docs[text_col].alias("text")))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         count = counter(vocabulary).counts

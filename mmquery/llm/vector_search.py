@@ -127,7 +127,7 @@ def search(vectors: DataFrame, id_col: str = "vec_id", vector_col: str = "embedd
     query, and a candidate once for each of its rows. Fewer candidates than `top` give fewer rows; an empty table none.
     Scores are exact on the original vectors in double precision; only the choice of candidates is approximate.
     """
-    spark = vectors.sparkSession
+    spark = common.bounded(vectors).sparkSession
     base = vectors.select(F.col(id_col).cast("long").alias("vec_id"), F.col(vector_col).cast("array<double>").alias("v")).where(F.col(id_col).isNotNull() & _valid(vector_col))
     dims = base.groupBy(F.size("v").alias("d")).count().orderBy(F.desc("count"), "d").limit(1).collect()
     schema = "query_id long, rank int, vec_id long, score double"

@@ -199,7 +199,7 @@ def write(pages: DataFrame, folder: str | None = None, least_bytes: int = 0) ->
     largest page_id are all responses; null page_ids rank lowest, and among themselves are all responses. Extra columns are
     ignored; an empty table writes no file.
     """
-    spark = pages.sparkSession
+    spark = common.bounded(pages).sparkSession
     folder = folder or f"{common.shared_dir(spark)}/mmquery/warc-{uuid.uuid4().hex}"
     slim = pages.select("page_id", "url", F.coalesce("html", F.lit("")).alias("html"))
     slim = slim.withColumn("sha", F.sha1(F.encode("html", "UTF-8"))).withColumn("size", F.octet_length("html"))
