@@ -16,6 +16,8 @@ from pyspark.sql.types import LongType, StructField, StructType
 
 #: Side of a square block, in values hashed to one block number.
 SIDE = 2048
+#: Blocks of a dimension; a row is repeated at most so often.
+MOST_BLOCKS = 64
 CUTOFF = 64
 
 
@@ -98,21 +100,20 @@ def mm_sparse(r: DataFrame, s: DataFrame, inner: list[str], group: list[str] | N
 def mm_blocked(r: DataFrame, s: DataFrame, inner: list[str], group: list[str] | None = None, kernel: str = "blas", side: int = SIDE, rows: int | None = None, count: bool = False) -> DataFrame:
     """The same product in square blocks.
 
-    Values are hashed to block numbers, as many as make blocks of about `side` values in each dimension (rows: an upper bound on
-    distinct values; counted where not given). A row of r goes to every column block of s and the other way round, so a
-    task holds one block of each; blocks of one inner range are reduced by distinct or sum.
+    Values are hashed to block numbers, in each dimension as many as make blocks of about `side` values (rows: an upper bound on
+    distinct values of every dimension; estimated for each where not given). A row of r goes to every column block of s and the
+    other way round, so a task holds one block of each; blocks of one inner range are reduced by distinct or sum.
     """
     group = group or []
     left = [c for c in r.columns if c not in (*inner, *group)]
     right = [c for c in s.columns if c not in (*inner, *group)]
-    rows = rows if rows is not None else max(r.count(), s.count())
-    n = max(1, -(-rows // side))
-    n = min(n, 64)
-    one = lambda cols, salt: F.pmod(F.xxhash64(*cols, F.lit(salt)), F.lit(n)).cast("int")
-    every = F.explode(F.sequence(F.lit(0), F.lit(n - 1)))
+    many = {} if rows is not None else {**_distinct(r, {"i": left, "k": inner}), **_distinct(s, {"j": right})}
+    n = {d: min(MOST_BLOCKS, max(1, -(-many.get(d, rows or 0) // side))) for d in "ikj"}
+    one = lambda cols, salt, d: F.pmod(F.xxhash64(*cols, F.lit(salt)), F.lit(n[d])).cast("int")
+    every = lambda d: F.explode(F.sequence(F.lit(0), F.lit(n[d] - 1)))
     wide = lambda df: df.withColumn("__g", F.xxhash64(*group, F.lit(7)) if group else F.lit(0).cast("long"))
-    a = wide(r).withColumn("__i", one(left, 1)).withColumn("__k", one(inner, 2)).withColumn("__j", every)
-    b = wide(s).withColumn("__j", one(right, 3)).withColumn("__k", one(inner, 2)).withColumn("__i", every)
+    a = wide(r).withColumn("__i", one(left, 1, "i")).withColumn("__k", one(inner, 2, "k")).withColumn("__j", every("j"))
+    b = wide(s).withColumn("__j", one(right, 3, "j")).withColumn("__k", one(inner, 2, "k")).withColumn("__i", every("i"))
     fields = [r.schema[c] for c in (*group, *left)] + [s.schema[c] for c in right]
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in fields) + ", n long"
     multiply = KERNELS[kernel].multiply
@@ -150,6 +151,11 @@ def mm_blocked(r: DataFrame, s: DataFrame, inner: list[str], group: list[str] |
     return blocks.groupBy(*cols).agg(F.sum("n").alias("n")) if count else blocks.select(*cols).distinct()
 
 
+def _distinct(df: DataFrame, dims: dict[str, list[str]]) -> dict[str, int]:
+    """About how many values each dimension has; a dimension without columns has one."""
+    return df.agg(*[(F.approx_count_distinct(F.xxhash64(*cols)) if cols else F.lit(1).cast("long")).alias(d) for d, cols in dims.items()]).first().asDict()
+
+
 def _key(df: pd.DataFrame, cols: list[str]) -> pd.Series:
     return df[cols[0]] if len(cols) == 1 else pd.Series(list(df[cols].itertuples(index=False, name=None)), dtype=object)
 
