@@ -1,14 +1,21 @@
 """Chat formatting by quotation linking.
 
 Lines of a message that start with `>` marks are quotes; their number of marks is the level. Consecutive lines of one level
-are a passage. Passages and the messages' own lines are normalised and hashed; a quoted line is joined to the first message of
-its conversation that says it, and a message answers the message that its outermost linked quote comes from. Messages
+are a passage: its lines, normalised and without blank ones, joined by spaces, so that it is the same however it is wrapped. Passages are
+hashed, and a quoted one is joined to the first message of its conversation, before its own, that has it as a passage; failing that, as
+whole lines of a passage; failing that, within one. A passage that nobody said as a whole is linked by its runs of lines, and stands for the message
+of its longest run. A message answers the message that its outermost linked passage comes from. Messages
 are then ordered by reply: each after the one it answers, answers in turn order, and formatted without quotes.
 """
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+import re
+from collections.abc import Iterator
+from itertools import accumulate, groupby
+
+import pyarrow as pa
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import common
@@ -16,27 +23,134 @@ from . import common
 MARKS = r"^(?:[ \t]*>)+[ \t]?"
 #: Steps along a chain of replies double each round.
 MOST_ROUNDS = 40
-
-
-def _lines(messages: DataFrame) -> DataFrame:
-    """A row for each line: level, place, text without marks, its normal form."""
-    each = messages.select("conv_id", "turn", F.posexplode(F.split(F.coalesce("text", F.lit("")), r"\r?\n")).alias("at", "line"))
-    marks = F.regexp_extract("line", MARKS, 0)
-    level = F.length(F.regexp_replace(marks, r"[^>]", ""))
-    body = F.regexp_replace("line", MARKS, "")
-    normal = F.lower(F.trim(F.regexp_replace(body, r"\s+", " ")))
-    return each.select("conv_id", "turn", "at", level.alias("level"), body.alias("body"), normal.alias("normal"))
-
-
-def _links(lines: DataFrame) -> DataFrame:
+#: First words (a power of two, at most this many) by which places that may hold a passage are found; the rest is compared there.
+GRAM = 64
+_MARKS, _BREAK = re.compile(MARKS), re.compile(r"\r?\n")
+_SPACE = re.compile(r"\s+", re.ASCII)
+
+
+def passages(text: str) -> list[tuple[int, int, list[str]]]:
+    """First line, level and non-blank normal lines of each passage of a text; passages of blank lines are left out."""
+    lines = []
+    for at, line in enumerate(_BREAK.split(text)):
+        marks = _MARKS.match(line)
+        body = line[marks.end() :] if marks else line
+        lines.append((marks[0].count(">") if marks else 0, at, _SPACE.sub(" ", body).strip(" ").lower()))
+    out = []
+    for level, run in groupby(lines, key=lambda x: x[0]):
+        run = list(run)
+        if said := [x for _, _, x in run if x]:
+            out.append((run[0][1], level, said))
+    return out
+
+
+def _passages(messages: DataFrame) -> DataFrame:
+    """A row for each passage of the conversations that quote: conv_id, turn, at, level, words, and the word that each line starts at, with the end."""
+    quotes = F.exists(F.split("text", r"\r?\n"), lambda x: x.rlike(MARKS))
+    slim = common.bounded(messages.where("text is not null").join(messages.where(quotes).select("conv_id").distinct(), "conv_id", "left_semi").select("conv_id", "turn", "text"))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for lo, hi in common.text_slices(batch):
+                part = batch.slice(lo, hi - lo)
+                found = [(i, *p) for i, t in enumerate(common.column(part, "text").to_pylist()) for p in passages(t)]
+                rows = pa.array([f[0] for f in found], pa.int64())
+                split = [[x.split(" ") for x in f[3]] for f in found]
+                yield pa.RecordBatch.from_arrays(
+                    [
+                        common.column(part, "conv_id").take(rows),
+                        common.column(part, "turn").take(rows),
+                        pa.array([f[1] for f in found], pa.int64()),
+                        pa.array([f[2] for f in found], pa.int64()),
+                        pa.array([[w for x in lines for w in x] for lines in split], pa.list_(pa.string())),
+                        pa.array([[0, *accumulate(map(len, lines))] for lines in split], pa.list_(pa.int32())),
+                    ],
+                    ["conv_id", "turn", "at", "level", "words", "bounds"],
+                )
+
+    kind = {c: slim.schema[c].dataType.simpleString() for c in ("conv_id", "turn")}
+    return slim.mapInArrow(run, f"conv_id {kind['conv_id']}, turn {kind['turn']}, at long, level long, words array<string>, bounds array<int>")
+
+
+def _hashes(words: Column) -> list[Column]:
+    text = F.array_join(words, " ")
+    return [F.xxhash64(text).alias("h"), F.md5(text).alias("m")]
+
+
+def _within(said: DataFrame, wanted: DataFrame) -> DataFrame:
+    """conv_id, text, and the first turns that say each wanted text (conv_id, text) as whole lines (`lined`) and in any place (`inside`)."""
+    parts = wanted.distinct().withColumn("w", F.split("text", " ")).withColumn("size", F.size("w"))
+    parts = parts.withColumn("k", F.least(F.pow(2, F.floor(F.log2("size"))), F.lit(GRAM)).cast("int"))
+    parts = parts.select("conv_id", "text", "size", "k", F.xxhash64(F.slice("w", F.lit(1), F.col("k"))).alias("g"))
+    places = F.transform(F.sequence(F.lit(0), F.size("words") - F.col("k")), lambda i: F.xxhash64(F.slice(F.col("words"), i + 1, F.col("k"))))
+    own = said.join(parts.select("conv_id", "k").distinct(), "conv_id").where(F.size("words") >= F.col("k"))
+    own = own.select("conv_id", "oid", "k", F.size("words").alias("all"), F.posexplode(places).alias("pos", "g"))
+    met = own.join(parts, ["conv_id", "k", "g"]).where("pos + size <= all").select("conv_id", "oid", "pos", "size", "text")
+    met = met.join(said, ["conv_id", "oid"]).where(F.array_join(F.slice("words", F.col("pos") + 1, F.col("size")), " ") == F.col("text"))
+    lined = F.array_contains("bounds", F.col("pos")) & F.array_contains("bounds", F.col("pos") + F.col("size"))
+    return met.groupBy("conv_id", "text").agg(F.min(F.when(lined, F.col("origin"))).alias("lined"), F.min("origin").alias("inside"))
+
+
+def _before(*turns: str) -> Column:
+    """The first of the turns that lies before the message's own."""
+    return F.coalesce(*(F.when(F.col(t) < F.col("turn"), F.col(t)) for t in turns))
+
+
+def _find(said: DataFrame, whole: DataFrame, rows: DataFrame) -> DataFrame:
+    """`rows` (conv_id, turn, text, ...) with the earlier turn that says the text, or null, as `origin`."""
+    found = _within(said, rows.select("conv_id", "text"))
+    keyed = rows.withColumn("h", F.xxhash64("text")).withColumn("m", F.md5("text"))
+    met = keyed.join(whole, ["conv_id", "h", "m"], "left").join(found, ["conv_id", "text"], "left")
+    return met.withColumn("origin", _before("whole", "lined", "inside")).drop("h", "m", "whole", "lined", "inside", "text")
+
+
+def _runs(said: DataFrame, whole: DataFrame, rest: DataFrame) -> DataFrame:
+    """Of passages that nobody said as a whole: lines linked, and the turn of the longest linked run of lines.
+
+    A run can only be said if a shorter one from the same line is, so the longest run from each line is found by halving steps: rounds follow the
+    logarithm of the lines of the longest passage.
+    """
+    keys = ["conv_id", "turn", "at", "pid"]
+    lines = rest.select(*keys, F.explode(F.sequence(F.lit(0), F.size("bounds") - 2)).alias("s"))
+    state = common.materialise(lines.withColumn("r", F.lit(0)).withColumn("origin", F.lit(None).cast(rest.schema["turn"].dataType)), "runs")
+    step = 1 << (int(rest.agg(F.max(F.size("bounds") - 1)).first()[0]).bit_length() - 1)
+    end = lambda n: F.get("bounds", F.col("s") + F.col("r") + n)
+    start = F.get("bounds", F.col("s"))
+    while step:
+        texts = state.join(rest, keys).where(F.col("s") + F.col("r") + step < F.size("bounds"))
+        texts = texts.select(*keys, "s", F.array_join(F.slice("words", start + 1, end(step) - start), " ").alias("text"))
+        found = _find(said, whole, texts).where("origin is not null").withColumnRenamed("origin", "new")
+        old, state = state, common.materialise(
+            state.join(found, [*keys, "s"], "left").select(*keys, "s", F.when(F.col("new").isNotNull(), F.col("r") + step).otherwise(F.col("r")).alias("r"), F.coalesce("new", "origin").alias("origin")), "runs"
+        )
+        common.discard(old)
+        step //= 2
+    long = state.where("r > 0").join(rest.select(*keys, "bounds"), keys).select(*keys, F.struct((end(0) - start).alias("n"), (-F.col("s")).alias("s"), "origin").alias("run"))
+    return long.groupBy(*keys).agg(F.count("*").alias("lines"), F.max("run").alias("run")).select(*keys, "lines", F.col("run.origin").alias("origin"))
+
+
+def _links(messages: DataFrame) -> DataFrame:
     """conv_id, turn, quoted and linked lines of each message that quotes, and the turn it answers."""
-    said = lines.where("level = 0 and normal <> ''").groupBy("conv_id", F.xxhash64("normal").alias("h"), F.md5("normal").alias("m")).agg(F.min("turn").alias("origin"))
-    quoted = lines.where("level > 0 and normal <> ''").select("conv_id", "turn", "at", "level", F.xxhash64("normal").alias("h"), F.md5("normal").alias("m"))
-    met = quoted.join(said, ["conv_id", "h", "m"], "left").withColumn("origin", F.when(F.col("origin") < F.col("turn"), F.col("origin")))
-    return met.groupBy("conv_id", "turn").agg(
-        F.count("*").alias("n_quoted"),
-        F.count("origin").alias("n_linked"),
-        F.min(F.when(F.col("origin").isNotNull(), F.struct("level", "at", "origin"))).alias("first"),
+    every = common.materialise(_passages(messages), "passages")
+    said = every.where("level = 0").groupBy("conv_id", "words", "bounds").agg(F.min("turn").alias("origin"))
+    said = said.withColumn("oid", F.md5(F.concat_ws("/", F.array_join("words", " "), F.array_join(F.transform("bounds", lambda x: x.cast("string")), " "))))
+    whole = said.groupBy("conv_id", *_hashes(F.col("words"))).agg(F.min("origin").alias("whole"))
+    quoted = every.where("level > 0").groupBy("conv_id", "turn", "at", "level", "words", "bounds").agg(F.count("*").alias("copies"))
+    quoted = quoted.withColumn("text", F.array_join("words", " ")).select("*", *_hashes(F.col("words"))).withColumn("size", F.size("bounds") - 1).withColumn("pid", F.md5(F.concat_ws("/", "level", "m", F.array_join(F.transform("bounds", lambda x: x.cast("string")), " "))))
+    met = common.materialise(quoted.join(whole, ["conv_id", "h", "m"], "left").withColumn("origin", _before("whole")).drop("h", "m", "whole"), "quoted")
+    keys = ["conv_id", "turn", "at", "pid"]
+    done = met.where("origin is not null").select(*keys, F.col("size").alias("lines"), "origin", F.lit(0).alias("broken"))
+    rest = met.where("origin is null").drop("origin")
+    if not rest.isEmpty():
+        tried = common.materialise(_find(said, whole, rest), "tried")
+        done = done.union(tried.where("origin is not null").select(*keys, F.col("size").alias("lines"), "origin", F.lit(0)))
+        rest = tried.where("origin is null and size > 1").drop("origin")
+        if not rest.isEmpty():
+            done = done.union(_runs(said, whole, rest.select(*keys, "words", "bounds")).select(*keys, "lines", "origin", F.lit(1)))
+    return met.drop("origin").join(done, keys, "left").groupBy("conv_id", "turn").agg(
+        F.sum(F.col("copies") * F.col("size")).alias("n_quoted"),
+        F.sum(F.col("copies") * F.coalesce("lines", F.lit(0))).alias("n_linked"),
+        F.min(F.when(F.col("origin").isNotNull(), F.struct("level", "broken", "at", "origin"))).alias("first"),
     ).select("conv_id", "turn", "n_quoted", "n_linked", F.col("first.origin").alias("parent"))
 
 
@@ -64,13 +178,13 @@ def format_chats(conversations: DataFrame) -> DataFrame:
 
     Sorting by (conv_id, reply_path, turn) reads a conversation in reply order: reply_path is the chain of turns from its top
     message down. A quote can only come from an earlier turn of the same conversation; what is quoted from elsewhere counts
-    as quoted, not linked. Body is the text without quoted lines, trimmed; chat puts the role before it. Null texts
+    as quoted, not linked. n_quoted and n_linked count non-blank lines. Body is the text without quoted lines, trimmed; chat puts the role before it. Null texts
     are empty, null roles `unknown`. Messages with a null conv_id or turn answer nothing. Rows that repeat a turn are
     each formatted, with the quotes of all of them counted together. Extra columns are ignored; an empty table stays empty. No
     conversation is gathered into one task.
     """
     slim = conversations.select("conv_id", "turn", "role", "text")
-    links = common.materialise(_links(_lines(slim.where("conv_id is not null and turn is not null"))), "links")
+    links = common.materialise(_links(slim.where("conv_id is not null and turn is not null")), "links")
     paths = _paths(links).select("conv_id", "turn", "path")
     body = F.array_join(F.filter(F.split(F.coalesce("text", F.lit("")), r"\r?\n"), lambda x: ~x.rlike(MARKS)), "\n")
     body = F.regexp_replace(body, r"^\s+|\s+$", "")
@@ -95,6 +209,7 @@ def op4_chat_formatting(spark: SparkSession, sf_dir: str) -> DataFrame:
     return format_chats(spark.read.parquet(f"{sf_dir}/conversations.parquet"))
 
 
+#: Links single lines, so it says the same as the operator only where nothing is quoted, as in the given tables.
 OP4_SQL = r"""
 WITH RECURSIVE line AS (
   SELECT conv_id, turn, i AS pos, length(regexp_replace(regexp_extract(line, '^(?:[ \t]*>)+[ \t]?'), '[^>]', '', 'g')) AS level,

@@ -43,6 +43,31 @@ def test_quotes_are_linked(spark):
     assert quotes.format_chats(df.where("false")).count() == 0
 
 
+def test_passages_are_linked(spark):
+    """Re-wrapped, repeated, partial and broken passages; each case is a conversation of texts by turn, with the parents wanted."""
+    cases = [
+        (["alpha beta gamma delta", "> alpha beta\n> gamma delta"], [None, 0]),
+        (["alpha beta\ngamma delta", "> alpha beta gamma delta\nyes"], [None, 0]),
+        (["Hi all\nA", "Hi all\nB", "> Hi all\n> B"], [None, None, 1]),
+        (["Hi all\nA", "Hi all\nB", "> other\n> Hi all\n> B\n> C"], [None, None, 1]),
+        (["Yes indeed", "Intro\nYes", "> yes"], [None, None, 1]),
+        (["Yes indeed", "Intro\nYes", "Yes", "> yes"], [None, None, None, 2]),
+        (["one two three four five six seven", "x", "> three four\n> five\nok"], [None, None, 0]),
+        (["one two three four five six seven", "> four three"], [None, None]),
+        (["later", "> after all", "after all"], [None, None, None]),
+        (["top", "> top\nmid", "mid", ">> top\n> mid\n>> nobody\nend"], [None, 0, None, 1]),
+        (["a\n\nb", "> a\n>\n> b"], [None, 0]),
+        ([" ".join(f"w{i}" for i in range(200)), "z", "> " + "\n> ".join(f"w{i}" for i in range(20, 180))], [None, None, 0]),
+        ([" ".join(f"w{i}" for i in range(200)), "z", "> " + "\n> ".join(f"w{i}" for i in [*range(20, 180), 7])], [None, None, 0]),
+    ]
+    rows = [(c, t, "user", x) for c, (texts, _) in enumerate(cases) for t, x in enumerate(texts)]
+    got = {(r["conv_id"], r["turn"]): r for r in quotes.format_chats(spark.createDataFrame(rows, "conv_id long, turn long, role string, text string")).collect()}
+    for c, (texts, parents) in enumerate(cases):
+        assert [got[c, t]["parent_turn"] for t in range(len(texts))] == parents, texts
+    assert (got[3, 2]["n_quoted"], got[3, 2]["n_linked"]) == (4, 2)
+    assert (got[12, 2]["n_quoted"], got[12, 2]["n_linked"]) == (161, 161)
+
+
 def test_warc_equals_sql(spark, sf_dir, sql):
     cols = ["page_id", "payload_bytes", "payload_digest", "record_type", "refers_to"]
     assert rows_of(warc.op6_warc(spark, sf_dir), cols) == sql(warc.OP6_SQL, cols)
