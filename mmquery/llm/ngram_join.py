@@ -104,10 +104,10 @@ def _sketch(tokens: np.ndarray) -> bytes:
     return (common.mix64(least) >> common.U64(56)).astype(np.uint8).tobytes()
 
 
-def describe(docs: DataFrame, ngram: int = NGRAM, likeness: float = LIKENESS) -> DataFrame:
+def describe(docs: DataFrame, ngram: int = NGRAM, likeness: float = LIKENESS, recall: float = RECALL) -> DataFrame:
     """doc_id, row key, set id, set size, sketch and chosen paths of every row."""
     keyed = common.bounded(docs.select("doc_id", "text", row_key()))
-    runs = runs_for()
+    runs = runs_for(recall, likeness=likeness)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -255,7 +255,7 @@ def _settle(ngram: int, likeness: float):
     return run
 
 
-def join_rows(docs: DataFrame, ngram: int = NGRAM, likeness: float = LIKENESS) -> DataFrame:
+def join_rows(docs: DataFrame, ngram: int = NGRAM, likeness: float = LIKENESS, recall: float = RECALL) -> DataFrame:
     """doc_id, k (row key), class_id, class_k, n_links, for every row of `docs` (doc_id, text).
 
     Two rows are linked when the Jaccard likeness of their n-gram sets is at least `likeness`; rows with equal sets
@@ -264,10 +264,10 @@ def join_rows(docs: DataFrame, ngram: int = NGRAM, likeness: float = LIKENESS) -
     words; null, empty and blank texts have none and are classes of their own with no links. Repeated rows are
     copies of each other. Extra columns are ignored; an empty table gives an empty result.
 
-    Verification is exact; a pair at the threshold is met with probability RECALL, a likelier pair with more.
+    Verification is exact; a pair at the threshold is met with probability `recall`, a likelier pair with more.
     """
     n = common.partitions(docs.sparkSession)
-    rows = common.materialise(describe(docs, ngram, likeness), "sets")
+    rows = common.materialise(describe(docs, ngram, likeness, recall), "sets")
     sets = rows.where("sid is not null").groupBy("sid").agg(F.count("*").alias("copies"), F.min("k").alias("k"), F.first("size").alias("size"), F.first("sketch").alias("sketch"))
     units = _units(sets, _buckets(rows)).select("unit", "sid", "size", "sketch", "copies", "k", "homes", "p", "mine", "alone")
     part = units.repartition(n, "unit").sortWithinPartitions("unit").mapInArrow(_candidates(likeness), "unit long, sid binary, k long, copies long, partners binary")
@@ -288,9 +288,9 @@ def join_rows(docs: DataFrame, ngram: int = NGRAM, likeness: float = LIKENESS) -
     return out.select("doc_id", "k", F.when(own, F.col("doc_id")).otherwise(F.col("class.doc_id")).alias("class_id"), F.when(own, F.col("k")).otherwise(F.col("class.k")).alias("class_k"), F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"))
 
 
-def keep_one(docs: DataFrame, ngram: int = NGRAM, likeness: float = LIKENESS) -> DataFrame:
+def keep_one(docs: DataFrame, ngram: int = NGRAM, likeness: float = LIKENESS, recall: float = RECALL) -> DataFrame:
     """The rows of `docs`, one of each class of join_rows(): that of the least doc_id. Texts without words all stay, once each row."""
-    keep = join_rows(docs, ngram, likeness).where("k = class_k").select("k").distinct()
+    keep = join_rows(docs, ngram, likeness, recall).where("k = class_k").select("k").distinct()
     return docs.withColumn("__k", row_key()).join(keep.withColumnRenamed("k", "__k"), "__k").dropDuplicates(["__k"]).select(*docs.columns)
 
 

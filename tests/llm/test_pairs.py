@@ -48,6 +48,20 @@ def test_join_equals_brute_force(spark):
     assert kept == sorted(set(label))
 
 
+def test_join_at_a_lower_threshold(spark, monkeypatch):
+    """Pairs that share 40 of their 80 grams, in buckets split to the last level: at 0.5 every one is linked."""
+    monkeypatch.setattr(ngram_join, "BUCKET", 1)
+    assert ngram_join.runs_for(likeness=0.8) < ngram_join.runs_for(likeness=0.5)
+    texts = []
+    for i in range(120):
+        both = [f"s{i}x{j}" for j in range(44)]
+        texts += [" ".join(both + [f"{side}{i}x{j}" for j in range(20)]) for side in "ab"]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    got = sorted((r["doc_id"], r["class_id"], r["n_links"]) for r in ngram_join.join_rows(docs, likeness=0.5).collect())
+    assert got == [(i, i - i % 2, 1) for i in range(len(texts))]
+    assert ngram_join.join_rows(docs, likeness=0.51).where("n_links > 0").count() == 0
+
+
 def test_join_of_odd_rows(odd, empty):
     got = ngram_join.join_rows(odd).collect()
     assert len(got) == odd.count()
