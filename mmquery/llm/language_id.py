@@ -28,7 +28,7 @@ MOST_LANGUAGES = 200
 SAMPLE_ROWS = 300
 ROUNDS = 3
 SMOOTHING = 0.05
-#: Words above this many characters run alone; the fit leaves them out.
+#: Words above this many characters are scored alone; the fit takes them in pieces of this length.
 LOCKSTEP = 48
 MEMO_ENTRIES = 100_000
 MEMO_CHARS = 48
@@ -101,12 +101,11 @@ class Model:
             out[missing & (code == c)] = byte[list(chr(c).encode("utf-8", "replace"))].prod(0)
         return out
 
-    def block(self, words: list[str]) -> tuple[np.ndarray, np.ndarray, list[np.ndarray], np.ndarray]:
-        length = np.array([len(w) + 1 for w in words])
-        code = np.zeros((len(words), int(length.max())), np.int64)
-        code[:, 0] = ord("▁")
-        inner = (np.arange(code.shape[1])[None, :] < length[:, None]) & (np.arange(code.shape[1])[None, :] > 0)
-        code[inner] = np.frombuffer("".join(words).encode("utf-32-le", "surrogatepass"), np.uint32)
+    def block(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray, list[np.ndarray], np.ndarray]:
+        length = np.array([len(t) for t in texts])
+        code = np.zeros((len(texts), int(length.max())), np.int64)
+        inner = np.arange(code.shape[1])[None, :] < length[:, None]
+        code[inner] = np.frombuffer("".join(texts).encode("utf-32-le", "surrogatepass"), np.uint32)
         v, _, _ = self._tables()
         edges = v.edges(code)
         return code, length, edges, self._fallback(code, (edges[0] < 0) & (code > 0))
@@ -135,7 +134,7 @@ class Model:
         for members in classes.values():
             for lo in range(0, len(members), 4096):
                 part = members[lo : lo + 4096]
-                code, length, edges, single = self.block([words[i] for i in part])
+                code, length, edges, single = self.block(["▁" + words[i] for i in part])
                 a = self.forward(code, edges, single)
                 out[part] = np.log(np.maximum(a[np.arange(len(part)), length], 1e-300))
         return out
@@ -162,19 +161,30 @@ class Model:
         return log + np.log(np.maximum(recent[-1], 1e-300))
 
 
+def _cuts(word: str) -> list[tuple[str, float]]:
+    """What the fit learns of a word, with weights: the marked word; a long one in pieces, tiled twice half a piece apart, each tiling counting half."""
+    text = "▁" + word
+    if len(word) <= LOCKSTEP:
+        return [(text, 1.0)]
+    return [(text[max(lo, 0) : lo + LOCKSTEP], 0.5) for start in (0, -(LOCKSTEP // 2)) for lo in range(start, len(text), LOCKSTEP)]
+
+
 def fit(rows: list[tuple[str, str]], name: str = VOCABULARY, rounds: int = ROUNDS) -> Model:
     """Piece probabilities of each language from (text, language) pairs."""
     languages = sorted({g for _, g in rows})
     v = vocabulary(name)
     counts = [Counter() for _ in languages]
     for text, g in rows:
-        counts[languages.index(g)].update(w for w in text.split() if len(w) <= LOCKSTEP)
+        mine = counts[languages.index(g)]
+        for w in text.split():
+            for piece, share in _cuts(w):
+                mine[piece] += share
     words = sorted(set().union(*counts)) if counts else []
     weight = np.array([[c[w] for c in counts] for w in words], float).reshape(len(words), len(languages))
     model = Model(name, languages, np.full((v.size, len(languages)), 1 / v.size))
     blocks: dict[int, list[int]] = {}
     for i, w in enumerate(words):
-        blocks.setdefault(-(-len(w) // 4), []).append(i)
+        blocks.setdefault(-(-(len(w) - 1) // 4), []).append(i)
     for _ in range(rounds if words else 0):
         expected = np.zeros_like(model.p)
         for members in blocks.values():
@@ -253,8 +263,9 @@ def held_out(doc_id: Column) -> Column:
 
 
 def learn(docs: DataFrame, sample_rows: int = SAMPLE_ROWS, name: str = VOCABULARY) -> Model:
-    """Fit on at most `sample_rows` labelled rows of each of at most MOST_LANGUAGES languages, none held out."""
-    known = docs.select("doc_id", "lang", F.xxhash64(F.col("doc_id").cast("string"), F.lit("fit")).alias("h")).where(F.col("lang").isNotNull() & F.col("doc_id").isNotNull() & ~held_out(F.col("doc_id")))
+    """Fit on at most `sample_rows` labelled rows with a text of each of at most MOST_LANGUAGES languages, none held out."""
+    known = docs.where(F.col("lang").isNotNull() & F.col("doc_id").isNotNull() & F.col("text").isNotNull() & ~held_out(F.col("doc_id")))
+    known = common.materialise(known.select("doc_id", "lang", F.xxhash64(F.col("doc_id").cast("string"), F.lit("fit")).alias("h")), "labelled")
     names = [r["lang"] for r in known.groupBy("lang").count().orderBy(F.desc("count"), "lang").limit(MOST_LANGUAGES).collect()]
     ids = {r["doc_id"] for g in names for r in known.where(F.col("lang") == g).orderBy("h", "doc_id").limit(sample_rows).select("doc_id").collect()}
     if not ids:

@@ -1,4 +1,5 @@
 import io
+import random
 
 import pytest
 import zstandard
@@ -196,6 +197,23 @@ def test_languages_of_odd_rows(odd, empty, documents):
     assert none.where("lang_pred <> 'und'").count() == 0
 
 
+def test_languages_without_spaces(spark):
+    rng = random.Random(8)
+    syllables = {"x": ("ka", "to", "mi", "ru"), "y": ("ze", "lu", "po", "gi")}
+    rows = [(i, "".join(rng.choice(syllables[g]) for _ in range(200)), g) for i, g in enumerate("xy" * 40)]
+    got = language_id.identify(spark.createDataFrame(rows, "doc_id long, text string, lang string")).collect()
+    assert {r["doc_id"]: r["lang_pred"] for r in got} == {i: g for i, _, g in rows}
+    text = "▁" + "abcdefgh" * 20
+    pieces = language_id._cuts(text[1:])
+    assert sum(len(p) * w for p, w in pieces) == len(text) and all(len(p) <= language_id.LOCKSTEP for p, _ in pieces)
+
+
+def test_null_texts_take_no_place_in_the_sample(spark):
+    rows = [(i, None, "a") for i in range(300)] + [(1000 + i, "das haus am see", "a") for i in range(12)] + [(2000 + i, "le lac et la mer", "b") for i in range(12)]
+    got = language_id.identify(spark.createDataFrame(rows, "doc_id long, text string, lang string"), sample_rows=4).where("doc_id >= 1000").collect()
+    assert all(r["lang_pred"] == ("a" if r["doc_id"] < 2000 else "b") for r in got)
+
+
 def test_predictions_ignore_labels(documents):
     """The labels of held-out rows change nothing."""
     other = documents.withColumn("lang", F.when(language_id.held_out(F.col("doc_id")), F.lit("zz")).otherwise(F.col("lang")))
