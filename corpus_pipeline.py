@@ -12,12 +12,9 @@ from pyspark.sql import functions as F
 
 from mmquery.llm import byte_bpe, common, language_id, mixing, ngram_join, substring_dedup
 
-#: A prediction less sure than this is no prediction.
-LEAST_SCORE = 0.5
-
 
 def identify(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents with a recognised language; null texts and texts without a letter go.
+    """Documents with a recognised language, however sure; only null texts and texts without a letter go.
 
     The model is fitted on the stage's own input (labels of documents not held out); the columns stay as they are.
     """
@@ -25,7 +22,7 @@ def identify(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     keep = language_id.predict(docs, model)
     if not model.languages:  # nothing to learn from: nothing can be recognised or rejected
         return docs
-    return keep.where((F.col("__lang") != language_id.UNKNOWN) & (F.col("__score") >= LEAST_SCORE)).select(*docs.columns)
+    return keep.where(F.col("__lang") != language_id.UNKNOWN).select(*docs.columns)
 
 
 def deduplicate(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

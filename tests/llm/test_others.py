@@ -257,6 +257,13 @@ def test_pipeline_stages(spark, sf_dir, tmp_path):
     assert docs.columns == ["doc_id", "n_tokens", "ids"]
 
 
+def test_ties_are_languages_too(spark, sf_dir):
+    """Three languages that were taught the same: every text scores a third, and none is rejected."""
+    rows = [(i, "to je isto", "abc"[i % 3]) for i in range(60)] + [(100, "123 !!", "a"), (101, None, "b")]
+    kept = corpus_pipeline.identify(spark, spark.createDataFrame(rows, "doc_id long, text string, lang string"), sf_dir)
+    assert sorted(r["doc_id"] for r in kept.collect()) == list(range(60))
+
+
 def test_pipeline_stages_take_odd_tables(spark, odd, empty, sf_dir):
     base = ["doc_id", "text", "lang", "source", "n_chars"]
     for docs in (odd.select(*base), empty.select(*base)):
