@@ -1,7 +1,13 @@
+import base64
 import io
+import math
 import random
+from collections import Counter
 
+import numpy as np
+import public_tokenizers
 import pytest
+import tiktoken
 import zstandard
 from pyspark.sql import functions as F
 
@@ -264,6 +270,60 @@ def test_ties_are_languages_too(spark, sf_dir):
     assert sorted(r["doc_id"] for r in kept.collect()) == list(range(60))
 
 
+def copies_by_hand(rows):
+    """Copies of (doc_id, words, source) rows whose sizes differ within a source: the rates spend the target, rounded from the largest down."""
+    sizes = {}
+    for _, n, source in rows:
+        sizes[source] = sizes.get(source, 0) + n
+    out = {}
+    for source, target in targets_by_hand(sizes).items():
+        mine = sorted(((n, i) for i, n, s in rows if s == source), reverse=True)
+        assert len({n for n, _ in mine}) == len(mine)
+        rate = lambda n, lam: min(2.0, math.exp(min(lam * n, 1.0)))
+        low, high = -1.0, 1.0
+        for _ in range(200):
+            mid = (low + high) / 2
+            low, high = (mid, high) if sum(n * rate(n, mid) for n, _ in mine) < target else (low, mid)
+        want = got = 0.0
+        for n, i in mine:
+            want += n * rate(n, low)
+            out[i] = max(0, min(2, math.floor((want - got) / n + 0.5)))
+            got += out[i] * n
+    return out
+
+
+def test_pipeline_equals_brute_force(spark, tmp_path):
+    rng = random.Random(5)
+    made = lambda n: [f"w{rng.randrange(10**6)}" for _ in range(n)]
+    passage, near = made(50), made(200)
+    texts = [made(20 + 7 * i) for i in range(24)]
+    texts[3:3], texts[9:9] = [near], [[*near[:199], "changed"]]
+    for i in (5, 12, 17):
+        texts[i] = texts[i][:9] + passage + texts[i][9:]
+    rows = [(i, " ".join(t), "ab"[i % 2], ("news", "web", None)[i % 3], -1) for i, t in enumerate(texts)]
+    rows += [(90, None, "a", "web", -1), (91, "12 34", "a", "news", -1), (92, "", "b", None, -1)]
+    spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long").write.parquet(f"{tmp_path}/documents.parquet")
+    # a letter makes a language; of near copies the least id stays; windows of 35 words that start twice go
+    docs = {i: (t.split(" "), s) for i, t, _, s, _ in rows if t is not None and any(c.isalpha() for c in t)}
+    grams = {i: {tuple(t[k : k + 5]) for k in range(len(t) - 4)} for i, (t, _) in docs.items()}
+    gone = [b for a in docs for b in docs if a < b and len(grams[a] & grams[b]) >= 0.8 * len(grams[a] | grams[b])]
+    docs = {i: d for i, d in docs.items() if i not in gone}
+    starts = Counter(tuple(t[k : k + 35]) for t, _ in docs.values() for k in range(len(t) - 34))
+    left = {}
+    for i, (t, s) in docs.items():
+        cut = {j for k in range(len(t) - 34) if starts[tuple(t[k : k + 35])] > 1 for j in range(k, k + 35)}
+        left[i] = ([w for j, w in enumerate(t) if j not in cut], s)
+    assert gone == [9] and sum(len(t) for t, _ in docs.values()) - sum(len(t) for t, _ in left.values()) == 150
+    copies = copies_by_hand([(i, len(t), s) for i, (t, s) in left.items()])
+    assert set(copies.values()) >= {1, 2}
+    ranks = {base64.b64decode(a): int(b) for a, b in map(bytes.split, open(public_tokenizers.path("byte_bpe_50k.tiktoken"), "rb"))}
+    reference = tiktoken.Encoding("own", pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens={})
+    want = sorted((i, reference.encode_ordinary(" ".join(t))) for i, (t, _) in left.items() for _ in range(copies[i]))
+    got = corpus_pipeline.run(spark, str(tmp_path)).collect()
+    assert sorted((r["doc_id"], np.frombuffer(r["ids"], "<u4").tolist()) for r in got) == want
+    assert all(r["n_tokens"] == len(r["ids"]) // 4 for r in got)
+
+
 def test_pipeline_stages_take_odd_tables(spark, odd, empty, sf_dir):
     base = ["doc_id", "text", "lang", "source", "n_chars"]
     for docs in (odd.select(*base), empty.select(*base)):
