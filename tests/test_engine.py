@@ -73,6 +73,17 @@ def test_rule_models_cover_the_join(spark):
                 assert M.audit(part).count() == 0
 
 
+def test_the_gap_counts_every_rule(spark, sf_dir, monkeypatch):
+    """A rule whose models lose all tuples shows, whichever rule it is."""
+    rules = cover_rules(plan_set(W.bind(spark, sf_dir, W.TRIANGLE).graph, W.OMEGA))
+    assert len(rules) > 1 and W.queries()["cover_model_gap"](spark, sf_dir).first()["n"] == 0
+    every = W.queries()["tri_count"](spark, sf_dir).first()["n"]
+    whole = RE.rule_eval
+    for lost in rules:
+        monkeypatch.setattr(W.RE, "rule_eval", lambda q, rule, omega: ([], 0.0) if rule == lost else whole(q, rule, omega))
+        assert W.queries()["cover_model_gap"](spark, sf_dir).first()["n"] == every > 0
+
+
 def test_products_agree(spark):
     rng = random.Random(2)
     r = [(rng.randrange(30), rng.randrange(40)) for _ in range(200)]
