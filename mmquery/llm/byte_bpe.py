@@ -191,6 +191,9 @@ def codec(ranks: str) -> Codec:
     return Codec(ranks)
 
 
+common.forgets("byte_bpe", codec.cache_clear)
+
+
 def _apply(docs: DataFrame, id_col: str, text_col: str, row, schema: str, ranks: str) -> DataFrame:
     slim = common.bounded(docs.select(docs[id_col].alias(id_col), docs[text_col].alias("__text")))
     kind = slim.schema[id_col].dataType.simpleString()
@@ -204,19 +207,24 @@ def _apply(docs: DataFrame, id_col: str, text_col: str, row, schema: str, ranks:
                 yield pa.RecordBatch.from_arrays([common.column(part, id_col), *row(c, ids)], [id_col, *names])
 
     names = [x.split()[0] for x in schema.split(", ")]
-    return slim.mapInArrow(run, f"`{id_col}` {kind}, {schema}")
+    return slim.mapInArrow(common.tidy(run, "byte_bpe"), f"`{id_col}` {kind}, {schema}")
 
 
 def encode(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", ranks: str = RANKS) -> DataFrame:
     """id, n_tokens, ids (little-endian unsigned 32-bit integers) of each row's whole text.
 
-    Null text is empty: no ids. Repeated rows keep a row each; extra columns are ignored; an empty table stays empty.
+    Null text is empty: no ids. Repeated rows keep a row each. A very long text is a slice of its own, and a long pre-token a tree of
+    its own, whose merges take the logarithm of its length. Extra columns are ignored; an empty table stays empty.
     """
     return _apply(docs, id_col, text_col, lambda c, ids: [pa.array([len(x) // 4 for x in ids], pa.int64()), pa.array(ids, pa.binary())], "n_tokens long, ids binary", ranks)
 
 
 def decode(encoded: DataFrame, id_col: str = "doc_id", ids_col: str = "ids", ranks: str = RANKS) -> DataFrame:
-    """id and decoded bytes of each row of ids; null ids decode to no bytes."""
+    """id and decoded bytes of each row of ids.
+
+    Null and empty ids decode to no bytes; repeated rows keep a row each; ids of a very long text are decoded as a whole; extra columns
+    are ignored; an empty table stays empty. An id outside the vocabulary is an error.
+    """
     slim = common.bounded(encoded.select(encoded[id_col].alias(id_col), encoded[ids_col].alias("__ids")))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -227,13 +235,14 @@ def decode(encoded: DataFrame, id_col: str = "doc_id", ids_col: str = "ids", ran
                 raw = [c.decode(x or b"") for x in common.column(part, "__ids").to_pylist()]
                 yield pa.RecordBatch.from_arrays([common.column(part, id_col), pa.array(raw, pa.binary())], [id_col, "decoded"])
 
-    return slim.mapInArrow(run, f"`{id_col}` {slim.schema[id_col].dataType.simpleString()}, decoded binary")
+    return slim.mapInArrow(common.tidy(run, "byte_bpe"), f"`{id_col}` {slim.schema[id_col].dataType.simpleString()}, decoded binary")
 
 
 def round_trip(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", ranks: str = RANKS) -> DataFrame:
     """Encode every whole text, decode the ids, and return digests of both: id, n_tokens, ids_sha256, decoded_sha256.
 
-    Null text is empty: 0 tokens, digests of no bytes. Repeated rows keep a row each; extra columns are ignored.
+    Null text is empty: 0 tokens, digests of no bytes. Repeated rows keep a row each; very long texts are taken as encode() takes
+    them; extra columns are ignored; an empty table stays empty.
     Encoding and decoding share one pass, so ids never leave the worker: no shuffle.
     """
 

@@ -6,9 +6,11 @@ memory follows the slice (or the longest single text), never the partition.
 
 from __future__ import annotations
 
+import ctypes
+import functools
 import re
 import uuid
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -66,6 +68,51 @@ def bounded(df: DataFrame) -> DataFrame:
     return df
 
 
+_FORGET: dict[str, list[Callable[[], object]]] = {}
+
+
+def forgets(owner: str, *clear: Callable[[], object]) -> None:
+    """Register how the caches that an operator keeps in a Python worker are emptied."""
+    _FORGET.setdefault(owner, []).extend(clear)
+
+
+@functools.cache
+def _malloc_trim():
+    try:
+        return ctypes.CDLL(None).malloc_trim
+    except (AttributeError, OSError):  # another C library
+        return lambda _: 0
+
+
+def forget_others(owner: str) -> None:
+    """Empty what other operators keep in this worker."""
+    for name, clears in _FORGET.items():
+        if name != owner:
+            for clear in clears:
+                clear()
+
+
+def trim() -> None:
+    """Hand free memory back to the system."""
+    pa.default_memory_pool().release_unused()
+    _malloc_trim()(0)
+
+
+def tidy(run: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]], owner: str = "") -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
+    """The same map, before which the caches of other operators go, and after which the worker hands back what it doesn't need.
+
+    Workers outlive their tasks: what one stage leaves in them would count against the next.
+    """
+
+    def tidied(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        forget_others(owner)
+        trim()
+        yield from run(batches)
+        trim()
+
+    return tidied
+
+
 def column(batch: pa.RecordBatch, name: str) -> pa.Array:
     return batch.column(batch.schema.get_field_index(name))
 
@@ -137,6 +184,8 @@ def seeds(n: int, seed: int) -> np.ndarray:
 
 _BYTE = seeds(256, 71)
 _BASE, _STEP = U64(0xD6E8FEB86659FD93), U64(0xA0761D6478BD642F)
+#: Bytes or words hashed at a time: the sums over them take some forty bytes each.
+CHUNK = 1 << 17
 _POWERS: dict[int, tuple[np.ndarray, np.ndarray]] = {}
 
 
@@ -149,29 +198,44 @@ def powers(base: np.uint64, n: int) -> tuple[np.ndarray, np.ndarray]:
         up, down = np.full(size, base, U64), np.full(size, inverse, U64)
         up[0] = down[0] = 1
         have = np.cumprod(up, dtype=U64), np.cumprod(down, dtype=U64)
-        if size <= 4 * SLICE_BYTES:
+        if size <= 4 * CHUNK:
             _POWERS[int(base)] = have
     return have[0][:n], have[1][:n]
 
 
-def word_hashes(raw: np.ndarray, s: np.ndarray, e: np.ndarray) -> np.ndarray:
-    """A 64-bit hash of each word, the same wherever it stands."""
-    if not len(s):
-        return np.zeros(0, U64)
-    up, down = powers(_BASE, len(raw) + 1)
-    total = np.zeros(len(raw) + 1, U64)
-    np.cumsum(_BYTE[raw] * up[: len(raw)], out=total[1:])
-    return mix64((total[e] - total[s]) * down[s] + (e - s).astype(U64))
+def segment_hashes(values: Callable[[int, int], np.ndarray], s: np.ndarray, e: np.ndarray, base: np.uint64) -> np.ndarray:
+    """A hash of each of the segments [s, e), which ascend and don't overlap; values(a, b) gives the numbers between two places."""
+    out = np.zeros(len(s), U64)
+    lo = 0
+    while lo < len(s):
+        at = int(s[lo])
+        hi = max(lo + 1, int(np.searchsorted(e, at + CHUNK, side="right")))
+        part = values(at, int(e[hi - 1]))
+        up, down = powers(base, len(part) + 1)
+        total = np.zeros(len(part) + 1, U64)
+        np.cumsum(part * up[:-1], out=total[1:])
+        a, b = s[lo:hi] - at, e[lo:hi] - at
+        out[lo:hi] = mix64((total[b] - total[a]) * down[a] + (b - a).astype(U64))
+        lo = hi
+    return out
+
+
+def word_hashes(raw: np.ndarray, s: np.ndarray, e: np.ndarray, byte: np.ndarray = _BYTE) -> np.ndarray:
+    """A 64-bit hash of each word, the same wherever it stands; `byte` has a number for each byte, another table gives another hash."""
+    return segment_hashes(lambda a, b: byte[raw[a:b]], s, e, _BASE)
 
 
 def window_hashes(words: np.ndarray, size: int, base: np.uint64 = _STEP) -> np.ndarray:
     """Hash of each run of `size` consecutive entries (the caller drops those that cross texts)."""
-    if len(words) < size:
-        return np.zeros(0, U64)
-    up, down = powers(base, len(words) + 1)
-    total = np.zeros(len(words) + 1, U64)
-    np.cumsum(words * up[: len(words)], out=total[1:])
-    return mix64((total[size:] - total[:-size]) * down[: len(words) - size + 1])
+    n = max(0, len(words) - size + 1)
+    out = np.zeros(n, U64)
+    for lo in range(0, n, CHUNK):
+        part = words[lo : lo + CHUNK + size - 1]
+        up, down = powers(base, len(part) + 1)
+        total = np.zeros(len(part) + 1, U64)
+        np.cumsum(part * up[:-1], out=total[1:])
+        out[lo : lo + CHUNK] = mix64((total[size:] - total[:-size]) * down[: len(part) - size + 1])
+    return out
 
 
 def inside(first: np.ndarray, size: int) -> np.ndarray:

@@ -80,11 +80,7 @@ def parse(symbols: np.ndarray, starts: np.ndarray) -> tuple[np.ndarray, np.ndarr
     after[1:] = head[:-1]
     cut = head | (low & ~tail & ~after)
     begin = np.flatnonzero(cut)
-    up, down = common.powers(_NAME | _ONE, len(symbols) + 1)
-    total = np.zeros(len(symbols) + 1, common.U64)
-    np.cumsum(common.mix64(symbols) * up[:-1], out=total[1:])
-    end = np.r_[begin[1:], len(symbols)]
-    names = common.mix64((total[end] - total[begin]) * down[begin] + (end - begin).astype(common.U64))
+    names = common.segment_hashes(lambda a, b: common.mix64(symbols[a:b]), begin, np.r_[begin[1:], len(symbols)], _NAME | _ONE)
     return names, np.flatnonzero(head[begin])
 
 
@@ -226,7 +222,7 @@ def fingerprints(docs: DataFrame) -> DataFrame:
         if waiting[0]:
             yield flush()
 
-    return _deal(docs).select("doc_id", "text", "section", "trailer").mapInArrow(run, f"doc_id {kind}, {FIELDS}")
+    return _deal(docs).select("doc_id", "text", "section", "trailer").mapInArrow(common.tidy(run), f"doc_id {kind}, {FIELDS}")
 
 
 def op5_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -5,6 +5,9 @@ an anchor, a hash of the next L words. For any two positions i, j some shift bel
 positions, so two equal windows of L + period - 1 words or more share an aligned anchor. Anchors that occur
 twice are then extended: only windows of full length around them are hashed and compared.
 
+Anchors only say where to look, and 64 bits do for them. A window is judged by two hashes of 64 bits each, made from
+two independent hashes of its words; equal windows are those that agree in both. A row is known by 96 bits of its id and text.
+
 Hashes go to their bucket packed, as a few arrays per slice of text rather than a row each. A hash that occurs
 twice within a slice is settled there and sends one witness, so however often a passage occurs, a bucket gets it
 at most once or twice from each slice. The texts are shuffled once, by a key of the row; all three passes over
@@ -31,8 +34,11 @@ PERIOD = 21
 #: Text of a slice; a larger slice settles more hashes at home, a smaller one needs less memory.
 SLICE = 2 << 20
 #: In place of a position: the hash occurs at least twice in the slice it comes from.
-WITNESS = np.uint32(0xFFFFFFFF)
-_ANCHOR, _FULL, _ROUTE = common.U64(0xE7037ED1A0B428DB), common.U64(0x8EBC6AF09C88C6E3), common.U64(0x589965CC75374CC3)
+WITNESS = np.uint64(0xFFFFFFFFFFFFFFFF)
+#: A place is the check bits of its row above, the number of the word below.
+_LOW = np.uint64(0xFFFFFFFF)
+_ANCHOR, _FULL, _ROUTE, _SECOND = common.U64(0xE7037ED1A0B428DB), common.U64(0x8EBC6AF09C88C6E3), common.U64(0x589965CC75374CC3), common.U64(0x1D8E4E27C47D124F)
+_OTHER_BYTE = common.seeds(256, 173)
 
 
 @functools.cache
@@ -52,14 +58,20 @@ def plan_of(window: int) -> tuple[int, int]:
     return period, window - period + 1
 
 
-def _words(part: pa.RecordBatch) -> tuple[np.ndarray, np.ndarray]:
+def _words(part: pa.RecordBatch, second: bool = False) -> tuple[np.ndarray, np.ndarray, np.ndarray | None]:
     raw, offsets = common.utf8(common.column(part, "text"))
     s, e, first = common.word_spans(raw, offsets)
-    return common.word_hashes(raw, s, e), first
+    return common.word_hashes(raw, s, e), first, common.word_hashes(raw, s, e, _OTHER_BYTE) if second else None
+
+
+def _rows(part: pa.RecordBatch) -> tuple[np.ndarray, np.ndarray]:
+    """Key and check bits, in their place, of each row."""
+    check = common.column(part, "__c").to_numpy().astype(np.int64).view(np.uint64)
+    return common.column(part, "__k").to_numpy(), check << np.uint64(32)
 
 
 class Packer:
-    """Sends (hash, row key, position) triples to buckets, and those settled at home past them."""
+    """Sends (hash, row key, place) triples to buckets, and those settled at home past them."""
 
     SCHEMA = "bucket int, hashes binary, keys binary, places binary"
 
@@ -67,21 +79,21 @@ class Packer:
         self.buckets = buckets
 
     def pack(self, h: np.ndarray, key: np.ndarray, place: np.ndarray) -> pa.RecordBatch:
-        order = np.argsort(h, kind="stable")
+        """h: a column of hashes, or two side by side; triples whose hashes all agree are alike."""
+        order = np.lexsort(h.T[::-1])
         h, key, place = h[order], key[order], place[order]
-        first = np.r_[True, h[1:] != h[:-1]] if len(h) else np.zeros(0, bool)
+        first = np.r_[True, (h[1:] != h[:-1]).any(1)] if len(h) else np.zeros(0, bool)
         size = np.diff(np.r_[np.flatnonzero(first), len(h)])
         many = np.repeat(size > 1, size)
-        home_key, home_place = key[many], place[many].astype(np.uint32)
-        send = first
-        h2, key2 = h[send], key[send]
-        place2 = np.where(many, WITNESS, place)[send].astype(np.uint32)
-        bucket = (common.mix64(h2 ^ _ROUTE) % common.U64(self.buckets)).astype(np.int32)
-        order = np.lexsort((place2, key2, bucket))
-        h2, key2, place2, bucket = h2[order], key2[order], place2[order], bucket[order]
+        home_key, home_place = key[many], place[many]
+        h, key = h[first], key[first]
+        place = np.where(many, WITNESS, place)[first]
+        bucket = (common.mix64(h[:, 0] ^ _ROUTE) % common.U64(self.buckets)).astype(np.int32)
+        order = np.lexsort((place, key, bucket))
+        h, key, place, bucket = h[order], key[order], place[order], bucket[order]
         cuts = np.flatnonzero(np.r_[True, bucket[1:] != bucket[:-1]]) if len(bucket) else np.zeros(0, int)
         ends = np.r_[cuts[1:], len(bucket)] if len(cuts) else cuts
-        rows = [(int(bucket[a]), h2[a:b].tobytes(), key2[a:b].tobytes(), place2[a:b].tobytes()) for a, b in zip(cuts, ends, strict=True)]
+        rows = [(int(bucket[a]), h[a:b].tobytes(), key[a:b].tobytes(), place[a:b].tobytes()) for a, b in zip(cuts, ends, strict=True)]
         if len(home_key):
             rows.append((int(home_key[0] % self.buckets), b"", home_key.tobytes(), home_place.tobytes()))
         cols = list(zip(*rows, strict=True)) or [[], [], [], []]
@@ -99,14 +111,14 @@ def _by_part(key: np.ndarray, place: np.ndarray, n: int) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array(part[cuts], pa.int32()), pa.array([key[x:y].tobytes() for x, y in spans], pa.binary()), pa.array([place[x:y].tobytes() for x, y in spans], pa.binary())], ["part", "keys", "places"])
 
 
-def _settle(n: int):
-    """Of a partition's triples, the places whose hash occurs at least twice, packed by part of the row keys."""
+def _settle(n: int, width: int):
+    """Of a partition's triples, the places whose `width` hashes occur at least twice, packed by part of the row keys."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         hs, ks, ps, home_k, home_p = [], [], [], [], []
         for batch in batches:
             for h, k, p in zip(*(common.column(batch, c).to_pylist() for c in ("hashes", "keys", "places")), strict=True):
-                key, place = np.frombuffer(k, np.int64), np.frombuffer(p, np.uint32)
+                key, place = np.frombuffer(k, np.int64), np.frombuffer(p, np.uint64)
                 if h:
                     hs.append(np.frombuffer(h, np.uint64))
                     ks.append(key)
@@ -115,12 +127,15 @@ def _settle(n: int):
                     home_k.append(key)
                     home_p.append(place)
         if hs:
-            h, k, p = np.concatenate(hs), np.concatenate(ks), np.concatenate(ps)
+            h, k, p = np.concatenate(hs).reshape(-1, width), np.concatenate(ks), np.concatenate(ps)
             del hs, ks, ps
-            order = np.argsort(h, kind="stable")
-            s = h[order]
-            twin = np.zeros(len(s), bool)
-            same = s[1:] == s[:-1]
+            order = np.lexsort(h.T[::-1])
+            same = np.ones(max(0, len(order) - 1), bool)
+            for w in range(width):
+                s = h[order, w]
+                same &= s[1:] == s[:-1]
+            del h, s
+            twin = np.zeros(len(order), bool)
             twin[1:] |= same
             twin[:-1] |= same
             # a witness alone says that the hash is repeated only where it came from, and that is settled
@@ -128,10 +143,11 @@ def _settle(n: int):
             keep = keep[p[keep] != WITNESS]
             home_k.append(k[keep])
             home_p.append(p[keep])
+            del k, p, order, twin, same
         if home_k:
             yield _by_part(np.concatenate(home_k), np.concatenate(home_p), n)
 
-    return run
+    return common.tidy(run)
 
 
 def _gather(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -140,10 +156,11 @@ def _gather(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         for k, p in zip(*(common.column(batch, c).to_pylist() for c in ("keys", "places")), strict=True):
             keys.append(np.frombuffer(k, np.int64))
-            places.append(np.frombuffer(p, np.uint32))
+            places.append(np.frombuffer(p, np.uint64))
     if not keys:
         return
     k, p = np.concatenate(keys), np.concatenate(places)
+    del keys, places
     order = np.lexsort((p, k))
     k, p = k[order], p[order]
     cuts = np.flatnonzero(np.r_[True, k[1:] != k[:-1]]) if len(k) else np.zeros(0, int)
@@ -153,14 +170,16 @@ def _gather(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield pa.RecordBatch.from_arrays([pa.array(k[a], pa.int64()), pa.array([p[x:y].tobytes() for x, y in zip(a, b, strict=True)], pa.binary())], ["__k", "places"])
 
 
-def _answers(packed: DataFrame, n: int, name: str) -> DataFrame:
+def _answers(packed: DataFrame, n: int, name: str, width: int) -> DataFrame:
     """One row per row key with its repeated places."""
-    found = packed.repartitionById(n, "bucket").mapInArrow(_settle(n), "part int, keys binary, places binary")
-    return found.repartitionById(n, "part").mapInArrow(_gather, "__k long, places binary").withColumnRenamed("places", name)
+    found = packed.repartitionById(n, "bucket").mapInArrow(_settle(n, width), "part int, keys binary, places binary")
+    return found.repartitionById(n, "part").mapInArrow(common.tidy(_gather), "__k long, places binary").withColumnRenamed("places", name)
 
 
-def _places(packed: bytes | None) -> np.ndarray:
-    return np.unique(np.frombuffer(packed or b"", np.uint32)).astype(np.int64)
+def _places(packed: bytes | None, check: np.uint64) -> np.ndarray:
+    """The numbers of the words that a row's packed places give; rows of the same key are told apart by their check bits."""
+    p = np.frombuffer(packed or b"", np.uint64)
+    return np.unique(p[p & ~_LOW == check] & _LOW).astype(np.int64)
 
 
 def _anchors(n: int, window: int, period: int, length: int):
@@ -172,7 +191,7 @@ def _anchors(n: int, window: int, period: int, length: int):
         for batch in batches:
             for lo, hi in common.text_slices(batch, "text", SLICE):
                 part = batch.slice(lo, hi - lo)
-                words, first = _words(part)
+                words, first, _ = _words(part)
                 count = np.diff(first)
                 ok = common.inside(first, length)
                 at = np.flatnonzero(ok)
@@ -181,10 +200,10 @@ def _anchors(n: int, window: int, period: int, length: int):
                 keep = cover[local % period] & (count[doc] >= window)
                 at, doc, local = at[keep], doc[keep], local[keep]
                 if len(at):
-                    key = common.column(part, "__k").to_numpy()
-                    yield packer.pack(common.window_hashes(words, length, _ANCHOR)[at], key[doc], local)
+                    key, check = _rows(part)
+                    yield packer.pack(common.window_hashes(words, length, _ANCHOR)[at][:, None], key[doc], check[doc] | local.astype(np.uint64))
 
-    return run
+    return common.tidy(run)
 
 
 def _windows(n: int, window: int, period: int):
@@ -193,10 +212,13 @@ def _windows(n: int, window: int, period: int):
         for batch in batches:
             for lo, hi in common.text_slices(batch, "text", SLICE):
                 part = batch.slice(lo, hi - lo)
-                words, first = _words(part)
+                key, check = _rows(part)
+                found = [_places(packed, c) for packed, c in zip(common.column(part, "__anchors").to_pylist(), check, strict=True)]
+                if not any(map(len, found)):
+                    continue
+                words, first, others = _words(part, second=True)
                 touched = np.zeros(len(words) + 1, np.int32)
-                for d, packed in enumerate(common.column(part, "__anchors").to_pylist()):
-                    p = _places(packed)
+                for d, p in enumerate(found):
                     # every window start from which the anchor is within reach
                     np.add.at(touched, first[d] + np.maximum(p - period + 1, 0), 1)
                     np.add.at(touched, np.minimum(first[d] + p + 1, len(words)), -1)
@@ -206,10 +228,10 @@ def _windows(n: int, window: int, period: int):
                 at = np.flatnonzero(full & (np.cumsum(touched)[: len(full)] > 0))
                 if len(at):
                     doc = np.searchsorted(first, at, side="right") - 1
-                    key = common.column(part, "__k").to_numpy()
-                    yield packer.pack(common.window_hashes(words, window, _FULL)[at], key[doc], at - first[doc])
+                    h = np.stack([common.window_hashes(words, window, _FULL)[at], common.window_hashes(others, window, _SECOND)[at]], axis=1)
+                    yield packer.pack(h, key[doc], check[doc] | (at - first[doc]).astype(np.uint64))
 
-    return run
+    return common.tidy(run)
 
 
 def remove_repeats(docs: DataFrame, window: int = WINDOW, joined: bool = True) -> DataFrame:
@@ -219,17 +241,19 @@ def remove_repeats(docs: DataFrame, window: int = WINDOW, joined: bool = True) -
     anywhere else, in the same text too; all windows are judged on the input. Words are runs of bytes outside 0x20
     and 0x09-0x0D. `joined` gives every text as its kept words joined by one space; otherwise only texts that lost
     words are rewritten. Null texts have no words and stay null unless joined, then empty. Texts shorter than the
-    window lose nothing. Rows alike in id and text are separate texts, so their windows repeat each other. Extra
-    columns pass through (names starting with two underscores are reserved); an empty table stays empty.
+    window lose nothing. Rows alike in id and text are separate texts, so their windows repeat each other. A very long text is
+    a slice of its own: a worker holds it and some twenty bytes a word beside it. Extra columns pass through (names starting
+    with two underscores are reserved); an empty table stays empty.
     """
     spark = common.bounded(docs).sparkSession
     n = common.partitions(spark)
     period, length = plan_of(window)
-    keyed = docs.withColumn("__k", F.xxhash64(F.col("doc_id").cast("string"), F.col("text")))
+    own = (F.col("doc_id").cast("string"), F.col("text"))
+    keyed = docs.withColumn("__k", F.xxhash64(*own)).withColumn("__c", F.hash(*own))
     x = keyed.repartition(n, "__k")
-    anchors = _answers(x.mapInArrow(_anchors(n, window, period, length), Packer.SCHEMA), n, "__anchors")
+    anchors = _answers(x.mapInArrow(_anchors(n, window, period, length), Packer.SCHEMA), n, "__anchors", 1)
     near = x.join(anchors.hint("shuffle_hash"), "__k")
-    full = _answers(near.mapInArrow(_windows(n, window, period), Packer.SCHEMA), n, "__windows")
+    full = _answers(near.mapInArrow(_windows(n, window, period), Packer.SCHEMA), n, "__windows", 2)
     judged = x.join(full.hint("shuffle_hash"), "__k", "left")
     schema = T.StructType([*docs.schema.fields, T.StructField("__n_words", T.LongType()), T.StructField("__n_removed", T.LongType())])
     names = docs.columns
@@ -239,11 +263,11 @@ def remove_repeats(docs: DataFrame, window: int = WINDOW, joined: bool = True) -
             for lo, hi in common.text_slices(batch):
                 part = batch.slice(lo, hi - lo)
                 texts, counts, gone = [], [], []
-                for text, packed in zip(common.column(part, "text").to_pylist(), common.column(part, "__windows").to_pylist(), strict=True):
+                for text, packed, check in zip(common.column(part, "text").to_pylist(), common.column(part, "__windows").to_pylist(), _rows(part)[1], strict=True):
                     words = (text or "").encode().split()
                     lost = np.zeros(len(words) + 1, np.int32)
                     if packed:
-                        p = _places(packed)
+                        p = _places(packed, check)
                         np.add.at(lost, p, 1)
                         np.add.at(lost, p + window, -1)
                     lost = np.cumsum(lost)[: len(words)] > 0
@@ -257,7 +281,7 @@ def remove_repeats(docs: DataFrame, window: int = WINDOW, joined: bool = True) -
                 cols = [pa.array(texts, pa.string()) if c == "text" else common.column(part, c) for c in names]
                 yield pa.RecordBatch.from_arrays([*cols, pa.array(counts, pa.int64()), pa.array(gone, pa.int64())], [*names, "__n_words", "__n_removed"])
 
-    return judged.mapInArrow(run, schema)
+    return judged.mapInArrow(common.tidy(run), schema)
 
 
 def op8_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -268,7 +268,7 @@ def write(pages: DataFrame, folder: str | None = None, least_bytes: int = 0) ->
                 start()
             yield close()
 
-    return common.materialise(rows.mapInArrow(run, "path string, records long, bytes long"), "warc-files")
+    return common.materialise(rows.mapInArrow(common.tidy(run), "path string, records long, bytes long"), "warc-files")
 
 
 def _revisit(page_id: int | None, url: str | None, n_bytes: int, own: str, owner: int | None) -> bytes:
@@ -309,7 +309,7 @@ def read(files: DataFrame, payloads: bool = False) -> DataFrame:
                     yield _batch(rows, names, types)
 
     n = common.partitions(files.sparkSession)
-    return files.select("path").repartition(n, "path").mapInArrow(run, fields)
+    return files.select("path").repartition(n, "path").mapInArrow(common.tidy(run), fields)
 
 
 def _batch(rows: list[dict], names: list[str], types: list[pa.DataType]) -> pa.RecordBatch:
