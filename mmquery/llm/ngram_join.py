@@ -1,11 +1,11 @@
 """Self-join of texts on the Jaccard likeness of their word n-grams, by a chosen-path forest.
 
-A text is the set of hashes of its n-grams of words. In each run every set keeps the tokens whose run-specific
-hash falls under 1 / (likeness * size): about one token that two like sets share. Sets with a chosen token
-in common meet in a bucket; a bucket that is too large is split again on tokens that the run samples anew, up to a
-depth; runs are repeated until a pair at the threshold is met with the target recall. Pairs that meet are held
-against small minhash sketches, and those that pass are settled exactly on the texts. Every pair has one home, the least
-bucket its two sets share, so nothing is counted twice and no pair is ever a row: rows are sets in buckets.
+A text is the set of hashes of its n-grams of words. In each run every set grows a tree of paths: a path is followed by each of
+the set's tokens whose hash, salted with the path, falls under 1 / (likeness * size): about one token that two like sets share.
+Sets with a path in common meet in its bucket. A bucket that is too large is split on the paths that follow, sampled
+anew from the whole set, up to a depth; runs are repeated until a pair at the threshold is met with the target recall. Pairs that
+meet are held against small minhash sketches, and those that pass are settled exactly on the texts. Every pair has one home, the
+least bucket its two sets share, so nothing is counted twice and no pair is ever a row: rows are sets in buckets.
 
 Texts with the same set are one node with a number of copies; a huge final bucket is cut into blocks that meet
 two at a time.
@@ -18,7 +18,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import common
@@ -30,9 +30,11 @@ RECALL = 0.9995
 DEPTH = 3
 #: A bucket of more sets than this is split while depth is left.
 BUCKET = 1024
-#: Sets of a block of a bucket that can't be split further.
-BLOCK = 1024
+#: Sets, and tokens of all its sets, of a block of a bucket that can't be split further.
+BLOCK, BLOCK_TOKENS = 2048, 1 << 21
 SKETCH = 128
+#: Tokens of a set whose paths are drawn at a time.
+DRAW = 1 << 13
 _NGRAM, _SET, _OTHER = common.U64(0xC2B2AE3D27D4EB4F), common.U64(0x165667B19E3779F9), common.U64(0x27D4EB2F165667C5)
 _MINS = common.seeds(SKETCH, 11) | common.U64(1)
 
@@ -40,10 +42,12 @@ _MINS = common.seeds(SKETCH, 11) | common.U64(1)
 def runs_for(recall: float = RECALL, depth: int = DEPTH, likeness: float = LIKENESS) -> int:
     """Runs after which a pair at the threshold has met with this probability, even at full depth.
 
-    On the first level a run draws about one token that the two share; on each deeper one it draws the set's least token under a hash
-    of the level, which they share with a probability of their likeness.
+    A path that two sets share is followed by at least one token on average that both draw, whatever the likeness; that one of
+    `depth` generations of such shared paths is left has a probability that is the same for every likeness.
     """
-    together = (1 - math.exp(-1.0)) * likeness ** (depth - 1)
+    together = 1.0
+    for _ in range(depth):
+        together = 1 - math.exp(-together)
     return math.ceil(math.log(1 - recall) / math.log(1 - together))
 
 
@@ -64,30 +68,46 @@ def shingles(part: pa.RecordBatch, n: int) -> list[np.ndarray]:
     return out
 
 
-def _sample(tokens: np.ndarray, seed: np.ndarray, likeness: float) -> tuple[np.ndarray, np.ndarray]:
-    """The tokens that each run samples: numbers of the runs, and the drawn hashes."""
+def _follow(tokens: np.ndarray, paths: np.ndarray, salt: np.uint64, likeness: float) -> tuple[np.ndarray, np.ndarray]:
+    """The paths that follow each path: the number of the path before, and the longer path."""
     chance = min(1.0, 1 / (likeness * len(tokens)))
     under = common.U64(min(chance * 2.0**64, 2.0**64 - 2048))
-    drawn = common.mix64(tokens[None, :] ^ seed[:, None])
-    r, t = np.nonzero(drawn <= under) if chance < 1 else np.indices(drawn.shape).reshape(2, -1)
-    return r, common.mix64(drawn[r, t] ^ seed[r])
+    key = common.mix64(paths ^ salt)
+    rows, found = [], []
+    for lo in range(0, len(tokens), DRAW):
+        drawn = common.mix64(tokens[None, lo : lo + DRAW] ^ key[:, None])
+        r, t = np.nonzero(drawn <= under) if chance < 1 else np.indices(drawn.shape).reshape(2, -1)
+        rows.append(r)
+        found.append(common.mix64(drawn[r, t] ^ paths[r]))
+    r, longer = np.concatenate(rows), np.concatenate(found)
+    order = np.argsort(r, kind="stable")
+    return r[order], longer[order]
 
 
 def _forest(sets: list[np.ndarray], runs: int, likeness: float) -> list[pa.Array]:
-    """Of each set: the chosen paths of the first level, and beside each path its run's token of every deeper level."""
-    start = [common.seeds(runs, 5 + 1000 * k) for k in range(DEPTH)]
-    columns: list[list] = [[] for _ in range(DEPTH)]
-    size = np.zeros(len(sets), np.int64)
-    for i, tokens in enumerate(sets):
-        if not len(tokens):
-            continue
-        r, drawn = _sample(tokens, start[0], likeness)
-        size[i] = len(r)
-        columns[0].append(drawn)
-        for k in range(1, DEPTH):
-            columns[k].append(common.mix64(tokens[None, :] ^ start[k][:, None]).min(1)[r])
-    offsets = pa.array(np.r_[0, np.cumsum(size)].astype(np.int32))
-    return [pa.ListArray.from_arrays(offsets, pa.array((np.concatenate(c) if c else np.zeros(0, np.uint64)).view(np.int64))) for c in columns]
+    """Of each set the paths of every level, as lists within lists: those of level two lie by the path they follow, and so on."""
+    roots, salts = common.seeds(runs, 5), common.seeds(DEPTH, 6007)
+    found: list[list[np.ndarray]] = [[] for _ in range(DEPTH)]
+    sizes: list[list[np.ndarray]] = [[] for _ in range(DEPTH)]
+    for tokens in sets:
+        paths = roots
+        for k in range(DEPTH):
+            if len(tokens) and len(paths):
+                r, longer = _follow(tokens, paths, salts[k], likeness)
+            else:
+                r, longer = np.zeros(0, np.int64), paths[:0]
+            # the first level hangs on the set itself
+            sizes[k].append(np.bincount(r, minlength=len(paths)) if k else np.array([len(longer)]))
+            found[k].append(longer)
+            paths = longer
+    out = []
+    for k in range(DEPTH):
+        array = pa.array((np.concatenate(found[k]) if sets else np.zeros(0, np.uint64)).view(np.int64))
+        for level in range(k, -1, -1):
+            size = np.concatenate(sizes[level]) if sets else np.zeros(0, np.int64)
+            array = pa.ListArray.from_arrays(pa.array(np.r_[0, np.cumsum(size)].astype(np.int32)), array)
+        out.append(array)
+    return out
 
 
 def set_id(tokens: np.ndarray) -> bytes | None:
@@ -105,9 +125,10 @@ def _sketch(tokens: np.ndarray) -> bytes:
 
 
 def describe(docs: DataFrame, ngram: int = NGRAM, likeness: float = LIKENESS, recall: float = RECALL) -> DataFrame:
-    """doc_id, row key, set id, set size, sketch and chosen paths of every row."""
-    keyed = common.bounded(docs.select("doc_id", "text", row_key()))
+    """doc_id, row key, set id, set size, sketch and paths of every row."""
+    keyed = common.bounded(docs.select("doc_id", "text", row_key().alias("k")))
     runs = runs_for(recall, likeness=likeness)
+    names = ["doc_id", "k", "sid", "size", "sketch", *(f"p{d}" for d in range(1, DEPTH + 1))]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -123,16 +144,18 @@ def describe(docs: DataFrame, ngram: int = NGRAM, likeness: float = LIKENESS, re
                         pa.array([_sketch(s) if len(s) else None for s in sets], pa.binary()),
                         *_forest(sets, runs, likeness),
                     ],
-                    ["doc_id", "k", "sid", "size", "sketch", "paths", *(f"deep{d}" for d in range(2, DEPTH + 1))],
+                    names,
                 )
 
     kind = keyed.schema["doc_id"].dataType.simpleString()
-    deep = "".join(f", deep{d} array<long>" for d in range(2, DEPTH + 1))
-    return keyed.mapInArrow(run, f"doc_id {kind}, k long, sid binary, size long, sketch binary, paths array<long>{deep}")
+    paths = ", ".join(f"p{d} {'array<' * d}long{'>' * d}" for d in range(1, DEPTH + 1))
+    return keyed.mapInArrow(common.tidy(run), f"doc_id {kind}, k binary, sid binary, size long, sketch binary, {paths}")
 
 
-def row_key():
-    return F.xxhash64(F.col("doc_id").cast("string"), F.col("text")).alias("k")
+def row_key() -> Column:
+    """128 bits of a row's id and text."""
+    own = F.coalesce(F.col("doc_id").cast("string"), F.lit("-"))
+    return F.unhex(F.md5(F.concat_ws("/", F.length(own).cast("string"), own, F.coalesce(F.concat(F.lit("="), "text"), F.lit("-")))))
 
 
 def groups(batches: Iterator[pa.RecordBatch], key: str) -> Iterator[pa.Table]:
@@ -155,35 +178,38 @@ def groups(batches: Iterator[pa.RecordBatch], key: str) -> Iterator[pa.Table]:
 
 
 def _met(inc: DataFrame, name: str) -> DataFrame:
-    """Of incidences (sid, p, deeper tokens) those whose path at least two different sets have, once each, with the path's rows n."""
-    own = F.xxhash64("sid")
-    crowd = inc.groupBy("p").agg(F.count("*").alias("n"), F.min(own).alias("a"), F.max(own).alias("b")).where("a <> b").select("p", "n")
-    return common.materialise(inc.join(crowd, "p").distinct(), name)
+    """Of incidences (s, p, size, ...) those whose path several sets have, with the number n of its sets and w of their tokens."""
+    crowd = inc.groupBy("p").agg(F.count("*").alias("n"), F.sum("size").alias("w")).where("n > 1")
+    return common.materialise(inc.join(crowd, "p"), name)
 
 
-def _buckets(rows: DataFrame) -> DataFrame:
-    """(sid, p, n): the final buckets of every set that meets another; paths over a large bucket grow by the run's next token."""
-    deep = [f"deep{d}" for d in range(2, DEPTH + 1)]
-    inc = rows.where("sid is not null").select("sid", F.explode(F.arrays_zip("paths", *deep)).alias("x")).select("sid", F.col("x.paths").alias("p"), *(F.col(f"x.{c}") for c in deep))
+def _buckets(sets: DataFrame) -> DataFrame:
+    """(s, p, n, w): the final buckets of every set that meets another; a large bucket is split on the paths that follow."""
+    inc = sets.select("s", "size", F.posexplode("p1").alias("i", "p"))
+    deeper = sets.select("s", *(f"p{d}" for d in range(2, DEPTH + 1)))
     out = None
     for depth in range(1, DEPTH + 1):
         met = _met(inc, f"met{depth}")
         last = depth == DEPTH
-        done = met.where(F.lit(last) | (F.col("n") <= BUCKET)).select("sid", "p", "n")
+        done = met.where(F.lit(last) | (F.col("n") <= BUCKET)).select("s", "p", "n", "w")
         out = done if out is None else out.union(done)
         large = met.where(F.col("n") > BUCKET)
         if last or large.isEmpty():
             break
-        inc = large.select("sid", F.xxhash64("p", f"deep{depth + 1}").alias("p"), *deep[depth:])
+        rest = [f"p{d}" for d in range(depth + 1, DEPTH + 1)]
+        if depth == 1:  # only sets in large buckets fetch their longer paths
+            large = large.select("s", "size", "i").join(deeper, "s").select("s", "size", *(F.get(c, F.col("i")).alias(c) for c in rest))
+        inc = large.select("s", "size", F.explode(F.arrays_zip(*rest)).alias("x")).select("s", "size", F.col(f"x.{rest[0]}").alias("p"), *(F.col(f"x.{c}") for c in rest[1:]))
     return out
 
 
 def _units(sets: DataFrame, buckets: DataFrame) -> DataFrame:
     """Sets dealt to the units of their buckets; a unit is a bucket, or two blocks of a huge one."""
-    listed = buckets.groupBy("sid").agg(F.array_sort(F.collect_set(F.struct("p", "n"))).alias("b"))
-    held = sets.select("sid", "size", "sketch", "copies", "k").join(listed, "sid")
-    each = held.select("sid", "size", "sketch", "copies", "k", F.col("b.p").alias("homes"), F.explode("b").alias("x")).select("sid", "size", "sketch", "copies", "k", "homes", "x.p", F.ceil(F.col("x.n") / BLOCK).cast("int").alias("m"))
-    mine = F.pmod(F.xxhash64("sid", "p"), F.col("m")).cast("int")
+    blocks = F.ceil(F.greatest(F.col("n") / BLOCK, F.col("w") / BLOCK_TOKENS)).cast("int")
+    listed = buckets.groupBy("s").agg(F.array_sort(F.collect_set(F.struct("p", blocks.alias("m")))).alias("b"))
+    held = sets.select("s", "size", "sketch", "copies", "k").join(listed, "s")
+    each = held.select("s", "size", "sketch", "copies", "k", F.col("b.p").alias("homes"), F.explode("b").alias("x")).select("s", "size", "sketch", "copies", "k", "homes", "x.p", "x.m")
+    mine = F.pmod(F.xxhash64("s", "p"), F.col("m")).cast("int")
     met = each.withColumn("mine", mine).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("m") - 1)))
     return met.withColumn("unit", F.xxhash64("p", F.least("mine", "other"), F.greatest("mine", "other"))).withColumn("alone", F.col("mine") == F.col("other"))
 
@@ -199,38 +225,55 @@ def _candidates(likeness: float):
                 continue
             # in a unit of two blocks only pairs across count; `alone` units hold one block
             sketch = np.frombuffer(b"".join(g["sketch"].to_pylist()), np.uint8).reshape(n, SKETCH)
-            size, mine, p = g["size"].to_numpy(), g["mine"].to_numpy(), g["p"].to_numpy()
-            homes = [frozenset(x) for x in g["homes"].to_pylist()]
-            sid = g["sid"].to_pylist()
+            size, mine, p, s = (g[c].to_numpy() for c in ("size", "mine", "p", "s"))
             alone = g["alone"][0].as_py()
-            pairs: dict[int, list[int]] = {}
+            # a pair is met here if it shares no home below this one
+            before = [h[: int(np.searchsorted(h, p[i]))] for i, h in enumerate(g["homes"].to_numpy())]
+            flat, owner = np.concatenate(before), np.repeat(np.arange(n), [len(h) for h in before])
+            order = np.argsort(flat, kind="stable")
+            flat, owner = flat[order], owner[order]
+            partners: dict[int, np.ndarray] = {}
+            some = np.zeros(n, bool)
             for i in range(n - 1):
-                like = (sketch[i + 1 :] == sketch[i]).sum(1) >= least
-                big = np.maximum(size[i + 1 :], size[i])
-                like &= np.minimum(size[i + 1 :], size[i]) >= likeness * big - 1e-9
-                like &= (p[i + 1 :] == p[i]) & (alone | (mine[i + 1 :] != mine[i]))
-                for j in (np.flatnonzero(like) + i + 1).tolist():
-                    if min(homes[i] & homes[j]) == p[i] and sid[i] != sid[j]:
-                        pairs.setdefault(i, []).append(j)
-            if pairs:
-                who = sorted(pairs.keys() | {j for x in pairs.values() for j in x})
+                ok = p == p[i]
+                ok[: i + 1] = False
+                if not alone:
+                    ok &= mine != mine[i]
+                for a, b in zip(np.searchsorted(flat, before[i]), np.searchsorted(flat, before[i], side="right"), strict=True):
+                    ok[owner[a:b]] = False
+                js = np.flatnonzero(ok)
+                js = js[np.minimum(size[js], size[i]) >= likeness * np.maximum(size[js], size[i]) - 1e-9]
+                js = js[(sketch[js] == sketch[i]).sum(1) >= least]
+                if len(js):
+                    partners[i] = s[js]
+                    some[i] = True
+                    some[js] = True
+            if partners:
+                who = np.flatnonzero(some)
+                nothing = s[:0]
                 yield pa.RecordBatch.from_arrays(
-                    [g["unit"].combine_chunks().take(who), g["sid"].combine_chunks().take(who), g["k"].combine_chunks().take(who), g["copies"].combine_chunks().take(who), pa.array([b"".join(sid[j] for j in pairs.get(i, ())) for i in who], pa.binary())],
-                    ["unit", "sid", "k", "copies", "partners"],
+                    [*(g[c].combine_chunks().take(pa.array(who)) for c in ("unit", "s", "k", "copies")), pa.array([partners.get(i, nothing).tobytes() for i in who.tolist()], pa.binary())],
+                    ["unit", "s", "k", "copies", "partners"],
                 )
 
-    return run
+    return common.tidy(run)
 
 
 def _settle(ngram: int, likeness: float):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for g in groups(batches, "unit"):
-            sids, partners, copies = g["sid"].to_pylist(), g["partners"].to_pylist(), g["copies"].to_pylist()
+            ids, copies = g["s"].to_numpy(), g["copies"].to_numpy()
+            n = len(ids)
             sets: list[np.ndarray] = []
             for b in g.select(["text"]).to_batches():
-                sets += [s for lo, hi in common.text_slices(b) for s in shingles(b.slice(lo, hi - lo), ngram)]
-            where = {s: i for i, s in enumerate(sids)}
-            links, root = [0] * len(sids), list(range(len(sids)))
+                sets += [x for lo, hi in common.text_slices(b) for x in shingles(b.slice(lo, hi - lo), ngram)]
+            size = np.array([len(x) for x in sets])
+            _, token = np.unique(np.concatenate(sets), return_inverse=True)
+            start = np.r_[0, np.cumsum(size)]
+            del sets
+            has = np.zeros(len(token), bool)
+            by_id = np.argsort(ids, kind="stable")
+            links, root = np.zeros(n, np.int64), list(range(n))
 
             def top(i: int, root: list[int] = root) -> int:
                 while root[i] != i:
@@ -238,21 +281,27 @@ def _settle(ngram: int, likeness: float):
                     i = root[i]
                 return i
 
-            for i, held in enumerate(partners):
-                for at in range(0, len(held or b""), 16):
-                    j = where.get(held[at : at + 16])
-                    if j is None or j == i:
-                        continue
-                    both = len(np.intersect1d(sets[i], sets[j], assume_unique=True))
-                    if both >= likeness * (len(sets[i]) + len(sets[j]) - both) - 1e-9:
-                        links[i] += copies[j]
-                        links[j] += copies[i]
-                        a, b = top(i), top(j)
-                        root[max(a, b)] = min(a, b)
-            tops = [top(i) for i in range(len(sids))]
-            yield pa.RecordBatch.from_arrays([pa.array(sids, pa.binary()), pa.array(links, pa.int64()), pa.array([sids[t] for t in tops], pa.binary())], ["sid", "links", "root"])
-
-    return run
+            for i, held in enumerate(g["partners"].to_pylist()):
+                if not held:
+                    continue
+                js = by_id[np.searchsorted(ids, np.frombuffer(held, np.int64), sorter=by_id)]
+                own = token[start[i] : start[i + 1]]
+                has[own] = True
+                if len(js) * 8 > n:  # all sets at once; none is empty
+                    both = np.add.reduceat(has[token], start[:-1], dtype=np.int64)[js]
+                else:
+                    both = np.array([int(has[token[start[j] : start[j + 1]]].sum()) for j in js])
+                has[own] = False
+                js = js[both >= likeness * (size[i] + size[js] - both) - 1e-9]
+                links[i] += copies[js].sum()
+                links[js] += copies[i]
+                for j in js.tolist():
+                    a, b = top(i), top(j)
+                    root[max(a, b)] = min(a, b)
+            tops = np.array([top(i) for i in range(n)])
+            yield pa.RecordBatch.from_arrays([pa.array(ids), pa.array(links), pa.array(ids[tops])], ["s", "links", "root"])
+
+    return common.tidy(run)
 
 
 def join_rows(docs: DataFrame, ngram: int = NGRAM, likeness: float = LIKENESS, recall: float = RECALL) -> DataFrame:
@@ -262,36 +311,45 @@ def join_rows(docs: DataFrame, ngram: int = NGRAM, likeness: float = LIKENESS, r
     always are. n_links counts the other rows a row is linked to; class_id is the least doc_id among the rows
     reached by links (nulls aside), class_k the row key of one such row. A text of fewer words than `ngram` has one gram, its
     words; null, empty and blank texts have none and are classes of their own with no links. Repeated rows are
-    copies of each other. Extra columns are ignored; an empty table gives an empty result.
+    copies of each other. A very long text is one set like any other; a worker holds eight bytes a word of it. Extra columns are
+    ignored; an empty table gives an empty result.
 
     Verification is exact; a pair at the threshold is met with probability `recall`, a likelier pair with more.
     """
     n = common.partitions(docs.sparkSession)
-    rows = common.materialise(describe(docs, ngram, likeness, recall), "sets")
-    sets = rows.where("sid is not null").groupBy("sid").agg(F.count("*").alias("copies"), F.min("k").alias("k"), F.first("size").alias("size"), F.first("sketch").alias("sketch"))
-    units = _units(sets, _buckets(rows)).select("unit", "sid", "size", "sketch", "copies", "k", "homes", "p", "mine", "alone")
-    part = units.repartition(n, "unit").sortWithinPartitions("unit").mapInArrow(_candidates(likeness), "unit long, sid binary, k long, copies long, partners binary")
+    rows = common.materialise(describe(docs, ngram, likeness, recall).withColumn("u", F.monotonically_increasing_id()), "sets")
+    # a set is known by the number of one of its rows
+    nodes = rows.where("sid is not null").groupBy("sid").agg(F.min("u").alias("s"), F.count("*").alias("copies"))
+    sets = common.materialise(rows.select("u", "k", "size", "sketch", *(f"p{d}" for d in range(1, DEPTH + 1))).join(nodes.select(F.col("s").alias("u"), "copies"), "u").withColumnRenamed("u", "s"), "nodes")
+    units = _units(sets, _buckets(sets)).select("unit", "s", "size", "sketch", "copies", "k", "homes", "p", "mine", "alone")
+    part = units.repartition(n, "unit").sortWithinPartitions("unit").mapInArrow(_candidates(likeness), "unit long, s long, k binary, copies long, partners binary")
     part = common.materialise(part, "candidates")
     # by a shuffle at every size: the side that is sought grows with the corpus
-    texts = docs.select(row_key(), "text").join(part.select("k").distinct().hint("shuffle_hash"), "k")
-    held = part.join(texts, "k").dropDuplicates(["unit", "sid"])
-    found = held.repartition(n, "unit").sortWithinPartitions("unit").mapInArrow(_settle(ngram, likeness), "sid binary, links long, root binary")
+    texts = docs.select(row_key().alias("k"), "text").join(part.select("k").distinct().hint("shuffle_hash"), "k").dropDuplicates(["k"])
+    held = part.join(texts, "k")
+    found = held.repartition(n, "unit").sortWithinPartitions("unit").mapInArrow(_settle(ngram, likeness), "s long, links long, root long")
     found = common.materialise(found, "links")
-    linked = found.groupBy("sid").agg(F.sum("links").alias("links"))
-    roots = components(found.select(F.col("sid").alias("u"), F.col("root").alias("v")))
-    node = rows.where("sid is not null").groupBy("sid").agg(F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "k")).alias("least"), F.count("*").alias("copies"))
-    node = node.join(roots.withColumnRenamed("node", "sid"), "sid", "left").join(linked, "sid", "left").withColumn("root", F.coalesce("root", "sid"))
+    common.discard(part)
+    linked = found.groupBy("s").agg(F.sum("links").alias("links"))
+    roots = components(found.select(F.col("s").alias("u"), F.col("root").alias("v")))
+    node = rows.where("sid is not null").groupBy("sid").agg(F.min("u").alias("s"), F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "k")).alias("least"), F.count("*").alias("copies"))
+    node = node.join(roots.withColumnRenamed("node", "s"), "s", "left").join(linked, "s", "left").withColumn("root", F.coalesce("root", "s"))
     least = node.groupBy("root").agg(F.min("least").alias("class"))
     node = node.join(least, "root").select("sid", "class", (F.coalesce("links", F.lit(0)) + F.col("copies") - 1).alias("n_links"))
     out = rows.select("doc_id", "k", "sid").join(node, "sid", "left")
     own = F.col("sid").isNull()
-    return out.select("doc_id", "k", F.when(own, F.col("doc_id")).otherwise(F.col("class.doc_id")).alias("class_id"), F.when(own, F.col("k")).otherwise(F.col("class.k")).alias("class_k"), F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"))
+    return out.select("doc_id", "k", F.when(own, F.col("doc_id")).otherwise(F.col("class.doc_id")).alias("class_id"), F.when(own, F.col("k")).otherwise(F.col("class.k")).alias("class_k"), F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"), own.alias("wordless"))
 
 
 def keep_one(docs: DataFrame, ngram: int = NGRAM, likeness: float = LIKENESS, recall: float = RECALL) -> DataFrame:
-    """The rows of `docs`, one of each class of join_rows(): that of the least doc_id. Texts without words all stay, once each row."""
-    keep = join_rows(docs, ngram, likeness, recall).where("k = class_k").select("k").distinct()
-    return docs.withColumn("__k", row_key()).join(keep.withColumnRenamed("k", "__k"), "__k").dropDuplicates(["__k"]).select(*docs.columns)
+    """The rows of `docs`, one of each class of join_rows(): that of the least doc_id.
+
+    Rows whose text has no words all stay. Of rows alike in id and text, which may differ in other columns, any one stands for
+    the others. The name __k is reserved.
+    """
+    keep = join_rows(docs, ngram, likeness, recall).where("k = class_k").select(F.col("k").alias("__k"), "wordless").distinct()
+    met = docs.withColumn("__k", row_key()).join(keep, "__k")
+    return met.where("not wordless").dropDuplicates(["__k"]).unionByName(met.where("wordless")).select(*docs.columns)
 
 
 def op1_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
