@@ -3,35 +3,40 @@
 Each language has a probability for every piece of one fixed public vocabulary. The likelihood of a word is the
 sum over all ways to cut it into pieces, by a forward pass over its characters; words are independent, so a
 text's log likelihood is the sum over its words, and a worker scores each distinct word once. The probabilities
-come from a few rounds of expectation maximisation, with the same forward pass and its mirror image.
+come from a few rounds of expectation maximisation, with the same forward pass and its mirror image. Words whose
+likelihood is too small for double precision are passed again in extended precision.
 """
 
 from __future__ import annotations
 
 import functools
-from collections import Counter
+from collections import Counter, defaultdict
 from collections.abc import Iterator
 
 import numpy as np
 import public_tokenizers
 import pyarrow as pa
 import regex
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from . import common
 
 VOCABULARY = "piece_bpe_32k.model"
 UNKNOWN = "und"
-#: Bounds of the fit: languages (the most frequent labels), and labelled rows of each, those of smallest hash.
-MOST_LANGUAGES = 200
+#: The fit's bound: labelled rows with a text of each language, those of smallest hash; and of all languages together, shared evenly.
 SAMPLE_ROWS = 300
+SAMPLE_TOTAL = 60_000
 ROUNDS = 3
 SMOOTHING = 0.05
 #: Words above this many characters are scored alone; the fit takes them in pieces of this length.
 LOCKSTEP = 48
 MEMO_ENTRIES = 100_000
 MEMO_CHARS = 48
+#: Words of a block times languages: a forward pass holds as many numbers for each character.
+CELLS = 1 << 14
+#: Likelihoods below this are taken again with a wider exponent (80 bits and more where the machine has them).
+TINY = 1e-250
 _LETTER = regex.compile(r"\p{L}").search
 _MASK = common.U64((1 << 63) - 1)
 _STEP = common.U64(0x9E3779B97F4A7C15)
@@ -110,10 +115,14 @@ class Model:
         edges = v.edges(code)
         return code, length, edges, self._fallback(code, (edges[0] < 0) & (code > 0))
 
-    def forward(self, code: np.ndarray, edges: list[np.ndarray], single: np.ndarray) -> np.ndarray:
+    def step(self) -> int:
+        """Words of a block."""
+        return max(16, min(4096, CELLS // max(1, len(self.languages))))
+
+    def forward(self, code: np.ndarray, edges: list[np.ndarray], single: np.ndarray, kind: type = np.float64) -> np.ndarray:
         _, p, _ = self._tables()
         n, width = code.shape
-        a = np.zeros((n, width + 1, p.shape[1]))
+        a = np.zeros((n, width + 1, p.shape[1]), kind)
         a[:, 0] = 1
         for end in range(1, width + 1):
             total = a[:, end - 1] * (p[edges[0][:, end - 1]] + single[:, end - 1])
@@ -131,21 +140,26 @@ class Model:
                 out[i] = self._alone(w)
             else:
                 classes.setdefault(-(-len(w) // 4), []).append(i)
+        step = self.step()
         for members in classes.values():
-            for lo in range(0, len(members), 4096):
-                part = members[lo : lo + 4096]
+            for lo in range(0, len(members), step):
+                part = members[lo : lo + step]
                 code, length, edges, single = self.block(["▁" + words[i] for i in part])
-                a = self.forward(code, edges, single)
-                out[part] = np.log(np.maximum(a[np.arange(len(part)), length], 1e-300))
+                last = self.forward(code, edges, single)[np.arange(len(part)), length]
+                out[part] = np.log(np.maximum(last, TINY))
+                if len(small := np.flatnonzero((last < TINY).any(1))):
+                    wide = self.forward(code[small], [e[small] for e in edges], single[small], np.longdouble)
+                    out[np.array(part)[small]] = np.log(wide[np.arange(len(small)), length[small]]).astype(float)
         return out
 
     def _alone(self, word: str) -> np.ndarray:
         v, p, byte = self._tables()
         text = "▁" + word
-        recent, log = [np.ones(p.shape[1])], np.zeros(p.shape[1])
+        one = np.ones(p.shape[1], np.longdouble)
+        recent, log = [one], np.zeros(p.shape[1])
         get, longest = v.id_of.get, v.longest
         for end in range(1, len(text) + 1):
-            total = np.zeros(p.shape[1])
+            total = 0 * one
             for k in range(1, min(len(recent), longest) + 1):
                 if (i := get(text[end - k : end])) is not None:
                     total = total + recent[-k] * p[i]
@@ -155,10 +169,10 @@ class Model:
             if len(recent) > longest + 1:
                 recent = recent[-longest:]
             if end % 8 == 0:
-                top = np.maximum(np.max(recent[-longest:], axis=0), 1e-300)
-                log += np.log(top)
+                top = np.max(recent[-longest:], axis=0)
+                log += np.log(top).astype(float)
                 recent = [r / top for r in recent[-longest:]]
-        return log + np.log(np.maximum(recent[-1], 1e-300))
+        return log + np.log(recent[-1]).astype(float)
 
 
 def _cuts(word: str) -> list[tuple[str, float]]:
@@ -169,28 +183,46 @@ def _cuts(word: str) -> list[tuple[str, float]]:
     return [(text[max(lo, 0) : lo + LOCKSTEP], 0.5) for start in (0, -(LOCKSTEP // 2)) for lo in range(start, len(text), LOCKSTEP)]
 
 
+def count_words(texts: list[str], languages: list[str]) -> dict[tuple[str, str], float]:
+    """How often, by weight, the texts of each language teach each word or piece of a word."""
+    found: dict[tuple[str, str], float] = defaultdict(float)
+    for text, g in zip(texts, languages, strict=True):
+        for w, n in Counter(text.split()).items():
+            for piece, share in _cuts(w):
+                found[g, piece] += share * n
+    return found
+
+
 def fit(rows: list[tuple[str, str]], name: str = VOCABULARY, rounds: int = ROUNDS) -> Model:
     """Piece probabilities of each language from (text, language) pairs."""
-    languages = sorted({g for _, g in rows})
+    found = count_words([t for t, _ in rows], [g for _, g in rows])
+    return fit_counts([(g, w, n) for (g, w), n in found.items()], name, rounds)
+
+
+def fit_counts(counts: list[tuple[str, str, float]], name: str = VOCABULARY, rounds: int = ROUNDS, languages: list[str] | None = None) -> Model:
+    """Piece probabilities of each language from (language, word, weight) triples."""
+    languages = languages if languages is not None else sorted({g for g, _, _ in counts})
     v = vocabulary(name)
-    counts = [Counter() for _ in languages]
-    for text, g in rows:
-        mine = counts[languages.index(g)]
-        for w in text.split():
-            for piece, share in _cuts(w):
-                mine[piece] += share
-    words = sorted(set().union(*counts)) if counts else []
-    weight = np.array([[c[w] for c in counts] for w in words], float).reshape(len(words), len(languages))
+    at = {g: i for i, g in enumerate(languages)}
+    by_word: dict[str, list[tuple[int, float]]] = defaultdict(list)
+    for g, w, n in counts:
+        by_word[w].append((at[g], n))
+    words = sorted(by_word)
     model = Model(name, languages, np.full((v.size, len(languages)), 1 / v.size))
-    blocks: dict[int, list[int]] = {}
-    for i, w in enumerate(words):
-        blocks.setdefault(-(-(len(w) - 1) // 4), []).append(i)
+    blocks: dict[int, list[str]] = defaultdict(list)
+    for w in words:
+        blocks[-(-(len(w) - 1) // 4)].append(w)
+    step = model.step()
     for _ in range(rounds if words else 0):
         expected = np.zeros_like(model.p)
         for members in blocks.values():
-            for lo in range(0, len(members), 4096):
-                part = members[lo : lo + 4096]
-                _expect(model, [words[i] for i in part], weight[part], expected)
+            for lo in range(0, len(members), step):
+                part = members[lo : lo + step]
+                weight = np.zeros((len(part), len(languages)))
+                for i, w in enumerate(part):
+                    for g, n in by_word[w]:
+                        weight[i, g] += n
+                _expect(model, part, weight, expected)
         expected += SMOOTHING
         model = Model(name, languages, expected / expected.sum(0))
     return model
@@ -200,11 +232,13 @@ def _expect(model: Model, words: list[str], weight: np.ndarray, expected: np.nda
     """Add the expected piece counts of a block of words."""
     code, length, edges, single = model.block(words)
     v, p, _ = model._tables()
+    rows = np.arange(len(words))
     a = model.forward(code, edges, single)
-    n, width = code.shape
+    if (a[rows, length] < TINY).any():
+        a = model.forward(code, edges, single, np.longdouble)
+    width = code.shape[1]
     b = np.zeros_like(a)
-    rows = np.arange(n)
-    b[rows, length] = weight / np.maximum(a[rows, length], 1e-300)
+    b[rows, length] = weight / a[rows, length]
     for start in range(width - 1, -1, -1):
         total = b[:, start] + b[:, start + 1] * (p[edges[0][:, start]] + single[:, start])
         for k in range(2, min(len(edges), width - start) + 1):
@@ -213,11 +247,11 @@ def _expect(model: Model, words: list[str], weight: np.ndarray, expected: np.nda
     for k, e in enumerate(edges, 1):
         r, s = np.nonzero(e >= 0)
         ids = e[r, s]
-        mass = a[r, s] * p[ids] * b[r, s + k]
+        mass = (a[r, s] * p[ids] * b[r, s + k]).astype(float)
         for g in range(mass.shape[1]):
             expected[:, g] += np.bincount(ids, mass[:, g], len(expected))
     r, s = np.nonzero((edges[0] < 0) & (code > 0))
-    mass = a[r, s] * single[r, s] * b[r, s + 1]
+    mass = (a[r, s] * single[r, s] * b[r, s + 1]).astype(float)
     for i, j, m in zip(r, s, mass, strict=True):
         for x in chr(code[i, j]).encode("utf-8", "replace"):
             expected[v.byte[x]] += m
@@ -236,6 +270,7 @@ class Scorer:
         index = self.index
         if len(index) > MEMO_ENTRIES:
             index.clear()
+            self.rows = np.zeros((1 << 16, self.rows.shape[1]))
         fresh = list(set().union(*(w for w in split if w)) - index.keys())
         lo = len(index)
         if lo + len(fresh) > len(self.rows):
@@ -262,24 +297,42 @@ def held_out(doc_id: Column) -> Column:
     return F.coalesce(F.crc32(doc_id.cast("string")) % 4 == 2, F.lit(False))
 
 
-def learn(docs: DataFrame, sample_rows: int = SAMPLE_ROWS, name: str = VOCABULARY) -> Model:
-    """Fit on at most `sample_rows` labelled rows with a text of each of at most MOST_LANGUAGES languages, none held out."""
+def learn(docs: DataFrame, sample_rows: int = SAMPLE_ROWS, name: str = VOCABULARY, total: int = SAMPLE_TOTAL) -> Model:
+    """Fit on labelled rows with a text, none held out: at most `sample_rows` of each language and about `total` of all, every language at least one.
+
+    Which rows those are is told from their ids alone. Their words are counted where the texts are; the driver gets words
+    with weights, never texts.
+    """
     known = docs.where(F.col("lang").isNotNull() & F.col("doc_id").isNotNull() & F.col("text").isNotNull() & ~held_out(F.col("doc_id")))
-    known = common.materialise(known.select("doc_id", "lang", F.xxhash64(F.col("doc_id").cast("string"), F.lit("fit")).alias("h")), "labelled")
-    names = [r["lang"] for r in known.groupBy("lang").count().orderBy(F.desc("count"), "lang").limit(MOST_LANGUAGES).collect()]
-    ids = {r["doc_id"] for g in names for r in known.where(F.col("lang") == g).orderBy("h", "doc_id").limit(sample_rows).select("doc_id").collect()}
-    if not ids:
+    slim = known.select("doc_id", "lang", F.xxhash64(F.col("doc_id").cast("string"), F.lit("fit")).alias("h"), F.xxhash64("text").alias("t"))
+    names = sorted(r["lang"] for r in slim.select("lang").distinct().collect())
+    if not names:
         return fit([], name)
-    rows = docs.where(F.col("doc_id").isin(sorted(ids)) & F.col("lang").isin(names) & F.col("text").isNotNull()).select("text", "lang").limit(2 * len(ids))
-    return fit(sorted(tuple(r) for r in rows.collect()), name)
+    most = max(1, min(sample_rows, total // len(names)))
+    order = Window.partitionBy("lang").orderBy("h", "doc_id", "t")
+    picked = slim.withColumn("r", F.row_number().over(order)).where(F.col("r") <= most).select("doc_id", "lang", "t").distinct()
+    # the sample's bound is known: `total` ids, or one a language
+    texts = known.withColumn("t", F.xxhash64("text")).join(F.broadcast(picked), ["doc_id", "lang", "t"], "left_semi").select("text", "lang")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for lo, hi in common.text_slices(batch):
+                part = batch.slice(lo, hi - lo)
+                found = count_words(common.column(part, "text").to_pylist(), common.column(part, "lang").to_pylist())
+                yield pa.RecordBatch.from_arrays([pa.array([g for g, _ in found], pa.string()), pa.array([w for _, w in found], pa.string()), pa.array(list(found.values()), pa.float64())], ["lang", "word", "n"])
+
+    counted = common.bounded(texts).mapInArrow(common.tidy(run, "language_id"), "lang string, word string, n double").groupBy("lang", "word").agg(F.sum("n").alias("n"))
+    found = counted.toArrow()
+    return fit_counts(sorted(zip(*(found[c].to_pylist() for c in ("lang", "word", "n")), strict=True)), name, languages=names)
 
 
 def predict(docs: DataFrame, model: Model) -> DataFrame:
-    """All columns of `docs` with __lang and __score: a narrow map that reads nothing but the text."""
+    """All columns of `docs` with __lang and __score (names with two leading underscores are reserved): a narrow map that reads nothing but the text."""
     schema = common.bounded(docs).schema
+    shared = docs.sparkSession.sparkContext.broadcast(model)  # a quarter of a MB a language
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        scorer = _scorer(model)
+        scorer = _scorer(shared.value)
         for batch in batches:
             for lo, hi in common.text_slices(batch):
                 part = batch.slice(lo, hi - lo)
@@ -287,10 +340,11 @@ def predict(docs: DataFrame, model: Model) -> DataFrame:
                 yield pa.RecordBatch.from_arrays([*part.columns, pa.array(names, pa.string()), pa.array(scores, pa.float64())], names=[*part.schema.names, "__lang", "__score"])
 
     out = type(schema)([*schema.fields]).add("__lang", "string").add("__score", "double")
-    return docs.mapInArrow(run, out)
+    return docs.mapInArrow(common.tidy(run, "language_id"), out)
 
 
 _LAST: list = [None, None]
+common.forgets("language_id", lambda: _LAST.__setitem__(slice(None), [None, None]), vocabulary.cache_clear)
 
 
 def _scorer(model: Model) -> Scorer:
@@ -306,7 +360,8 @@ def identify(docs: DataFrame, sample_rows: int = SAMPLE_ROWS) -> DataFrame:
 
     Null texts and texts without a letter are `und` with score 0; so are all where no labelled row exists. Only text
     enters a prediction. Repeated rows keep a row each; ties go to the first language by name; extra columns are
-    ignored; an empty table gives an empty result. Languages other than the fitted ones can't be returned.
+    ignored; an empty table gives an empty result. Every label of a row that isn't held out can be predicted. A very long text
+    is a slice of its own; words above 48 characters are scored one at a time, at any length.
     """
     model = learn(docs, sample_rows)
     slim = docs.select("doc_id", "text")
