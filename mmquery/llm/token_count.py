@@ -4,6 +4,10 @@ The pre-tokens of a batch lie end to end in one number array. In each round ever
 lowest rank and merges all of that pair's occurrences at once, left to right; sequences without a mergeable
 pair leave with as many tokens as they have symbols. A pair made by a merge ranks after the merge that made
 its part, so merging all occurrences of the lowest pair together equals merging them one by one.
+
+Long sequences would be read as often as they have rounds. They lie in an array of their own whose rounds are by rank: the places
+of each waiting rank are kept, a round merges those of the least one in all sequences, and only the pairs beside a merge
+are ranked anew.
 """
 
 from __future__ import annotations
@@ -28,7 +32,7 @@ LIMIT = 512
 #: Pre-tokens longer than this many characters aren't kept in a worker's memo.
 MEMO_CHARS = 48
 MEMO_ENTRIES = 200_000
-#: Sequences longer than this are merged alone with a heap: rounds over a huge array would cost its square.
+#: Sequences longer than this are merged in an array whose rounds touch merged places only.
 LONG = 1024
 NEVER = np.int64(1) << 40
 
@@ -60,59 +64,93 @@ class RankMerger:
         return self.table.get(left * self.base + right, NEVER)
 
     def count(self, tokens: list[bytes]) -> np.ndarray:
+        """Symbols left of each pre-token."""
         out = np.zeros(len(tokens), np.int64)
         short = [i for i, t in enumerate(tokens) if len(t) <= LONG]
-        for i, t in enumerate(tokens):
-            if len(t) > LONG:
-                out[i] = self._count_long(t)
-        if not short:
-            return out
-        where = np.array(short)
-        length = np.array([len(tokens[i]) for i in short], np.int64)
-        sym = np.frombuffer(b"".join(tokens[i] for i in short), np.uint8).astype(np.int64)
-        seq = np.repeat(np.arange(len(short)), length)
+        if short:
+            out[short] = self._rounds([tokens[i] for i in short])
+        long = [i for i, t in enumerate(tokens) if len(t) > LONG]
+        if long:
+            out[long] = self._rank_rounds([tokens[i] for i in long])
+        return out
+
+    def _ragged(self, tokens: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Symbols and sequence numbers end to end, and the rank of the pair that starts at each symbol."""
+        sym = np.frombuffer(b"".join(tokens), np.uint8).astype(np.int64)
+        seq = np.repeat(np.arange(len(tokens)), [len(t) for t in tokens])
+        rank = np.full(len(sym), NEVER)
+        same = np.flatnonzero(seq[1:] == seq[:-1])
+        rank[same] = self._lookup(sym[same], sym[same + 1])
+        return sym, seq, rank
+
+    @staticmethod
+    def _alternate(at: np.ndarray, joined: np.ndarray) -> np.ndarray:
+        """Of hits in order, those to merge: aa merges in a run a a a from the left, so every second of hits that overlap (`joined` to the one before)."""
+        head = np.r_[True, ~joined] if len(at) else np.zeros(0, bool)
+        run = np.maximum.accumulate(np.where(head, np.arange(len(at)), 0)) if len(at) else at
+        return at[(np.arange(len(at)) - run) % 2 == 0]
+
+    def _rounds(self, tokens: list[bytes]) -> np.ndarray:
+        out = np.zeros(len(tokens), np.int64)
+        sym, seq, rank = self._ragged(tokens)
         while len(sym):
-            rank = np.full(len(sym), NEVER)
             same = seq[1:] == seq[:-1]
-            rank[:-1][same] = self._lookup(sym[:-1][same], sym[1:][same])
             first = np.flatnonzero(np.r_[True, ~same])
             low = np.minimum.reduceat(rank, first)
             size = np.diff(np.r_[first, len(sym)])
-            out[where[seq[first[low == NEVER]]]] = size[low == NEVER]
+            out[seq[first[low == NEVER]]] = size[low == NEVER]
             live = np.repeat(low != NEVER, size)
             hit = (rank == np.repeat(low, size)) & live
-            # aa merges in a run a a a from the left: every second of a run of adjacent hits
             at = np.flatnonzero(hit)
-            head = np.r_[True, np.diff(at) != 1] if len(at) else np.zeros(0, bool)
-            run = np.maximum.accumulate(np.where(head, np.arange(len(at)), 0)) if len(at) else at
-            at = at[(np.arange(len(at)) - run) % 2 == 0]
+            at = self._alternate(at, np.diff(at) == 1)
             sym[at] = self.new[rank[at]]
             live[at + 1] = False
             sym, seq = sym[live], seq[live]
+            rank = np.full(len(sym), NEVER)
+            same = np.flatnonzero(seq[1:] == seq[:-1])
+            rank[same] = self._lookup(sym[same], sym[same + 1])
         return out
 
-    def _count_long(self, token: bytes) -> int:
-        sym = list(token)
+    def _rank_rounds(self, tokens: list[bytes]) -> np.ndarray:
+        sym, seq, rank = self._ragged(tokens)
         n = len(sym)
-        after, before = list(range(1, n + 1)), list(range(-1, n - 1))
-        rank_of, base, new = self.rank_of.get, int(self.base), self.new
-        heap = [(r, i) for i in range(n - 1) if (r := rank_of(sym[i] * base + sym[i + 1])) is not None]
-        heapq.heapify(heap)
-        left = n
+        after, before = np.arange(1, n + 1), np.arange(-1, n - 1)  # a pair across sequences never ranks
+        waiting: dict[int, list[np.ndarray]] = {}
+        heap: list[int] = []
+
+        def wait(places: np.ndarray) -> None:
+            places = places[rank[places] != NEVER]
+            places = places[np.argsort(rank[places], kind="stable")]
+            cuts = np.flatnonzero(np.diff(rank[places])) + 1
+            for part in np.split(places, cuts) if len(places) else ():
+                r = int(rank[part[0]])
+                if r not in waiting:
+                    heapq.heappush(heap, r)
+                waiting.setdefault(r, []).append(part)
+
+        wait(np.arange(n))
+        alive = np.ones(n, bool)
         while heap:
-            r, i = heapq.heappop(heap)
-            j = after[i]
-            if sym[i] < 0 or j >= n or rank_of(sym[i] * base + sym[j]) != r:
+            r = heapq.heappop(heap)
+            at = np.unique(np.concatenate(waiting.pop(r)))
+            at = at[rank[at] == r]
+            if not len(at):
                 continue
-            sym[i], sym[j] = int(new[r]), -1
-            after[i] = after[j]
-            if after[i] < n:
-                before[after[i]] = i
-            left -= 1
-            for a in (before[i], i):
-                if a >= 0 and after[a] < n and (q := rank_of(sym[a] * base + sym[after[a]])) is not None:
-                    heapq.heappush(heap, (q, a))
-        return left
+            at = self._alternate(at, after[at[:-1]] == at[1:])
+            gone = after[at]
+            alive[gone] = False
+            sym[at], rank[gone] = self.new[r], NEVER
+            after[at] = after[gone]
+            inner = after[at] < n
+            before[after[at][inner]] = at[inner]
+            around = np.unique(np.concatenate([at, before[at][before[at] >= 0]]))
+            end = after[around]
+            ok = end < n
+            ok[ok] = seq[around[ok]] == seq[end[ok]]
+            rank[around] = NEVER
+            rank[around[ok]] = self._lookup(sym[around[ok]], sym[end[ok]])
+            wait(around)
+        return np.bincount(seq[alive], minlength=len(tokens))
 
 
 class Counter:
@@ -157,11 +195,15 @@ def counter(vocabulary: str) -> Counter:
     return Counter(vocabulary)
 
 
+common.forgets("token_count", counter.cache_clear)
+
+
 def token_counts(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", vocabulary: str = VOCABULARY, limit: int = LIMIT) -> DataFrame:
     """One row per row of `docs`: its id, n_bytes, n_tokens and whether n_tokens exceeds `limit`.
 
     Null text counts as empty: 0 bytes, 0 tokens. Repeated rows and repeated or null ids each keep a row of their
-    own. Extra columns are ignored, whatever their names. An empty table gives an empty result. A narrow map: no shuffle.
+    own. Very long texts and pre-tokens take time in proportion to their length (times its logarithm), and a worker holds one such text at a time.
+    Extra columns are ignored, whatever their names. An empty table gives an empty result. A narrow map: no shuffle.
     """
     slim = common.bounded(docs.select(docs[id_col].alias("id"), docs[text_col].alias("text")))
 
@@ -175,7 +217,7 @@ def token_counts(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
                 tokens += count([t or "" for t in texts.slice(lo, hi - lo).to_pylist()])
             yield pa.RecordBatch.from_arrays([common.column(batch, "id"), pa.array(n_bytes, pa.int64()), pa.array(tokens, pa.int64())], ["id", "n_bytes", "n_tokens"])
 
-    out = slim.mapInArrow(run, f"id {slim.schema['id'].dataType.simpleString()}, n_bytes long, n_tokens long")
+    out = slim.mapInArrow(common.tidy(run, "token_count"), f"id {slim.schema['id'].dataType.simpleString()}, n_bytes long, n_tokens long")
     return out.select(F.col("id").alias(id_col), "n_bytes", "n_tokens", (F.col("n_tokens") > limit).alias("over_limit"))
 
 
