@@ -5,7 +5,9 @@ are a passage: its lines, normalised and without blank ones, joined by spaces, s
 hashed, and a quoted one is joined to the first message of its conversation, before its own, that has it as a passage; failing that, as
 whole lines of a passage; failing that, within one. A passage that nobody said as a whole is linked by its runs of lines, and stands for the message
 of its longest run. A message answers the message that its outermost linked passage comes from. Messages
-are then ordered by reply: each after the one it answers, answers in turn order, and formatted without quotes.
+are then ordered by reply: each after the one it answers, answers in turn order, and formatted without quotes. A thread's order is a
+walk that enters and leaves each of its messages; places along the walk come from steps that double in length, so rows are two
+a message however deep the thread is.
 """
 
 from __future__ import annotations
@@ -15,14 +17,14 @@ from collections.abc import Iterator
 from itertools import accumulate, groupby
 
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from . import common
 
 MARKS = r"^(?:[ \t]*>)+[ \t]?"
-#: Steps along a chain of replies double each round.
-MOST_ROUNDS = 40
+#: Answers to one message are put in order within spans of so many turns, and the spans among themselves.
+SPAN = 4096
 #: First words (a power of two, at most this many) by which places that may hold a passage are found; the rest is compared there.
 GRAM = 64
 _MARKS, _BREAK = re.compile(MARKS), re.compile(r"\r?\n")
@@ -69,7 +71,7 @@ def _passages(messages: DataFrame) -> DataFrame:
                 )
 
     kind = {c: slim.schema[c].dataType.simpleString() for c in ("conv_id", "turn")}
-    return slim.mapInArrow(run, f"conv_id {kind['conv_id']}, turn {kind['turn']}, at long, level long, words array<string>, bounds array<int>")
+    return slim.mapInArrow(common.tidy(run), f"conv_id {kind['conv_id']}, turn {kind['turn']}, at long, level long, words array<string>, bounds array<int>")
 
 
 def _hashes(words: Column) -> list[Column]:
@@ -154,50 +156,70 @@ def _links(messages: DataFrame) -> DataFrame:
     ).select("conv_id", "turn", "n_quoted", "n_linked", F.col("first.origin").alias("parent"))
 
 
-def _paths(links: DataFrame) -> DataFrame:
-    """For each message that answers another, its chain of turns from the first message to itself.
+def _walk(links: DataFrame) -> DataFrame:
+    """The walk through every thread: an element (conv_id, turn, out) for entering and for leaving a message, and the element after it.
 
-    Chains are joined end to end and double in length each round, so rounds follow the logarithm of the longest chain.
-    A message that answers nothing is no row and ends a chain.
+    A thread is a message that others answer, with its answers and theirs.
     """
-    chain = common.materialise(links.where("parent is not null").select("conv_id", "turn", F.col("parent").alias("head"), F.array("parent", "turn").alias("path")), "chains")
-    for _ in range(MOST_ROUNDS):
-        up = chain.select("conv_id", F.col("turn").alias("head"), F.col("head").alias("above"), F.slice("path", F.lit(1), F.size("path") - 1).alias("before"))
-        longer = chain.join(up, ["conv_id", "head"], "left")
-        if longer.where("above is not null").isEmpty():
-            return chain
-        new = longer.select("conv_id", "turn", F.coalesce("above", "head").alias("head"), F.when(F.col("above").isNotNull(), F.concat("before", "path")).otherwise(F.col("path")).alias("path"))
-        new = common.materialise(new, "chains")
-        common.discard(chain)
-        chain = new
-    raise RuntimeError("reply chains did not end")
+    kids = links.where("parent is not null").select("conv_id", "turn", "parent")
+    spans = kids.withColumn("b", F.floor(F.col("turn") / SPAN))
+    near = spans.withColumn("near", F.lead("turn").over(Window.partitionBy("conv_id", "parent", "b").orderBy("turn")))
+    heads = spans.groupBy("conv_id", "parent", "b").agg(F.min("turn").alias("head"))
+    heads = heads.withColumn("far", F.lead("head").over(Window.partitionBy("conv_id", "parent").orderBy("b"))).drop("head")
+    kids = near.join(heads, ["conv_id", "parent", "b"]).select("conv_id", "turn", "parent", F.coalesce("near", "far").alias("sibling"))
+    first = kids.groupBy("conv_id", "parent").agg(F.min("turn").alias("child"))
+    nodes = kids.select("conv_id", "turn").union(first.select("conv_id", F.col("parent").alias("turn"))).distinct()
+    nodes = nodes.join(kids, ["conv_id", "turn"], "left").join(first.withColumnRenamed("parent", "turn"), ["conv_id", "turn"], "left")
+    enter = nodes.select("conv_id", "turn", F.lit(False).alias("out"), F.coalesce("child", "turn").alias("next"), F.col("child").isNull().alias("next_out"))
+    leave = nodes.select("conv_id", "turn", F.lit(True), F.coalesce("sibling", "parent"), F.col("sibling").isNull())
+    return enter.union(leave)
+
+
+def _order(links: DataFrame) -> DataFrame:
+    """conv_id, turn, root_turn, position and depth of each message of a thread.
+
+    Each element adds up what lies between it and the element it points to; elements point twice as far each round, so
+    rounds follow the logarithm of the longest thread.
+    """
+    one = F.when(F.col("out"), 0).otherwise(1).cast("long")
+    step = F.when(F.col("out"), -1).otherwise(1).cast("long")
+    walk = common.materialise(_walk(links).select("*", one.alias("entered"), step.alias("level"), F.col("turn").alias("last")), "walk")
+    while not walk.where("next is not null").isEmpty():
+        ahead = walk.select("conv_id", F.col("turn").alias("next"), F.col("out").alias("next_out"), F.col("next").alias("far"), F.col("next_out").alias("far_out"), *(F.col(c).alias(f"more_{c}") for c in ("entered", "level", "last")))
+        met = walk.join(ahead, ["conv_id", "next", "next_out"], "left")
+        new = met.select("conv_id", "turn", "out", F.col("far").alias("next"), F.col("far_out").alias("next_out"), *((F.col(c) + F.coalesce(f"more_{c}", F.lit(0))).alias(c) for c in ("entered", "level")), F.coalesce("more_last", "last").alias("last"))
+        old, walk = walk, common.materialise(new, "walk")
+        common.discard(old)
+    # what is left of a walk from a message on: it ends at the root, and leaves as many messages unentered as lie above
+    ends = walk.where("not out").select("conv_id", "turn", F.col("last").alias("root_turn"), "entered", (-F.col("level")).alias("depth"))
+    whole = ends.where("turn = root_turn").select("conv_id", "root_turn", F.col("entered").alias("all"))
+    return ends.join(whole, ["conv_id", "root_turn"]).select("conv_id", "turn", "root_turn", (F.col("all") - F.col("entered")).alias("position"), "depth")
 
 
 def format_chats(conversations: DataFrame) -> DataFrame:
-    """A row for each message: conv_id, turn, role, parent_turn, depth, reply_path, n_quoted, n_linked, body, chat.
+    """A row for each message: conv_id, turn, role, parent_turn, depth, root_turn, position, n_quoted, n_linked, body, chat.
 
-    Sorting by (conv_id, reply_path, turn) reads a conversation in reply order: reply_path is the chain of turns from its top
-    message down. A quote can only come from an earlier turn of the same conversation; what is quoted from elsewhere counts
+    Sorting by (conv_id, root_turn, position) reads a conversation in reply order: a thread is the message at its top (root_turn), which
+    has position 0, and all that answer it or its answers, in the order of a walk that takes answers by turn; depth is the number of
+    messages above. A quote can only come from an earlier turn of the same conversation; what is quoted from elsewhere counts
     as quoted, not linked. n_quoted and n_linked count non-blank lines. Body is the text without quoted lines, trimmed; chat puts the role before it. Null texts
     are empty, null roles `unknown`. Messages with a null conv_id or turn answer nothing. Rows that repeat a turn are
-    each formatted, with the quotes of all of them counted together. Extra columns are ignored; an empty table stays empty. No
-    conversation is gathered into one task.
+    each formatted, with the quotes of all of them counted together. A very long text is a slice of its own. Extra columns are
+    ignored; an empty table stays empty. No conversation is gathered into one task.
     """
     slim = conversations.select("conv_id", "turn", "role", "text")
     links = common.materialise(_links(slim.where("conv_id is not null and turn is not null")), "links")
-    paths = _paths(links).select("conv_id", "turn", "path")
     body = F.array_join(F.filter(F.split(F.coalesce("text", F.lit("")), r"\r?\n"), lambda x: ~x.rlike(MARKS)), "\n")
     body = F.regexp_replace(body, r"^\s+|\s+$", "")
-    out = slim.join(links, ["conv_id", "turn"], "left").join(paths, ["conv_id", "turn"], "left")
-    path = F.coalesce("path", F.array(F.col("turn")))
-    out = out.withColumn("body", body).withColumn("reply", path)
+    out = slim.join(links, ["conv_id", "turn"], "left").join(_order(links), ["conv_id", "turn"], "left").withColumn("body", body)
     return out.select(
         "conv_id",
         "turn",
         "role",
         F.col("parent").alias("parent_turn"),
-        (F.size("reply") - 1).cast("long").alias("depth"),
-        F.array_join(F.transform("reply", lambda t: F.lpad(t.cast("string"), 12, "0")), "/").alias("reply_path"),
+        F.coalesce("depth", F.lit(0)).cast("long").alias("depth"),
+        F.coalesce("root_turn", "turn").alias("root_turn"),
+        F.coalesce("position", F.lit(0)).cast("long").alias("position"),
         F.coalesce("n_quoted", F.lit(0)).cast("long").alias("n_quoted"),
         F.coalesce("n_linked", F.lit(0)).cast("long").alias("n_linked"),
         "body",
@@ -223,17 +245,19 @@ WITH RECURSIVE line AS (
          arg_min(CASE WHEN origin < q.turn THEN origin END, CASE WHEN origin < q.turn THEN level * 1000000 + pos END) AS parent
   FROM line q LEFT JOIN said USING (conv_id, normal) WHERE q.level > 0 AND q.normal <> '' GROUP BY ALL
 ), up AS (
-  SELECT conv_id, turn, turn AS head, lpad(turn::VARCHAR, 12, '0') AS path, 0 AS depth FROM conversations
+  SELECT conv_id, turn, turn AS head, [turn] AS path FROM conversations
   UNION
-  SELECT u.conv_id, u.turn, l.parent, lpad(l.parent::VARCHAR, 12, '0') || '/' || path, depth + 1
+  SELECT u.conv_id, u.turn, l.parent, list_prepend(l.parent, path)
   FROM up u JOIN link l ON l.conv_id = u.conv_id AND l.turn = u.head WHERE l.parent IS NOT NULL
 ), top AS (
-  SELECT conv_id, turn, max(depth)::BIGINT AS depth, arg_max(path, depth) AS reply_path FROM up GROUP BY ALL
+  SELECT conv_id, turn, arg_max(path, len(path)) AS path FROM up GROUP BY ALL
+), o AS (
+  SELECT conv_id, turn, len(path) - 1 AS depth, path[1] AS root_turn, row_number() OVER (PARTITION BY conv_id, path[1] ORDER BY path) - 1 AS position FROM top
 ), b AS (
   SELECT conv_id, turn, role, regexp_replace(array_to_string(list_filter(regexp_split_to_array(coalesce(text, ''), '\r?\n'), lambda x: NOT regexp_matches(x, '^(?:[ \t]*>)+[ \t]?')), chr(10)), '^\s+|\s+$', '', 'g') AS body
   FROM conversations
 )
-SELECT conv_id, turn, role, parent AS parent_turn, depth, reply_path, coalesce(n_quoted, 0)::BIGINT AS n_quoted, coalesce(n_linked, 0)::BIGINT AS n_linked,
+SELECT conv_id, turn, role, parent AS parent_turn, depth, root_turn, position, coalesce(n_quoted, 0)::BIGINT AS n_quoted, coalesce(n_linked, 0)::BIGINT AS n_linked,
        body, '<|' || coalesce(role, 'unknown') || '|>' || chr(10) || body || chr(10) AS chat
-FROM b JOIN top USING (conv_id, turn) LEFT JOIN link USING (conv_id, turn)
+FROM b JOIN o USING (conv_id, turn) LEFT JOIN link USING (conv_id, turn)
 """
