@@ -1,13 +1,16 @@
 """Approximate nearest neighbours by an inverted file with product-quantised residuals and exact reranking.
 
-Coarse centroids cut the unit sphere into lists; a vector's residual from its centroid is coded by one byte a
-subspace. A query looks into the lists of its nearest centroids, ranks their codes through a table of inner
-products a subspace (the asymmetric distance), and scores the best of them exactly on the original vectors. Centroids
-and codebooks are fitted on a bounded sample; every row is indexed. How many lists a query looks into is fitted
-too: the fewest with which sampled queries find their neighbours among the sample at the aimed recall.
+Coarse centroids cut the unit sphere into lists; a vector's residual from its centroid, in units of its list's usual
+residual, is coded by one byte a subspace. A query looks into the lists of its nearest centroids, ranks their codes through a
+table of squared distances a subspace (the asymmetric distance), and the best of them are scored exactly on the original vectors.
+Centroids and codebooks are fitted on a bounded sample; every row is indexed. How many lists a query looks into is fitted
+too, for each list that is nearest to a query: the fewest with which sampled queries from there find their neighbours among the
+sample at the aimed recall.
 
 Lists are cut into units of bounded rows and queries into blocks of bounded number, so a list that holds a third of
-all vectors spreads over as many tasks as its size asks for.
+all vectors spreads over as many tasks as its size asks for. Only ids and codes travel to the blocks of queries; vectors meet
+the few candidates that are left. Queries that find too few, and vectors of a dimension other than the commonest, are
+searched exactly, all rows against the block of queries.
 """
 
 from __future__ import annotations
@@ -22,13 +25,15 @@ from pyspark.sql import functions as F
 from . import common
 
 TOP = 5
-#: Numbers in the sample that centroids and codebooks are fitted on, and rows at most.
-SAMPLE_VALUES, SAMPLE_ROWS = 2_000_000, 20_000
-MOST_LISTS = 1024
+#: The sample that centroids and codebooks are fitted on: rows, more where there are many lists, and numbers at most.
+SAMPLE_ROWS, ROWS_A_LIST, SAMPLE_VALUES = 20_000, 8, 8_000_000
+MOST_LISTS = 16_384
 SUBSPACE, CODES = 4, 256
-#: Candidates of a unit that are reranked for each query; rows and queries of a unit.
-RERANK, UNIT_ROWS, UNIT_QUERIES = 256, 4096, 1024
-AIM, FIT_QUERIES = 0.99, 512
+#: Candidates that a unit keeps of each query, and that are reranked of each query; rows and queries of a unit.
+KEPT, RERANK, UNIT_ROWS, UNIT_QUERIES = 48, 160, 16_384, 512
+#: Rows of a unit of the exact search.
+EXACT_ROWS = 4096
+AIM, FIT_QUERIES, FIT_EACH = 0.99, 2048, 8
 
 
 def _kmeans(x: np.ndarray, k: int, seed: int, rounds: int = 8, spherical: bool = False) -> np.ndarray:
@@ -55,16 +60,16 @@ def _nearest(x: np.ndarray, c: np.ndarray) -> np.ndarray:
 
 
 class Index:
-    """Centroids, codebooks and the number of lists a query looks into."""
+    """Centroids, the size of each list's residuals, codebooks, and the number of lists that a query looks into by its nearest one."""
 
-    def __init__(self, dim: int, centroids: np.ndarray, books: list[np.ndarray], probes: int):
-        self.dim, self.centroids, self.books, self.probes = dim, centroids, books, probes
+    def __init__(self, dim: int, centroids: np.ndarray, scale: np.ndarray, books: list[np.ndarray], probes: np.ndarray):
+        self.dim, self.centroids, self.scale, self.books, self.probes = dim, centroids, scale, books, probes
 
     def lists(self, unit: np.ndarray) -> np.ndarray:
         return _nearest(unit, self.centroids)
 
     def codes(self, unit: np.ndarray, lists: np.ndarray) -> np.ndarray:
-        rest = unit - self.centroids[lists]
+        rest = (unit - self.centroids[lists]) / self.scale[lists, None]
         return np.stack([_nearest(np.ascontiguousarray(p), b) for p, b in zip(self._parts(rest), self.books, strict=True)], axis=1).astype(np.uint8)
 
     @staticmethod
@@ -74,37 +79,67 @@ class Index:
     def _parts(self, x: np.ndarray) -> list[np.ndarray]:
         return [x[:, a:b] for a, b in self._cuts(self.dim)]
 
+    def near(self, unit: np.ndarray) -> list[np.ndarray]:
+        """The lists that each query looks into."""
+        order = np.argsort(-(unit @ self.centroids.T), axis=1, kind="stable").astype(np.int32)
+        return [row[: self.probes[row[0]]] for row in order]
+
     def approximate(self, query: np.ndarray, which: int, codes: np.ndarray) -> np.ndarray:
-        """Inner products of the query with coded vectors of one list, by a table a subspace."""
-        out = np.full(len(codes), float(self.centroids[which] @ query))
+        """Likeness of the query to coded vectors of one list, by a table a subspace of squared distances to the codes.
+
+        Distances tell vectors of one tight group apart, where inner products would drown in the part of the coding error along the query.
+        """
+        rest = (query - self.centroids[which]) / self.scale[which]
+        out = np.zeros(len(codes))
         for s, ((a, b), book) in enumerate(zip(self._cuts(self.dim), self.books, strict=True)):
-            out += (book @ query[a:b])[codes[:, s]]
-        return out
+            out += ((book - rest[a:b]) ** 2).sum(1)[codes[:, s]]
+        return 1 - out * self.scale[which] ** 2 / 2
 
 
 def _units_of(x: np.ndarray) -> np.ndarray:
     return x / np.linalg.norm(x, axis=1, keepdims=True)
 
 
+def lists_for(rows: int) -> int:
+    return int(np.clip(round(np.sqrt(rows) / 2), 1, MOST_LISTS))
+
+
 def build(sample: np.ndarray, rows: int) -> Index | None:
     """Fit an index for a table of `rows` vectors on a sample of them."""
     if not len(sample):
         return None
     unit = _units_of(sample)
-    k = int(np.clip(round(np.sqrt(rows) / 2), 1, min(MOST_LISTS, max(1, len(unit) // 8))))
+    k = min(lists_for(rows), max(1, len(unit) // ROWS_A_LIST))
     centroids = _kmeans(unit, k, 1, spherical=True)
+    k = len(centroids)
     lists = _nearest(unit, centroids)
     rest = unit - centroids[lists]
+    total = np.bincount(lists, (rest * rest).sum(1), k)
+    scale = np.maximum(np.sqrt(total / np.maximum(np.bincount(lists, minlength=k), 1)), 1e-9)
+    rest /= scale[lists, None]
     books = [_kmeans(np.ascontiguousarray(rest[:, a:b]), CODES, 2 + a) for a, b in Index._cuts(unit.shape[1])]
-    # the probes with which sampled queries reach the lists of their neighbours in the sample
-    q = unit[:: max(1, len(unit) // FIT_QUERIES)][:FIT_QUERIES]
-    like = q @ unit.T
-    best = np.argpartition(-like, min(TOP, like.shape[1] - 1), axis=1)[:, : TOP + 1]
-    order = np.argsort(-(q @ centroids.T), axis=1)
-    place = np.argsort(order, axis=1)
-    need = np.sort(np.take_along_axis(place, lists[best], axis=1).ravel())
-    probes = int(need[min(len(need) - 1, int(np.ceil(AIM * len(need))))]) + 1
-    return Index(unit.shape[1], centroids, books, min(k, probes + max(1, k // 8)))
+    return Index(unit.shape[1], centroids, scale, books, _probes(unit, lists, centroids))
+
+
+def _probes(unit: np.ndarray, lists: np.ndarray, centroids: np.ndarray) -> np.ndarray:
+    """For each list, how many lists queries from there need to reach those of their neighbours in the sample; a list without a query needs what any does."""
+    k = len(centroids)
+    order = np.argsort(lists, kind="stable")
+    place = np.arange(len(order)) - np.searchsorted(lists[order], lists[order])
+    asked = order[place < max(1, min(FIT_EACH, FIT_QUERIES // k))]
+    need = np.zeros((len(asked), min(TOP, max(1, len(unit) - 1))), np.int64)
+    for lo in range(0, len(asked), 256):
+        part = asked[lo : lo + 256]
+        like = unit[part] @ unit.T
+        like[np.arange(len(part)), part] = -np.inf
+        best = np.argpartition(-like, min(need.shape[1], len(unit) - 1) - 1, axis=1)[:, : need.shape[1]]
+        rank = np.argsort(np.argsort(-(unit[part] @ centroids.T), axis=1, kind="stable"), axis=1)
+        need[lo : lo + 256] = np.take_along_axis(rank, lists[best], axis=1)
+    out = np.full(k, int(need.max()) + 1)
+    for which in np.unique(lists[asked]):
+        mine = np.sort(need[lists[asked] == which].ravel())
+        out[which] = mine[min(len(mine) - 1, int(np.ceil(AIM * len(mine))))] + 1
+    return np.minimum(k, out + max(1, k // 8))
 
 
 def _valid(v: str):
@@ -119,25 +154,73 @@ def _matrix(array: pa.Array, dim: int) -> np.ndarray:
     return flat.reshape(-1, dim)
 
 
+def _score(a: str, b: str):
+    dot = lambda x, y: F.aggregate(F.zip_with(x, y, lambda p, q: p * q), F.lit(0.0), lambda t, p: t + p)
+    return dot(a, b) / (F.sqrt(dot(a, a)) * F.sqrt(dot(b, b)))
+
+
+def _dealt(df: DataFrame, on: list[str], shape: DataFrame, number: str, own: str, other: str, key: str, salt: int) -> DataFrame:
+    """Rows dealt to their own of `own` shares of a group, and repeated for each of the `other` shares."""
+    met = df.join(shape, on)
+    mine = F.pmod(F.xxhash64(key, F.lit(salt)), F.col(own)).alias(f"{own}_at")
+    every = F.explode(F.sequence(F.lit(0).cast("long"), F.col(other).cast("long") - 1)).alias(f"{other}_at")
+    return met.select("*", mine).select("*", every).withColumn("unit", F.xxhash64(*on, "parts_at", "blocks_at", F.lit(number)))
+
+
+def _shape(rows: DataFrame, asked: DataFrame, on: list[str], unit_rows: int) -> DataFrame:
+    """Of each group that is asked, in how many parts its rows and in how many blocks its queries are dealt."""
+    parts = rows.groupBy(*on).agg(F.ceil(F.count("*") / unit_rows).cast("int").alias("parts"))
+    return parts.join(asked.groupBy(*on).agg(F.ceil(F.count("*") / UNIT_QUERIES).cast("int").alias("blocks")), on)
+
+
+def _exact(queries: DataFrame, base: DataFrame, top: int) -> DataFrame:
+    """query_id, vec_id, score of the nearest of all rows of the same dimension, from each unit of rows and queries."""
+    shape = common.materialise(_shape(base, queries, ["d"], EXACT_ROWS), "exact-units")
+    stored = _dealt(base.select("d", "u", "vec_id", "v"), ["d"], shape, "exact", "parts", "blocks", "u", 1).select("unit", "vec_id", "v")
+    asked = _dealt(queries.select("d", "query_id", "q"), ["d"], shape, "exact", "blocks", "parts", "query_id", 2).select("unit", "query_id", "q")
+
+    def best(left: pa.Table, right: pa.Table) -> pa.Table:
+        out = []
+        if left.num_rows and right.num_rows:
+            ids = left["vec_id"].to_numpy()
+            dim = len(left["v"][0])
+            v, qs = (_units_of(_matrix(t.combine_chunks(), dim)) for t in (left["v"], right["q"]))
+            for query_id, q in zip(right["query_id"].to_pylist(), qs, strict=True):
+                at = np.flatnonzero(ids != query_id)
+                score = v[at] @ q
+                first = np.lexsort((ids[at], -score))[:top]
+                out.append((np.full(len(first), query_id), ids[at][first], score[first]))
+        return _table(out, ["query_id", "vec_id", "score"])
+
+    return stored.groupBy("unit").cogroup(asked.groupBy("unit")).applyInArrow(best, "query_id long, vec_id long, score double")
+
+
+def _table(parts: list[tuple[np.ndarray, ...]], names: list[str]) -> pa.Table:
+    cols = [np.concatenate(x) for x in zip(*parts, strict=True)] if parts else [np.zeros(0)] * len(names)
+    return pa.table({n: pa.array(c, pa.float64() if n == "score" else pa.int64()) for n, c in zip(names, cols, strict=True)})
+
+
 def search(vectors: DataFrame, id_col: str = "vec_id", vector_col: str = "embedding", every: int = 50, top: int = TOP) -> DataFrame:
     """The `top` nearest rows by cosine of every row whose id is divisible by `every`: query_id, rank, vec_id, score.
 
-    Vectors that are null, empty, zero, or hold null or non-finite components take no part, nor do null ids and vectors
-    of another dimension than the most frequent. A query's own id is no candidate; ties go to the smaller id. A repeated id is one
-    query, and a candidate once for each of its rows. Fewer candidates than `top` give fewer rows; an empty table none.
-    Scores are exact on the original vectors in double precision; only the choice of candidates is approximate.
+    Vectors that are null, empty, zero, or hold null or non-finite components take no part, nor do null ids. Vectors
+    meet only those of their own dimension. A query's own id is no candidate; ties go to the smaller id. A repeated id is one
+    query, and a candidate once for each of its rows. Fewer candidates than `top` give fewer rows; an empty table none. Extra
+    columns are ignored; very long vectors are rows like any other.
+    Scores are exact on the original vectors in double precision; only the choice of candidates is approximate. A query that
+    finds fewer than `top` in its lists is searched exactly.
     """
     spark = common.bounded(vectors).sparkSession
     base = vectors.select(F.col(id_col).cast("long").alias("vec_id"), F.col(vector_col).cast("array<double>").alias("v")).where(F.col(id_col).isNotNull() & _valid(vector_col))
-    dims = base.groupBy(F.size("v").alias("d")).count().orderBy(F.desc("count"), "d").limit(1).collect()
-    schema = "query_id long, rank int, vec_id long, score double"
+    base = common.materialise(base.withColumn("d", F.size("v")).withColumn("u", F.monotonically_increasing_id()), "vectors")
+    dims = base.groupBy("d").count().orderBy(F.desc("count"), "d").limit(1).collect()
     if not dims:
         return base.select(F.lit(0).cast("long").alias("query_id"), F.lit(0).alias("rank"), "vec_id", F.lit(0.0).alias("score")).where(F.lit(False))
     dim, rows = dims[0]["d"], dims[0]["count"]
-    base = base.where(F.size("v") == dim)
-    limit = max(256, min(SAMPLE_ROWS, SAMPLE_VALUES // dim))
-    picked = base.orderBy(F.xxhash64("vec_id", F.lit("fit")), "vec_id").limit(limit).select("vec_id", "v").collect()
-    index = build(np.array([r["v"] for r in picked], float).reshape(-1, dim), rows)
+    common_dim = base.where(F.col("d") == dim)
+    limit = max(256, min(max(SAMPLE_ROWS, ROWS_A_LIST * lists_for(rows)), SAMPLE_VALUES // dim))
+    picked = common_dim.orderBy(F.xxhash64("vec_id", F.lit("fit")), "vec_id").limit(limit).select("vec_id", "v").toArrow()
+    index = build(_matrix(picked["v"].combine_chunks(), dim), rows)
     shared = spark.sparkContext.broadcast(index)  # bounded by MOST_LISTS and CODES
 
     def assign(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -148,55 +231,55 @@ def search(vectors: DataFrame, id_col: str = "vec_id", vector_col: str = "embedd
             x = _units_of(_matrix(common.column(batch, "v"), ix.dim))
             lists = ix.lists(x)
             codes = ix.codes(x, lists)
-            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(lists.astype(np.int32)), pa.array([c.tobytes() for c in codes], pa.binary())], ["vec_id", "v", "list", "code"])
+            yield pa.RecordBatch.from_arrays([common.column(batch, "u"), common.column(batch, "vec_id"), pa.array(lists.astype(np.int32)), pa.array([c.tobytes() for c in codes], pa.binary())], ["u", "vec_id", "list", "code"])
 
     def probe(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         ix = shared.value
         for batch in batches:
             if not batch.num_rows:
                 continue
-            x = _units_of(_matrix(common.column(batch, "v"), ix.dim))
-            near = np.argsort(-(x @ ix.centroids.T), axis=1)[:, : ix.probes].astype(np.int32)
-            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(list(near), pa.list_(pa.int32()))], ["query_id", "q", "lists"])
-
-    rows_in = common.materialise(base.mapInArrow(assign, "vec_id long, v array<double>, list int, code binary"), "index")
-    queries = base.where(F.pmod("vec_id", F.lit(every)) == 0).dropDuplicates(["vec_id"]).select(F.col("vec_id").alias("query_id"), F.col("v").alias("q"))
-    probes = common.materialise(queries.mapInArrow(probe, "query_id long, q array<double>, lists array<int>").select("query_id", "q", F.explode("lists").alias("list")), "probes")
-    # at most MOST_LISTS rows each
-    cut = rows_in.groupBy("list").agg(F.ceil(F.count("*") / UNIT_ROWS).cast("int").alias("parts"))
-    ask = probes.groupBy("list").agg(F.ceil(F.count("*") / UNIT_QUERIES).cast("int").alias("blocks"))
-    shape = F.broadcast(cut.join(ask, "list"))
-    unit = F.xxhash64("list", "part", "block").alias("unit")
-    stored = rows_in.join(shape, "list").withColumn("part", F.pmod(F.xxhash64("vec_id", F.lit(1)), F.col("parts"))).withColumn("block", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks").cast("long") - 1))).select(unit, "list", "vec_id", "v", "code")
-    asked = probes.join(shape, "list").withColumn("block", F.pmod(F.xxhash64("query_id", F.lit(2)), F.col("blocks"))).withColumn("part", F.explode(F.sequence(F.lit(0).cast("long"), F.col("parts").cast("long") - 1))).select(unit, "query_id", "q")
+            near = ix.near(_units_of(_matrix(common.column(batch, "q"), ix.dim)))
+            yield pa.RecordBatch.from_arrays([common.column(batch, "query_id"), common.column(batch, "q"), pa.array(near, pa.list_(pa.int32()))], ["query_id", "q", "lists"])
+
+    coded = common.materialise(common_dim.select("u", "vec_id", "v").mapInArrow(common.tidy(assign), "u long, vec_id long, list int, code binary"), "codes")
+    queries = common.materialise(base.where(F.pmod("vec_id", F.lit(every)) == 0).dropDuplicates(["vec_id"]).select(F.col("vec_id").alias("query_id"), F.col("v").alias("q"), "d"), "queries")
+    asked = queries.where(F.col("d") == dim).select("query_id", "q").mapInArrow(common.tidy(probe), "query_id long, q array<double>, lists array<int>")
+    asked = common.materialise(asked.select("query_id", "q", F.explode("lists").alias("list")), "probes")
+    shape = common.materialise(_shape(coded, asked, ["list"], UNIT_ROWS), "units")
+    shape = F.broadcast(shape)  # at most MOST_LISTS rows
+    stored = _dealt(coded, ["list"], shape, "near", "parts", "blocks", "u", 1).select("unit", "list", "u", "vec_id", "code")
+    wanted = _dealt(asked, ["list"], shape, "near", "blocks", "parts", "query_id", 2).select("unit", "query_id", "q")
 
     def best(left: pa.Table, right: pa.Table) -> pa.Table:
         ix = shared.value
-        out: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
+        out = []
         if left.num_rows and right.num_rows:
-            ids = left["vec_id"].to_numpy()
-            v = _matrix(left["v"].combine_chunks(), ix.dim)
-            norm = np.sqrt((v * v).sum(1))
+            ids, rows_of = left["vec_id"].to_numpy(), left["u"].to_numpy()
             codes = np.frombuffer(b"".join(left["code"].to_pylist()), np.uint8).reshape(len(ids), -1)
             which = left["list"][0].as_py()
-            asked_ids = right["query_id"].to_numpy()
-            qs = _matrix(right["q"].combine_chunks(), ix.dim)
-            for query_id, q in zip(asked_ids, qs, strict=True):
-                length = np.sqrt((q * q).sum())
-                near = ix.approximate(q / length, which, codes)
+            for query_id, q in zip(right["query_id"].to_pylist(), _units_of(_matrix(right["q"].combine_chunks(), ix.dim)), strict=True):
+                near = ix.approximate(q, which, codes)
                 at = np.flatnonzero(ids != query_id)
-                if len(at) > RERANK:  # ties at the cut all stay
-                    at = at[near[at] >= np.partition(near[at], len(at) - RERANK)[len(at) - RERANK]]
-                score = (v[at] * q).sum(1) / (norm[at] * length)
-                first = np.lexsort((ids[at], -score))[:top]
-                out.append((np.full(len(first), query_id), ids[at][first], score[first]))
-        cols = [np.concatenate(x) for x in zip(*out, strict=True)] if out else [np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0)]
-        return pa.table({"query_id": pa.array(cols[0], pa.int64()), "vec_id": pa.array(cols[1], pa.int64()), "score": pa.array(cols[2], pa.float64())})
-
-    found = stored.groupBy("unit").cogroup(asked.groupBy("unit")).applyInArrow(best, "query_id long, vec_id long, score double")
-    order = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
-    ranked = found.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= top)
-    return ranked.select(*(F.col(c.split()[0]).cast(c.split()[1]) for c in schema.split(", ")))
+                if len(at) > KEPT:
+                    least = np.partition(near[at], len(at) - KEPT)[len(at) - KEPT]
+                    at = at[near[at] >= least]
+                first = at[np.lexsort((ids[at], -near[at]))][:KEPT]
+                out.append((np.full(len(first), query_id), ids[first], rows_of[first], near[first]))
+        return _table(out, ["query_id", "vec_id", "u", "score"])
+
+    near = stored.groupBy("unit").cogroup(wanted.groupBy("unit")).applyInArrow(best, "query_id long, vec_id long, u long, score double")
+    by_query = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
+    near = near.withColumn("r", F.row_number().over(by_query)).where(F.col("r") <= RERANK).select("query_id", "u")
+    scored = near.join(base.select("u", "vec_id", "v"), "u").join(queries, "query_id").select("query_id", "vec_id", _score("q", "v").alias("score"))
+    rank = F.row_number().over(by_query)
+    found = common.materialise(scored.withColumn("rank", rank).where(F.col("rank") <= top), "found")
+    enough = found.groupBy("query_id").agg(F.count("*").alias("n")).where(F.col("n") >= top).select("query_id")
+    rest = common.materialise(queries.join(enough, "query_id", "left_anti"), "rest")
+    out = found.join(enough, "query_id", "left_semi").select("query_id", "rank", "vec_id", "score")
+    if not rest.isEmpty():
+        again = _exact(rest, base, top).withColumn("rank", rank).where(F.col("rank") <= top)
+        out = out.union(again.select("query_id", "rank", "vec_id", "score"))
+    return out.select("query_id", F.col("rank").cast("int").alias("rank"), "vec_id", "score")
 
 
 def op9_vector_search(spark: SparkSession, sf_dir: str) -> DataFrame:
