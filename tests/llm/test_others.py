@@ -18,7 +18,7 @@ from .conftest import rows_of
 
 
 def test_chats_equal_sql(spark, sf_dir, sql):
-    cols = ["conv_id", "turn", "role", "parent_turn", "depth", "reply_path", "n_quoted", "n_linked", "body", "chat"]
+    cols = ["conv_id", "turn", "role", "parent_turn", "depth", "root_turn", "position", "n_quoted", "n_linked", "body", "chat"]
     assert rows_of(quotes.op4_chat_formatting(spark, sf_dir), cols) == sql(quotes.OP4_SQL, cols)
 
 
@@ -35,7 +35,7 @@ def test_quotes_are_linked(spark):
         (1, 4, None, None),
     ]
     df = spark.createDataFrame(rows, "conv_id long, turn long, role string, text string").withColumn("level", F.lit(1)).withColumn("path", F.lit("x"))
-    got = [(r["conv_id"], r["turn"], r["parent_turn"], r["depth"], r["n_quoted"], r["n_linked"], r["body"]) for r in quotes.format_chats(df).orderBy("conv_id", "reply_path").collect()]
+    got = [(r["conv_id"], r["turn"], r["parent_turn"], r["depth"], r["n_quoted"], r["n_linked"], r["body"]) for r in quotes.format_chats(df).orderBy("conv_id", "root_turn", "position", "turn").collect()]
     assert got == [
         (None, None, None, 0, 0, 0, "z"),
         (1, 0, None, 0, 0, 0, "Hello there\nsecond line"),
@@ -75,6 +75,42 @@ def test_passages_are_linked(spark):
     assert (got[12, 2]["n_quoted"], got[12, 2]["n_linked"]) == (161, 161)
 
 
+def reply_order(parents):
+    """root, position and depth of each turn, by walking the threads."""
+    kids, out = {}, {}
+    for t, p in parents.items():
+        kids.setdefault(p, []).append(t)
+    for root in sorted(kids.get(None, [])):
+        stack, n = [(root, 0)], 0
+        while stack:
+            t, d = stack.pop()
+            out[t] = (root, n, d)
+            n += 1
+            stack += [(k, d + 1) for k in sorted(kids.get(t, []), reverse=True)]
+    return out
+
+
+def test_reply_order_of_deep_and_wide_threads(spark, monkeypatch):
+    """A chain of 10,000 messages, a message with many answers, random trees, and turns below zero and of 13 digits."""
+    monkeypatch.setattr(quotes, "SPAN", 16)
+    rng = random.Random(6)
+    convs = [
+        {t: t - 1 if t else None for t in range(10_000)},
+        {t: 0 if t else None for t in range(300)},
+        {t: rng.choice([None, *range(t)]) for t in range(200)},
+        {-3: None, -2: -3, 5: -2, 7 * 10**12: 5, 7 * 10**12 + 1: -3, 9: None},
+    ]
+    rows = [(c, t, p) for c, parents in enumerate(convs) for t, p in parents.items()]
+    links = spark.createDataFrame(rows, "conv_id long, turn long, parent long")
+    got = {(r["conv_id"], r["turn"]): (r["root_turn"], r["position"], r["depth"]) for r in quotes._order(links).collect()}
+    for c, parents in enumerate(convs):
+        for t, want in reply_order(parents).items():
+            if parents[t] is None and t not in parents.values():
+                assert (c, t) not in got  # a thread of its own
+            else:
+                assert got[c, t] == want
+
+
 def test_warc_equals_sql(spark, sf_dir, sql):
     cols = ["page_id", "payload_bytes", "payload_digest", "record_type", "refers_to"]
     assert rows_of(warc.op6_warc(spark, sf_dir), cols) == sql(warc.OP6_SQL, cols)
@@ -181,6 +217,31 @@ def test_mixing_of_equal_texts(spark):
     assert all(abs(taken[s] - want[s]) <= 3 for s in sizes)
 
 
+def test_mixing_of_many_sources(spark):
+    """Sources by the hundred, names out of order and beyond ASCII, sizes that all differ, one document alone, texts without words."""
+    rng = random.Random(2)
+    names = [None, "", "é", "Z", "a", "\U0001f600", *(f"s{i}" for i in range(300))]
+    rows = [(i, "w " * rng.choice([0, 1, 2, 5, 40, rng.randrange(1, 3000)]), names[i % len(names)]) for i in range(3000)] + [(9000, "only one", "lonely")]
+    sizes, taken, want, got = check_mix(spark.createDataFrame(rows, "doc_id long, text string, source string"))
+    by = {}
+    for r in got:
+        by.setdefault(r["source"], []).append(r["__size"])
+    off = {s: abs(taken[s] - want[s]) for s in by}
+    assert all(off[s] < max(1, *x) for s, x in by.items())
+    assert sum(o <= 5 for o in off.values()) >= 0.8 * len(off)
+
+
+def test_rates_are_those_of_exact_sizes(spark):
+    """Sizes above four thousand words keep rates of their own: exp(lambda * size), under the bound, that spend the target."""
+    rows = [(i, "w " * n, "ab"[i % 2]) for i, n in enumerate([4100, 4101, 4140, 6000, 6001, 9, 20, 300, 5, 70, 7000, 123])]
+    _, _, want, got = check_mix(spark.createDataFrame(rows, "doc_id long, text string, source string"))
+    for s in "ab":
+        mine = [r for r in got if r["source"] == s]
+        assert sum(r["__size"] * r["__rate"] for r in mine) == pytest.approx(want[s], rel=1e-9)
+        slopes = [math.log(r["__rate"]) / r["__size"] for r in mine if r["__rate"] < 2]
+        assert max(slopes) - min(slopes) <= 1e-9
+
+
 def test_mixing_is_native(documents):
     plan = mixing.mix(documents)._jdf.queryExecution().executedPlan().toString()
     assert not any(x in plan for x in ("Python", "Pandas", "Arrow", "ExistingRDD"))

@@ -51,7 +51,7 @@ def test_join_equals_brute_force(spark):
 def test_join_at_a_lower_threshold(spark, monkeypatch):
     """Pairs that share 40 of their 80 grams, in buckets split to the last level: at 0.5 every one is linked."""
     monkeypatch.setattr(ngram_join, "BUCKET", 1)
-    assert ngram_join.runs_for(likeness=0.8) < ngram_join.runs_for(likeness=0.5)
+    assert ngram_join.runs_for(recall=0.99) < ngram_join.runs_for(recall=0.9995)
     texts = []
     for i in range(120):
         both = [f"s{i}x{j}" for j in range(44)]
@@ -62,6 +62,34 @@ def test_join_at_a_lower_threshold(spark, monkeypatch):
     assert ngram_join.join_rows(docs, likeness=0.51).where("n_links > 0").count() == 0
 
 
+def test_paths_meet_at_every_depth():
+    """Pairs exactly at the threshold share paths as often as the runs promise; each level is drawn anew."""
+    rng = np.random.default_rng(4)
+    runs, met = ngram_join.runs_for(), [0] * ngram_join.DEPTH
+    for _ in range(400):
+        tokens = np.unique(rng.integers(0, 1 << 63, 120, dtype=np.uint64))
+        a, b = tokens[:108], np.r_[tokens[:96], tokens[108:120]]  # 96 shared of 120
+        forest = ngram_join._forest([a, np.sort(b)], runs, 0.8)
+        for d, level in enumerate(forest):
+            x, y = (np.array(level[i].as_py(), dtype=object) for i in range(2))
+            for _ in range(d):
+                x, y = ([v for part in z for v in part] for z in (x, y))
+            met[d] += bool(set(x) & set(y))
+        # a path of level two hangs on one of level one
+        assert [len(v) for v in forest[1].to_pylist()] == [len(v) for v in forest[0].to_pylist()]
+    assert met[0] >= met[1] >= met[2] >= 397
+
+
+def test_long_sets_are_drawn_in_pieces(monkeypatch):
+    tokens = np.unique(np.random.default_rng(1).integers(0, 1 << 63, 3000, dtype=np.uint64))
+    whole = ngram_join._forest([tokens, tokens[:0], tokens[:1]], 5, 0.8)
+    monkeypatch.setattr(ngram_join, "DRAW", 64)
+    pieces = ngram_join._forest([tokens, tokens[:0], tokens[:1]], 5, 0.8)
+    for x, y in zip(whole, pieces, strict=True):
+        assert x.to_pylist()[1:] == y.to_pylist()[1:] and len(x[0]) == len(y[0])
+    assert sorted(whole[0][0].as_py()) == sorted(pieces[0][0].as_py())
+
+
 def test_join_of_odd_rows(odd, empty):
     got = ngram_join.join_rows(odd).collect()
     assert len(got) == odd.count()
@@ -125,6 +153,33 @@ def test_dedup_equals_brute_force(odd, window):
     assert sorted((str(r["doc_id"]), r["__n_words"], r["__n_removed"], r["text"]) for r in out.collect()) == want
 
 
+def test_dedup_compares_both_hashes():
+    """Windows that agree in one hash of two aren't alike, at home or in a bucket."""
+    packer = substring_dedup.Packer(4)
+    h = np.array([[7, 1], [7, 2], [7, 1], [8, 1]], np.uint64)
+    place = np.arange(4, dtype=np.uint64)
+    packed = packer.pack(h, np.array([5, 6, 7, 8]), place).to_pydict()
+    home = [np.frombuffer(p, np.uint64).tolist() for hs, p in zip(packed["hashes"], packed["places"], strict=True) if not hs]
+    assert home == [[0, 2]]
+    settled = [b for b in substring_dedup._settle(2, 2)(iter([packer.pack(h[i : i + 1], np.array([i]), place[i : i + 1]) for i in range(4)]))]
+    assert sorted(x for b in settled for p in b.column(2).to_pylist() for x in np.frombuffer(p, np.uint64).tolist()) == [0, 2]
+
+
+def test_rows_of_one_key_are_told_apart():
+    packed = np.array([(5 << 32) | 1, (9 << 32) | 2, (5 << 32) | 3], np.uint64).tobytes()
+    assert substring_dedup._places(packed, np.uint64(5 << 32)).tolist() == [1, 3]
+    assert substring_dedup._places(packed, np.uint64(9 << 32)).tolist() == [2]
+
+
+def test_hashes_in_chunks(monkeypatch):
+    raw = b" ".join(f"w{i}".encode() * (1 + i % 5) for i in range(500))
+    buf = np.frombuffer(raw, np.uint8)
+    s, e, _ = common.word_spans(buf, np.array([0, len(buf)]))
+    whole, windows = common.word_hashes(buf, s, e), common.window_hashes(common.word_hashes(buf, s, e), 7)
+    monkeypatch.setattr(common, "CHUNK", 64)
+    assert (common.word_hashes(buf, s, e) == whole).all() and (common.window_hashes(whole, 7) == windows).all()
+
+
 def test_dedup_leaves_clean_texts_alone(odd, empty):
     out = {(r["doc_id"], r["k"]): r["text"] for r in substring_dedup.remove_repeats(odd, joined=False).collect()}
     for r in odd.where("doc_id in (1, 2, 3, 4, 7, 10, 11)").collect():
@@ -191,6 +246,38 @@ def test_search_recall(spark, sf_dir):
     assert hits >= 0.9 * 5 * len(want)
 
 
+def test_search_of_uneven_vectors(spark):
+    """Scattered vectors beside a hundred times as many near-equal ones: both groups find their neighbours."""
+    rng = np.random.default_rng(11)
+    center = rng.normal(size=64)
+    v = np.vstack([rng.normal(size=(60, 64)), center + 0.01 * rng.normal(size=(6000, 64))])
+    ids = np.arange(len(v)) * 5
+    want = brute_nearest(ids, v, 50, 5)
+    got = {}
+    for r in vector_search.search(spark.createDataFrame([(int(i), x.tolist()) for i, x in zip(ids, v, strict=True)], "vec_id long, embedding array<double>")).collect():
+        got.setdefault(r["query_id"], set()).add(r["vec_id"])
+    for mine in ([q for q in want if q < 300], [q for q in want if q >= 300]):
+        assert sum(len(got[q] & set(want[q])) for q in mine) >= 0.9 * 5 * len(mine)
+
+
+def test_search_finds_enough(spark, monkeypatch):
+    """Lists of a row or two, one looked into: what is missing is searched exactly, in blocks; so are vectors of a rarer dimension."""
+    monkeypatch.setattr(vector_search, "_probes", lambda unit, lists, centroids: np.ones(len(centroids), int))
+    monkeypatch.setattr(vector_search, "lists_for", lambda rows: 40)
+    monkeypatch.setattr(vector_search, "ROWS_A_LIST", 2)
+    monkeypatch.setattr(vector_search, "EXACT_ROWS", 7)
+    monkeypatch.setattr(vector_search, "UNIT_QUERIES", 2)
+    rng = np.random.default_rng(3)
+    v, w = rng.normal(size=(80, 8)), rng.normal(size=(30, 5))
+    rows = [(i, x.tolist()) for i, x in enumerate(v)] + [(1000 + i, x.tolist()) for i, x in enumerate(w)]
+    want = brute_nearest(np.arange(80), v, 10, 5) | brute_nearest(np.arange(1000, 1030), w, 10, 5)
+    got = {}
+    for r in vector_search.search(spark.createDataFrame(rows, "vec_id long, embedding array<double>"), every=10).orderBy("rank").collect():
+        got.setdefault(r["query_id"], []).append(r["vec_id"])
+    assert got.keys() == want.keys() and all(len(x) == 5 for x in got.values())
+    assert all(got[q] == want[q] for q in want if q >= 1000)
+
+
 def test_search_of_odd_vectors(spark):
     rows = [(0, [1.0, 0.0]), (50, [0.0, 0.0]), (1, None), (2, [1.0, None]), (3, [float("nan"), 1.0]), (4, [2.0, 0.0]), (5, [2.0, 0.0]), (6, [0.0, 3.0]), (7, []), (None, [1.0, 1.0]), (8, [1.0, 1.0, 1.0])]
     df = spark.createDataFrame(rows, "vec_id long, embedding array<float>").selectExpr("*", "vec_id AS unit", "vec_id AS v")
