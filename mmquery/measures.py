@@ -9,7 +9,7 @@ from __future__ import annotations
 
 import math
 from collections.abc import Iterable
-from dataclasses import dataclass, replace
+from dataclasses import dataclass, field, replace
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -23,6 +23,8 @@ class Measure:
     given: tuple[str, ...]
     over: tuple[str, ...]
     df: DataFrame
+    #: What made it, where a store keeps it.
+    key: tuple | None = field(default=None, compare=False)
 
     @property
     def columns(self) -> list[str]:

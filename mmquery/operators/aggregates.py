@@ -2,29 +2,41 @@
 
 from __future__ import annotations
 
+import warnings
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..query import Atom, ConjunctiveQuery, full_join
-from .joins import degrees
+from .joins import BEST_OMEGA, _triangle_names, degrees, triangle_limit, wcoj
 from .matmul import mm_blocked, mm_sparse
 
 
-def triangle_count(r: Atom, s: Atom, t: Atom, threshold: int, kernel: str = "blas") -> DataFrame:
-    """All triangles, each in exactly one class: first by y's degree in S, light by joins, heavy by a counting product.
+def triangle_weights(r: Atom, s: Atom, t: Atom, threshold: int | None = None, kernel: str = "blas") -> DataFrame:
+    """The pairs (x, z) of T with n, the number of y that close a triangle with them.
 
-    Overlapping supports, harmless for a yes or no, would count twice, so classes are disjoint here.
+    Each triangle is in exactly one class: by y's degree in S, light ones by joins, heavy ones by a counting product. Overlapping
+    supports, harmless for a yes or no, would count twice, so classes are disjoint here.
     """
-    x = next(v for v in r.variables if v in t.variables)
-    y = next(v for v in r.variables if v in s.variables)
-    z = next(v for v in s.variables if v in t.variables)
-    heavy = degrees(s.df, [y]).select(y, (F.col("deg") > threshold).alias("__h"))
+    x, y, z = _triangle_names(r, s, t)
+    limit = threshold if threshold is not None else triangle_limit(r, s, t, BEST_OMEGA)
+    heavy = degrees(s.df, [y]).select(y, (F.col("deg") > limit).alias("__h"))
     pick = lambda df, flag: df.join(heavy.where(F.col("__h") if flag else ~F.col("__h")).select(y), y, "left_semi")
-    light = pick(s.df, False).join(r.df, y).join(t.df, [x, z], "left_semi").agg(F.count("*").alias("n"))
+    light = pick(s.df, False).join(r.df, y).join(t.df, [x, z], "left_semi").groupBy(x, z).agg(F.count("*").alias("n"))
     rh, sh = pick(r.df, True), pick(s.df, True)
     pairs = mm_sparse(rh, sh, [y], count=True) if kernel == "sparse" else mm_blocked(rh, sh, [y], kernel=kernel, count=True)
-    dense = pairs.join(t.df, [x, z], "left_semi").agg(F.coalesce(F.sum("n"), F.lit(0)).alias("n"))
-    return light.union(dense).agg(F.sum("n").cast("long").alias("n"))
+    dense = pairs.join(t.df, [x, z], "left_semi").select(x, z, "n")
+    return light.union(dense).groupBy(x, z).agg(F.sum("n").alias("n"))
+
+
+def triangle_count(r: Atom, s: Atom, t: Atom, threshold: int | None = None, kernel: str = "blas") -> DataFrame:
+    """The number of triangles, through a counting product."""
+    return triangle_weights(r, s, t, threshold, kernel).agg(F.coalesce(F.sum("n"), F.lit(0)).cast("long").alias("n"))
+
+
+def triangle_sum(r: Atom, s: Atom, t: Atom, weights: DataFrame, on: list[str], value: str, kernel: str = "blas") -> DataFrame:
+    """The sum over all triangles of a weight of x, z or both, through a counting product."""
+    return triangle_weights(r, s, t, None, kernel).join(weights, on).agg(F.sum(F.col("n") * F.col(value)).alias("total"))
 
 
 def answer_sum(q: ConjunctiveQuery, weights: DataFrame, on: list[str], value: str) -> DataFrame:
@@ -44,7 +56,6 @@ def answer_min_plus(q: ConjunctiveQuery, costs: list[tuple[DataFrame, list[str],
 
 
 def answer_full(q: ConjunctiveQuery) -> DataFrame:
-    """All assignments: products can't list witnesses, so this is the variable-at-a-time join."""
-    from .joins import wcoj
-
+    """All assignments: products can't list witnesses, so this is the variable-at-a-time join, and says so."""
+    warnings.warn("a full head goes by joins: products don't list witnesses", stacklevel=2)
     return wcoj(q)

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import math
 from fractions import Fraction
 from functools import reduce
 
@@ -9,10 +10,12 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..elimination import decompositions, order_to_bags, reduce_bags
+from ..lp import maximise
 from ..mmcost import exponent
 from ..query import Atom, ConjunctiveQuery, exists, full_join
+from ..sources.tables import cut
 from ..widths import edge_cover
-from .matmul import mm_bits, mm_blocked, mm_sparse
+from .matmul import fuse, mm_bits, mm_blocked, mm_sparse
 
 
 def spark_answer(q: ConjunctiveQuery) -> DataFrame:
@@ -38,7 +41,8 @@ def wcoj(q: ConjunctiveQuery, order: list[str] | None = None) -> DataFrame:
     """Variable at a time: each prefix is extended by the atom with the fewest extensions, the others filter.
 
     Which atom that is is told from counts joined to the prefixes, so a prefix never meets more values than its rarest atom has. Each
-    variable is a stage; the work is bounded by the fractional edge cover of the query.
+    variable is a stage; the work is bounded by the fractional edge cover of the query. Prefixes that several atoms extend are
+    tables in the shared folder: each is made once, so scans grow with atoms times variables.
     """
     order = order or list(q.variables)
     first = order[0]
@@ -50,9 +54,7 @@ def wcoj(q: ConjunctiveQuery, order: list[str] | None = None) -> DataFrame:
         keyed = [(t, on) for t, on in tables if on]
         free = [t for t, on in tables if not on]
         if not keyed:
-            values = reduce(lambda a, b: a.join(b, v, "left_semi"), free)
-            prefix = prefix.crossJoin(values)
-            continue
+            raise ValueError(f"{v} shares no atom with {', '.join(have)}: order connected variables together, and parts apart")
         if len(keyed) == 1:
             prefix = prefix.join(keyed[0][0], keyed[0][1])
         else:
@@ -61,7 +63,7 @@ def wcoj(q: ConjunctiveQuery, order: list[str] | None = None) -> DataFrame:
                 sized = sized.join(t.groupBy(*on).agg(F.count("*").alias(f"__n{k}")), on)
             names = [F.col(f"__n{k}") for k in range(len(keyed))]
             least = F.array_position(F.array(*names), F.least(*names)) - 1
-            sized = sized.withColumn("__least", least.cast("int"))
+            sized = cut(sized.select(*have, least.cast("int").alias("__least")), "prefix")
             parts = []
             for k, (t, on) in enumerate(keyed):
                 part = sized.where(F.col("__least") == k).select(*have).join(t, on)
@@ -79,6 +81,19 @@ def wcoj_answer(q: ConjunctiveQuery, order: list[str] | None = None) -> DataFram
     return exists(wcoj(q, order))
 
 
+def join_bound(q: ConjunctiveQuery) -> float:
+    """The most rows the full join can have for its atoms' sizes: the least product of sizes to the power of a fractional edge cover."""
+    graph = q.graph
+    names = list(graph.names)
+    sizes = [a.df.count() for a in q.atoms]
+    if not all(sizes):
+        return 0.0
+    # the dual: weights of variables, at most log of its size on each atom
+    rows = [{names.index(v): Fraction(1) for v in a.variables} for a in q.atoms]
+    most = [Fraction(math.log(n)).limit_denominator(10**6) + Fraction(1, 10**6) for n in sizes]
+    return math.exp(float(maximise(rows, most, {i: Fraction(1) for i in range(len(names))}, len(names)).value))
+
+
 def best_bags(q: ConjunctiveQuery) -> frozenset[int]:
     """The decomposition whose largest bag has the least edge cover."""
     graph = q.graph
@@ -149,6 +164,34 @@ def degree_split_answer(q: ConjunctiveQuery, atom: int, by: str, threshold: int
     return reduce(DataFrame.union, parts).agg(F.bool_or("answer").alias("answer"))
 
 
+def four_cycle_answer(q: ConjunctiveQuery, kernel: str = "blas", omega=None) -> DataFrame:
+    """The earlier way with one product a side: a cycle is a pair of opposite values joined through both other variables.
+
+    Values of the variable between that have few partners are joined through; heavy ones go by a product, whose pairs are only
+    those that the other side still needs.
+    """
+    first = q.atoms[0]
+    a, b = first.variables
+    nxt = next(x for x in q.atoms if x is not first and b in x.variables)
+    c = next(v for v in nxt.variables if v != b)
+    rest = [x for x in q.atoms if x is not first and x is not nxt]
+    last = next(x for x in rest if a in x.variables)
+    d = next(v for v in last.variables if v != a)
+    other = next(x for x in rest if x is not last)
+    limit = triangle_threshold(sum(x.df.count() for x in q.atoms), omega or BEST_OMEGA)
+
+    def through(r: DataFrame, s: DataFrame, y: str) -> DataFrame:
+        deg = degrees(s, [y])
+        few, many = (s.join(deg.where(c_).select(y), y, "left_semi") for c_ in (F.col("deg") <= limit, F.col("deg") > limit))
+        heavy = r.join(many.select(y).distinct(), y, "left_semi")
+        dense = mm_sparse(heavy, many, [y]) if kernel == "sparse" else mm_blocked(heavy, many, [y], kernel=kernel)
+        return r.join(few, y).select(a, c).union(dense.select(a, c)).distinct()
+
+    one = cut(through(first.df, nxt.df, b), "opposite")
+    ends = one.select(a).distinct()
+    return exists(one.join(through(last.df.join(ends, a, "left_semi"), other.df, d), [a, c], "left_semi"))
+
+
 def degrees(df: DataFrame, given: list[str]) -> DataFrame:
     return df.groupBy(*given).agg(F.count("*").alias("deg"))
 
@@ -163,29 +206,44 @@ def degree_classes(df: DataFrame, given: str) -> DataFrame:
     return degrees(df, [given]).withColumn("deg_class", F.floor(F.log2("deg")).cast("int")).groupBy("deg_class").agg(F.count("*").alias("values"), F.sum("deg").alias("tuples"))
 
 
+#: The best exponent known, by which the triangle algorithm sets its threshold.
+BEST_OMEGA = Fraction(2371552, 1000000)
+
+
 def triangle_threshold(n: int, omega) -> int:
     """N to the power (w - 1) / (w + 1)."""
     w = exponent(omega)
     return max(1, int(n ** float((w - 1) / (w + 1))))
 
 
-def triangle(r: Atom, s: Atom, t: Atom, omega=Fraction(281, 100), threshold: int | None = None, kernel: str = "sparse") -> DataFrame:
-    """The (x, z) and (x, y, z) evidence of triangles R(x,y), S(y,z), T(z,x): light values by joins, heavy ones by a product.
+def _triangle_names(r: Atom, s: Atom, t: Atom) -> tuple[str, str, str]:
+    return (next(v for v in r.variables if v in t.variables), next(v for v in r.variables if v in s.variables), next(v for v in s.variables if v in t.variables))
+
+
+def triangle_limit(r: Atom, s: Atom, t: Atom, omega) -> int:
+    return triangle_threshold(r.df.count() + s.df.count() + t.df.count(), omega)
+
+
+def heavy_parts(r: Atom, s: Atom, t: Atom, limit: int) -> tuple[DataFrame, DataFrame]:
+    """R and S restricted to values heavy in all three: x in R, y in S, z in T have more than `limit` partners."""
+    x, y, z = _triangle_names(r, s, t)
+    heavy = {v: degrees(a.df, [v]).where(F.col("deg") > limit).select(v) for a, v in ((r, x), (s, y), (t, z))}
+    return r.df.join(heavy[x], x, "left_semi").join(heavy[y], y, "left_semi"), s.df.join(heavy[y], y, "left_semi").join(heavy[z], z, "left_semi")
+
+
+def triangle(r: Atom, s: Atom, t: Atom, omega=BEST_OMEGA, threshold: int | None = None, kernel: str = "sparse") -> DataFrame:
+    """The pairs (x, z) of T that lie in a triangle R(x,y), S(y,z), T(z,x): light values by joins, heavy ones by a product.
 
     A value of x with few y in R is joined through, likewise y in S and z in T; what is left are values heavy in all three, of which
-    there are at most N / threshold a variable, so their product is small and dense. Returns the pairs (x, z) of T in a triangle.
+    there are at most N / threshold a variable, so their product is small and dense.
     """
-    x = next(v for v in r.variables if v in t.variables)
-    y = next(v for v in r.variables if v in s.variables)
-    z = next(v for v in s.variables if v in t.variables)
-    limit = threshold if threshold is not None else triangle_threshold(r.df.count() + s.df.count() + t.df.count(), omega)
-    dx, dy, dz = (degrees(a.df, [v]).select(v, (F.col("deg") > limit).alias("__heavy")) for a, v in ((r, x), (s, y), (t, z)))
-    pick = lambda df, d, v, heavy: df.join(d.where(F.col("__heavy") if heavy else ~F.col("__heavy")).select(v), v, "left_semi")
-    light_x = pick(r.df, dx, x, False).join(t.df, x).join(s.df, [y, z], "left_semi").select(x, z)
-    light_y = pick(s.df, dy, y, False).join(r.df, y).join(t.df, [x, z], "left_semi").select(x, z)
-    light_z = pick(t.df, dz, z, False).join(s.df, z).join(r.df, [x, y], "left_semi").select(x, z)
-    rh = pick(pick(r.df, dx, x, True), dy, y, True)
-    sh = pick(pick(s.df, dy, y, True), dz, z, True)
+    x, y, z = _triangle_names(r, s, t)
+    limit = threshold if threshold is not None else triangle_limit(r, s, t, omega)
+    light = lambda a, v: a.df.join(degrees(a.df, [v]).where(F.col("deg") <= limit).select(v), v, "left_semi")
+    light_x = light(r, x).join(t.df, x).join(s.df, [y, z], "left_semi").select(x, z)
+    light_y = light(s, y).join(r.df, y).join(t.df, [x, z], "left_semi").select(x, z)
+    light_z = light(t, z).join(s.df, z).join(r.df, [x, y], "left_semi").select(x, z)
+    rh, sh = heavy_parts(r, s, t, limit)
     product = {"sparse": lambda: mm_sparse(rh, sh, [y]), "bits": lambda: mm_bits(rh, sh, y, x, z)}.get(kernel, lambda: mm_blocked(rh, sh, [y], kernel=kernel))()
     heavy = t.df.join(product, [x, z], "left_semi").select(x, z)
     return light_x.union(light_y).union(light_z).union(heavy).distinct()
@@ -195,25 +253,37 @@ def triangle_answer(r: Atom, s: Atom, t: Atom, **options) -> DataFrame:
     return exists(triangle(r, s, t, **options))
 
 
-def clique_count(edges: DataFrame, k: int, kernel: str = "sparse") -> DataFrame:
-    """Cliques u1 < ... < uk of an oriented graph (u, v) by three groups of vertices and one counting product.
-
-    Each group is a small clique; two groups are adjacent when all their members are. Groups follow each other in the vertex
-    order, so each clique is counted once. Parts of k: as even as they come.
-    """
+def _clique_parts(edges: DataFrame, k: int) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """Adjacent pairs of the three groups of vertices, each group as one index: A B, B C and A C."""
     parts = [-(-k // 3), -(-(k - 1) // 3), k // 3]
     first, second, third = (small_cliques(edges, n, f"g{i}_") for i, n in enumerate(parts))
     ab = _adjacent(edges, first, parts[0], "g0_", second, parts[1], "g1_")
     bc = _adjacent(edges, second, parts[1], "g1_", third, parts[2], "g2_")
     ac = _adjacent(edges, first, parts[0], "g0_", third, parts[2], "g2_")
     a, b, c = ([f"g{i}_{j}" for j in range(n)] for i, n in enumerate(parts))
-    r, s, t = (_fused(_fused(df, p, pn), q_, qn) for df, p, pn, q_, qn in ((ab, a, "A", b, "B"), (bc, b, "B", c, "C"), (ac, a, "A", c, "C")))
+    return tuple(_fused(_fused(df, p, pn), q_, qn) for df, p, pn, q_, qn in ((ab, a, "A", b, "B"), (bc, b, "B", c, "C"), (ac, a, "A", c, "C")))
+
+
+def clique_count(edges: DataFrame, k: int, kernel: str = "sparse") -> DataFrame:
+    """Cliques u1 < ... < uk of an oriented graph (u, v) by three groups of vertices and one counting product.
+
+    Each group is a small clique; two groups are adjacent when all their members are. Groups follow each other in the vertex
+    order, so each clique is counted once. Parts of k: as even as they come.
+    """
+    r, s, t = _clique_parts(edges, k)
     product = mm_sparse(r, s, ["B"], count=True) if kernel == "sparse" else mm_blocked(r, s, ["B"], kernel=kernel, count=True)
     return product.join(t, ["A", "C"], "left_semi").agg(F.coalesce(F.sum("n"), F.lit(0)).cast("long").alias("n"))
 
 
+def clique_answer(edges: DataFrame, k: int, kernel: str = "sparse") -> DataFrame:
+    """Whether there is a clique of k vertices, by the Boolean product of the three groups."""
+    r, s, t = _clique_parts(edges, k)
+    product = mm_sparse(r, s, ["B"]) if kernel == "sparse" else mm_blocked(r, s, ["B"], kernel=kernel)
+    return exists(t.join(product, ["A", "C"], "left_semi"))
+
+
 def _fused(df: DataFrame, cols: list[str], name: str) -> DataFrame:
-    return df.withColumnRenamed(cols[0], name) if len(cols) == 1 else df.withColumn(name, F.concat_ws("/", *cols)).drop(*cols)
+    return df.withColumnRenamed(cols[0], name) if len(cols) == 1 else fuse(df, cols, name)
 
 
 def small_cliques(edges: DataFrame, k: int, prefix: str) -> DataFrame:

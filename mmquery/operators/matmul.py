@@ -7,17 +7,16 @@ from dataclasses import dataclass
 from fractions import Fraction
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.pandas.types import to_arrow_schema
 from pyspark.sql.types import LongType, StructField, StructType
 
-#: Side of a square block, in values hashed to one block number.
-SIDE = 2048
-#: Blocks of a dimension; a row is repeated at most so often.
-MOST_BLOCKS = 64
+#: Side of a square block, in values. Large dimensions get blocks of up to the second, so that rows are repeated less often.
+SIDE, WIDE_SIDE = 2048, 8192
+#: Blocks of a dimension from which its blocks get wider.
+MANY_BLOCKS = 64
 CUTOFF = 64
 
 
@@ -97,103 +96,115 @@ def mm_sparse(r: DataFrame, s: DataFrame, inner: list[str], group: list[str] | N
     return joined.distinct()
 
 
-def mm_blocked(r: DataFrame, s: DataFrame, inner: list[str], group: list[str] | None = None, kernel: str = "blas", side: int = SIDE, rows: int | None = None, count: bool = False) -> DataFrame:
-    """The same product in square blocks.
+def mm_blocked(r: DataFrame, s: DataFrame, inner: list[str], group: list[str] | None = None, kernel: str = "blas", side: int | None = None, count: bool = False) -> DataFrame:
+    """The same product in square blocks, for each value of the group's columns.
 
-    Values are hashed to block numbers, in each dimension as many as make blocks of about `side` values (rows: an upper bound on
-    distinct values of every dimension; estimated for each where not given). A row of r goes to every column block of s and the
-    other way round, so a task holds one block of each; blocks of one inner range are reduced by distinct or sum.
+    Values are hashed to block numbers, in each dimension as many as make blocks of about `side` values (distinct values are
+    estimated; of the group that has most, where there are groups). A row of r goes to every column block of s and the
+    other way round, so a task holds one block of each. Whatever the hashes and estimates do, a task multiplies pieces of at
+    most `side` values a dimension. Blocks of one inner range are reduced by distinct or sum.
     """
     group = group or []
     left = [c for c in r.columns if c not in (*inner, *group)]
     right = [c for c in s.columns if c not in (*inner, *group)]
-    many = {} if rows is not None else {**_distinct(r, {"i": left, "k": inner}), **_distinct(s, {"j": right})}
-    n = {d: min(MOST_BLOCKS, max(1, -(-many.get(d, rows or 0) // side))) for d in "ikj"}
+    many = {**_distinct(r, {"i": left, "k": inner}, group), **_distinct(s, {"j": right}, group)}
+    if side is None:
+        side = min(WIDE_SIDE, max(SIDE, max(many.values()) // MANY_BLOCKS))
+    n = {d: max(1, -(-many[d] // side)) for d in "ikj"}
     one = lambda cols, salt, d: F.pmod(F.xxhash64(*cols, F.lit(salt)), F.lit(n[d])).cast("int")
     every = lambda d: F.explode(F.sequence(F.lit(0), F.lit(n[d] - 1)))
-    wide = lambda df: df.withColumn("__g", F.xxhash64(*group, F.lit(7)) if group else F.lit(0).cast("long"))
-    a = wide(r).withColumn("__i", one(left, 1, "i")).withColumn("__k", one(inner, 2, "k")).withColumn("__j", every("j"))
-    b = wide(s).withColumn("__j", one(right, 3, "j")).withColumn("__k", one(inner, 2, "k")).withColumn("__i", every("i"))
+    a = r.withColumn("__i", one(left, 1, "i")).withColumn("__k", one(inner, 2, "k")).withColumn("__j", every("j"))
+    b = s.withColumn("__j", one(right, 3, "j")).withColumn("__k", one(inner, 2, "k")).withColumn("__i", every("i"))
+    b = b.select(*(F.col(c).alias(c) for c in b.columns))  # both sides may come from one relation
     fields = [r.schema[c] for c in (*group, *left)] + [s.schema[c] for c in right]
-    schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in fields) + ", n long"
+    schema = StructType([*fields, StructField("__n", LongType())])
+    arrow = to_arrow_schema(schema)
     multiply = KERNELS[kernel].multiply
 
     def product(x: pa.Table, y: pa.Table) -> pa.Table:
-        p, q = x.to_pandas(), y.to_pandas()
-        parts = []
-        for part_p, part_q in _same_group(p, q, group):
-            keys = pd.concat([_key(part_p, inner), _key(part_q, inner)])
-            codes, _ = pd.factorize(keys)
-            ki, kj = codes[: len(part_p)], codes[len(part_p) :]
-            ri, rows_of = _codes(part_p, left)
-            cj, cols_of = _codes(part_q, right)
-            m1 = np.zeros((len(rows_of), codes.max() + 1 if len(codes) else 0), np.int8)
-            m2 = np.zeros((m1.shape[1], len(cols_of)), np.int8)
-            m1[ri, ki] = 1
-            m2[kj, cj] = 1
-            out = multiply(m1, m2)
-            i, j = np.nonzero(out)
-            frame = pd.concat([part_p[left].iloc[rows_of[i]].reset_index(drop=True), part_q[right].iloc[cols_of[j]].reset_index(drop=True)], axis=1)
-            for g in group:
-                frame[g] = part_p[g].iloc[0]
-            frame["n"] = out[i, j]
-            parts.append(frame)
-        if not parts:
-            return nothing
-        done = pd.concat(parts, ignore_index=True)[[f.name for f in fields] + ["n"]]
-        return pa.Table.from_pandas(done, schema=arrow, preserve_index=False)
-
-    arrow = to_arrow_schema(StructType([*fields, StructField("n", LongType())]))
-    nothing = arrow.empty_table()
-    keys = ["__g", "__i", "__k", "__j"]
+        if not x.num_rows or not y.num_rows:
+            return arrow.empty_table()
+        (ri,), row_at = _codes([x], left)
+        (ki, kj), _ = _codes([x, y], inner)
+        (cj,), col_at = _codes([y], right)
+        found = []
+        for ilo in range(0, len(row_at), side):
+            for jlo in range(0, len(col_at), side):
+                out = _piece(multiply, ri, ki, kj, cj, ilo, jlo, min(side, len(row_at) - ilo), min(side, len(col_at) - jlo), side)
+                i, j = np.nonzero(out)
+                found.append((row_at[i + ilo], col_at[j + jlo], out[i, j]))
+        at_x, at_y, number = (np.concatenate(v) for v in zip(*found, strict=True))
+        cols = [x[c].take(pa.array(at_x)) for c in (*group, *left)] + [y[c].take(pa.array(at_y)) for c in right]
+        return pa.table([*cols, pa.array(number)], names=[f.name for f in schema]).cast(arrow)
+
+    keys = [*group, "__i", "__k", "__j"]
     blocks = a.groupBy(*keys).cogroup(b.groupBy(*keys)).applyInArrow(product, schema)
     cols = [f.name for f in fields]
-    return blocks.groupBy(*cols).agg(F.sum("n").alias("n")) if count else blocks.select(*cols).distinct()
-
-
-def _distinct(df: DataFrame, dims: dict[str, list[str]]) -> dict[str, int]:
-    """About how many values each dimension has; a dimension without columns has one."""
-    return df.agg(*[(F.approx_count_distinct(F.xxhash64(*cols)) if cols else F.lit(1).cast("long")).alias(d) for d, cols in dims.items()]).first().asDict()
-
-
-def _key(df: pd.DataFrame, cols: list[str]) -> pd.Series:
-    return df[cols[0]] if len(cols) == 1 else pd.Series(list(df[cols].itertuples(index=False, name=None)), dtype=object)
-
-
-def _codes(df: pd.DataFrame, cols: list[str]) -> tuple[np.ndarray, np.ndarray]:
-    """Row numbers by value, and a place of each value."""
-    if not cols:
-        return np.zeros(len(df), np.int64), np.zeros(1, np.int64)
-    codes, uniques = pd.factorize(_key(df, cols))
-    place = np.zeros(len(uniques), np.int64)
-    place[codes[::-1]] = np.arange(len(df))[::-1]
-    return codes, place
-
-
-def _same_group(p: pd.DataFrame, q: pd.DataFrame, group: list[str]):
-    if not len(p) or not len(q):
-        return
-    if not group:
-        yield p, q
-        return
-    parts = dict(tuple(q.groupby(group if len(group) > 1 else group[0])))
-    for key, part in p.groupby(group if len(group) > 1 else group[0]):
-        if key in parts:
-            yield part, parts[key]
-
+    return blocks.groupBy(*cols).agg(F.sum("__n").alias("n")) if count else blocks.select(*cols).distinct()
+
+
+def _piece(multiply, ri: np.ndarray, ki: np.ndarray, kj: np.ndarray, cj: np.ndarray, ilo: int, jlo: int, rows: int, cols: int, side: int) -> np.ndarray:
+    """Counts of a piece of the product, from pieces of the inner dimension."""
+    mine, other = (ri >= ilo) & (ri < ilo + rows), (cj >= jlo) & (cj < jlo + cols)
+    r, k1, k2, c = ri[mine] - ilo, ki[mine], kj[other], cj[other] - jlo
+    out = np.zeros((rows, cols), np.int64)
+    shared = np.intersect1d(k1, k2)
+    for lo in range(0, len(shared), side):
+        part = shared[lo : lo + side]
+        a, b = np.searchsorted(part, k1), np.searchsorted(part, k2)
+        in_a = (a < len(part)) & (part[np.minimum(a, len(part) - 1)] == k1)
+        in_b = (b < len(part)) & (part[np.minimum(b, len(part) - 1)] == k2)
+        m1, m2 = np.zeros((rows, len(part)), np.int8), np.zeros((len(part), cols), np.int8)
+        m1[r[in_a], a[in_a]] = 1
+        m2[b[in_b], c[in_b]] = 1
+        out += multiply(m1, m2)
+    return out
 
-def mm_bits(r: DataFrame, s: DataFrame, inner: str, left: str, right: str, most_inner: int = 62 * 64) -> DataFrame:
-    """The Boolean product in Catalyst alone: inner values become bits of words, rows meet columns where words share one.
 
-    Inner values are ranked densely within hash groups of at most `most_inner`; each group's words are OR-ed per row, so a row
-    is one array a group, and a pair needs one comparison a group instead of one a value.
+def _distinct(df: DataFrame, dims: dict[str, list[str]], group: list[str]) -> dict[str, int]:
+    """About how many values each dimension has, in the group that has most; a dimension without columns has one."""
+    about = [(F.approx_count_distinct(F.xxhash64(*cols)) if cols else F.lit(1).cast("long")).alias(d) for d, cols in dims.items()]
+    if group:
+        found = df.groupBy(*group).agg(*about).agg(*(F.max(d).alias(d) for d in dims)).first()
+    else:
+        found = df.agg(*about).first()
+    return {d: n or 0 for d, n in found.asDict().items()}
+
+
+def _codes(tables: list[pa.Table], cols: list[str]) -> tuple[list[np.ndarray], np.ndarray]:
+    """A number for each row of each table, equal for equal values of the columns, and a row (of the tables end to end) of each number."""
+    total = sum(t.num_rows for t in tables)
+    code = np.zeros(total, np.int64)
+    for c in cols:
+        values = pa.chunked_array([chunk for t in tables for chunk in t[c].chunks], tables[0][c].type).combine_chunks()
+        if pa.types.is_nested(values.type):  # a fused dimension
+            flat = [f.dictionary_encode().indices.to_numpy(zero_copy_only=False) for f in values.flatten()]
+        else:
+            flat = [values.dictionary_encode().indices.to_numpy(zero_copy_only=False)]
+        for f in flat:
+            code = np.unique(code * (int(f.max(initial=0)) + 1) + f, return_inverse=True)[1]
+    _, place = np.unique(code, return_index=True)
+    cuts = np.cumsum([t.num_rows for t in tables])[:-1]
+    return np.split(code, cuts), place
+
+
+def mm_bits(r: DataFrame, s: DataFrame, inner: str, left: str, right: str, block: int = 2048) -> DataFrame:
+    """The Boolean product in Catalyst alone, for dense matrices: inner values become bits of words, rows meet columns where words share one.
+
+    Inner values are ranked within hash groups of a few thousand; a row has a word for each 62 of them that it touches, so a pair is
+    compared once a word instead of once a value. Rows are dealt to blocks of about `block` values within a word, and columns go to
+    each block, so a word is as many tasks as its rows ask for.
     """
     from pyspark.sql import Window
 
-    groups = F.pmod(F.xxhash64(inner), F.lit(64)).cast("int")
-    ids = r.select(inner).distinct().join(s.select(inner).distinct(), inner).withColumn("g", groups)
-    ids = ids.withColumn("rank", F.row_number().over(Window.partitionBy("g").orderBy(inner)) - 1)
-    ids = ids.withColumn("word", F.expr("cast(rank div 62 as int)")).withColumn("bit", F.expr("shiftleft(1L, cast(rank % 62 as int))"))
-    words = lambda df, side: df.join(ids, inner).groupBy(side, "g", "word").agg(F.bit_or("bit").alias(f"bits_{side}"))
-    met = words(r, left).join(words(s, right), ["g", "word"]).where(F.col(f"bits_{left}").bitwiseAND(F.col(f"bits_{right}")) != 0)
+    sizes = {**_distinct(r, {"i": [left]}, []), **_distinct(s, {"k": [inner]}, [])}
+    groups = max(1, sizes["k"] // 4096)
+    blocks = max(1, -(-sizes["i"] // block))
+    ids = r.select(inner).distinct().join(s.select(inner).distinct(), inner).withColumn("__g", F.pmod(F.xxhash64(inner), F.lit(groups)).cast("int"))
+    ids = ids.withColumn("__r", F.row_number().over(Window.partitionBy("__g").orderBy(inner)) - 1)
+    ids = ids.select(inner, "__g", F.expr("cast(__r div 62 as int)").alias("__word"), F.expr("shiftleft(1L, cast(__r % 62 as int))").alias("__bit"))
+    words = lambda df, side: df.join(ids, inner).groupBy(side, "__g", "__word").agg(F.bit_or("__bit").alias(f"__of_{side}"))
+    a = words(r, left).withColumn("__b", F.pmod(F.xxhash64(left, F.lit(5)), F.lit(blocks)).cast("int"))
+    b = words(s, right).withColumn("__b", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))))
+    met = a.join(b, ["__g", "__word", "__b"]).where(F.col(f"__of_{left}").bitwiseAND(F.col(f"__of_{right}")) != 0)
     return met.select(left, right).distinct()

@@ -3,13 +3,14 @@
 Each term of the right side carries a measure. Steps act on measures as they do on terms. After a composition, whose
 product is cut at 1/B, the light branch goes on with the cut table; the heavy branch gives the composed term up, repairs the
 inequality on the driver, and goes on with the measures it has. Leaves are join measures or groups of measures of a product.
-Everything stays lazy DataFrames; what reaches the driver are row counts and largest degrees.
+What reaches the driver are row counts and largest degrees. Branches and rules share measures: a store makes each one once, as a
+table in the shared folder.
 """
 
 from __future__ import annotations
 
 import math
-from dataclasses import dataclass, field
+from dataclasses import dataclass, field, replace
 from fractions import Fraction
 from functools import reduce
 
@@ -23,6 +24,7 @@ from .measures import Measure
 from .mmcost import MatMulTerm
 from .proof import next_moves
 from .query import Atom, ConjunctiveQuery
+from .sources.tables import cut
 
 
 @dataclass(frozen=True)
@@ -42,70 +44,127 @@ class ProductModel:
     z: Measure
     triple: tuple[Fraction, Fraction, Fraction]
 
+    def parts(self) -> list[Measure | None]:
+        return [self.g, self.x, self.y, self.z]
+
 
 @dataclass
 class Trace:
-    """What was done: a line a node."""
+    """What was done: a line a node. With `check`, every node's measures are held against the invariants."""
 
     lines: list[tuple] = field(default_factory=list)
+    check: bool = False
 
     def add(self, depth: int, kind: str, text: str) -> None:
         self.lines.append((len(self.lines), depth, kind, text))
 
 
+class Store:
+    """Measures by what made them: each is made once. With `tables`, those that joins make lie in the shared folder; aggregates are made again."""
+
+    def __init__(self, tables: bool = False):
+        self.tables, self.have, self.degrees = tables, {}, {}
+
+    def measure(self, key: tuple, make) -> Measure:
+        if key not in self.have:
+            m = make()
+            self.have[key] = replace(m, df=cut(m.df, "measure") if self.tables and key[0] in ("product", "geometric") else m.df, key=key)
+        return self.have[key]
+
+    def degree(self, key: tuple, make) -> int:
+        if key not in self.degrees:
+            self.degrees[key] = make()
+        return self.degrees[key]
+
+    def initial(self, at: int, atom: Atom, over: list[str], given: list[str]) -> Measure:
+        return self.measure(("initial", at, tuple(over), tuple(given)), lambda: M.init_measure(atom.df, over, given))
+
+    def marginal(self, p: Measure, keep: tuple[str, ...]) -> Measure:
+        return self.measure(("marginal", p.key, keep), lambda: M.marginal(p, keep))
+
+    def condition(self, p: Measure, given: tuple[str, ...]) -> Measure:
+        return self.measure(("condition", p.key, given), lambda: M.condition(p, given))
+
+    def extend(self, p: Measure, more: tuple[str, ...]) -> Measure:
+        return replace(M.extend_condition(p, more), key=("extend", p.key, more))
+
+    def product(self, p: Measure, q: Measure, ln_b: float) -> Measure:
+        return self.measure(("product", p.key, q.key, ln_b), lambda: M.truncated_product(p, q, ln_b))
+
+    def geo_mean(self, parts: list[Measure]) -> Measure:
+        return parts[0] if len(parts) == 1 else self.measure(("geometric", *(p.key for p in parts)), lambda: M.geo_mean(parts))
+
+
 def degree(df: DataFrame, over: list[str], given: list[str]) -> int:
     """The largest number of y for an x; the number of rows where there is no x."""
-    rows = df.select(*given, *over).distinct()
+    rows = df.select(*given, *over) if {*given, *over} == set(df.columns) else df.select(*given, *over).distinct()  # atoms are sets
     if not given:
         return rows.count()
     found = rows.groupBy(*given).count().agg(F.max("count")).first()[0]
     return found or 0
 
 
-def statistics(q: ConjunctiveQuery, terms: list[Term]) -> dict[Term, tuple[int, Atom]]:
-    """For each term the least degree among the atoms that cover it, and that atom. One aggregate an atom and term."""
-    graph, out = q.graph, {}
+def statistics(q: ConjunctiveQuery, terms: list[Term], store: Store | None = None) -> dict[Term, tuple[int, int]]:
+    """For each term the least degree among the atoms that cover it, and that atom's number. One aggregate an atom and term."""
+    graph, out, store = q.graph, {}, store or Store()
     for c, full in terms:
         names = graph.variables(full)
-        fit = [a for a in q.atoms if set(names) <= set(a.variables)]
         given = [v for v in names if graph.mask([v]) & c]
         over = [v for v in names if v not in given]
-        out[(c, full)] = min(((degree(a.df, over, given), a) for a in fit), key=lambda x: x[0])
+        fit = [(i, a) for i, a in enumerate(q.atoms) if set(names) <= set(a.variables)]
+        out[(c, full)] = min((store.degree((i, tuple(over), tuple(given)), lambda a=a: degree(a.df, over, given)), i) for i, a in fit)  # noqa: B023
+    return out
+
+
+def measured_degrees(q: ConjunctiveQuery) -> dict[tuple[int, int], Fraction]:
+    """For each atom and each side x of it, log_N of its largest degree of the rest given x: rows for a width that knows the data."""
+    graph, store, out = q.graph, Store(), {}
+    total = max(2, sum(a.df.count() for a in q.atoms))
+    for i, a in enumerate(q.atoms):
+        full = graph.mask(a.variables)
+        for v in a.variables:
+            given = graph.mask([v])
+            over = [x for x in a.variables if x != v]
+            if over:
+                most = store.degree((i, tuple(over), (v,)), lambda a=a, over=over, v=v: degree(a.df, over, [v]))
+                part = Fraction(math.log(max(1, most)) / math.log(total)).limit_denominator(1000)
+                out[given, full] = min(out.get((given, full), Fraction(1)), part)
     return out
 
 
-def ln_budget(ineq: FlowInequality, stats: dict[Term, tuple[int, Atom]]) -> float:
+def ln_budget(ineq: FlowInequality, stats: dict[Term, tuple[int, int]]) -> float:
     """log of (product of degrees to their weights) to the power 1 / mass."""
     total = sum(float(w) * math.log(max(1, stats[t][0])) for t, w in ineq.right.items())
     return total / float(ineq.mass)
 
 
-def rule_eval(q: ConjunctiveQuery, rule: CoverRule, omega, ln_b: float | None = None, trace: Trace | None = None) -> tuple[list[JoinModel | ProductModel], float]:
+def rule_eval(q: ConjunctiveQuery, rule: CoverRule, omega, ln_b: float | None = None, trace: Trace | None = None, store: Store | None = None) -> tuple[list[JoinModel | ProductModel], float]:
     """Interpretations of the rule's targets whose supports cover the join of q's atoms, and the log of their budget."""
     ineq, _ = inequality_of(q.graph, rule, omega)
-    stats = statistics(q, list(ineq.right))
+    store = store or Store()
+    stats = statistics(q, list(ineq.right), store)
     ln_b = ln_budget(ineq, stats) if ln_b is None else ln_b
     graph = q.graph
     start = {}
-    for (c, full), (_, atom) in stats.items():
+    for (c, full), (_, at) in stats.items():
         names = graph.variables(full)
         given = [v for v in names if graph.mask([v]) & c]
-        start[(c, full)] = [(M.init_measure(atom.df, [v for v in names if v not in given], given), ineq.right[(c, full)])]
-    return _evaluate(ineq, start, ln_b, trace or Trace(), 0), ln_b
+        start[(c, full)] = [(store.initial(at, q.atoms[at], [v for v in names if v not in given], given), ineq.right[(c, full)])]
+    return _evaluate(ineq, start, ln_b, trace or Trace(), store, 0), ln_b
 
 
 Holdings = dict[Term, list[tuple[Measure, Fraction]]]
 """The measures of each term, with how much of the term's weight each one carries."""
 
 
-def _held(p: Holdings, term: Term, amount: Fraction) -> Measure | None:
+def _held(p: Holdings, term: Term, amount: Fraction, store: Store) -> Measure | None:
     """One measure for an amount of a term: the geometric mean of those that carry it."""
     parts = []
     for m, w in p.get(term, []):
         if amount > 0:
             parts.append(m)
             amount -= w
-    return M.geo_mean(parts) if parts else None
+    return store.geo_mean(parts) if parts else None
 
 
 def _trim(p: Holdings, ineq: FlowInequality) -> Holdings:
@@ -123,10 +182,25 @@ def _trim(p: Holdings, ineq: FlowInequality) -> Holdings:
     return out
 
 
-def _evaluate(ineq: FlowInequality, p: Holdings, ln_b: float, trace: Trace, depth: int) -> list:
+def check_invariants(ineq: FlowInequality, p: Holdings, ln_b: float) -> None:
+    """What must hold at every node: each term's weight is carried, measures sum to at most 1, and unconditional ones have at most B rows of at least 1/B."""
+    for t, w in ineq.right.items():
+        assert sum((x for _, x in p.get(t, [])), Fraction(0)) >= w, f"{ineq.graph.label(t[1])} is carried by less than its weight"
+    assert ineq.mass <= sum((w for (c, _), w in ineq.right.items() if not c), Fraction(0)), "more targets than unconditional terms"
+    for (c, _), parts in p.items():
+        for m, _ in parts:
+            assert M.audit(m).isEmpty(), "a measure sums to more than 1"
+            if not c:
+                rows, least = m.df.agg(F.count("*"), F.min("lp")).first()
+                assert rows <= math.exp(ln_b) * (1 + 1e-6) and (not rows or least >= -ln_b - M.SLACK), f"{rows} rows, least value {least}, budget {ln_b}"
+
+
+def _evaluate(ineq: FlowInequality, p: Holdings, ln_b: float, trace: Trace, store: Store, depth: int) -> list:
     g = ineq.graph
     if not ineq.mass:
         return []
+    if trace.check:
+        check_invariants(ineq, p, ln_b)
     for u, w in ineq.joins.items():
         if w and ineq.right.get((0, u)):
             trace.add(depth, "join target", g.label(u))
@@ -140,16 +214,16 @@ def _evaluate(ineq: FlowInequality, p: Holdings, ln_b: float, trace: Trace, dept
             need[t] = need.get(t, Fraction(0)) + n
         # a side of weight 0 may have no measure left; it asks nothing of a value
         if all(ineq.right.get(t, 0) >= n for t, n in need.items()):
-            sides = [_held(p, t, n) for t, n in zip(terms, needs, strict=True)]
+            sides = [_held(p, t, n, store) for t, n in zip(terms, needs, strict=True)]
             trace.add(depth, "product target", group.term.label(g))
-            model = ProductModel(group.term, _held(p, base, group.k), sides[0], sides[1], sides[2], group.triple())
+            model = ProductModel(group.term, _held(p, base, group.k, store), sides[0], sides[1], sides[2], group.triple())
             rest = ineq.copy()
             for t, n in need.items():
                 if n:
                     rest.right[t] -= n
             rest.groups = [h for h in rest.groups if h.term != group.term]
             rest.tidy()
-            return [model, *_evaluate(rest, _trim(p, rest), ln_b, trace, depth)]
+            return [model, *_evaluate(rest, _trim(p, rest), ln_b, trace, store, depth)]
     moves = next_moves(ineq)
     first = moves[0]
     used = [(0, first.low), (first.low, first.full)] if first.kind == "compose" else [(first.low, first.full)] if first.kind == "submodular" else [(0, first.full)]
@@ -157,19 +231,19 @@ def _evaluate(ineq: FlowInequality, p: Holdings, ln_b: float, trace: Trace, dept
     light, q = ineq.copy(), {t: list(parts) for t, parts in p.items()}
     for step in moves:
         trace.add(depth, step.kind, step.text(g))
-        _apply(light, q, step, amount, ln_b, g)
+        _apply(light, q, step, amount, ln_b, g, store)
     light.tidy()
     if first.kind != "compose":
-        return _evaluate(light, q, ln_b, trace, depth)
-    out = _evaluate(light, q, ln_b, trace, depth + 1)
+        return _evaluate(light, q, ln_b, trace, store, depth)
+    out = _evaluate(light, q, ln_b, trace, store, depth + 1)
     heavy = drop_unit(light, first.full, amount)
     trace.add(depth, "heavy branch", heavy.text())
     without = dict(q)
     without[(0, first.full)] = q[(0, first.full)][:-1]
-    return out + _evaluate(heavy, _trim(without, heavy), ln_b, trace, depth + 1)
+    return out + _evaluate(heavy, _trim(without, heavy), ln_b, trace, store, depth + 1)
 
 
-def _apply(ineq: FlowInequality, p: Holdings, step, amount: Fraction, ln_b: float, g: Hypergraph) -> None:
+def _apply(ineq: FlowInequality, p: Holdings, step, amount: Fraction, ln_b: float, g: Hypergraph, store: Store) -> None:
     """Replace an amount of the step's terms on the right side and in the witness, and the measures that carry it."""
 
     def spend(term: Term, last: bool = False) -> Measure:
@@ -188,25 +262,33 @@ def _apply(ineq: FlowInequality, p: Holdings, step, amount: Fraction, ln_b: floa
 
     if step.kind == "decompose":
         whole = spend((0, step.full))
-        gain((0, step.low), M.marginal(whole, g.variables(step.low)))
-        gain((step.low, step.full), M.condition(whole, g.variables(step.low)))
+        gain((0, step.low), store.marginal(whole, g.variables(step.low)))
+        gain((step.low, step.full), store.condition(whole, g.variables(step.low)))
     elif step.kind == "monotone":
         whole = spend((0, step.full))
         if step.low:
-            gain((0, step.low), M.marginal(whole, g.variables(step.low)))
+            gain((0, step.low), store.marginal(whole, g.variables(step.low)))
         ineq.mono[(step.low, step.full)] -= amount
     elif step.kind == "submodular":
         m = spend((step.low, step.full), last=True)  # what the move has just made
-        gain((step.low | step.extra, step.full | step.extra), M.extend_condition(m, g.variables(step.extra)))
+        gain((step.low | step.extra, step.full | step.extra), store.extend(m, g.variables(step.extra)))
         key = next(k for k, v in ineq.sub.items() if v >= amount and k[0] == step.low and {k[1], k[2]} == {step.full, step.low | step.extra})
         ineq.sub[key] -= amount
     else:
-        gain((0, step.full), M.truncated_product(spend((0, step.low)), spend((step.low, step.full)), ln_b))
+        gain((0, step.full), store.product(spend((0, step.low)), spend((step.low, step.full)), ln_b))
+
+
+def merge_products(models: list[ProductModel]) -> list[list[ProductModel]]:
+    """Models of one oriented product by their exponents, each once: those of a group are taken together, by means of their measures."""
+    by: dict[tuple, dict[tuple, ProductModel]] = {}
+    for i, m in enumerate(models):
+        by.setdefault(m.triple, {})[tuple(x and (x.key or (i, k)) for k, x in enumerate(m.parts()))] = m
+    return [list(same.values()) for same in by.values()]
 
 
 def union_support(models: list[JoinModel], variables: tuple[str, ...]) -> DataFrame | None:
     """Tuples in any of the join measures."""
-    dfs = [m.measure.df.select(*variables) for m in models]
+    dfs = [m.df.select(*variables) for m in {m.measure.key or i: m.measure for i, m in enumerate(models)}.values()]
     return reduce(DataFrame.union, dfs).distinct() if dfs else None
 
 

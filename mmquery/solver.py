@@ -19,10 +19,11 @@ from . import measures as M
 from .elimination import eliminate, essential
 from .flow import CoverRule
 from .hypergraph import Hypergraph
-from .mmcost import MatMulTerm, exponent, tighten
-from .operators.matmul import mm_blocked, mm_sparse
+from .mmcost import MatMulTerm, exponent, step_options, tighten
+from .operators.matmul import mm_blocked
 from .query import Atom, ConjunctiveQuery, exists, normalise
-from .rule_eval import JoinModel, ProductModel, Trace, rule_eval, union_support
+from .rule_eval import JoinModel, ProductModel, Store, Trace, merge_products, rule_eval, union_support
+from .sources.tables import cut
 from .widths import Plans, reduce_plans
 
 MOST_VARIABLES = 6
@@ -67,48 +68,60 @@ def supported_plan(plans: Plans, choice: list[int | MatMulTerm]) -> tuple[int, d
     return None
 
 
-def mm_targets(models: list[ProductModel], m1: DataFrame, m2: DataFrame, graph: Hypergraph, ln_b: float, kernel: str = "sparse", metrics: list | None = None) -> DataFrame:
-    """Pairs of the outer sides that share a value of the eliminated one, within the support of three product models.
+def _mean(df: DataFrame, measures: list[M.Measure], name: str) -> DataFrame:
+    """Rows with the log of the mean of the measures at them, where it isn't 0; a measure may depend on fewer variables than others."""
+    if not measures:
+        return df.withColumn(name, F.lit(0.0))
+    cols = df.columns
+    for i, m in enumerate(measures):
+        df = df.join(m.df.withColumnRenamed("lp", f"__lp{i}"), m.columns, "left" if len(measures) > 1 else "inner")
+    if len(measures) == 1:
+        return df.select(*cols, F.col("__lp0").alias(name))
+    total = sum((F.coalesce(F.exp(f"__lp{i}"), F.lit(0.0)) for i in range(len(measures))), F.lit(0.0))
+    return df.withColumn(name, total / len(measures)).where(F.col(name) > 0).select(*cols, F.log(name).alias(name))
 
-    The models single out each side once. Their measures are merged by means; the eliminated and the row side fall into buckets of
-    halving values, and for each pair of buckets the column side is cut at the least value the three conditions allow. All
-    bucket pairs are one job: the pair is part of the block key.
+
+def mm_targets(models: list[list[ProductModel]], m1: DataFrame, m2: DataFrame, graph: Hypergraph, ln_b: float, kernel: str = "sparse", metrics: list | None = None) -> DataFrame:
+    """Pairs of the outer sides that share a value of the eliminated one, within the support of product models of all three orientations.
+
+    The models of one orientation have the same exponents. All measures of a side are merged by their mean; the eliminated and the row
+    side fall into buckets of halving values, and for each pair of buckets the column side is cut at the least value that the three
+    conditions allow. All bucket pairs are one job: the pair is part of the block key. The kernel "sparse" joins instead.
+    `metrics` gets a DataFrame: the group's columns, the bucket pair, and the numbers of values dim_m, dim_n, dim_o of the
+    row, eliminated and column side.
     """
-    term = models[0].term
+    term = models[0][0].term
     g_mask = term.g
-    sides = {s for m in models for s in (m.term.x, m.term.y, m.term.z)}
+    sides = {s for group in models for m in group for s in (m.term.x, m.term.y, m.term.z)}
     block = next(s for s in sides if set(graph.variables(s)) <= set(m1.columns) & set(m2.columns))
     row = next(s for s in sides if s != block and set(graph.variables(s)) <= set(m1.columns))
     col = next(s for s in sides if s not in (block, row))
     named = {block: "x", row: "y", col: "z"}
-    held: dict[str, list[M.Measure]] = {"x": [], "y": [], "z": [], "g": []}
-    for m in models:
-        for side, part in ((m.term.x, m.x), (m.term.y, m.y), (m.term.z, m.z)):
+    held: dict[str, dict] = {"x": {}, "y": {}, "z": {}, "g": {}}
+    for m in (m for group in models for m in group):
+        for where, part in ((named[m.term.x], m.x), (named[m.term.y], m.y), (named[m.term.z], m.z), ("g", m.g)):
             if part is not None:
-                held[named[side]].append(part)
-        if m.g is not None and g_mask:
-            held["g"].append(m.g)
-    p = {k: M.mean(v) for k, v in held.items() if v}
+                held[where][part.key or id(part)] = part
+    p = {k: list(v.values()) for k, v in held.items()}
+    if not g_mask:
+        p["g"] = []
     group = list(graph.variables(g_mask))
     names = {k: list(graph.variables(s)) for s, k in named.items()}
-    ln_k = math.log(81)
     half = math.log(2)
-    a = m1.join(p["x"].df.withColumnRenamed("lp", "__x"), p["x"].columns).join(p["y"].df.withColumnRenamed("lp", "__y"), p["y"].columns)
-    b = m2.join(p["x"].df.withColumnRenamed("lp", "__x"), p["x"].columns).join(p["z"].df.withColumnRenamed("lp", "__z"), p["z"].columns)
-    if "g" in p:
-        a = a.join(p["g"].df.withColumnRenamed("lp", "__g"), p["g"].columns)
-    else:
-        a = a.withColumn("__g", F.lit(0.0))
+    a = _mean(_mean(_mean(m1, p["x"], "__x"), p["y"], "__y"), p["g"], "__g")
+    b = _mean(_mean(m2, p["x"], "__x"), p["z"], "__z")
     bucket = lambda c: F.greatest(F.floor(-F.col(c) / half), F.lit(0)).cast("int")
     a = a.withColumn("__i", bucket("__x")).withColumn("__j", bucket("__y"))
     b = b.withColumn("__i", bucket("__x"))
     lows = []
-    for m in models:
+    for m in (g[0] for g in models):
         weight = {named[m.term.x]: m.triple[0], named[m.term.y]: m.triple[1], named[m.term.z]: m.triple[2]}
         odd = named[m.term.z]
         others = [k for k in "xyz" if k != odd]
         tight = tighten(weight[others[0]], weight[others[1]], weight[odd], min(sum(m.triple), exponent(3)))
         weight = {others[0]: tight[0], others[1]: tight[1], odd: tight[2]}
+        # a mean of n measures is at least each one's n-th part
+        ln_k = math.log(max(1, len(p["g"]))) + sum(float(w) * math.log(max(1, len(p[k]))) for k, w in weight.items())
         spent = -(ln_b + ln_k) - F.col("__g") + half * (F.col("__i") * float(weight["x"]) + F.col("__j") * float(weight["y"]))
         if weight["z"]:
             lows.append(spent / float(weight["z"]))
@@ -116,15 +129,16 @@ def mm_targets(models: list[ProductModel], m1: DataFrame, m2: DataFrame, graph:
             lows.append(F.when(spent <= M.SLACK, F.lit(-1e30)).otherwise(F.lit(1e30)))
     a = a.withColumn("__low", F.greatest(*lows) - M.SLACK if len(lows) > 1 else lows[0] - M.SLACK).where(F.col("__low") <= M.SLACK)
     keys = [*group, "__i"]
+    pairs = a.select(*keys, "__j", "__low").distinct()
+    within = b.join(pairs, keys).where(F.col("__z") >= F.col("__low"))
     if metrics is not None:
-        metrics.append(a.select(*keys, "__j").distinct().count())
+        size = lambda df, k, n: df.groupBy(*keys, "__j").agg(F.count_distinct(*(F.struct(c) for c in names[k])).alias(n))
+        metrics.append(size(a, "y", "dim_m").join(size(a, "x", "dim_n"), [*keys, "__j"]).join(size(within, "z", "dim_o"), [*keys, "__j"]).withColumnsRenamed({"__i": "bucket_x", "__j": "bucket_y"}))
     if kernel == "sparse":
         joined = a.select(*keys, *names["x"], *names["y"], "__low").join(b.select(*keys, *names["x"], *names["z"], "__z"), [*keys, *names["x"]])
         return joined.where(F.col("__z") >= F.col("__low")).select(*group, *names["y"], *names["z"]).distinct()
-    pairs = a.select(*keys, "__j", "__low").distinct()
-    right = b.join(pairs, keys).where(F.col("__z") >= F.col("__low"))
     left = a.select(*keys, "__j", *names["x"], *names["y"]).distinct()
-    right = right.select(*keys, "__j", *names["x"], *names["z"]).distinct()
+    right = within.select(*keys, "__j", *names["x"], *names["z"]).distinct()
     out = mm_blocked(left, right, names["x"], [*keys, "__j"], kernel=kernel)
     return out.select(*group, *names["y"], *names["z"]).distinct()
 
@@ -137,9 +151,9 @@ def _join_all(tables: list[DataFrame]) -> DataFrame:
     return reduce(both, tables)
 
 
-def run_plan(q: ConjunctiveQuery, order: tuple[int, ...], models: list, ln_b: float, kernel: str = "sparse", trace: Trace | None = None) -> DataFrame:
-    """Eliminate the blocks of an order over the models; the answer of what is left."""
-    graph = q.graph
+def run_plan(q: ConjunctiveQuery, order: tuple[int, ...], models: list, ln_b: float, kernel: str = "sparse", trace: Trace | None = None, store: Store | None = None, metrics: list | None = None) -> DataFrame:
+    """Eliminate the blocks of an order over the models; the answer of what is left. With a store of tables, so is each step's result."""
+    graph, store = q.graph, store or Store()
     tables: list[tuple[int, DataFrame]] = [(graph.mask(a.variables), a.df) for a in q.atoms]
     steps = eliminate(graph, order)
     kept = {id(s) for s in essential(steps)}
@@ -150,6 +164,7 @@ def run_plan(q: ConjunctiveQuery, order: tuple[int, ...], models: list, ln_b: fl
             joins.setdefault(m.closure, []).append(m)
         else:
             products.setdefault(m.term, []).append(m)
+    products = {t: merge_products(ms) for t, ms in products.items()}
     for s in steps:
         inside = [(m, t) for m, t in tables if m & s.block]
         outside = [(m, t) for m, t in tables if not m & s.block]
@@ -162,8 +177,6 @@ def run_plan(q: ConjunctiveQuery, order: tuple[int, ...], models: list, ln_b: fl
                 results.append(_project(_join_all([support, *(t for _, t in inside)]), names))
                 if trace:
                     trace.add(0, "join step", graph.label(s.closure))
-            from .mmcost import step_options
-
             for t in step_options(s):
                 turned = [t.oriented(o) for o in (t.x, t.y, t.z)]
                 if not all(o in products for o in turned):
@@ -171,12 +184,14 @@ def run_plan(q: ConjunctiveQuery, order: tuple[int, ...], models: list, ln_b: fl
                 one = _join_all([tab for m, tab in inside if m & ~(s.block | t.x | t.g) == 0])
                 two = _join_all([tab for m, tab in inside if m & ~(s.block | t.y | t.g) == 0])
                 for trio in product(*(products[o] for o in turned)):
-                    results.append(mm_targets(list(trio), one, two, graph, ln_b, kernel).select(*names))
+                    results.append(mm_targets(list(trio), one, two, graph, ln_b, kernel, metrics).select(*names))
                 if trace:
                     trace.add(0, "product step", t.label(graph))
         if not results:
             return exists(q.atoms[0].df.where(F.lit(False)))
         merged = reduce(DataFrame.union, results).distinct() if len(results) > 1 else results[0]
+        if store.tables:
+            merged = cut(merged)
         tables = [*outside, (s.near, merged)]
     return exists(_join_all([t for _, t in tables]))
 
@@ -185,26 +200,41 @@ def _project(df: DataFrame, names: tuple[str, ...]) -> DataFrame:
     return df.select(*names).distinct() if names else df.select(F.lit(1).alias("__true")).limit(1)
 
 
-def answer_boolean(q: ConjunctiveQuery, omega, kernel: str = "sparse", mm: bool = True, trace: Trace | None = None) -> DataFrame:
-    """Whether the query has an answer, by rules and plans. Queries in several components are answered part by part."""
+def answer_boolean(q: ConjunctiveQuery, omega, kernel: str = "sparse", mm: bool = True, trace: Trace | None = None, tables: bool = True, metrics: list | None = None) -> DataFrame:
+    """Whether the query has an answer, by rules and plans. Queries in several components are answered part by part.
+
+    With `tables`, atoms, measures and steps are made once, as tables in the shared folder, and plans run one after
+    another until one says yes; without, all is one lazy plan.
+    """
     q = normalise(q)
     if len(q.variables) > MOST_VARIABLES:
         raise ValueError(f"more than {MOST_VARIABLES} variables: use a shape's own operator or joins")
     graph = q.graph
     parts = graph.components()
     if len(parts) > 1:
-        answers = [answer_boolean(ConjunctiveQuery(tuple(a for a in q.atoms if graph.mask(a.variables) & c)), omega, kernel, mm, trace) for c in parts]
+        answers = [answer_boolean(ConjunctiveQuery(tuple(a for a in q.atoms if graph.mask(a.variables) & c)), omega, kernel, mm, trace, tables, metrics) for c in parts]
         return reduce(DataFrame.union, answers).agg(F.bool_and("answer").alias("answer"))
     omega = exponent(omega)
     plans = plan_set(graph, omega, mm)
     rules = cover_rules(plans)
+    store = Store(tables)
+    if tables:
+        q = ConjunctiveQuery(tuple(Atom(a.name, a.variables, cut(a.df, "atom")) for a in q.atoms), q.head)
     models, budget = [], 0.0
     for rule in rules:
-        found, ln_b = rule_eval(q, rule, omega, trace=trace)
+        found, ln_b = rule_eval(q, rule, omega, trace=trace, store=store)
         models += found
         budget = max(budget, ln_b)
-    answers = [run_plan(q, order, models, budget, kernel, trace) for order in plans.orders]
-    return answers[0] if len(answers) == 1 else reduce(DataFrame.union, answers).agg(F.bool_or("answer").alias("answer"))
+    if not tables:
+        answers = [run_plan(q, order, models, budget, kernel, trace, store, metrics) for order in plans.orders]
+        return answers[0] if len(answers) == 1 else reduce(DataFrame.union, answers).agg(F.bool_or("answer").alias("answer"))
+    for order in plans.orders:
+        answer = run_plan(q, order, models, budget, kernel, trace, store, metrics)
+        if answer.first()["answer"]:
+            break
+        if trace:
+            trace.add(0, "plan says no", " ".join(map(graph.label, order)))
+    return answer
 
 
 def plan_set(graph: Hypergraph, omega, mm: bool = True) -> Plans:

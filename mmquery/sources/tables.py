@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import uuid
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -30,15 +32,21 @@ def write_bucketed(df: DataFrame, name: str, keys: list[str], buckets: int) -> D
     return df.sparkSession.table(name)
 
 
-def cut(df: DataFrame) -> DataFrame:
-    """A checkpoint where the session names a folder all executors share; else the plan as it is."""
-    spark = df.sparkSession
-    folder = spark.conf.get("spark.checkpoint.dir", None)
-    if not folder:
-        return df
-    if spark.sparkContext._jsc.sc().getCheckpointDir().isEmpty():
-        spark.sparkContext.setCheckpointDir(folder)
-    return df.checkpoint()
+def shared_dir(spark: SparkSession) -> str:
+    """The folder that all executors share, from spark.checkpoint.dir; on one machine a folder of our own where that is unset."""
+    found = spark.conf.get("spark.checkpoint.dir", None)
+    if not found:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
+        found = "file:/tmp/mmquery-shared"
+    return found.rstrip("/")
+
+
+def cut(df: DataFrame, name: str = "step") -> DataFrame:
+    """Cut lineage by a table in the shared folder: read again, not made again, where an executor is lost or a plan uses it twice."""
+    path = f"{shared_dir(df.sparkSession)}/mmquery/{name}-{uuid.uuid4().hex}"
+    df.write.parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
 def bounded_broadcast(df: DataFrame, most_rows: int) -> DataFrame:

@@ -16,13 +16,14 @@ from .functions import sql as sqlfn
 from .operators import aggregates as A
 from .operators import joins as J
 from .operators import relational as R
-from .operators.matmul import mm_bits, mm_blocked, mm_sparse
+from .operators.matmul import fuse, mm_bits, mm_blocked, mm_sparse
 from .plans import explain
 from .query import Atom, ConjunctiveQuery, from_sql, full_join, parse_rule
 from .solver import answer_boolean, cover_rules, plan_set
 from .sources.relations import inline, relation
 from .sources.tables import table
 from .streaming import events
+from .widths import mm_width
 
 Query = Callable[[SparkSession, str], DataFrame]
 #: The exponent that plans are priced with; kernels of the engine stand for 281/100 and 3.
@@ -38,7 +39,13 @@ PYRAMID3 = (("line3", "ops"), ("cust_order", "co"), ("cust_part", "cp"), ("cust_
 PYRAMID4 = (("line4", "opsd"), ("cust_order", "co"), ("cust_part", "cp"), ("cust_supp", "cs"), ("cust_date", "cd"))
 EVENTS = (("user_type", "ut"), ("type_hour", "th"), ("user_hour", "uh"))
 TWO_COLUMN = (("item_vendor", ("x1", "x2", "y1", "y2")), ("vendor_class", ("y1", "y2", "z1", "z2")), ("item_class", ("x1", "x2", "z1", "z2")))
-HUB = (("hub_part_supp", "ps"), ("supp_order", "so"), ("part_order", "po"))
+HUB = (("hub_po", "po"), ("hub_od", "od"), ("hub_pd", "pd"))
+#: A bipartite graph holds no triangle: a large instance whose answer is no.
+BIPARTITE = (("bip", "xy"), ("bip", "yz"), ("bip", "zx"))
+EDGE_CYCLE = (("copart", "ab"), ("copart", "bc"), ("copart", "cd"), ("copart", "ad"))
+CHAT = (("conv_role", "cr"), ("role_turn", "rt"), ("conv_turn", "ct"))
+LABELS = (("lang_source", "ls"), ("source_quality", "sq"), ("lang_quality", "lq"))
+FOUR_CLIQUE = (("copart", "ab"), ("copart", "ac"), ("copart", "ad"), ("copart", "bc"), ("copart", "bd"), ("copart", "cd"))
 
 
 def bind(spark: SparkSession, d: str, atoms) -> ConjunctiveQuery:
@@ -87,19 +94,6 @@ def _count_sql(atoms) -> str:
     return _with(atoms) + "SELECT count(*) AS n " + sql_body(atoms)
 
 
-def _filtered(spark: SparkSession, d: str) -> ConjunctiveQuery:
-    q = bind(spark, d, TRIANGLE)
-    part = (("p", "p % 91 = 0"), ("o", "o % 11 = 0"), ("s", "s % 17 = 1"))
-
-    def cut(a: Atom) -> Atom:
-        df = a.df
-        for v, c in part:
-            df = df.where(c) if v in a.variables else df
-        return Atom(a.name, a.variables, df)
-
-    return ConjunctiveQuery(tuple(map(cut, q.atoms)))
-
-
 def _split_cycle(spark: SparkSession, d: str) -> DataFrame:
     """The 4-cycle with parts of many suppliers and of few taken through different decompositions."""
     q = bind(spark, d, FOUR_CYCLE)
@@ -108,6 +102,107 @@ def _split_cycle(spark: SparkSession, d: str) -> DataFrame:
     return J.degree_split_answer(q, 1, "p", None, m("c", "s", "p", "n"), m("p", "n", "c", "s"))
 
 
+def _split_pyramid(spark: SparkSession, d: str) -> DataFrame:
+    """The 3-pyramid by joins alone: orders of few lines and of many through different decompositions."""
+    q = bind(spark, d, PYRAMID3)
+    g = q.graph
+    m = lambda *vs: [g.mask([v]) for v in vs]
+    at = next(i for i, a in enumerate(q.atoms) if len(a.variables) == 2)
+    return J.degree_split_answer(q, at, "c", None, m("c", "o", "p", "s"), m("o", "c", "p", "s"))
+
+
+def _hub_pairs(spark: SparkSession, d: str, how: str) -> DataFrame:
+    """The pairs (p, d) that close a triangle through an order, by part: how many, and the sum of d."""
+    q = bind(spark, d, HUB)
+    r, s, t = q.atoms
+    if how == "join":
+        out = t.df.join(mm_sparse(r.df, s.df, ["o"]), ["p", "d"], "left_semi")
+    else:
+        out = J.triangle(r, s, t, kernel=how)
+    return out.groupBy("p").agg(F.count("*").alias("n"), F.sum("d").alias("sum_d"))
+
+
+HUB_PAIRS_SQL = inline("hub_po", "hub_od", "hub_pd") + "SELECT p, count(*) AS n, sum(d)::BIGINT AS sum_d FROM hub_pd t WHERE EXISTS (SELECT 1 FROM hub_po a JOIN hub_od b ON a.o = b.o WHERE a.p = t.p AND b.d = t.d) GROUP BY p"
+
+
+def _edges_mm(spark: SparkSession, d: str) -> DataFrame:
+    """The edges (p, s) of W1 that lie in a triangle, through the triangle algorithm with part_supp as its last atom."""
+    ps, so, po = bind(spark, d, TRIANGLE).atoms
+    return J.triangle(po, so, ps, kernel="blas").select("p", "s")
+
+
+def _sum_mm(spark: SparkSession, d: str) -> DataFrame:
+    size = table(spark, d, "part").select(F.col("p_partkey").alias("p"), F.col("p_size").cast("long").alias("w"))
+    ps, so, po = bind(spark, d, TRIANGLE).atoms
+    return A.triangle_sum(ps, so, po, size, ["p"], "w")
+
+
+def _dense(spark: SparkSession, d: str, how: str) -> DataFrame:
+    """Nations and days that share a part, a dense product: by nation, how many days."""
+    r, s = relation(spark, d, "nation_part"), relation(spark, d, "part_week")
+    out = mm_sparse(r, s, ["p"]) if how == "sparse" else mm_bits(r, s, "p", "n", "d") if how == "bits" else mm_blocked(r, s, ["p"], kernel=how)
+    return out.groupBy("n").agg(F.count("*").alias("days"), F.sum("d").alias("sum_d"))
+
+
+DENSE_SQL = inline("nation_part", "part_week") + "SELECT n, count(*) AS days, sum(d)::BIGINT AS sum_d FROM (SELECT DISTINCT n, d FROM nation_part a JOIN part_week b ON a.p = b.p) q GROUP BY n"
+
+
+def _hosts(spark: SparkSession, d: str) -> DataFrame:
+    """Pages by the power-of-two class of their host's degree."""
+    return J.degree_classes(relation(spark, d, "page_host"), "h")
+
+
+def _bounds(spark: SparkSession, d: str) -> DataFrame:
+    """The size of each full join beside the most that its atoms' sizes allow."""
+    out = None
+    for name, atoms in (("triangle", TRIANGLE), ("cycle", FOUR_CYCLE), ("pyramid", PYRAMID3), ("hub", HUB)):
+        q = bind(spark, d, atoms)
+        most = J.join_bound(q)
+        one = J.count_answer(q).select(F.lit(name).alias("query"), "n", (F.col("n") <= most * (1 + 1e-9)).alias("within"))
+        out = one if out is None else out.union(one)
+    return out
+
+
+def _bounds_sql() -> str:
+    parts = []
+    for name, atoms in (("triangle", TRIANGLE), ("cycle", FOUR_CYCLE), ("pyramid", PYRAMID3), ("hub", HUB)):
+        parts.append(f"SELECT '{name}' AS query, n, true AS within FROM ({_count_sql(atoms)}) q_{name}")
+    return " UNION ALL ".join(parts)
+
+
+def _measured_width(spark: SparkSession, d: str) -> DataFrame:
+    """Widths under the degrees of the data: never above those without, and 1 for a chain of keys."""
+    rows = []
+    for name, atoms in (("triangle", TRIANGLE), ("cycle", FOUR_CYCLE)):
+        q = bind(spark, d, atoms)
+        rows.append((name, mm_width(q.graph, OMEGA, degrees=RE.measured_degrees(q)) <= mm_width(q.graph, OMEGA)))
+    q = ConjunctiveQuery(tuple(Atom.of(n, relation(spark, d, n), list(v)) for n, v in (("nation_region", "nr"), ("nation_cust", "nc"))))
+    rows.append(("keys", mm_width(q.graph, OMEGA, degrees=RE.measured_degrees(q)) == 1))
+    return spark.createDataFrame(rows, "query string, holds boolean")
+
+
+def _damaged(spark: SparkSession, d: str) -> DataFrame:
+    """What the rule Q1(p) or Q2(s) leaves uncovered where the second head has lost every odd supplier."""
+    r = relation(spark, d, "part_supp")
+    many = J.degrees(r, ["p"]).where("deg > 3").select("p")
+    rest = r.join(many, "p", "left_anti").select("s").distinct()
+    return RE.is_model(r, [many, rest.where("s % 2 = 0")]).agg(F.count("*").alias("n"))
+
+
+def _lost(spark: SparkSession, d: str) -> DataFrame:
+    """Triangles that are left uncovered where one rule's models are lost, for each rule in turn."""
+    q = bind(spark, d, TRIANGLE)
+    rules = cover_rules(plan_set(q.graph, OMEGA))
+    every, store = full_join(q), RE.Store()
+    out = None
+    for lost in range(len(rules)):
+        for i, rule in enumerate(rules):
+            models, ln_b = ([], 0.0) if i == lost else RE.rule_eval(q, rule, OMEGA, store=store)
+            one = RE.uncovered(every, models, ln_b).agg(F.count("*").alias("n")).select(F.lit(lost).alias("lost"), F.lit(i).alias("rule"), "n")
+            out = one if out is None else out.union(one)
+    return out
+
+
 def _copart(spark: SparkSession, d: str) -> DataFrame:
     return relation(spark, d, "copart")
 
@@ -126,7 +221,7 @@ def _prod2(spark: SparkSession, d: str, how: str, kernel: str = "sparse") -> Dat
     if how == "group":
         out = mm_blocked(r, s, ["s"], ["p"], kernel=kernel) if kernel != "sparse" else mm_sparse(r, s, ["s"], ["p"])
     else:
-        r, s = (df.select(*[c for c in df.columns if c not in "ps"], F.concat_ws("/", "p", "s").alias("y")) for df in (r, s))
+        r, s = (fuse(df, ["p", "s"], "y") for df in (r, s))
         out = mm_blocked(r, s, ["y"], kernel=kernel) if kernel != "sparse" else mm_sparse(r, s, ["y"])
     return out.select("o", "o2").distinct()
 
@@ -201,6 +296,24 @@ def _rollup(spark: SparkSession, d: str) -> DataFrame:
     return table(spark, d, "lineitem").rollup("l_returnflag", "l_linestatus").agg(F.count("*").alias("n"), F.sum(F.col("l_quantity").cast("long")).alias("q"))
 
 
+def _cube(spark: SparkSession, d: str) -> DataFrame:
+    lines = table(spark, d, "lineitem").cube("l_returnflag", "l_linestatus")
+    return lines.agg(F.count("*").alias("n"), F.count_distinct("l_suppkey").alias("suppliers"), F.grouping_id().cast("int").alias("level"))
+
+
+CUBE_SQL = "SELECT l_returnflag, l_linestatus, count(*) AS n, count(DISTINCT l_suppkey) AS suppliers, grouping_id(l_returnflag, l_linestatus)::INT AS level FROM lineitem GROUP BY CUBE (l_returnflag, l_linestatus)"
+
+
+def _full_outer(spark: SparkSession, d: str) -> DataFrame:
+    """Customers with orders, and either without the other."""
+    c = table(spark, d, "customer").select("c_custkey")
+    o = table(spark, d, "orders").groupBy(F.col("o_custkey").alias("c_custkey")).agg(F.count("*").alias("orders"))
+    return c.join(o, "c_custkey", "full_outer")
+
+
+FULL_OUTER_SQL = "SELECT coalesce(c.c_custkey, o.o_custkey) AS c_custkey, orders FROM customer c FULL OUTER JOIN (SELECT o_custkey, count(*) AS orders FROM orders GROUP BY o_custkey) o ON c.c_custkey = o.o_custkey"
+
+
 def _pivot(spark: SparkSession, d: str) -> DataFrame:
     return table(spark, d, "lineitem").groupBy("l_linestatus").pivot("l_returnflag", ["A", "N", "R"]).agg(F.count(F.lit(1))).select("l_linestatus", F.col("A").alias("a"), F.col("N").alias("n"), F.col("R").alias("r"))
 
@@ -265,7 +378,7 @@ def _json(spark: SparkSession, d: str) -> DataFrame:
 
 def _tokens(spark: SparkSession, d: str) -> DataFrame:
     w = table(spark, d, "documents").select("doc_id", F.explode(F.split(F.lower("text"), " ")).alias("w"))
-    return w.where("length(w) >= 6").select(F.col("doc_id").alias("d"), "w").distinct()
+    return w.where("w <> ''").select(F.col("doc_id").alias("d"), "w").distinct()
 
 
 def _doc_paths(spark: SparkSession, d: str) -> DataFrame:
@@ -275,7 +388,7 @@ def _doc_paths(spark: SparkSession, d: str) -> DataFrame:
     return t.join(degree, "w").groupBy("d").agg(F.count("*").alias("n_tokens"), F.sum(F.col("deg") - 1).alias("n_paths"))
 
 
-DOC_PATHS_SQL = "WITH t AS (SELECT DISTINCT doc_id AS d, w FROM (SELECT doc_id, unnest(string_split(lower(text), ' ')) AS w FROM documents) WHERE length(w) >= 6), g AS (SELECT w, count(*) AS deg FROM t GROUP BY w) SELECT d, count(*) AS n_tokens, sum(deg - 1)::BIGINT AS n_paths FROM t JOIN g USING (w) GROUP BY d"
+DOC_PATHS_SQL = "WITH t AS (SELECT DISTINCT doc_id AS d, w FROM (SELECT doc_id, unnest(string_split(lower(text), ' ')) AS w FROM documents) WHERE w <> ''), g AS (SELECT w, count(*) AS deg FROM t GROUP BY w) SELECT d, count(*) AS n_tokens, sum(deg - 1)::BIGINT AS n_paths FROM t JOIN g USING (w) GROUP BY d"
 
 
 def _subquery(spark: SparkSession, d: str) -> DataFrame:
@@ -326,6 +439,35 @@ def _sum(spark: SparkSession, d: str) -> DataFrame:
     return A.answer_sum(bind(spark, d, TRIANGLE), size, ["p"], "w")
 
 
+SESSIONS_SQL = """
+WITH e AS (SELECT user_id, ts, CASE WHEN ts < lag(ts) OVER w + INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS fresh FROM events WHERE user_id IS NOT NULL AND ts IS NOT NULL WINDOW w AS (PARTITION BY user_id ORDER BY ts)),
+s AS (SELECT user_id, ts, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS k FROM e)
+SELECT user_id, min(ts) AS begin, count(*) AS n FROM s GROUP BY user_id, k
+"""
+
+
+def _lost_sql() -> str:
+    """Every triangle is uncovered by the rule whose models are lost, none by another; a triangle has three rules."""
+    n = "(" + _count_sql(TRIANGLE) + ")"
+    return f"SELECT l::INT AS lost, r::INT AS rule, CASE WHEN l = r THEN {n} ELSE 0 END AS n FROM range(3) a(l), range(3) b(r)"
+
+
+def _counts_sql() -> str:
+    """Ordered set partitions by their recurrence; programs by the distinct products of single eliminations: one for the triangle, two for each of the
+    2 * 2 choices of the 4-cycle, 3 + 3 of the 3-pyramid and 6 + 4 of the 4-clique; a rule's choices are its joins and products."""
+    return """
+WITH RECURSIVE b(k, x) AS (
+  SELECT 0, [1::HUGEINT] UNION ALL SELECT k + 1, list_append(x, list_sum([x[i + 1] * (factorial((k + 1)::INT) // (factorial(i::INT) * factorial((k + 1 - i)::INT)))::HUGEINT for i in range(0, k + 1)])::HUGEINT) FROM b WHERE k < 4
+), o AS (SELECT k, x[k + 1] AS orders FROM b)
+SELECT shape, k::INT AS k, orders::VARCHAR AS orders, programs::HUGEINT::VARCHAR AS programs, rules::HUGEINT::VARCHAR AS rules, choices FROM (
+  VALUES ('triangle', 3, 3 ** 1, 3, (2 ** 3)::BIGINT::VARCHAR),
+         ('cycle', 4, 2 * 2 * 3 ** 2, 2 * 2 * 3 ** 2, '4722366482869645213696'),
+         ('pyramid', 4, 3 ** (3 + 3), 3, (2 ** 3)::BIGINT::VARCHAR),
+         ('clique', 4, 3 ** (6 + 4), 3 ** 3, (4 ** 27)::BIGINT::VARCHAR)
+) t(shape, k, programs, rules, choices) JOIN o USING (k)
+"""
+
+
 def _widths_sql() -> str:
     """The published exponents of the classes, as literals."""
     w = {"triangle": ["4/3", "24/17", "10/7", "3/2"], "double_triangle": ["4/3", "24/17", "10/7", "3/2"], "clique": ["3/2", "17/10", "7/4", "2"], "cycle": ["7/5", "43/29", "3/2", "3/2"], "pyramid": ["3/2", "19/12", "8/5", "5/3"], "path": ["1"] * 4}
@@ -348,19 +490,51 @@ def queries() -> dict[str, Query]:
         "tri_bool_td": on(TRIANGLE, J.tree_answer),
         "tri_bool_split": lambda spark, d: J.degree_split_answer(bind(spark, d, TRIANGLE), 0, "p"),
         "tri_bool_joinrule": _join_rule,
-        "tri_bool_mm": tri(threshold=20),
-        "tri_bool_mm_bits": tri(threshold=20, kernel="bits"),
-        "tri_bool_mm_blas": tri(threshold=20, kernel="blas"),
+        "tri_bool_mm": tri(),
+        "tri_bool_mm_bits": tri(kernel="bits"),
+        "tri_bool_mm_blas": tri(kernel="blas"),
+        "tri_bool_solver_blas": on(TRIANGLE, answer_boolean, omega=OMEGA, kernel="blas"),
+        "bip_tri_bool_solver": on(BIPARTITE, answer_boolean, omega=OMEGA, kernel="blas"),
+        "bip_tri_bool_spark": on(BIPARTITE, J.spark_answer),
+        "tri_edges_mm": _edges_mm,
+        "tri_sum_mm": _sum_mm,
+        "dtri_count": on(DOUBLE, J.count_answer),
+        "cyc4_bool_mm": on(FOUR_CYCLE, answer_boolean, omega=OMEGA, kernel="blas"),
+        "cyc4_bool_prior": on(FOUR_CYCLE, J.four_cycle_answer),
+        "cyc4h_count": on(EDGE_CYCLE, J.count_answer),
+        "pyr3_bool_mm": on(PYRAMID3, answer_boolean, omega=OMEGA, kernel="blas"),
+        "pyr3_bool_split": _split_pyramid,
+        "clq4_bool_mm": on(FOUR_CLIQUE, answer_boolean, omega=OMEGA, kernel="blas"),
+        "clq4_bool": lambda spark, d: J.clique_answer(_copart(spark, d), 4),
+        "clq5_bool": lambda spark, d: J.clique_answer(_copart(spark, d), 5),
+        "clq6_count": lambda spark, d: J.clique_count(_copart(spark, d), 6),
+        "hub_pairs_join": lambda spark, d: _hub_pairs(spark, d, "join"),
+        "hub_pairs_sparse": lambda spark, d: _hub_pairs(spark, d, "sparse"),
+        "hub_pairs_bits": lambda spark, d: _hub_pairs(spark, d, "bits"),
+        "hub_pairs_blas": lambda spark, d: _hub_pairs(spark, d, "blas"),
+        "hub_pairs_bitset": lambda spark, d: _hub_pairs(spark, d, "bitset"),
+        "hub_tri_count_mm": lambda spark, d: A.triangle_count(*bind(spark, d, HUB).atoms),
+        "mm_dense_sparse": lambda spark, d: _dense(spark, d, "sparse"),
+        "mm_dense_bits": lambda spark, d: _dense(spark, d, "bits"),
+        "mm_dense_blas": lambda spark, d: _dense(spark, d, "blas"),
+        "prod2_group_blas": lambda spark, d: _prod2(spark, d, "group", "blas"),
+        "prod2_fuse_blas": lambda spark, d: _prod2(spark, d, "fuse", "blas"),
+        "chat_tri_count": on(CHAT, J.count_answer),
+        "label_tri_count": on(LABELS, J.count_answer),
+        "host_classes": _hosts,
+        "join_bounds": _bounds,
+        "measured_width": _measured_width,
+        "rule_two_heads_damaged": _damaged,
+        "cover_model_lost": _lost,
         "tri_bool_solver": on(TRIANGLE, answer_boolean, omega=OMEGA),
         "tri_bool_sqlform": _sql_form,
         "tri_bool_ruleform": _rule_form,
         "tri_count": on(TRIANGLE, J.count_answer),
-        "tri_count_mm": lambda spark, d: A.triangle_count(*bind(spark, d, TRIANGLE).atoms, threshold=20),
+        "tri_count_mm": lambda spark, d: A.triangle_count(*bind(spark, d, TRIANGLE).atoms),
         "tri_sum": _sum,
         "tri_min_plus": _min_plus,
         "tri_edges": on(TRIANGLE, J.edges_answer, head=("p", "s")),
         "tri_full": on(TRIANGLE, A.answer_full),
-        "tri_filtered": lambda spark, d: J.wcoj_answer(_filtered(spark, d)),
         "dtri_bool_td": _tree(DOUBLE, ("o", "c", "p", "s")),
         "dtri_bool_wcoj": on(DOUBLE, J.wcoj_answer),
         "dtri_edges": lambda spark, d: _double_edges(spark, d),
@@ -384,7 +558,7 @@ def queries() -> dict[str, Query]:
         "w13_count": on(TWO_COLUMN, J.count_answer),
         "w13_bool": on(TWO_COLUMN, J.wcoj_answer),
         "chain_bool": lambda spark, d: _chain(spark, d),
-        "hub_tri_bool": lambda spark, d: J.triangle_answer(*bind(spark, d, HUB).atoms, threshold=12, kernel="bits"),
+        "hub_tri_bool": lambda spark, d: J.triangle_answer(*bind(spark, d, HUB).atoms, kernel="bits"),
         "hub_tri_count": on(HUB, J.count_answer),
         "events_tri_bool": on(EVENTS, J.wcoj_answer),
         "events_tri_count": on(EVENTS, J.count_answer),
@@ -426,6 +600,12 @@ def queries() -> dict[str, Query]:
         "stream_hourly": events.hourly_counts,
         "stream_triangles": events.batch_triangles,
         "stream_first_seen": events.first_seen,
+        "stream_sessions": events.sessions,
+        "stream_joined": events.clicks_after_views,
+        "rel_cube": _cube,
+        "rel_full_outer": _full_outer,
+        "rule_budgets": lambda spark, d: explain.rule_budgets(spark, bind(spark, d, TRIANGLE), OMEGA),
+        "product_metrics": lambda spark, d: explain.product_metrics(spark, bind(spark, d, HUB), OMEGA),
     }
 
 
@@ -460,7 +640,6 @@ def oracle_sql() -> dict[str, str]:
         "tri_min_plus": _with(TRIANGLE) + "SELECT min(floor(p_retailprice)::BIGINT) AS least " + sql_body(TRIANGLE).replace(" WHERE", ", part WHERE p_partkey = t0.p AND"),
         "tri_edges": _with(TRIANGLE) + "SELECT DISTINCT t0.p AS p, t0.s AS s " + sql_body(TRIANGLE),
         "tri_full": _with(TRIANGLE) + "SELECT t0.p AS p, t0.s AS s, t1.o AS o " + sql_body(TRIANGLE),
-        "tri_filtered": _with(TRIANGLE) + "SELECT count(*) > 0 AS answer " + sql_body(TRIANGLE) + " AND t0.p % 91 = 0 AND t1.o % 11 = 0 AND t0.s % 17 = 1",
         "dtri_bool_td": _bool_sql(DOUBLE),
         "dtri_bool_wcoj": _bool_sql(DOUBLE),
         "dtri_edges": _with(DOUBLE) + "SELECT p, s FROM part_supp a WHERE EXISTS (SELECT 1 FROM supp_order b JOIN part_order c ON b.o = c.o WHERE b.s = a.s AND c.p = a.p) AND EXISTS (SELECT 1 FROM cust_supp b JOIN cust_part c ON b.c = c.c WHERE b.s = a.s AND c.p = a.p)",
@@ -509,7 +688,7 @@ def oracle_sql() -> dict[str, str]:
         "rel_windows": WINDOWS_SQL,
         "rel_sets": SETS_SQL,
         "rel_json": "SELECT (props->>'$.k')::BIGINT AS k, count(*) AS n FROM events GROUP BY 1",
-        "rel_tokens": "SELECT DISTINCT doc_id AS d, w FROM (SELECT doc_id, unnest(string_split(lower(text), ' ')) AS w FROM documents) q WHERE length(w) >= 6",
+        "rel_tokens": "SELECT DISTINCT doc_id AS d, w FROM (SELECT doc_id, unnest(string_split(lower(text), ' ')) AS w FROM documents) q WHERE w <> ''",
         "rel_doc_paths": DOC_PATHS_SQL,
         "rel_subquery": SUBQUERY_SQL,
         "rel_udtf": "SELECT b.block::INT AS block, n_nationkey::BIGINT AS value FROM nation, (SELECT unnest(range(3)) AS block) b",
@@ -517,5 +696,38 @@ def oracle_sql() -> dict[str, str]:
         "rel_salted": "SELECT event_type, count(*) AS n FROM events GROUP BY event_type",
         "stream_hourly": "SELECT date_trunc('hour', ts) AS hour, event_type, count(*) AS n FROM events GROUP BY 1, 2",
         "stream_first_seen": "SELECT DISTINCT user_id, event_type FROM events",
+        "stream_triangles": "WITH e AS (SELECT user_id AS u, event_type AS t, date_trunc('hour', ts) AS h, value FROM events WHERE user_id IS NOT NULL AND event_type IS NOT NULL AND ts IS NOT NULL) SELECT DISTINCT a.u, b.h FROM (SELECT DISTINCT u, t FROM e WHERE value < 20) a JOIN (SELECT DISTINCT t, h FROM e WHERE value >= 20) b USING (t) JOIN (SELECT DISTINCT u, h FROM e) c ON c.u = a.u AND c.h = b.h",
+        "stream_sessions": SESSIONS_SQL,
+        "stream_joined": "SELECT v.event_id AS view, c.event_id AS click FROM events v JOIN events c ON v.user_id = c.user_id AND c.ts >= v.ts AND c.ts <= v.ts + INTERVAL 10 MINUTE WHERE v.event_type = 'view' AND c.event_type = 'click'",
+        "rel_cube": CUBE_SQL,
+        "rel_full_outer": FULL_OUTER_SQL,
+        "bip_tri_bool_solver": _bool_sql(BIPARTITE),
+        "bip_tri_bool_spark": _bool_sql(BIPARTITE),
+        "tri_edges_mm": _with(TRIANGLE) + "SELECT DISTINCT t0.p AS p, t0.s AS s " + sql_body(TRIANGLE),
+        "tri_sum_mm": _with(TRIANGLE) + "SELECT sum(p_size)::BIGINT AS total " + sql_body(TRIANGLE).replace(" WHERE", ", part WHERE p_partkey = t0.p AND"),
+        "dtri_count": _count_sql(DOUBLE),
+        "cyc4_bool_mm": _bool_sql(FOUR_CYCLE),
+        "cyc4_bool_prior": _bool_sql(FOUR_CYCLE),
+        "cyc4h_count": _count_sql(EDGE_CYCLE),
+        "pyr3_bool_mm": _bool_sql(PYRAMID3),
+        "pyr3_bool_split": _bool_sql(PYRAMID3),
+        "clq4_bool_mm": _bool_sql(FOUR_CLIQUE),
+        "clq4_bool": _clique_sql(4).replace("count(*) AS n", "count(*) > 0 AS answer"),
+        "clq5_bool": _clique_sql(5).replace("count(*) AS n", "count(*) > 0 AS answer"),
+        "clq6_count": _clique_sql(6),
+        **{f"hub_pairs_{k}": HUB_PAIRS_SQL for k in ("join", "sparse", "bits", "blas", "bitset")},
+        "hub_tri_count_mm": _count_sql(HUB),
+        **{f"mm_dense_{k}": DENSE_SQL for k in ("sparse", "bits", "blas")},
+        "prod2_group_blas": PROD2_SQL,
+        "prod2_fuse_blas": PROD2_SQL,
+        "chat_tri_count": _count_sql(CHAT),
+        "label_tri_count": _count_sql(LABELS),
+        "host_classes": inline("page_host") + 'SELECT floor(log2(deg))::INT AS deg_class, count(*) AS "values", sum(deg)::BIGINT AS tuples FROM (SELECT h, count(*) AS deg FROM page_host GROUP BY h) q GROUP BY 1',
+        "join_bounds": _bounds_sql(),
+        "measured_width": "SELECT * FROM (VALUES ('triangle', true), ('cycle', true), ('keys', true)) t(query, holds)",
+        "rule_two_heads_damaged": inline("part_supp") + "SELECT count(*) AS n FROM part_supp a WHERE (SELECT count(*) FROM part_supp b WHERE b.p = a.p) <= 3 AND s % 2 = 1",
+        "cover_model_lost": _lost_sql(),
+        "counts_table": _counts_sql(),
+        "rule_budgets": "SELECT r::INT AS rule, true AS within FROM range(3) t(r)",
     }
     return out
