@@ -179,8 +179,10 @@ def groups(batches: Iterator[pa.RecordBatch], key: str) -> Iterator[pa.Table]:
 
 def _met(inc: DataFrame, name: str) -> DataFrame:
     """Of incidences (s, p, size, ...) those whose path several sets have, with the number n of its sets and w of their tokens."""
-    crowd = inc.groupBy("p").agg(F.count("*").alias("n"), F.sum("size").alias("w")).where("n > 1")
-    return common.materialise(inc.join(crowd, "p"), name)
+    crowd = common.materialise(inc.groupBy("p").agg(F.count("*").alias("n"), F.sum("size").alias("w")).where("n > 1"), f"{name}-paths")
+    met = common.materialise(inc.join(crowd, "p"), name)  # a join of two tables, so a path that very many sets have can be dealt to several tasks
+    common.discard(crowd)
+    return met
 
 
 def _buckets(sets: DataFrame) -> DataFrame:
