@@ -27,6 +27,8 @@ UNKNOWN = "und"
 #: The fit's bound: labelled rows with a text of each language, those of smallest hash; and of all languages together, shared evenly.
 SAMPLE_ROWS = 300
 SAMPLE_TOTAL = 60_000
+#: Shares in which a language's rows are ranked before the least of all shares are.
+SHARES = 32
 ROUNDS = 3
 SMOOTHING = 0.05
 #: Words above this many characters are scored alone; the fit takes them in pieces of this length.
@@ -309,8 +311,9 @@ def learn(docs: DataFrame, sample_rows: int = SAMPLE_ROWS, name: str = VOCABULAR
     if not names:
         return fit([], name)
     most = max(1, min(sample_rows, total // len(names)))
-    order = Window.partitionBy("lang").orderBy("h", "doc_id", "t")
-    picked = slim.withColumn("r", F.row_number().over(order)).where(F.col("r") <= most).select("doc_id", "lang", "t").distinct()
+    least = lambda df, *by: df.withColumn("r", F.row_number().over(Window.partitionBy(*by).orderBy("h", "doc_id", "t"))).where(F.col("r") <= most)
+    dealt = slim.withColumn("share", F.pmod("h", F.lit(SHARES)))
+    picked = least(least(dealt, "lang", "share"), "lang").select("doc_id", "lang", "t").distinct()
     # the sample's bound is known: `total` ids, or one a language
     texts = known.withColumn("t", F.xxhash64("text")).join(F.broadcast(picked), ["doc_id", "lang", "t"], "left_semi").select("text", "lang")
 
