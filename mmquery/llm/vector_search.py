@@ -30,7 +30,7 @@ SAMPLE_ROWS, ROWS_A_LIST, SAMPLE_VALUES = 20_000, 8, 8_000_000
 MOST_LISTS = 16_384
 SUBSPACE, CODES = 4, 256
 #: Candidates that a unit keeps of each query, and that are reranked of each query; rows and queries of a unit.
-KEPT, RERANK, UNIT_ROWS, UNIT_QUERIES = 48, 160, 16_384, 512
+KEPT, RERANK, UNIT_ROWS, UNIT_QUERIES = 64, 320, 16_384, 512
 #: Rows of a unit of the exact search.
 EXACT_ROWS = 4096
 AIM, FIT_QUERIES, FIT_EACH = 0.99, 2048, 8
