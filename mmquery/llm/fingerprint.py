@@ -14,11 +14,12 @@ with the other.
 from __future__ import annotations
 
 import hashlib
+import math
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import common
@@ -26,6 +27,8 @@ from . import common
 #: Bins for the second, third and all higher levels.
 BINS = (32, 64, 32)
 LEVELS = 14
+#: Sections that the ids are first cut into for each partition.
+FINE = 4
 #: Code points parsed at a time.
 SLICE = 1 << 19
 _NAME = common.U64(0x2545F4914F6CDD1D)
@@ -140,25 +143,44 @@ def edited(text: str, following: str) -> str:
     return text[: len(text) - half] + following[:half]
 
 
+def _above(cuts: list[int], key: Column, equal: bool = False) -> Column:
+    """How many of the cuts, in descending order, lie above the key (or equal it): first among every so many, then in the block that is left."""
+    if not cuts:
+        return F.lit(0)
+    step = max(1, math.isqrt(len(cuts)))
+    listed = lambda x: F.array(*(F.lit(c).cast("long") for c in x))
+    blocks = [cuts[i : i + step] for i in range(0, len(cuts), step)]
+    many = lambda x: F.size(F.filter(x, lambda c: c >= key if equal else c > key))
+    heads = many(listed(b[0] for b in blocks))
+    inner = many(F.get(F.array(*map(listed, blocks)), heads - 1))
+    return F.when(heads == 0, 0).otherwise((heads - 1) * step + inner)
+
+
 def _deal(docs: DataFrame) -> DataFrame:
     """Rows in sections of descending doc_id, each with the first row of the next section as its `trailer`.
 
-    Cut points come from a quantile sketch; what reaches the driver is one id a section.
+    Cut points come from a quantile sketch, several a partition; neighbouring sections are then joined to about the same bytes.
+    What reaches the driver is an id and a size a section.
     """
     spark = common.bounded(docs).sparkSession
     n = common.partitions(spark)
     key = F.coalesce(F.col("doc_id").cast("long"), F.lit(-(1 << 63)))  # nulls last in descending order
     slim = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text"), key.alias("key"))
-    cuts = slim.agg(F.percentile_approx("key", [i / n for i in range(1, n)], 20 * n).alias("c")).first()["c"] if n > 1 else []
+    fine = FINE * n
+    cuts = slim.agg(F.percentile_approx("key", [i / fine for i in range(1, fine)], 20 * fine).alias("c")).first()["c"] if fine > 1 else []
     cuts = sorted(set(cuts or []), reverse=True)
-    # the section number: how many cuts lie above the key
-    section = F.lit(0)
-    if cuts:
-        section = F.size(F.filter(F.array(*[F.lit(c).cast("long") for c in cuts]), lambda c: c > F.col("key")))
-    placed = slim.withColumn("section", section)
-    heads = {r["section"]: r["key"] for r in placed.groupBy("section").agg(F.max("key").alias("key")).collect()}
-    order = sorted(heads)
-    to = {heads[s]: order[i - 1] for i, s in enumerate(order)}  # the section before takes this one's head; the last takes the first's
+    found = slim.withColumn("fine", _above(cuts, F.col("key"))).groupBy("fine").agg(F.max("key").alias("key"), F.sum(F.octet_length("text") + 64).alias("bytes")).orderBy("fine").collect()
+    most = sum(r["bytes"] for r in found) / n
+    heads: list[int] = []  # the first key of each section
+    held = 0.0
+    for r in found:
+        if not heads or held + r["bytes"] / 2 > most:
+            heads.append(r["key"])
+            held = 0.0
+        held += r["bytes"]
+    # a key lies in the last section whose head isn't below it
+    placed = slim.withColumn("section", (_above(heads, F.col("key"), equal=True) - 1).cast("int"))
+    to = {h: (i - 1) % len(heads) for i, h in enumerate(heads)}  # the section before takes this one's head; the last takes the first's
     firsts = placed.where(F.col("key").isin([*to])).groupBy("key").agg(F.min("text").alias("text"))
     back = F.create_map(*[x for k, s in to.items() for x in (F.lit(k).cast("long"), F.lit(s))]) if to else F.create_map(F.lit(0).cast("long"), F.lit(0))
     trailers = firsts.select(F.lit(None).cast(docs.schema["doc_id"].dataType).alias("doc_id"), "text", F.lit(-(1 << 63)).alias("key"), back[F.col("key")].alias("section"), F.lit(True).alias("trailer"))
@@ -190,8 +212,9 @@ def fingerprints(docs: DataFrame) -> DataFrame:
 
     The next row is that of the next lower doc_id (ties: the next text in order; null ids last; after the last the
     first). Null texts are empty: no bin is filled, and two empty texts have likeness 1, an empty and another 0. The
-    only row of a table is its own next. Repeated rows keep a row each; extra columns are ignored; an empty
-    table stays empty. Texts are shuffled once, into sections of the id order.
+    only row of a table is its own next. Repeated rows keep a row each; a very long text is parsed as a whole; extra columns are ignored; an empty
+    table stays empty. Texts are shuffled once, into sections of the id order of about the same bytes (rows of one id, or without one,
+    lie in one section).
     """
     kind = docs.schema["doc_id"].dataType.simpleString()
     names = ["doc_id", *(x.split()[0] for x in FIELDS.split(", "))]

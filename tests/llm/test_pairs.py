@@ -2,6 +2,7 @@ import random
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from mmquery.llm import common, components, fingerprint, ngram_join, substring_dedup, vector_search
 
@@ -157,18 +158,19 @@ def test_dedup_compares_both_hashes():
     """Windows that agree in one hash of two aren't alike, at home or in a bucket."""
     packer = substring_dedup.Packer(4)
     h = np.array([[7, 1], [7, 2], [7, 1], [8, 1]], np.uint64)
-    place = np.arange(4, dtype=np.uint64)
+    place = np.arange(4)
     packed = packer.pack(h, np.array([5, 6, 7, 8]), place).to_pydict()
-    home = [np.frombuffer(p, np.uint64).tolist() for hs, p in zip(packed["hashes"], packed["places"], strict=True) if not hs]
+    home = [np.frombuffer(p, np.uint32).tolist() for hs, p in zip(packed["hashes"], packed["places"], strict=True) if not hs]
     assert home == [[0, 2]]
     settled = [b for b in substring_dedup._settle(2, 2)(iter([packer.pack(h[i : i + 1], np.array([i]), place[i : i + 1]) for i in range(4)]))]
-    assert sorted(x for b in settled for p in b.column(2).to_pylist() for x in np.frombuffer(p, np.uint64).tolist()) == [0, 2]
+    assert sorted(x for b in settled for p in b.column(2).to_pylist() for x in np.frombuffer(p, np.uint32).tolist()) == [0, 2]
 
 
-def test_rows_of_one_key_are_told_apart():
-    packed = np.array([(5 << 32) | 1, (9 << 32) | 2, (5 << 32) | 3], np.uint64).tobytes()
-    assert substring_dedup._places(packed, np.uint64(5 << 32)).tolist() == [1, 3]
-    assert substring_dedup._places(packed, np.uint64(9 << 32)).tolist() == [2]
+def test_rows_of_one_key_are_told_apart(odd):
+    """Where all keys collide, rows get keys of their own but for those alike in id and text."""
+    keys = [r["__k"] for r in substring_dedup._keyed(odd, F.lit(7).cast("long")).collect()]
+    assert len(keys) == odd.count() and len(set(keys)) == odd.select("doc_id", "text").distinct().count()
+    assert substring_dedup._keyed(odd).columns == [*odd.columns, "__k"]
 
 
 def test_hashes_in_chunks(monkeypatch):
@@ -215,6 +217,89 @@ def test_fingerprints(spark, documents, odd, empty):
     assert one["edited_sha256"] == hashlib.sha256(b"abcabc").hexdigest() and one["near_next"] == 1.0
 
 
+def slow_fingerprint(text):
+    """The bins of one text, phrase by phrase in plain Python numbers: runs, labels by coin tossing, phrases from one local maximum to the next."""
+    wide = (1 << 64) - 1
+
+    def mix(x):
+        x ^= x >> 30
+        x = x * 0xBF58476D1CE4E5B9 & wide
+        x ^= x >> 27
+        x = x * 0x94D049BB133111EB & wide
+        return x ^ x >> 31
+
+    name, base = int(fingerprint._NAME), int(fingerprint._NAME) | 1
+
+    def lowest(a, b):
+        d = a ^ b
+        k = (d & -d).bit_length() - 1
+        return 2 * k + (b >> k & 1)
+
+    def phrases(symbols):
+        runs = []
+        for x in symbols:
+            if runs and runs[-1][0] == x:
+                runs[-1][1] += 1
+            else:
+                runs.append([x, 1])
+        line = [x if n == 1 else mix((x + n * name) & wide) for x, n in runs]
+        label = [lowest(line[i - 1] if i else ~line[0] & wide, x) for i, x in enumerate(line)]
+        for _ in range(3):
+            label = [lowest(label[i - 1] if i else label[0] ^ 1, x) if (label[i - 1] if i else label[0] ^ 1) != x else x & 1 for i, x in enumerate(label)]
+        cuts = [0] + [i for i in range(2, len(label) - 1) if label[i] > label[i - 1] and label[i] > label[i + 1]]
+        out = []
+        for a, b in zip(cuts, [*cuts[1:], len(line)], strict=True):
+            out.append(mix((sum(mix(x) * pow(base, j, 1 << 64) for j, x in enumerate(line[a:b])) + b - a) & wide))
+        return out
+
+    bins = [[None] * n for n in fingerprint.BINS]
+    symbols = [ord(c) + 1 for c in text]
+    for level in range(1, fingerprint.LEVELS + 1):
+        if not symbols:
+            break
+        symbols = phrases(symbols)
+        group = 0 if level <= 2 else min(level - 2, len(bins) - 1)
+        if level > 1 or len(symbols) == 1:
+            for x in symbols:
+                h = mix((x + group) & wide)
+                k = h % len(bins[group])
+                bins[group][k] = h if bins[group][k] is None else min(h, bins[group][k])
+        if len(symbols) == 1:
+            break
+    return [0 if h is None else max(1, mix(h) >> 48) for g in bins for h in g]
+
+
+def test_fingerprints_equal_a_slow_parse(odd):
+    rng = np.random.default_rng(5)
+    texts = ["", "a", "aa", "ab", "aaaa bbbb", "abcabcabc" * 20, "日本語 текст ☃" * 9, "".join(chr(97 + x) for x in rng.integers(0, 4, 900)), *(" ".join(f"w{x}" for x in rng.integers(0, 50, n)) for n in (3, 40, 200))]
+    fast = fingerprint.sketches(texts)
+    slow = np.array([slow_fingerprint(t) for t in texts])
+    assert (fast == slow).all()
+    for a, b, got in zip(slow, slow[1:], fingerprint.likeness(fast[:-1], fast[1:]), strict=False):
+        some, same = sum(1 for x, y in zip(a, b, strict=True) if x or y), sum(1 for x, y in zip(a, b, strict=True) if x and x == y)
+        assert got == pytest.approx(1.0 if not some else 2 * same / some / (1 + same / some))
+    rows = sorted(odd.collect(), key=lambda r: (r["doc_id"] is None, -(r["doc_id"] or 0), r["text"] or ""))
+    want = {}
+    for i, r in enumerate(rows):
+        if len(r["text"] or "") < 3000:
+            text, after = r["text"] or "", rows[(i + 1) % len(rows)]["text"] or ""
+            want.setdefault(r["doc_id"], set()).add((bytes(np.array(slow_fingerprint(text), ">u2")).hex(), bytes(np.array(slow_fingerprint(fingerprint.edited(text, after)), ">u2")).hex()))
+    for r in fingerprint.fingerprints(odd).collect():
+        assert r["doc_id"] not in want or (r["fingerprint"], r["edited_fingerprint"]) in want[r["doc_id"]]
+
+
+def test_sections_follow_bytes(spark, monkeypatch):
+    """Ids at both ends of their range, one document as large as all others, and many ids in few sections: the order is that of the ids."""
+    ids = [2**63 - 1, -(2**63) + 1, *range(0, 400, 2)]
+    texts = ["x" * 40000 if i == 100 else f"text {i}" for i in ids]
+    got = {r["doc_id"]: r["edited_sha256"] for r in fingerprint.fingerprints(spark.createDataFrame(list(zip(ids, texts, strict=True)), "doc_id long, text string")).collect()}
+    order = sorted(zip(ids, texts, strict=True), reverse=True)
+    import hashlib
+
+    for (i, t), (_, after) in zip(order, [*order[1:], order[0]], strict=True):
+        assert got[i] == hashlib.sha256(fingerprint.edited(t, after).encode()).hexdigest()
+
+
 def test_shared_passages_share_phrases():
     rng = np.random.default_rng(3)
     a, b, c = ("".join(chr(97 + x) for x in rng.integers(0, 26, 4000)) for _ in range(3))
