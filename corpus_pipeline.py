@@ -2,7 +2,10 @@
 
 Language identification rejects texts without a language, the n-gram join keeps one document of each near-duplicate
 class, substring dedup cuts repeated passages, mixing turns rates into copies, and byte-level BPE encodes what is left.
-Each stage's rows are written as Parquet and read again as the next one's documents.
+Each stage's rows are written as Parquet and read again as the next one's documents; the rows before them then go.
+
+All stages take null and empty texts, repeated rows and empty tables; texts are taken whole, however long. Extra columns stay until the
+last stage; names with two leading underscores are reserved.
 """
 
 from __future__ import annotations
@@ -26,25 +29,25 @@ def identify(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def deduplicate(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each class of near duplicates, that of the least doc_id."""
+    """One document of each class of near duplicates, that of the least doc_id; documents without words all stay, rows alike in id and text are one."""
     return ngram_join.keep_one(docs)
 
 
 def cut_repeats(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Texts without repeated windows; n_chars follows. Texts that lose nothing stay as they are, to the byte."""
+    """Texts without repeated windows; n_chars follows. Texts that lose nothing, null ones too, stay as they are, to the byte; no row goes."""
     out = substring_dedup.remove_repeats(docs, joined=False)
     n_chars = F.when(F.col("__n_removed") > 0, F.length("text").cast("long")).otherwise(F.col("n_chars"))
     return out.select(*[n_chars.alias(c) if c == "n_chars" else F.col(c) for c in docs.columns])
 
 
 def balance(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Each document as often as the mix takes it: copies are rows."""
+    """Each document as often as the mix takes it: copies are rows. Documents without words are taken once; an unwanted document goes."""
     out = mixing.mix(docs)
     return out.where("__copies > 0").withColumn("__copy", F.explode(F.sequence(F.lit(1).cast("long"), F.col("__copies")))).select(*docs.columns)
 
 
 def encode(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """doc_id, n_tokens and ids of every row."""
+    """doc_id, n_tokens and ids of every row; a null or empty text has none."""
     return byte_bpe.encode(docs)
 
 
@@ -57,6 +60,8 @@ ORACLE_SQL = None
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     """All stages over `documents`."""
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
-    for name, stage in STAGES:
-        docs = common.materialise(stage(spark, docs, sf_dir), f"stage-{name}")
+    for i, (name, stage) in enumerate(STAGES):
+        before, docs = docs, common.materialise(stage(spark, docs, sf_dir), f"stage-{name}")
+        if i:
+            common.discard(before)
     return docs
