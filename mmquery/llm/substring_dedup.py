@@ -6,7 +6,8 @@ positions, so two equal windows of L + period - 1 words or more share an aligned
 twice are then extended: only windows of full length around them are hashed and compared.
 
 Anchors only say where to look, and 64 bits do for them. A window is judged by two hashes of 64 bits each, made from
-two independent hashes of its words; equal windows are those that agree in both. A row is known by 96 bits of its id and text.
+two independent hashes of its words; equal windows are those that agree in both. A row is known by 64 bits of its id and text; keys
+that different rows turn out to share are replaced before anything is sent.
 
 Hashes go to their bucket packed, as a few arrays per slice of text rather than a row each. A hash that occurs
 twice within a slice is settled there and sends one witness, so however often a passage occurs, a bucket gets it
@@ -23,7 +24,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -34,9 +35,7 @@ PERIOD = 21
 #: Text of a slice; a larger slice settles more hashes at home, a smaller one needs less memory.
 SLICE = 2 << 20
 #: In place of a position: the hash occurs at least twice in the slice it comes from.
-WITNESS = np.uint64(0xFFFFFFFFFFFFFFFF)
-#: A place is the check bits of its row above, the number of the word below.
-_LOW = np.uint64(0xFFFFFFFF)
+WITNESS = np.uint32(0xFFFFFFFF)
 _ANCHOR, _FULL, _ROUTE, _SECOND = common.U64(0xE7037ED1A0B428DB), common.U64(0x8EBC6AF09C88C6E3), common.U64(0x589965CC75374CC3), common.U64(0x1D8E4E27C47D124F)
 _OTHER_BYTE = common.seeds(256, 173)
 
@@ -64,12 +63,6 @@ def _words(part: pa.RecordBatch, second: bool = False) -> tuple[np.ndarray, np.n
     return common.word_hashes(raw, s, e), first, common.word_hashes(raw, s, e, _OTHER_BYTE) if second else None
 
 
-def _rows(part: pa.RecordBatch) -> tuple[np.ndarray, np.ndarray]:
-    """Key and check bits, in their place, of each row."""
-    check = common.column(part, "__c").to_numpy().astype(np.int64).view(np.uint64)
-    return common.column(part, "__k").to_numpy(), check << np.uint64(32)
-
-
 class Packer:
     """Sends (hash, row key, place) triples to buckets, and those settled at home past them."""
 
@@ -85,9 +78,9 @@ class Packer:
         first = np.r_[True, (h[1:] != h[:-1]).any(1)] if len(h) else np.zeros(0, bool)
         size = np.diff(np.r_[np.flatnonzero(first), len(h)])
         many = np.repeat(size > 1, size)
-        home_key, home_place = key[many], place[many]
+        home_key, home_place = key[many], place[many].astype(np.uint32)
         h, key = h[first], key[first]
-        place = np.where(many, WITNESS, place)[first]
+        place = np.where(many, WITNESS, place)[first].astype(np.uint32)
         bucket = (common.mix64(h[:, 0] ^ _ROUTE) % common.U64(self.buckets)).astype(np.int32)
         order = np.lexsort((place, key, bucket))
         h, key, place, bucket = h[order], key[order], place[order], bucket[order]
@@ -118,7 +111,7 @@ def _settle(n: int, width: int):
         hs, ks, ps, home_k, home_p = [], [], [], [], []
         for batch in batches:
             for h, k, p in zip(*(common.column(batch, c).to_pylist() for c in ("hashes", "keys", "places")), strict=True):
-                key, place = np.frombuffer(k, np.int64), np.frombuffer(p, np.uint64)
+                key, place = np.frombuffer(k, np.int64), np.frombuffer(p, np.uint32)
                 if h:
                     hs.append(np.frombuffer(h, np.uint64))
                     ks.append(key)
@@ -156,7 +149,7 @@ def _gather(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         for k, p in zip(*(common.column(batch, c).to_pylist() for c in ("keys", "places")), strict=True):
             keys.append(np.frombuffer(k, np.int64))
-            places.append(np.frombuffer(p, np.uint64))
+            places.append(np.frombuffer(p, np.uint32))
     if not keys:
         return
     k, p = np.concatenate(keys), np.concatenate(places)
@@ -176,10 +169,8 @@ def _answers(packed: DataFrame, n: int, name: str, width: int) -> DataFrame:
     return found.repartitionById(n, "part").mapInArrow(common.tidy(_gather), "__k long, places binary").withColumnRenamed("places", name)
 
 
-def _places(packed: bytes | None, check: np.uint64) -> np.ndarray:
-    """The numbers of the words that a row's packed places give; rows of the same key are told apart by their check bits."""
-    p = np.frombuffer(packed or b"", np.uint64)
-    return np.unique(p[p & ~_LOW == check] & _LOW).astype(np.int64)
+def _places(packed: bytes | None) -> np.ndarray:
+    return np.unique(np.frombuffer(packed or b"", np.uint32)).astype(np.int64)
 
 
 def _anchors(n: int, window: int, period: int, length: int):
@@ -200,8 +191,8 @@ def _anchors(n: int, window: int, period: int, length: int):
                 keep = cover[local % period] & (count[doc] >= window)
                 at, doc, local = at[keep], doc[keep], local[keep]
                 if len(at):
-                    key, check = _rows(part)
-                    yield packer.pack(common.window_hashes(words, length, _ANCHOR)[at][:, None], key[doc], check[doc] | local.astype(np.uint64))
+                    key = common.column(part, "__k").to_numpy()
+                    yield packer.pack(common.window_hashes(words, length, _ANCHOR)[at][:, None], key[doc], local)
 
     return common.tidy(run)
 
@@ -212,8 +203,7 @@ def _windows(n: int, window: int, period: int):
         for batch in batches:
             for lo, hi in common.text_slices(batch, "text", SLICE):
                 part = batch.slice(lo, hi - lo)
-                key, check = _rows(part)
-                found = [_places(packed, c) for packed, c in zip(common.column(part, "__anchors").to_pylist(), check, strict=True)]
+                found = [_places(packed) for packed in common.column(part, "__anchors").to_pylist()]
                 if not any(map(len, found)):
                     continue
                 words, first, others = _words(part, second=True)
@@ -229,11 +219,25 @@ def _windows(n: int, window: int, period: int):
                 if len(at):
                     doc = np.searchsorted(first, at, side="right") - 1
                     h = np.stack([common.window_hashes(words, window, _FULL)[at], common.window_hashes(others, window, _SECOND)[at]], axis=1)
-                    yield packer.pack(h, key[doc], check[doc] | (at - first[doc]).astype(np.uint64))
+                    key = common.column(part, "__k").to_numpy()
+                    yield packer.pack(h, key[doc], at - first[doc])
 
     return common.tidy(run)
 
 
+def _keyed(docs: DataFrame, key: Column | None = None) -> DataFrame:
+    """Rows with a key __k of their id and text. Keys that rows share whose second hash differs, a handful at most, give way to a hash of both."""
+    own = (F.col("doc_id").cast("string"), F.col("text"))
+    key, check = F.xxhash64(*own) if key is None else key, F.xxhash64(F.lit(1), *reversed(own))
+    shared = docs.select(key.alias("__k"), check.alias("c")).groupBy("__k").agg(F.min("c").alias("a"), F.max("c").alias("b")).where("a <> b").select("__k")
+    shared = common.materialise(shared, "shared-keys")
+    keyed = docs.withColumn("__k", key)
+    if shared.isEmpty():
+        return keyed
+    met = keyed.join(shared.withColumn("__met", F.lit(True)), "__k", "left")
+    return met.select(*docs.columns, F.when(F.col("__met"), F.xxhash64("__k", check)).otherwise(F.col("__k")).alias("__k"))
+
+
 def remove_repeats(docs: DataFrame, window: int = WINDOW, joined: bool = True) -> DataFrame:
     """All columns of `docs` (at least doc_id and text), text without its repeated words, and __n_words, __n_removed.
 
@@ -248,8 +252,7 @@ def remove_repeats(docs: DataFrame, window: int = WINDOW, joined: bool = True) -
     spark = common.bounded(docs).sparkSession
     n = common.partitions(spark)
     period, length = plan_of(window)
-    own = (F.col("doc_id").cast("string"), F.col("text"))
-    keyed = docs.withColumn("__k", F.xxhash64(*own)).withColumn("__c", F.hash(*own))
+    keyed = _keyed(docs)
     x = keyed.repartition(n, "__k")
     anchors = _answers(x.mapInArrow(_anchors(n, window, period, length), Packer.SCHEMA), n, "__anchors", 1)
     near = x.join(anchors.hint("shuffle_hash"), "__k")
@@ -263,11 +266,11 @@ def remove_repeats(docs: DataFrame, window: int = WINDOW, joined: bool = True) -
             for lo, hi in common.text_slices(batch):
                 part = batch.slice(lo, hi - lo)
                 texts, counts, gone = [], [], []
-                for text, packed, check in zip(common.column(part, "text").to_pylist(), common.column(part, "__windows").to_pylist(), _rows(part)[1], strict=True):
+                for text, packed in zip(common.column(part, "text").to_pylist(), common.column(part, "__windows").to_pylist(), strict=True):
                     words = (text or "").encode().split()
                     lost = np.zeros(len(words) + 1, np.int32)
                     if packed:
-                        p = _places(packed, check)
+                        p = _places(packed)
                         np.add.at(lost, p, 1)
                         np.add.at(lost, p + window, -1)
                     lost = np.cumsum(lost)[: len(words)] > 0
