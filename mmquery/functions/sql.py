@@ -3,7 +3,6 @@
 from __future__ import annotations
 
 from pyspark.sql import SparkSession
-from pyspark.sql import functions as F
 from pyspark.sql.functions import udtf
 
 from .. import shapes
@@ -35,8 +34,3 @@ def register(spark: SparkSession) -> None:
     """mm_width_sql(shape, k, omega) as text, and expand_blocks(value, blocks)."""
     spark.udf.register("mm_width_sql", lambda shape, k, omega: str(mm_width(shape_of(shape, k), omega)), "string")
     spark.udtf.register("expand_blocks", ExpandBlocks)
-
-
-def deg_class(col: str):
-    """The power-of-two class of a degree."""
-    return F.floor(F.log2(col)).cast("int")

@@ -14,6 +14,10 @@ from dataclasses import dataclass, field, replace
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .sources.tables import bounded_broadcast
+
+#: Rows of a measure that is broadcast to another with which it shares no variable.
+MOST_PAIRED = 100_000
 #: Comparisons with 1/B allow for rounding in the logs; nothing on the border is lost.
 SLACK = 1e-9
 
@@ -78,7 +82,7 @@ def geo_mean(measures: list[Measure]) -> Measure:
     for i, m in enumerate(measures[1:]):
         other = m.df.withColumnRenamed("lp", f"__{i}")
         on = [c for c in cols if c in m.columns]
-        df = df.join(other, on) if on else df.crossJoin(F.broadcast(other))
+        df = df.join(other, on) if on else df.crossJoin(bounded_broadcast(other, MOST_PAIRED))
         cols += [c for c in m.columns if c not in cols]
     total = F.col("lp")
     for i in range(len(measures) - 1):

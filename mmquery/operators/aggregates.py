@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..query import Atom, ConjunctiveQuery, full_join
-from .joins import BEST_OMEGA, _triangle_names, degrees, triangle_limit, wcoj
+from .joins import BEST_OMEGA, _triangle_names, degrees, made_once, triangle_limit, wcoj
 from .matmul import mm_blocked, mm_sparse
 
 
@@ -19,6 +19,7 @@ def triangle_weights(r: Atom, s: Atom, t: Atom, threshold: int | None = None, ke
     supports, harmless for a yes or no, would count twice, so classes are disjoint here.
     """
     x, y, z = _triangle_names(r, s, t)
+    r, s, t = made_once(r, s, t)
     limit = threshold if threshold is not None else triangle_limit(r, s, t, BEST_OMEGA)
     heavy = degrees(s.df, [y]).select(y, (F.col("deg") > limit).alias("__h"))
     pick = lambda df, flag: df.join(heavy.where(F.col("__h") if flag else ~F.col("__h")).select(y), y, "left_semi")

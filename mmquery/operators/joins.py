@@ -170,6 +170,7 @@ def four_cycle_answer(q: ConjunctiveQuery, kernel: str = "blas", omega=None) ->
     Values of the variable between that have few partners are joined through; heavy ones go by a product, whose pairs are only
     those that the other side still needs.
     """
+    q = ConjunctiveQuery(made_once(*q.atoms))
     first = q.atoms[0]
     a, b = first.variables
     nxt = next(x for x in q.atoms if x is not first and b in x.variables)
@@ -220,6 +221,11 @@ def _triangle_names(r: Atom, s: Atom, t: Atom) -> tuple[str, str, str]:
     return (next(v for v in r.variables if v in t.variables), next(v for v in r.variables if v in s.variables), next(v for v in s.variables if v in t.variables))
 
 
+def made_once(*atoms: Atom) -> tuple[Atom, ...]:
+    """Atoms as tables in the shared folder: degrees, light and heavy parts all read them."""
+    return tuple(Atom(a.name, a.variables, cut(a.df, "atom")) for a in atoms)
+
+
 def triangle_limit(r: Atom, s: Atom, t: Atom, omega) -> int:
     return triangle_threshold(r.df.count() + s.df.count() + t.df.count(), omega)
 
@@ -238,6 +244,7 @@ def triangle(r: Atom, s: Atom, t: Atom, omega=BEST_OMEGA, threshold: int | None
     there are at most N / threshold a variable, so their product is small and dense.
     """
     x, y, z = _triangle_names(r, s, t)
+    r, s, t = made_once(r, s, t)
     limit = threshold if threshold is not None else triangle_limit(r, s, t, omega)
     light = lambda a, v: a.df.join(degrees(a.df, [v]).where(F.col("deg") <= limit).select(v), v, "left_semi")
     light_x = light(r, x).join(t.df, x).join(s.df, [y, z], "left_semi").select(x, z)

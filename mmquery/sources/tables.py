@@ -17,15 +17,6 @@ def register(spark: SparkSession, sf_dir: str, names: list[str]) -> None:
         table(spark, sf_dir, n).createOrReplaceTempView(n)
 
 
-def read_any(spark: SparkSession, path: str, kind: str = "parquet", **options) -> DataFrame:
-    return spark.read.format(kind).options(**options).load(path)
-
-
-def write_any(df: DataFrame, path: str, kind: str = "parquet", partition_by: list[str] | None = None, **options) -> None:
-    w = df.write.format(kind).options(**options).mode("overwrite")
-    (w.partitionBy(*partition_by) if partition_by else w).save(path)
-
-
 def write_bucketed(df: DataFrame, name: str, keys: list[str], buckets: int) -> DataFrame:
     """A relation bucketed and sorted by its join key: joins on that key need no shuffle of it."""
     df.write.mode("overwrite").bucketBy(buckets, *keys).sortBy(*keys).format("parquet").saveAsTable(name)

@@ -452,6 +452,17 @@ def _lost_sql() -> str:
     return f"SELECT l::INT AS lost, r::INT AS rule, CASE WHEN l = r THEN {n} ELSE 0 END AS n FROM range(3) a(l), range(3) b(r)"
 
 
+EXPONENTS_SQL = """
+WITH w(omega, w) AS (VALUES ('2', 2.0::DOUBLE), ('12/5', 2.4::DOUBLE), ('5/2', 2.5::DOUBLE), ('3', 3.0::DOUBLE)),
+p AS (SELECT k, (k + 2) // 3 AS a, (k + 1) // 3 AS b, k // 3 AS c FROM range(4, 9) t(k))
+SELECT 'clique' AS shape, k::INT AS k, omega, round(a / 2 + b / 2 + c / 2 * (w - 2), 9) AS exponent, round(least(a / 2 + b / 2 + c / 2 * (w - 2), (a + b) / 2), 9) AS rectangular FROM p, w
+UNION ALL SELECT 'triangle', 3, omega, round(2 * w / (w + 1), 9), NULL FROM w
+UNION ALL SELECT 'cycle', 4, omega, round(CASE WHEN w < 2.5 THEN (4 * w - 1) / (2 * w + 1) ELSE 1.5 END, 9), NULL FROM w
+UNION ALL SELECT 'pyramid', 3, omega, round(2 - 1 / w, 9), NULL FROM w
+UNION ALL SELECT 'pyramid', k::INT, omega, round(2 - 2 / (w * (k - 1) - k + 3), 9), NULL FROM w, range(4, 6) t(k)
+"""
+
+
 def _counts_sql() -> str:
     """Ordered set partitions by their recurrence; programs by the distinct products of single eliminations: one for the triangle, two for each of the
     2 * 2 choices of the 4-cycle, 3 + 3 of the 3-pyramid and 6 + 4 of the 4-clique; a rule's choices are its joins and products."""
@@ -580,6 +591,7 @@ def queries() -> dict[str, Query]:
         "mm_counting": _mm_count,
         "widths_table": lambda spark, d: explain.widths_table(spark),
         "counts_table": lambda spark, d: explain.counts_table(spark),
+        "exponents_table": lambda spark, d: explain.exponents_table(spark),
         "plan_trace": lambda spark, d: explain.plan_trace(spark, bind(spark, d, TRIANGLE).graph, OMEGA),
         "proof_trace": lambda spark, d: explain.proof_trace(spark, bind(spark, d, TRIANGLE).graph, OMEGA),
         "rule_metrics": lambda spark, d: explain.rule_metrics(spark, bind(spark, d, TRIANGLE), OMEGA),
@@ -728,6 +740,7 @@ def oracle_sql() -> dict[str, str]:
         "rule_two_heads_damaged": inline("part_supp") + "SELECT count(*) AS n FROM part_supp a WHERE (SELECT count(*) FROM part_supp b WHERE b.p = a.p) <= 3 AND s % 2 = 1",
         "cover_model_lost": _lost_sql(),
         "counts_table": _counts_sql(),
+        "exponents_table": EXPONENTS_SQL,
         "rule_budgets": "SELECT r::INT AS rule, true AS within FROM range(3) t(r)",
     }
     return out

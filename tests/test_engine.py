@@ -260,6 +260,16 @@ def test_plans_push_down(spark, sf_dir):
     assert "Python" not in bits._jdf.queryExecution().executedPlan().toString()
 
 
+def test_bucketed_relations_join_without_a_shuffle(spark):
+    from mmquery.sources.tables import bounded_broadcast, write_bucketed
+
+    a, b = (write_bucketed(edges(spark, [(i, i % 5) for i in range(50)], "xy"), n, ["x"], 4) for n in ("bucketed_a", "bucketed_b"))
+    plan = a.hint("merge").join(b, "x")._jdf.queryExecution().executedPlan().toString()
+    assert "Exchange" not in plan
+    assert "broadcast" in bounded_broadcast(a, 50)._jdf.queryExecution().logical().toString().lower()
+    assert "broadcast" not in bounded_broadcast(a, 49)._jdf.queryExecution().logical().toString().lower()
+
+
 def test_sql_functions(spark):
     sqlfn.register(spark)
     assert spark.sql("SELECT mm_width_sql('triangle', 3, '2') AS w").first()["w"] == "4/3"
@@ -270,7 +280,7 @@ def normal(rows):
     return sorted(str(tuple(int(v) if isinstance(v, float) and v == int(v) else v for v in r)) for r in rows)
 
 
-FAST = ["tri_bool_td", "tri_count", "tri_count_mm", "tri_edges", "tri_edges_mm", "tri_sum_mm", "dtri_edges", "cyc4_count", "cyc4_bool_split", "cyc6_bool", "clq4_count", "pyr3_count", "prod2_group", "prod2_fuse", "chain_bool", "hub_tri_bool", "hub_pairs_join", "hub_pairs_bits", "hub_pairs_blas", "hub_tri_count_mm", "mm_dense_sparse", "mm_dense_bits", "mm_dense_blas", "prod2_group_blas", "prod2_fuse_blas", "cyc4_bool_prior", "pyr3_bool_split", "clq6_count", "join_bounds", "measured_width", "rule_two_heads_damaged", "counts_table", "chat_tri_count", "label_tri_count", "host_classes", "events_tri_count", "measure_truncated", "measure_geomean", "mm_recursive7", "rel_asof", "rel_range", "rel_sets", "rel_cube", "rel_full_outer", "stream_hourly", "stream_triangles", "stream_sessions", "stream_joined"]
+FAST = ["tri_bool_td", "tri_count", "tri_count_mm", "tri_edges", "tri_edges_mm", "tri_sum_mm", "dtri_edges", "cyc4_count", "cyc4_bool_split", "cyc6_bool", "clq4_count", "pyr3_count", "prod2_group", "prod2_fuse", "chain_bool", "hub_tri_bool", "hub_pairs_join", "hub_pairs_bits", "hub_pairs_blas", "hub_tri_count_mm", "mm_dense_sparse", "mm_dense_bits", "mm_dense_blas", "prod2_group_blas", "prod2_fuse_blas", "cyc4_bool_prior", "pyr3_bool_split", "clq6_count", "join_bounds", "measured_width", "rule_two_heads_damaged", "counts_table", "exponents_table", "chat_tri_count", "label_tri_count", "host_classes", "events_tri_count", "measure_truncated", "measure_geomean", "mm_recursive7", "rel_asof", "rel_range", "rel_sets", "rel_cube", "rel_full_outer", "stream_hourly", "stream_triangles", "stream_sessions", "stream_joined"]
 
 
 @pytest.mark.parametrize("name", FAST)
