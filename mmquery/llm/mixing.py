@@ -129,14 +129,11 @@ def _copies(sources: DataFrame, cells: DataFrame, bound: float) -> DataFrame:
     offered = offered.groupBy("s", "left").agg(F.sort_array(F.collect_list(F.struct("size", "copies", "most")), asc=False).alias("cells"))  # 63 * OFFERED at most
 
     def deal(a: Column, c: Column) -> Column:
-        part = a.left / c.size
-        toward = F.when(c.size == F.col("least"), F.round(part)).when(part >= 0, F.floor(part)).otherwise(F.ceil(part)).cast("long")
-        change = F.greatest(-c.copies, F.least(c.most - c.copies, toward))
+        change = F.greatest(-c.copies, F.least(c.most - c.copies, F.round(a.left / c.size).cast("long")))
         return F.struct((a.left - change * c.size).alias("left"), F.concat(a.out, F.array(F.struct(c.size.alias("size"), change.alias("change")))).alias("out"))
 
     start = F.struct(F.col("left"), F.array().cast("array<struct<size:bigint,change:bigint>>").alias("out"))
-    fixed = offered.withColumn("least", F.get(F.col("cells"), F.size("cells") - 1).size)
-    fixed = fixed.select("s", F.explode(F.aggregate("cells", start, deal).out).alias("x")).select("s", "x.size", "x.change").where("change <> 0")
+    fixed = offered.select("s", F.explode(F.aggregate("cells", start, deal).out).alias("x")).select("s", "x.size", "x.change").where("change <> 0")
     return met.join(fixed, ["s", "size"], "left").select("s", "size", "n", "source_size", "target", "rate", (F.col("copies") + F.coalesce("change", F.lit(0))).alias("copies"))
 
 
