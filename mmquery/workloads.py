@@ -45,7 +45,6 @@ BIPARTITE = (("bip", "xy"), ("bip", "yz"), ("bip", "zx"))
 EDGE_CYCLE = (("copart", "ab"), ("copart", "bc"), ("copart", "cd"), ("copart", "ad"))
 CHAT = (("conv_role", "cr"), ("role_turn", "rt"), ("conv_turn", "ct"))
 LABELS = (("lang_source", "ls"), ("source_quality", "sq"), ("lang_quality", "lq"))
-FOUR_CLIQUE = (("copart", "ab"), ("copart", "ac"), ("copart", "ad"), ("copart", "bc"), ("copart", "bd"), ("copart", "cd"))
 
 
 def bind(spark: SparkSession, d: str, atoms) -> ConjunctiveQuery:
@@ -510,12 +509,9 @@ def queries() -> dict[str, Query]:
         "tri_edges_mm": _edges_mm,
         "tri_sum_mm": _sum_mm,
         "dtri_count": on(DOUBLE, J.count_answer),
-        "cyc4_bool_mm": on(FOUR_CYCLE, answer_boolean, omega=OMEGA, kernel="blas"),
         "cyc4_bool_prior": on(FOUR_CYCLE, J.four_cycle_answer),
         "cyc4h_count": on(EDGE_CYCLE, J.count_answer),
-        "pyr3_bool_mm": on(PYRAMID3, answer_boolean, omega=OMEGA, kernel="blas"),
         "pyr3_bool_split": _split_pyramid,
-        "clq4_bool_mm": on(FOUR_CLIQUE, answer_boolean, omega=OMEGA, kernel="blas"),
         "clq4_bool": lambda spark, d: J.clique_answer(_copart(spark, d), 4),
         "clq5_bool": lambda spark, d: J.clique_answer(_copart(spark, d), 5),
         "clq6_count": lambda spark, d: J.clique_count(_copart(spark, d), 6),
@@ -718,12 +714,9 @@ def oracle_sql() -> dict[str, str]:
         "tri_edges_mm": _with(TRIANGLE) + "SELECT DISTINCT t0.p AS p, t0.s AS s " + sql_body(TRIANGLE),
         "tri_sum_mm": _with(TRIANGLE) + "SELECT sum(p_size)::BIGINT AS total " + sql_body(TRIANGLE).replace(" WHERE", ", part WHERE p_partkey = t0.p AND"),
         "dtri_count": _count_sql(DOUBLE),
-        "cyc4_bool_mm": _bool_sql(FOUR_CYCLE),
         "cyc4_bool_prior": _bool_sql(FOUR_CYCLE),
         "cyc4h_count": _count_sql(EDGE_CYCLE),
-        "pyr3_bool_mm": _bool_sql(PYRAMID3),
         "pyr3_bool_split": _bool_sql(PYRAMID3),
-        "clq4_bool_mm": _bool_sql(FOUR_CLIQUE),
         "clq4_bool": _clique_sql(4).replace("count(*) AS n", "count(*) > 0 AS answer"),
         "clq5_bool": _clique_sql(5).replace("count(*) AS n", "count(*) > 0 AS answer"),
         "clq6_count": _clique_sql(6),
