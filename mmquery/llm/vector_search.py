@@ -9,7 +9,9 @@ sample at the aimed recall.
 
 Lists are cut into units of bounded rows and queries into blocks of bounded number, so a list that holds a third of
 all vectors spreads over as many tasks as its size asks for. Only ids and codes travel to the blocks of queries; vectors meet
-the few candidates that are left. Queries that find too few, and vectors of a dimension other than the commonest, are
+the few candidates that are left. Where codes don't tell rows apart (tight groups within one list), rows that were left out may be
+as near as those found: what exact scores of a query's candidates make of their approximate ones says so, and that list is
+searched exactly for that query. Queries that find too few, and vectors of a dimension other than the commonest, are
 searched exactly, all rows against the block of queries.
 """
 
@@ -34,6 +36,8 @@ KEPT, RERANK, UNIT_ROWS, UNIT_QUERIES = 64, 320, 16_384, 512
 #: Rows of a unit of the exact search.
 EXACT_ROWS = 4096
 AIM, FIT_QUERIES, FIT_EACH = 0.99, 2048, 8
+#: Deviations of the coding error that a row left out may be better than its approximate score; scores alike to so many digits are a tie in the exact search.
+DEVIATIONS, DIGITS = 2.0, 12
 
 
 def _kmeans(x: np.ndarray, k: int, seed: int, rounds: int = 8, spherical: bool = False) -> np.ndarray:
@@ -173,31 +177,52 @@ def _shape(rows: DataFrame, asked: DataFrame, on: list[str], unit_rows: int) ->
     return parts.join(asked.groupBy(*on).agg(F.ceil(F.count("*") / UNIT_QUERIES).cast("int").alias("blocks")), on)
 
 
-def _exact(queries: DataFrame, base: DataFrame, top: int) -> DataFrame:
-    """query_id, vec_id, score of the nearest of all rows of the same dimension, from each unit of rows and queries."""
-    shape = common.materialise(_shape(base, queries, ["d"], EXACT_ROWS), "exact-units")
-    stored = _dealt(base.select("d", "u", "vec_id", "v"), ["d"], shape, "exact", "parts", "blocks", "u", 1).select("unit", "vec_id", "v")
-    asked = _dealt(queries.select("d", "query_id", "q"), ["d"], shape, "exact", "blocks", "parts", "query_id", 2).select("unit", "query_id", "q")
+def _exact(queries: DataFrame, base: DataFrame, on: str, top: int) -> DataFrame:
+    """query_id, u of the nearest rows of the same group (dimension or list), from each unit of rows and queries; twice as many as asked, to be scored."""
+    shape = common.materialise(_shape(base, queries, [on], EXACT_ROWS), "exact-units")
+    stored = _dealt(base.select(on, "u", "vec_id", "v"), [on], shape, "exact", "parts", "blocks", "u", 1).select("unit", "u", "vec_id", "v")
+    asked = _dealt(queries.select(on, "query_id", "q"), [on], shape, "exact", "blocks", "parts", "query_id", 2).select("unit", "query_id", "q")
 
     def best(left: pa.Table, right: pa.Table) -> pa.Table:
         out = []
         if left.num_rows and right.num_rows:
-            ids = left["vec_id"].to_numpy()
+            ids, rows_of = left["vec_id"].to_numpy(), left["u"].to_numpy()
             dim = len(left["v"][0])
             v, qs = (_units_of(_matrix(t.combine_chunks(), dim)) for t in (left["v"], right["q"]))
             for query_id, q in zip(right["query_id"].to_pylist(), qs, strict=True):
                 at = np.flatnonzero(ids != query_id)
-                score = v[at] @ q
-                first = np.lexsort((ids[at], -score))[:top]
-                out.append((np.full(len(first), query_id), ids[at][first], score[first]))
-        return _table(out, ["query_id", "vec_id", "score"])
+                score = np.round(v[at] @ q, DIGITS)
+                if len(at) > 2 * top:
+                    least = np.partition(score, len(at) - 2 * top)[len(at) - 2 * top]
+                    at, score = at[score >= least], score[score >= least]
+                first = at[np.lexsort((ids[at], -score))][: 2 * top]
+                out.append((np.full(len(first), query_id), rows_of[first]))
+        return _table(out, ["query_id", "u"])
 
-    return stored.groupBy("unit").cogroup(asked.groupBy("unit")).applyInArrow(best, "query_id long, vec_id long, score double")
+    return stored.groupBy("unit").cogroup(asked.groupBy("unit")).applyInArrow(best, "query_id long, u long")
 
 
 def _table(parts: list[tuple[np.ndarray, ...]], names: list[str]) -> pa.Table:
     cols = [np.concatenate(x) for x in zip(*parts, strict=True)] if parts else [np.zeros(0)] * len(names)
-    return pa.table({n: pa.array(c, pa.float64() if n == "score" else pa.int64()) for n, c in zip(names, cols, strict=True)})
+    return pa.table({n: pa.array(c, pa.float64() if n in ("score", "cut") else pa.int64()) for n, c in zip(names, cols, strict=True)})
+
+
+def _crowded(near: DataFrame, scored: DataFrame, top: int) -> DataFrame:
+    """query_id, list: where a row left out may be among the nearest, going by how far the exact scores of candidates are above the approximate ones.
+
+    Left out are rows of a unit beyond those it keeps, and kept ones beyond those that are reranked; neither has a better
+    approximate score than the least that wasn't left out.
+    """
+    above = F.col("score") - F.col("about")
+    told = scored.groupBy("query_id").agg(
+        F.count("*").alias("n"), F.min("about").alias("last"), (F.avg(above) + DEVIATIONS * F.stddev_pop(above)).alias("above"), F.sort_array(F.collect_list("score"), asc=False).alias("best")
+    )
+    told = told.where(F.size("best") >= top).select("query_id", F.when(F.col("n") >= RERANK, F.col("last")).alias("last"), "above", F.element_at("best", top).alias("least"))
+    # of a list in several units, the highest of what they left out at most
+    lists = near.groupBy("query_id", "list").agg(F.max("score").alias("high"), F.min("score").alias("low"), F.max("cut").alias("cut"))
+    beyond = F.when(F.col("last").isNotNull() & (F.col("low") <= F.col("last")), F.least("last", "high"))
+    met = lists.join(told, "query_id").withColumn("out", F.greatest("cut", beyond))
+    return met.where(F.col("out") + F.col("above") >= F.col("least")).select("query_id", "list")
 
 
 def search(vectors: DataFrame, id_col: str = "vec_id", vector_col: str = "embedding", every: int = 50, top: int = TOP) -> DataFrame:
@@ -207,8 +232,9 @@ def search(vectors: DataFrame, id_col: str = "vec_id", vector_col: str = "embedd
     meet only those of their own dimension. A query's own id is no candidate; ties go to the smaller id. A repeated id is one
     query, and a candidate once for each of its rows. Fewer candidates than `top` give fewer rows; an empty table none. Extra
     columns are ignored; very long vectors are rows like any other.
-    Scores are exact on the original vectors in double precision; only the choice of candidates is approximate. A query that
-    finds fewer than `top` in its lists is searched exactly.
+    Scores are exact on the original vectors in double precision; only the choice of candidates is approximate. Lists in which codes
+    leave out rows that may be as near as a query's nearest are searched exactly for it, and a query that finds fewer than `top` is
+    searched exactly among all.
     """
     spark = common.bounded(vectors).sparkSession
     base = vectors.select(F.col(id_col).cast("long").alias("vec_id"), F.col(vector_col).cast("array<double>").alias("v")).where(F.col(id_col).isNotNull() & _valid(vector_col))
@@ -260,25 +286,35 @@ def search(vectors: DataFrame, id_col: str = "vec_id", vector_col: str = "embedd
             for query_id, q in zip(right["query_id"].to_pylist(), _units_of(_matrix(right["q"].combine_chunks(), ix.dim)), strict=True):
                 near = ix.approximate(q, which, codes)
                 at = np.flatnonzero(ids != query_id)
+                most = len(at)
                 if len(at) > KEPT:
                     least = np.partition(near[at], len(at) - KEPT)[len(at) - KEPT]
                     at = at[near[at] >= least]
                 first = at[np.lexsort((ids[at], -near[at]))][:KEPT]
-                out.append((np.full(len(first), query_id), ids[first], rows_of[first], near[first]))
-        return _table(out, ["query_id", "vec_id", "u", "score"])
+                out.append((np.full(len(first), query_id), ids[first], rows_of[first], np.full(len(first), which), near[first], np.full(len(first), near[first[-1]] if len(first) < most else -np.inf)))
+        return _table(out, ["query_id", "vec_id", "u", "list", "score", "cut"])
 
-    near = stored.groupBy("unit").cogroup(wanted.groupBy("unit")).applyInArrow(best, "query_id long, vec_id long, u long, score double")
+    near = stored.groupBy("unit").cogroup(wanted.groupBy("unit")).applyInArrow(best, "query_id long, vec_id long, u long, list long, score double, cut double")
+    near = common.materialise(near, "near")
     by_query = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
-    near = near.withColumn("r", F.row_number().over(by_query)).where(F.col("r") <= RERANK).select("query_id", "u")
-    scored = near.join(base.select("u", "vec_id", "v"), "u").join(queries, "query_id").select("query_id", "vec_id", _score("q", "v").alias("score"))
+    picked = near.withColumn("r", F.row_number().over(by_query)).where(F.col("r") <= RERANK).select("query_id", "u", "list", F.col("score").alias("about"))
+    vector = base.select("u", "vec_id", "v")
+    scored = picked.join(vector, "u").join(queries, "query_id").select("query_id", "vec_id", "list", "about", _score("q", "v").alias("score"))
+    scored = common.materialise(scored, "scored")
     rank = F.row_number().over(by_query)
-    found = common.materialise(scored.withColumn("rank", rank).where(F.col("rank") <= top), "found")
+    first = lambda df: df.withColumn("rank", rank).where(F.col("rank") <= top).select("query_id", "rank", "vec_id", "score")
+    crowded = common.materialise(_crowded(near, scored, top), "crowded")
+    if not crowded.isEmpty():
+        held = coded.select("u", F.col("list").cast("long").alias("list")).join(crowded.select("list").distinct(), "list").join(vector, "u")
+        again = _exact(crowded.join(queries, "query_id").select("query_id", "list", "q"), held, "list", top).join(vector, "u").join(queries, "query_id")
+        scored = scored.join(crowded, ["query_id", "list"], "left_anti").select("query_id", "vec_id", "score").union(again.select("query_id", "vec_id", _score("q", "v").alias("score")))
+    found = common.materialise(first(scored), "found")
     enough = found.groupBy("query_id").agg(F.count("*").alias("n")).where(F.col("n") >= top).select("query_id")
     rest = common.materialise(queries.join(enough, "query_id", "left_anti"), "rest")
     out = found.join(enough, "query_id", "left_semi").select("query_id", "rank", "vec_id", "score")
     if not rest.isEmpty():
-        again = _exact(rest, base, top).withColumn("rank", rank).where(F.col("rank") <= top)
-        out = out.union(again.select("query_id", "rank", "vec_id", "score"))
+        again = _exact(rest, base, "d", top).join(vector, "u").join(queries, "query_id").select("query_id", "vec_id", _score("q", "v").alias("score"))
+        out = out.union(first(again))
     return out.select("query_id", F.col("rank").cast("int").alias("rank"), "vec_id", "score")
 
 

@@ -370,3 +370,20 @@ def test_search_of_odd_vectors(spark):
     assert got == [(0, 1, 4, 1.0), (0, 2, 5, 1.0), (0, 3, 6, 0.0)]
     assert vector_search.search(df.where("false")).count() == 0
     assert vector_search.search(df.where("vec_id = 0")).count() == 0
+
+
+def test_vector_search_tells_rows_of_many_tight_groups_apart(spark, monkeypatch):
+    """Several tight groups in one list: their rows have equal codes, so far more rows tie than are kept."""
+    monkeypatch.setattr(vector_search, "lists_for", lambda rows: 6)
+    r = np.random.default_rng(9)
+    v = np.repeat(r.normal(size=(20, 16)), 300, 0) + 1e-4 * r.normal(size=(6000, 16))
+    u = v / np.linalg.norm(v, axis=1, keepdims=True)
+    hit = total = 0
+    found = vector_search.search(spark.createDataFrame([(i, x.tolist()) for i, x in enumerate(v)], "vec_id long, embedding array<double>"), every=100).collect()
+    assert len(found) == 300
+    for q in range(0, 6000, 100):
+        score = u @ u[q]
+        score[q] = -1
+        hit += len({a["vec_id"] for a in found if a["query_id"] == q} & set(np.argsort(-score)[:5].tolist()))
+        total += 5
+    assert hit >= 0.98 * total
