@@ -199,8 +199,10 @@ def _buckets(sets: DataFrame) -> DataFrame:
         if last or large.isEmpty():
             break
         rest = [f"p{d}" for d in range(depth + 1, DEPTH + 1)]
-        if depth == 1:  # only sets in large buckets fetch their longer paths
-            large = large.select("s", "size", "i").join(deeper, "s").select("s", "size", *(F.get(c, F.col("i")).alias(c) for c in rest))
+        if depth == 1:  # only sets in large buckets fetch their longer paths, each of them once
+            at = large.groupBy("s", "size").agg(F.collect_list("i").alias("at"))
+            each = F.transform("at", lambda i: F.struct(*(F.get(c, i).alias(c) for c in rest)))  # noqa: B023  used at once
+            large = at.join(deeper, "s").select("s", "size", F.explode(each).alias("x")).select("s", "size", *(F.col(f"x.{c}") for c in rest))
         inc = large.select("s", "size", F.explode(F.arrays_zip(*rest)).alias("x")).select("s", "size", F.col(f"x.{rest[0]}").alias("p"), *(F.col(f"x.{c}") for c in rest[1:]))
     return out
 

@@ -387,3 +387,16 @@ def test_vector_search_tells_rows_of_many_tight_groups_apart(spark, monkeypatch)
         hit += len({a["vec_id"] for a in found if a["query_id"] == q} & set(np.argsort(-score)[:5].tolist()))
         total += 5
     assert hit >= 0.98 * total
+
+
+def test_sets_fetch_their_longer_paths_once(spark, monkeypatch):
+    """A set in many large buckets is one row of the join with its longer paths, and its paths are those it had in each."""
+    monkeypatch.setattr(ngram_join, "BUCKET", 2)
+    seen = []
+    met = ngram_join._met
+    monkeypatch.setattr(ngram_join, "_met", lambda inc, name: (seen.append(inc), met(inc, name))[1])
+    paths = [(s, 5, [10, 11, 100 + s], [[s, 7], [8], [9]], [[[1], [2]], [[3]], [[4]]]) for s in range(4)]
+    ngram_join._buckets(spark.createDataFrame(paths, "s long, size long, p1 array<long>, p2 array<array<long>>, p3 array<array<array<long>>>"))
+    assert sorted((r["s"], r["p"]) for r in seen[1].collect()) == sorted([(s, p) for s in range(4) for p in (s, 7, 8)])
+    plan = seen[1]._jdf.queryExecution().optimizedPlan().toString()
+    assert plan.index("Join Inner") < plan.index("Aggregate")
