@@ -13,10 +13,12 @@ from pyspark.sql import functions as F
 from pyspark.sql.pandas.types import to_arrow_schema
 from pyspark.sql.types import LongType, StructField, StructType
 
-#: Side of a square block, in values. Large dimensions get blocks of up to the second, so that rows are repeated less often.
-SIDE, WIDE_SIDE = 2048, 8192
-#: Blocks of a dimension from which its blocks get wider.
-MANY_BLOCKS = 64
+#: Side of a square block, in values.
+SIDE = 2048
+#: Rows of a band; rows from which a small relation has more than one, and bands that it gets then at most.
+TILE_ROWS, LEAST_ROWS, FEW_BANDS = 2_000_000, 20_000, 4
+#: Pairs of rows that are sorted at a time, rows of a batch, and tasks of a product.
+CHUNK, BATCH, MOST_TASKS = 1_000_000, 100_000, 10_000
 CUTOFF = 64
 
 
@@ -87,9 +89,14 @@ def fuse(df: DataFrame, columns: list[str], name: str) -> DataFrame:
     return df.withColumn(name, F.struct(*columns)).drop(*columns)
 
 
-def mm_sparse(r: DataFrame, s: DataFrame, inner: list[str], group: list[str] | None = None, count: bool = False) -> DataFrame:
-    """Pairs of the outer columns that share an inner value (within a group): a join and a distinct, or their number `n`."""
+def mm_sparse(r: DataFrame, s: DataFrame, inner: list[str], group: list[str] | None = None, count: bool = False, tiles: bool = False) -> DataFrame:
+    """Pairs of the outer columns that share an inner value (within a group): a join and a distinct, or their number `n`.
+
+    With `tiles`, both are done in tiles of the product, for products with far more pairs than rows: no pair is ever shuffled.
+    """
     group = group or []
+    if tiles:
+        return _tiled(r, s, inner, group, None, SIDE, count)
     joined = r.join(s, [*group, *inner]).drop(*inner)
     if count:
         return joined.groupBy(*joined.columns).agg(F.count("*").alias("n"))
@@ -97,56 +104,158 @@ def mm_sparse(r: DataFrame, s: DataFrame, inner: list[str], group: list[str] | N
 
 
 def mm_blocked(r: DataFrame, s: DataFrame, inner: list[str], group: list[str] | None = None, kernel: str = "blas", side: int | None = None, count: bool = False) -> DataFrame:
-    """The same product in square blocks, for each value of the group's columns.
+    """The same product in square blocks of at most `side` values a dimension, for each value of the group's columns."""
+    return _tiled(r, s, inner, group or [], kernel, side or SIDE, count)
+
+
+def _tiled(r: DataFrame, s: DataFrame, inner: list[str], group: list[str], kernel: str | None, side: int, count: bool) -> DataFrame:
+    """Tiles of the product: the rows of r are hashed by their outer values to bands, so are those of s; a task holds a band of each, whole in the inner dimension.
 
-    Values are hashed to block numbers, in each dimension as many as make blocks of about `side` values (distinct values are
-    estimated; of the group that has most, where there are groups). A row of r goes to every column block of s and the
-    other way round, so a task holds one block of each. Whatever the hashes and estimates do, a task multiplies pieces of at
-    most `side` values a dimension. Blocks of one inner range are reduced by distinct or sum.
+    A pair lies in one tile, so nothing is reduced across tasks. The values of an inner value travel as one list; bands have about
+    TILE_ROWS rows, so lists are repeated once for each band of the other side.
     """
-    group = group or []
     left = [c for c in r.columns if c not in (*inner, *group)]
     right = [c for c in s.columns if c not in (*inner, *group)]
-    many = {**_distinct(r, {"i": left, "k": inner}, group), **_distinct(s, {"j": right}, group)}
-    if side is None:
-        side = min(WIDE_SIDE, max(SIDE, max(many.values()) // MANY_BLOCKS))
-    n = {d: max(1, -(-many[d] // side)) for d in "ikj"}
-    one = lambda cols, salt, d: F.pmod(F.xxhash64(*cols, F.lit(salt)), F.lit(n[d])).cast("int")
-    every = lambda d: F.explode(F.sequence(F.lit(0), F.lit(n[d] - 1)))
-    a = r.withColumn("__i", one(left, 1, "i")).withColumn("__k", one(inner, 2, "k")).withColumn("__j", every("j"))
-    b = s.withColumn("__j", one(right, 3, "j")).withColumn("__k", one(inner, 2, "k")).withColumn("__i", every("i"))
-    b = b.select(*(F.col(c).alias(c) for c in b.columns))  # both sides may come from one relation
+    on = [*group, *inner]
+    n = {"i": _bands(r), "j": _bands(s)}
+
+    def lists(df: DataFrame, cols: list[str], salt: int, d: str, other: str, name: str) -> DataFrame:
+        band = F.pmod(F.xxhash64(*cols, F.lit(salt)), F.lit(n[d])).cast("int")
+        entry = F.struct(*cols) if cols else F.struct(F.lit(0).alias("__one"))
+        out = df.dropna(subset=on).select(F.struct(*on).alias("__k"), band.alias(f"__{d}"), entry.alias("__v")).groupBy("__k", f"__{d}").agg(F.collect_set("__v").alias(name))
+        out = out.withColumn(f"__{other}", F.explode(F.sequence(F.lit(0), F.lit(n[other] - 1))))
+        return out.select((F.col("__i") * n["j"] + F.col("__j")).cast("int").alias("__t"), F.lit(0 if d == "i" else 1).alias("__side"), "__k", name)
+
+    a, b = lists(r, [*group, *left], 1, "i", "j", "__l"), lists(s, right, 3, "j", "i", "__r")
     fields = [r.schema[c] for c in (*group, *left)] + [s.schema[c] for c in right]
-    schema = StructType([*fields, StructField("__n", LongType())])
+    schema = StructType([*fields, StructField("n", LongType())])
     arrow = to_arrow_schema(schema)
-    multiply = KERNELS[kernel].multiply
-
-    def product(x: pa.Table, y: pa.Table) -> pa.Table:
-        if not x.num_rows or not y.num_rows:
-            return arrow.empty_table()
-        (ri,), row_at = _codes([x], left)
-        (ki, kj), _ = _codes([x, y], inner)
-        (cj,), col_at = _codes([y], right)
-        found = []
-        for ilo in range(0, len(row_at), side):
-            for jlo in range(0, len(col_at), side):
-                out = _piece(multiply, ri, ki, kj, cj, ilo, jlo, min(side, len(row_at) - ilo), min(side, len(col_at) - jlo), side)
-                i, j = np.nonzero(out)
-                found.append((row_at[i + ilo], col_at[j + jlo], out[i, j]))
-        at_x, at_y, number = (np.concatenate(v) for v in zip(*found, strict=True))
-        cols = [x[c].take(pa.array(at_x)) for c in (*group, *left)] + [y[c].take(pa.array(at_y)) for c in right]
-        return pa.table([*cols, pa.array(number)], names=[f.name for f in schema]).cast(arrow)
-
-    keys = [*group, "__i", "__k", "__j"]
-    blocks = a.groupBy(*keys).cogroup(b.groupBy(*keys)).applyInArrow(product, schema)
-    cols = [f.name for f in fields]
-    return blocks.groupBy(*cols).agg(F.sum("__n").alias("n")) if count else blocks.select(*cols).distinct()
-
-
-def _piece(multiply, ri: np.ndarray, ki: np.ndarray, kj: np.ndarray, cj: np.ndarray, ilo: int, jlo: int, rows: int, cols: int, side: int) -> np.ndarray:
+    names = [f.name for f in schema]
+
+    def product(x: list[pa.RecordBatch], y: list[pa.RecordBatch]):
+        (kx, ky), _ = _codes([_fields(x, "__k"), _fields(y, "__k")], on)
+        rows, kx = _entries(x, "__l", kx)
+        cols, ky = _entries(y, "__r", ky)
+        some = np.isin(kx, ky)
+        rows, kx = rows.filter(pa.array(some)), kx[some]
+        if not len(kx):
+            return
+        (ri,), row_at = _codes([rows], [*group, *left])
+        (cj,), col_at = _codes([cols], right)
+        found = _sparse(ri, kx, ky, cj, len(col_at)) if kernel is None else _dense(KERNELS[kernel].multiply, ri, kx, ky, cj, side)
+        for i, j, number in found:
+            at_x, at_y = pa.array(row_at[i]), pa.array(col_at[j])
+            values = [*(rows[c].take(at_x) for c in (*group, *left)), *(cols[c].take(at_y) for c in right), pa.array(number)]
+            yield from pa.table(values, names=names).cast(arrow).combine_chunks().to_batches(max_chunksize=BATCH)
+
+    def work(batches):
+        at, x, y = None, [], []
+        for batch in batches:
+            t = batch["__t"].to_numpy(zero_copy_only=False)
+            cuts = np.flatnonzero(np.diff(t)) + 1
+            for lo, hi in zip([0, *cuts], [*cuts, len(t)], strict=True):
+                if lo == hi:
+                    continue
+                if t[lo] != at:
+                    if x and y:
+                        yield from product(x, y)
+                    at, x, y = t[lo], [], []
+                part = batch.slice(lo, hi - lo)
+                second = int(np.searchsorted(part["__side"].to_numpy(zero_copy_only=False), 1))
+                if second:
+                    x.append(part.slice(0, second))
+                if second < hi - lo:
+                    y.append(part.slice(second))
+        if x and y:
+            yield from product(x, y)
+
+    tiles = n["i"] * n["j"]
+    dealt = a.unionByName(b, allowMissingColumns=True).repartition(min(4 * tiles, MOST_TASKS) if tiles > 1 else 1, "__t").sortWithinPartitions("__t", "__side", "__k")
+    out = dealt.mapInArrow(work, schema)
+    return out if count else out.drop("n")
+
+
+def _bands(df: DataFrame) -> int:
+    """Bands of about TILE_ROWS rows; small relations get a few more, so that tasks share the work."""
+    rows = df.count()
+    return max(1, -(-rows // TILE_ROWS), min(FEW_BANDS, rows // LEAST_ROWS))
+
+
+def _fields(batches: list[pa.RecordBatch], name: str) -> pa.Table:
+    """The fields of a struct column."""
+    return pa.table({f.name: pa.chunked_array([b[name].field(i) for b in batches]) for i, f in enumerate(batches[0][name].type)})
+
+
+def _entries(batches: list[pa.RecordBatch], name: str, k: np.ndarray) -> tuple[pa.Table, np.ndarray]:
+    """The values of all lists as a table, and the inner value's number of each."""
+    lists = pa.chunked_array([b[name] for b in batches])
+    flat = [c.flatten() for c in lists.chunks]
+    many = np.concatenate([c.value_lengths().to_numpy(zero_copy_only=False) for c in lists.chunks]).astype(np.int64)
+    return pa.table({f.name: pa.chunked_array([c.field(i) for c in flat]) for i, f in enumerate(flat[0].type)}), np.repeat(k, many)
+
+
+def _sparse(ri: np.ndarray, kx: np.ndarray, ky: np.ndarray, cj: np.ndarray, width: int):
+    """Pairs and their counts, some rows at a time: the columns of a row's inner values end to end, then sorted."""
+    order = np.argsort(ri, kind="stable")
+    ri, kx = ri[order], kx[order]
+    by = np.argsort(ky, kind="stable")
+    ky, cj = ky[by], cj[by]
+    begin, end = np.searchsorted(ky, kx), np.searchsorted(ky, kx, "right")
+    many = np.cumsum(end - begin)
+    rows = np.append(np.flatnonzero(np.diff(ri, prepend=-1)), len(ri))
+    at = 0
+    while at < len(rows) - 1:
+        lo = rows[at]
+        before = many[lo - 1] if lo else 0
+        # rows up to CHUNK pairs, one at least
+        nxt = max(at + 1, int(np.searchsorted(many[rows[1:] - 1], before + CHUNK, "right")))
+        hi = rows[nxt]
+        length = (end - begin)[lo:hi]
+        first = np.repeat(begin[lo:hi] - (np.cumsum(length) - length), length)
+        pair = np.repeat(ri[lo:hi], length) * width + cj[first + np.arange(length.sum())]
+        pair.sort()
+        new = np.flatnonzero(np.diff(pair, prepend=-1))
+        number = np.diff(np.append(new, len(pair)))
+        pair = pair[new]
+        i = pair // width
+        yield i, pair - i * width, number
+        at = nxt
+
+
+def _dense(multiply, ri: np.ndarray, kx: np.ndarray, ky: np.ndarray, cj: np.ndarray, side: int):
+    """Pairs and their counts, a piece of at most `side` rows and columns at a time.
+
+    Rows follow each other by their least inner value, and meet only columns that share one with them, so that pieces of
+    values that nothing joins aren't multiplied.
+    """
+    least = np.full(int(ri.max()) + 1, np.iinfo(np.int64).max)
+    np.minimum.at(least, ri, kx)
+    place = np.empty(len(least), np.int64)
+    name = np.argsort(least, kind="stable")
+    place[name] = np.arange(len(least))
+    order = np.argsort(place[ri], kind="stable")
+    ri, kx = place[ri][order], kx[order]
+    by = np.argsort(ky, kind="stable")
+    ky, cj = ky[by], cj[by]
+    for ilo in range(0, len(least), side):
+        lo, hi = np.searchsorted(ri, [ilo, ilo + side])
+        inner = np.unique(kx[lo:hi])
+        begin, length = np.searchsorted(ky, inner), 0
+        length = np.searchsorted(ky, inner, "right") - begin
+        at = np.repeat(begin - (np.cumsum(length) - length), length) + np.arange(length.sum())
+        met, code = np.unique(cj[at], return_inverse=True)
+        by_col = np.argsort(code, kind="stable")
+        kc, code = ky[at][by_col], code[by_col]
+        for jlo in range(0, len(met), side):
+            clo, chi = np.searchsorted(code, [jlo, jlo + side])
+            rows, cols = min(side, len(least) - ilo), min(side, len(met) - jlo)
+            out = _piece(multiply, ri[lo:hi] - ilo, kx[lo:hi], kc[clo:chi], code[clo:chi] - jlo, rows, cols, side)
+            i, j = np.nonzero(out)
+            yield name[i + ilo], met[j + jlo], out[i, j]
+
+
+def _piece(multiply, r: np.ndarray, k1: np.ndarray, k2: np.ndarray, c: np.ndarray, rows: int, cols: int, side: int) -> np.ndarray:
     """Counts of a piece of the product, from pieces of the inner dimension."""
-    mine, other = (ri >= ilo) & (ri < ilo + rows), (cj >= jlo) & (cj < jlo + cols)
-    r, k1, k2, c = ri[mine] - ilo, ki[mine], kj[other], cj[other] - jlo
     out = np.zeros((rows, cols), np.int64)
     shared = np.intersect1d(k1, k2)
     for lo in range(0, len(shared), side):
