@@ -2,7 +2,10 @@
 
 from __future__ import annotations
 
+import gc
 import uuid
+from collections.abc import Iterator
+from contextlib import contextmanager
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -33,9 +36,30 @@ def shared_dir(spark: SparkSession) -> str:
     return found.rstrip("/")
 
 
+#: Paths of the tables cut in each open dropped_after(), innermost last.
+_DROPPED: list[list[str]] = []
+
+
+@contextmanager
+def dropped_after(spark: SparkSession) -> Iterator[None]:
+    """Tables cut inside are deleted at the end, and the JVM is asked to let go of what was shuffled for them."""
+    _DROPPED.append([])
+    try:
+        yield
+    finally:
+        jvm = spark.sparkContext._jvm
+        for f in _DROPPED.pop():
+            p = jvm.org.apache.hadoop.fs.Path(f)
+            p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(p, True)
+        gc.collect()
+        jvm.System.gc()
+
+
 def cut(df: DataFrame, name: str = "step") -> DataFrame:
     """Cut lineage by a table in the shared folder: read again, not made again, where an executor is lost or a plan uses it twice."""
     path = f"{shared_dir(df.sparkSession)}/mmquery/{name}-{uuid.uuid4().hex}"
+    if _DROPPED:
+        _DROPPED[-1].append(path)
     df.write.parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
