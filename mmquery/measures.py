@@ -29,6 +29,8 @@ class Measure:
     df: DataFrame
     #: What made it, where a store keeps it.
     key: tuple | None = field(default=None, compare=False)
+    #: Of a product cut at 1/B, its factors and the log of B.
+    factors: tuple[Measure, Measure, float] | None = field(default=None, compare=False)
 
     @property
     def columns(self) -> list[str]:
@@ -122,7 +124,18 @@ def truncated_product(px: Measure, pyx: Measure, ln_budget: float, bucketed: boo
     cols = list(dict.fromkeys([*px.columns, *pyx.columns]))
     total = F.col("lp") + F.col("__r")
     out = joined.where(total >= -ln_budget - SLACK).select(*cols, total.alias("lp"))
-    return Measure((), tuple(dict.fromkeys((*px.given, *px.over, *pyx.over))), out)
+    return Measure((), tuple(dict.fromkeys((*px.given, *px.over, *pyx.over))), out, factors=(px, pyx, ln_budget))
+
+
+def at(p: Measure, rows: DataFrame, name: str) -> DataFrame:
+    """The rows at which the measure isn't 0, with its log; a product is taken at these rows only and never made as a whole."""
+    if p.factors is None:
+        side = p.df.withColumnRenamed("lp", name)
+        return rows.join(side, p.columns) if p.columns else rows.crossJoin(F.broadcast(side))
+    px, pyx, ln_budget = p.factors
+    both = at(pyx, at(px, rows, f"{name}x"), f"{name}y")
+    total = F.col(f"{name}x") + F.col(f"{name}y")
+    return both.where(total >= -ln_budget - SLACK).select(*rows.columns, total.alias(name))
 
 
 def in_support(ln_budget: float, *weighted: tuple[float, str]):
