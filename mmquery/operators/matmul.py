@@ -108,19 +108,30 @@ def mm_blocked(r: DataFrame, s: DataFrame, inner: list[str], group: list[str] |
     return _tiled(r, s, inner, group or [], kernel, side or SIDE, count)
 
 
-def _tiled(r: DataFrame, s: DataFrame, inner: list[str], group: list[str], kernel: str | None, side: int, count: bool) -> DataFrame:
+def mm_total(r: DataFrame, s: DataFrame, at: DataFrame, inner: list[str], kernel: str = "blas", side: int | None = None) -> DataFrame:
+    """The counting product summed at the pairs of outer values that `at` holds, as one row `n`.
+
+    A pair of `at` goes to its tile, so no pair of the product leaves it, and only rows and columns that `at` asks for are multiplied.
+    """
+    return _tiled(r, s, inner, [], kernel, side or SIDE, True, at).agg(F.coalesce(F.sum("n"), F.lit(0)).cast("long").alias("n"))
+
+
+def _tiled(r: DataFrame, s: DataFrame, inner: list[str], group: list[str], kernel: str | None, side: int, count: bool, at: DataFrame | None = None) -> DataFrame:
     """Tiles of the product: the rows of r are hashed by their outer values to bands, so are those of s; a task holds a band of each, whole in the inner dimension.
 
     A pair lies in one tile, so nothing is reduced across tasks. The values of an inner value travel as one list; bands have about
-    TILE_ROWS rows, so lists are repeated once for each band of the other side.
+    TILE_ROWS rows, so lists are repeated once for each band of the other side. With pairs `at`, the rows are sums of counts at them.
     """
     left = [c for c in r.columns if c not in (*inner, *group)]
     right = [c for c in s.columns if c not in (*inner, *group)]
     on = [*group, *inner]
     n = {"i": _bands(r), "j": _bands(s)}
 
+    def band_of(cols: list[str], salt: int, d: str):
+        return F.pmod(F.xxhash64(*cols, F.lit(salt)), F.lit(n[d])).cast("int")
+
     def lists(df: DataFrame, cols: list[str], salt: int, d: str, other: str, name: str) -> DataFrame:
-        band = F.pmod(F.xxhash64(*cols, F.lit(salt)), F.lit(n[d])).cast("int")
+        band = band_of(cols, salt, d)
         entry = F.struct(*cols) if cols else F.struct(F.lit(0).alias("__one"))
         out = df.dropna(subset=on).select(F.struct(*on).alias("__k"), band.alias(f"__{d}"), entry.alias("__v")).groupBy("__k", f"__{d}").agg(F.collect_set("__v").alias(name))
         out = out.withColumn(f"__{other}", F.explode(F.sequence(F.lit(0), F.lit(n[other] - 1))))
@@ -128,10 +139,21 @@ def _tiled(r: DataFrame, s: DataFrame, inner: list[str], group: list[str], kerne
 
     a, b = lists(r, [*group, *left], 1, "i", "j", "__l"), lists(s, right, 3, "j", "i", "__r")
     fields = [r.schema[c] for c in (*group, *left)] + [s.schema[c] for c in right]
-    schema = StructType([*fields, StructField("n", LongType())])
+    summed = at is not None
+    schema = StructType([*([] if summed else fields), StructField("n", LongType())])
     arrow = to_arrow_schema(schema)
     names = [f.name for f in schema]
 
+    def total(x: list[pa.RecordBatch], y: list[pa.RecordBatch], z: list[pa.RecordBatch]):
+        (kx, ky), _ = _codes([_fields(x, "__k"), _fields(y, "__k")], on)
+        rows, kx = _entries(x, "__l", kx)
+        cols, ky = _entries(y, "__r", ky)
+        first, list_of = _entries(z, "__l", np.arange(sum(len(b) for b in z)))
+        second, list_of = _entries(z, "__r", list_of)
+        (ri, mi), _ = _codes([rows, first.take(pa.array(list_of))], left)
+        (cj, mj), _ = _codes([cols, second], right)
+        yield from pa.table([pa.array([_dense_at(KERNELS[kernel].multiply, ri, kx, ky, cj, mi, mj, side)])], names=names).cast(arrow).to_batches()
+
     def product(x: list[pa.RecordBatch], y: list[pa.RecordBatch]):
         (kx, ky), _ = _codes([_fields(x, "__k"), _fields(y, "__k")], on)
         rows, kx = _entries(x, "__l", kx)
@@ -149,28 +171,38 @@ def _tiled(r: DataFrame, s: DataFrame, inner: list[str], group: list[str], kerne
             yield from pa.table(values, names=names).cast(arrow).combine_chunks().to_batches(max_chunksize=BATCH)
 
     def work(batches):
-        at, x, y = None, [], []
+        now, parts = None, ([], [], [])
+
+        def done():
+            x, y, z = parts
+            if x and y and not summed:
+                yield from product(x, y)
+            elif x and y and z:
+                yield from total(x, y, z)
+
         for batch in batches:
             t = batch["__t"].to_numpy(zero_copy_only=False)
             cuts = np.flatnonzero(np.diff(t)) + 1
             for lo, hi in zip([0, *cuts], [*cuts, len(t)], strict=True):
                 if lo == hi:
                     continue
-                if t[lo] != at:
-                    if x and y:
-                        yield from product(x, y)
-                    at, x, y = t[lo], [], []
+                if t[lo] != now:
+                    yield from done()
+                    now, parts = t[lo], ([], [], [])
                 part = batch.slice(lo, hi - lo)
-                second = int(np.searchsorted(part["__side"].to_numpy(zero_copy_only=False), 1))
-                if second:
-                    x.append(part.slice(0, second))
-                if second < hi - lo:
-                    y.append(part.slice(second))
-        if x and y:
-            yield from product(x, y)
+                ends = np.searchsorted(part["__side"].to_numpy(zero_copy_only=False), range(4))
+                for rows, begin, end in zip(parts, ends[:-1], ends[1:], strict=True):
+                    if begin < end:
+                        rows.append(part.slice(begin, end - begin))
+        yield from done()
 
     tiles = n["i"] * n["j"]
-    dealt = a.unionByName(b, allowMissingColumns=True).repartition(min(4 * tiles, MOST_TASKS) if tiles > 1 else 1, "__t").sortWithinPartitions("__t", "__side", "__k")
+    dealt = a.unionByName(b, allowMissingColumns=True)
+    if summed:
+        tile = (band_of(left, 1, "i") * n["j"] + band_of(right, 3, "j")).cast("int")
+        pairs = at.select(tile.alias("__t"), F.struct(*left).alias("__one"), F.struct(*right).alias("__v")).groupBy("__t", "__one").agg(F.collect_set("__v").alias("__r"))
+        dealt = dealt.unionByName(pairs.select("__t", F.lit(2).alias("__side"), F.array("__one").alias("__l"), "__r"), allowMissingColumns=True)
+    dealt = dealt.repartition(min(4 * tiles, MOST_TASKS) if tiles > 1 else 1, "__t").sortWithinPartitions("__t", "__side", "__k")
     out = dealt.mapInArrow(work, schema)
     return out if count else out.drop("n")
 
@@ -254,6 +286,50 @@ def _dense(multiply, ri: np.ndarray, kx: np.ndarray, ky: np.ndarray, cj: np.ndar
             yield name[i + ilo], met[j + jlo], out[i, j]
 
 
+def _dense_at(multiply, ri: np.ndarray, kx: np.ndarray, ky: np.ndarray, cj: np.ndarray, mi: np.ndarray, mj: np.ndarray, side: int) -> int:
+    """The sum of counts at the pairs (mi, mj), a piece of at most `side` rows and columns at a time.
+
+    A piece holds rows that have pairs, ordered by their least inner value, and the columns of those pairs.
+    """
+    some = np.isin(ri, mi) & np.isin(kx, ky)
+    ri, kx = ri[some], kx[some]
+    if not len(ri):
+        return 0
+    names, ri = np.unique(ri, return_inverse=True)
+    least = np.full(len(names), np.iinfo(np.int64).max)
+    np.minimum.at(least, ri, kx)
+    place = np.empty(len(names), np.int64)
+    place[np.argsort(least, kind="stable")] = np.arange(len(names))
+    order = np.argsort(place[ri], kind="stable")
+    ri, kx = place[ri][order], kx[order]
+    some = np.isin(mi, names)
+    mi, mj = place[np.searchsorted(names, mi[some])], mj[some]
+    order = np.argsort(mi, kind="stable")
+    mi, mj = mi[order], mj[order]
+    by = np.argsort(ky, kind="stable")
+    ky, cj = ky[by], cj[by]
+    out = 0
+    for ilo in range(0, len(names), side):
+        lo, hi = np.searchsorted(ri, [ilo, ilo + side])
+        mlo, mhi = np.searchsorted(mi, [ilo, ilo + side])
+        inner = np.unique(kx[lo:hi])
+        begin = np.searchsorted(ky, inner)
+        length = np.searchsorted(ky, inner, "right") - begin
+        found = np.repeat(begin - (np.cumsum(length) - length), length) + np.arange(length.sum())
+        met = np.intersect1d(cj[found], mj[mlo:mhi])
+        kc, code = ky[found], np.searchsorted(met, cj[found])
+        kept = np.isin(cj[found], met)
+        kc, code = kc[kept], code[kept]
+        asked = np.isin(mj[mlo:mhi], met)
+        pi, pj = mi[mlo:mhi][asked] - ilo, np.searchsorted(met, mj[mlo:mhi][asked])
+        for jlo in range(0, len(met), side):
+            here, at = (code >= jlo) & (code < jlo + side), (pj >= jlo) & (pj < jlo + side)
+            rows, cols = min(side, len(names) - ilo), min(side, len(met) - jlo)
+            counts = _piece(multiply, ri[lo:hi] - ilo, kx[lo:hi], kc[here], code[here] - jlo, rows, cols, side)
+            out += int(counts[pi[at], pj[at] - jlo].sum())
+    return out
+
+
 def _piece(multiply, r: np.ndarray, k1: np.ndarray, k2: np.ndarray, c: np.ndarray, rows: int, cols: int, side: int) -> np.ndarray:
     """Counts of a piece of the product, from pieces of the inner dimension."""
     out = np.zeros((rows, cols), np.int64)

@@ -51,8 +51,13 @@ def dropped_after(spark: SparkSession) -> Iterator[None]:
         for f in _DROPPED.pop():
             p = jvm.org.apache.hadoop.fs.Path(f)
             p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(p, True)
-        gc.collect()
-        jvm.System.gc()
+        let_go(spark)
+
+
+def let_go(spark: SparkSession) -> None:
+    """Shuffle files of frames that nothing holds any more are deleted once both sides have collected their garbage."""
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
 
 
 def cut(df: DataFrame, name: str = "step") -> DataFrame:
