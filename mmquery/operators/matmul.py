@@ -13,6 +13,8 @@ from pyspark.sql import functions as F
 from pyspark.sql.pandas.types import to_arrow_schema
 from pyspark.sql.types import LongType, StructField, StructType
 
+from ..sources.tables import cut
+
 #: Side of a square block, in values.
 SIDE = 2048
 #: Rows of a band; rows from which a small relation has more than one, and bands that it gets then at most.
@@ -393,3 +395,47 @@ def mm_bits(r: DataFrame, s: DataFrame, inner: str, left: str, right: str, block
     b = words(s, right).withColumn("__b", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))))
     met = a.join(b, ["__g", "__word", "__b"]).where(F.col(f"__of_{left}").bitwiseAND(F.col(f"__of_{right}")) != 0)
     return met.select(left, right).distinct()
+
+
+#: Words of a block of right values (a power of two), and pairs of values that a band of left values meets.
+WORDS, BAND_PAIRS = 4, 5_000_000
+
+
+def mm_words(r: DataFrame, s: DataFrame, inner: str, left: str, right: str) -> DataFrame:
+    """The Boolean product in Catalyst alone, for matrices of many pairs: a left value with the words of each block of integral right values that it meets.
+
+    Left values are dealt to bands of neighbours. An inner value's right values go only to bands that hold it, where they become bits and
+    are joined by or, so no pair is shuffled and a task's memory follows BAND_PAIRS; it is never a row after that either (`word_count`, `word_sum`).
+    """
+    count = lambda df, name: df.groupBy(inner).agg(F.count("*").alias(name))
+    pairs = count(r, "__a").join(count(s, "__c"), inner).agg(F.sum(F.col("__a") * F.col("__c"))).first()[0] or 0
+    bands = min(MOST_TASKS, max(1, -(-pairs // BAND_PAIRS)))
+    held = r.select(left).distinct().repartitionByRange(bands, left)
+    held = cut(held.withColumn("__t", F.spark_partition_id()), "bands")
+    few = r.join(held, left).groupBy(inner, "__t").agg(F.collect_set(left).alias("__l"))
+    many = s.groupBy(inner).agg(F.collect_set(right).alias("__r"))
+    met = few.join(many, inner).select("__t", "__l", "__r").repartition(bands, "__t")
+    rows = met.select("__t", F.explode("__l").alias(left), "__r").select("__t", left, F.explode("__r").alias("__v"))
+    word, bit = F.expr("shiftright(__v, 6)"), F.expr("shiftleft(1L, cast(__v & 63 as int))")
+    block = F.shiftright("__v", 6 + WORDS.bit_length() - 1)
+    words = [F.bit_or(F.when(F.pmod(word, F.lit(WORDS)) == k, bit).otherwise(F.lit(0).cast("long"))).alias(f"__w{k}") for k in range(WORDS)]
+    return rows.withColumn("__block", block).groupBy("__t", left, "__block").agg(*words).drop("__t")
+
+
+def word_count():
+    """Right values of a row of mm_words()."""
+    return sum((F.bit_count(f"__w{k}").cast("long") for k in range(1, WORDS)), F.bit_count("__w0").cast("long"))
+
+
+def word_sum():
+    """Their sum: the first value of each word for each bit, and the places of the bits by their binary digits."""
+    digits = [sum(1 << b for b in range(64) if b >> j & 1) for j in range(6)]
+    signed = [m - (1 << 64) if m >> 63 else m for m in digits]
+    out = F.col("__block") * (64 * WORDS) * word_count()
+    for k in range(WORDS):
+        w = F.col(f"__w{k}")
+        if k:
+            out = out + F.bit_count(w) * F.lit(64 * k).cast("long")
+        for j, m in enumerate(signed):
+            out = out + F.bit_count(w.bitwiseAND(F.lit(m).cast("long"))) * F.lit(1 << j).cast("long")
+    return out
