@@ -26,16 +26,22 @@ CUTOFF = 64
 
 @dataclass(frozen=True)
 class Kernel:
-    """A way to multiply dense 0/1 blocks, with the exponent it stands for."""
+    """A way to multiply dense 0/1 blocks, with the exponent it stands for, the type it works on and about what it takes for a multiplication in ns.
+
+    `meets` is a cheaper product for where only the pairs are asked for.
+    """
 
     name: str
     omega: Fraction
     multiply: Callable[[np.ndarray, np.ndarray], np.ndarray]
     counts: bool
+    dtype: type = np.int8
+    price: float = 0.03
+    meets: Callable[[np.ndarray, np.ndarray], np.ndarray] | None = None
 
 
 def _blas(a: np.ndarray, b: np.ndarray) -> np.ndarray:
-    return np.rint(a.astype(np.float32) @ b.astype(np.float32)).astype(np.int64)
+    return a.astype(np.float32, copy=False) @ b.astype(np.float32, copy=False)
 
 
 def _bitset(a: np.ndarray, b: np.ndarray) -> np.ndarray:
@@ -51,6 +57,20 @@ def _bitset(a: np.ndarray, b: np.ndarray) -> np.ndarray:
     return out
 
 
+def _bitset_meets(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """The columns of an inner value as words; a row is the or of its inner values'."""
+    words = np.packbits(b, axis=1)
+    if words.shape[1] % 8:
+        words = np.pad(words, ((0, 0), (0, -words.shape[1] % 8)))
+    words = words.view(np.uint64)
+    out = np.zeros((len(a), words.shape[1]), np.uint64)
+    i, k = np.nonzero(a)
+    ends = np.searchsorted(i, np.arange(len(a) + 1))
+    for row, lo, hi in zip(out, ends[:-1], ends[1:], strict=True):
+        np.bitwise_or.reduce(words[k[lo:hi]], axis=0, out=row)
+    return np.unpackbits(out.view(np.uint8), axis=1, count=b.shape[1]).view(bool)
+
+
 def _recursive(a: np.ndarray, b: np.ndarray) -> np.ndarray:
     """Seven half-size products in place of eight, down to a cutoff; the public textbook identities."""
     n = 1 << max(0, max(*a.shape, b.shape[1]) - 1).bit_length()
@@ -80,10 +100,16 @@ def _recursive(a: np.ndarray, b: np.ndarray) -> np.ndarray:
 
 
 KERNELS = {
-    "blas": Kernel("blas", Fraction(3), _blas, True),
-    "bitset": Kernel("bitset", Fraction(3), _bitset, True),
-    "recursive7": Kernel("recursive7", Fraction(281, 100), _recursive, True),
+    "blas": Kernel("blas", Fraction(3), _blas, True, np.float32),
+    "bitset": Kernel("bitset", Fraction(3), _bitset, True, np.int8, 0.02, _bitset_meets),
+    "recursive7": Kernel("recursive7", Fraction(281, 100), _recursive, True, np.float64, 0.06),
 }
+#: What a block takes besides its multiplications, in ns: each, a value of its right matrix, a value of its product.
+BLOCK_NS, RIGHT_NS, OUT_NS = 200_000, 0.1, 1.0
+#: Blocks of the same number of rows, until it is looked at again.
+SAME = 6
+#: Right matrices with a one in so many values at least are multiplied in square pieces, sparser ones are packed.
+THIN = 32
 
 
 def fuse(df: DataFrame, columns: list[str], name: str) -> DataFrame:
@@ -105,9 +131,13 @@ def mm_sparse(r: DataFrame, s: DataFrame, inner: list[str], group: list[str] | N
     return joined.distinct()
 
 
-def mm_blocked(r: DataFrame, s: DataFrame, inner: list[str], group: list[str] | None = None, kernel: str = "blas", side: int | None = None, count: bool = False) -> DataFrame:
-    """The same product in square blocks of at most `side` values a dimension, for each value of the group's columns."""
-    return _tiled(r, s, inner, group or [], kernel, side or SIDE, count)
+def mm_blocked(r: DataFrame, s: DataFrame, inner: list[str], group: list[str] | None = None, kernel: str = "blas", side: int | None = None, count: bool = False, per_row: dict[str, str] | None = None) -> DataFrame:
+    """The same product in blocks of dense values, `side` rows and side * side values of a matrix at most, for each value of the group's columns.
+
+    With `per_row`, a left value's pairs are summed up within their tile: long columns by name that are its `pairs` (how many), `paths` (the sum
+    of their counts), `most` (the greatest count) or the sum of an integral right column. A left value has some such rows, to be summed (or `most` compared).
+    """
+    return _tiled(r, s, inner, group or [], kernel, side or SIDE, count, per_row=per_row)
 
 
 def mm_total(r: DataFrame, s: DataFrame, at: DataFrame, inner: list[str], kernel: str = "blas", side: int | None = None) -> DataFrame:
@@ -118,11 +148,12 @@ def mm_total(r: DataFrame, s: DataFrame, at: DataFrame, inner: list[str], kernel
     return _tiled(r, s, inner, [], kernel, side or SIDE, True, at).agg(F.coalesce(F.sum("n"), F.lit(0)).cast("long").alias("n"))
 
 
-def _tiled(r: DataFrame, s: DataFrame, inner: list[str], group: list[str], kernel: str | None, side: int, count: bool, at: DataFrame | None = None) -> DataFrame:
+def _tiled(r: DataFrame, s: DataFrame, inner: list[str], group: list[str], kernel: str | None, side: int, count: bool, at: DataFrame | None = None, per_row: dict[str, str] | None = None) -> DataFrame:
     """Tiles of the product: the rows of r are hashed by their outer values to bands, so are those of s; a task holds a band of each, whole in the inner dimension.
 
     A pair lies in one tile, so nothing is reduced across tasks. The values of an inner value travel as one list; bands have about
-    TILE_ROWS rows, so lists are repeated once for each band of the other side. With pairs `at`, the rows are sums of counts at them.
+    TILE_ROWS rows, so lists are repeated once for each band of the other side. With pairs `at`, the rows are sums of counts at them, and with
+    `per_row` they are sums over the pairs of a left value.
     """
     left = [c for c in r.columns if c not in (*inner, *group)]
     right = [c for c in s.columns if c not in (*inner, *group)]
@@ -140,9 +171,10 @@ def _tiled(r: DataFrame, s: DataFrame, inner: list[str], group: list[str], kerne
         return out.select((F.col("__i") * n["j"] + F.col("__j")).cast("int").alias("__t"), F.lit(0 if d == "i" else 1).alias("__side"), "__k", name)
 
     a, b = lists(r, [*group, *left], 1, "i", "j", "__l"), lists(s, right, 3, "j", "i", "__r")
-    fields = [r.schema[c] for c in (*group, *left)] + [s.schema[c] for c in right]
+    fields = [r.schema[c] for c in (*group, *left)] + [s.schema[c] for c in right if not per_row]
     summed = at is not None
-    schema = StructType([*([] if summed else fields), StructField("n", LongType())])
+    counts = count or bool({"paths", "most"} & set((per_row or {}).values()))
+    schema = StructType([*([] if summed else fields), *(StructField(c, LongType()) for c in per_row or (["n"] if count else []))])
     arrow = to_arrow_schema(schema)
     names = [f.name for f in schema]
 
@@ -166,10 +198,18 @@ def _tiled(r: DataFrame, s: DataFrame, inner: list[str], group: list[str], kerne
             return
         (ri,), row_at = _codes([rows], [*group, *left])
         (cj,), col_at = _codes([cols], right)
-        found = _sparse(ri, kx, ky, cj, len(col_at)) if kernel is None else _dense(KERNELS[kernel].multiply, ri, kx, ky, cj, side)
-        for i, j, number in found:
-            at_x, at_y = pa.array(row_at[i]), pa.array(col_at[j])
-            values = [*(rows[c].take(at_x) for c in (*group, *left)), *(cols[c].take(at_y) for c in right), pa.array(number)]
+        found = _sparse(ri, kx, ky, cj, len(col_at)) if kernel is None else _dense(KERNELS[kernel], ri, kx, ky, cj, side, counts)
+        of_row = [rows[c].take(pa.array(row_at)).combine_chunks() for c in (*group, *left)]
+        of_col = {c: cols[c].take(pa.array(col_at)).combine_chunks() for c in right}
+        if per_row:
+            summed_up = {c: _integers(of_col[c]) for c in per_row.values() if c in right}
+            found = (_per_row(*some, per_row, summed_up) for some in _gathered(found))
+        for i, *others in _gathered(found):
+            values = [v.take(pa.array(i)) for v in of_row]
+            if per_row:
+                values += [pa.array(v) for v in others]
+            else:
+                values += [v.take(pa.array(others[0])) for v in of_col.values()] + ([pa.array(others[1])] if count else [])
             yield from pa.table(values, names=names).cast(arrow).combine_chunks().to_batches(max_chunksize=BATCH)
 
     def work(batches):
@@ -205,8 +245,7 @@ def _tiled(r: DataFrame, s: DataFrame, inner: list[str], group: list[str], kerne
         pairs = at.select(tile.alias("__t"), F.struct(*left).alias("__one"), F.struct(*right).alias("__v")).groupBy("__t", "__one").agg(F.collect_set("__v").alias("__r"))
         dealt = dealt.unionByName(pairs.select("__t", F.lit(2).alias("__side"), F.array("__one").alias("__l"), "__r"), allowMissingColumns=True)
     dealt = dealt.repartition(min(4 * tiles, MOST_TASKS) if tiles > 1 else 1, "__t").sortWithinPartitions("__t", "__side", "__k")
-    out = dealt.mapInArrow(work, schema)
-    return out if count else out.drop("n")
+    return dealt.mapInArrow(work, schema)
 
 
 def _bands(df: DataFrame) -> int:
@@ -228,6 +267,41 @@ def _entries(batches: list[pa.RecordBatch], name: str, k: np.ndarray) -> tuple[p
     return pa.table({f.name: pa.chunked_array([c.field(i) for c in flat]) for i, f in enumerate(flat[0].type)}), np.repeat(k, many)
 
 
+def _gathered(found):
+    """Arrays that come a few rows at a time, about a batch at a time."""
+    parts, many = [], 0
+    for part in found:
+        parts.append(part)
+        many += len(part[0])
+        if many >= BATCH:
+            yield tuple(np.concatenate(x) for x in zip(*parts, strict=True))
+            parts, many = [], 0
+    if many:
+        yield tuple(np.concatenate(x) for x in zip(*parts, strict=True))
+
+
+def _integers(values: pa.Array) -> np.ndarray:
+    """Integers to be summed, nulls as 0."""
+    return values.cast(pa.int64()).fill_null(0).to_numpy(zero_copy_only=False)
+
+
+def _per_row(i: np.ndarray, j: np.ndarray, number: np.ndarray, per_row: dict[str, str], of_col: dict[str, np.ndarray]) -> tuple[np.ndarray, ...]:
+    """The measures of each run of equal i, as mm_blocked() names them."""
+    first = np.flatnonzero(np.diff(i, prepend=-1))
+    out = []
+    for what in per_row.values():
+        if what in of_col:
+            value = of_col[what][j]
+            if len(value) and float(max(-int(value.min()), int(value.max()))) * len(value) >= 2**63 and np.abs(np.add.reduceat(value.astype(np.float64), first)).max() >= 2**63:
+                raise OverflowError(f"the sum of {what} exceeds a long")
+            out.append(np.add.reduceat(value, first))
+        elif what == "pairs":
+            out.append(np.diff(np.append(first, len(i))))
+        else:
+            out.append((np.add if what == "paths" else np.maximum).reduceat(number, first).astype(np.int64))
+    return i[first], *out
+
+
 def _sparse(ri: np.ndarray, kx: np.ndarray, ky: np.ndarray, cj: np.ndarray, width: int):
     """Pairs and their counts, some rows at a time: the columns of a row's inner values end to end, then sorted."""
     order = np.argsort(ri, kind="stable")
@@ -256,37 +330,121 @@ def _sparse(ri: np.ndarray, kx: np.ndarray, ky: np.ndarray, cj: np.ndarray, widt
         at = nxt
 
 
-def _dense(multiply, ri: np.ndarray, kx: np.ndarray, ky: np.ndarray, cj: np.ndarray, side: int):
-    """Pairs and their counts, a piece of at most `side` rows and columns at a time.
+def _dense(kernel: Kernel, ri: np.ndarray, kx: np.ndarray, ky: np.ndarray, cj: np.ndarray, side: int, count: bool):
+    """Pairs and their counts, a packed block at a time: some rows, the inner values that they have, and the columns that those meet.
 
-    Rows follow each other by their least inner value, and meet only columns that share one with them, so that pieces of
-    values that nothing joins aren't multiplied.
+    Rows follow each other by their least inner value, `side` at most in a block: as many as make a pair cheapest. Few rows share few
+    columns, so their block has few values for each one in it; rows that share most of theirs make large blocks.
     """
-    least = np.full(int(ri.max()) + 1, np.iinfo(np.int64).max)
+    multiply = kernel.multiply if count or not kernel.meets else kernel.meets
+    n = int(ri.max()) + 1
+    least = np.full(n, np.iinfo(np.int64).max)
     np.minimum.at(least, ri, kx)
-    place = np.empty(len(least), np.int64)
+    place = np.empty(n, np.int64)
     name = np.argsort(least, kind="stable")
-    place[name] = np.arange(len(least))
+    place[name] = np.arange(n)
     order = np.argsort(place[ri], kind="stable")
     ri, kx = place[ri][order], kx[order]
+    start = np.searchsorted(ri, np.arange(n + 1))
     by = np.argsort(ky, kind="stable")
     ky, cj = ky[by], cj[by]
-    for ilo in range(0, len(least), side):
-        lo, hi = np.searchsorted(ri, [ilo, ilo + side])
-        inner = np.unique(kx[lo:hi])
-        begin, length = np.searchsorted(ky, inner), 0
-        length = np.searchsorted(ky, inner, "right") - begin
-        at = np.repeat(begin - (np.cumsum(length) - length), length) + np.arange(length.sum())
+    begin = np.searchsorted(ky, np.arange(int(kx.max()) + 2))
+    degree = np.diff(begin)
+    paths = np.concatenate([[0], np.cumsum(degree[kx])])[start]
+    width, most = int(cj.max()) + 1, side * side
+    slot, slot_of_inner = np.empty(width, np.int64), np.empty(len(degree), np.int64)
+    right = np.zeros(most + 64 * side, kernel.dtype)  # all 0 between blocks
+
+    def distinct(values: np.ndarray, slot: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """The distinct values, in any order, and the place of each value among them."""
+        every = np.arange(len(values))
+        slot[values] = every
+        one = slot[values]
+        new = one == every
+        return values[new], (np.cumsum(new) - 1)[one]
+
+    def price(ilo: int, size: int) -> float:
+        """About what a pair takes in a block of so many rows."""
+        ihi = min(ilo + size, n)
+        lo, hi = start[ilo], start[ihi]
+        inner = distinct(kx[lo:hi], slot_of_inner)[0]
+        cols = -width * np.expm1(-degree[inner].sum() / width)
+        work = (hi - lo if multiply is kernel.meets else (ihi - ilo) * len(inner)) * kernel.price
+        return (BLOCK_NS + cols * (work + RIGHT_NS * len(inner) + OUT_NS * (ihi - ilo))) / (paths[ihi] - paths[ilo])
+
+    def packed(ilo: int, ihi: int, r: np.ndarray, k: np.ndarray, inner: np.ndarray):
+        """The block of inner values: its rows are known, its columns are those that the inner values have."""
+        many = degree[inner]
+        k2 = np.repeat(np.arange(len(inner)), many)
+        met, code = distinct(cj[np.arange(len(k2)) + np.repeat(begin[inner] - (np.cumsum(many) - many), many)], slot)
+        m1 = np.zeros((ihi - ilo, len(inner)), kernel.dtype)
+        m1[r, k] = 1
+        step = max(1, most // (ihi - ilo))
+        for jlo in range(0, len(met), step):
+            here = slice(None) if step >= len(met) else (code >= jlo) & (code < jlo + step)
+            w = -(-min(step, len(met) - jlo) // 64) * 64
+            ones = k2[here] * w + (code[here] - jlo)
+            values = len(inner) * w
+            m2 = right[:values] if values <= len(right) else np.zeros(values, kernel.dtype)
+            m2[ones] = 1
+            out = multiply(m1, m2.reshape(len(inner), w)).ravel()
+            m2[ones] = 0
+            flat = np.flatnonzero(out != 0)
+            ends = np.searchsorted(flat, np.arange(ihi - ilo + 1) * w)
+            many = np.diff(ends)
+            yield np.repeat(name[ilo:ihi], many), met[flat - np.repeat(np.arange(ihi - ilo) * w - jlo, many)], out[flat]
+
+    def square(ilo: int, ihi: int, inner: np.ndarray):
+        lo, hi = start[ilo], start[ihi]
+        many = degree[inner]
+        at = np.repeat(begin[inner] - (np.cumsum(many) - many), many) + np.arange(many.sum())
         met, code = np.unique(cj[at], return_inverse=True)
         by_col = np.argsort(code, kind="stable")
         kc, code = ky[at][by_col], code[by_col]
         for jlo in range(0, len(met), side):
             clo, chi = np.searchsorted(code, [jlo, jlo + side])
-            rows, cols = min(side, len(least) - ilo), min(side, len(met) - jlo)
-            out = _piece(multiply, ri[lo:hi] - ilo, kx[lo:hi], kc[clo:chi], code[clo:chi] - jlo, rows, cols, side)
+            out = _piece(multiply, ri[lo:hi] - ilo, kx[lo:hi], kc[clo:chi], code[clo:chi] - jlo, ihi - ilo, min(side, len(met) - jlo), side)
             i, j = np.nonzero(out)
             yield name[i + ilo], met[j + jlo], out[i, j]
 
+    def block(ilo: int, ihi: int):
+        lo, hi = start[ilo], start[ihi]
+        inner, k = distinct(kx[lo:hi], slot_of_inner)
+        ones = int(degree[inner].sum())
+        values = len(inner) * min(ones, width)
+        if values <= most:
+            yield from packed(ilo, ihi, ri[lo:hi] - ilo, k, inner)
+        elif ones * THIN >= values:
+            yield from square(ilo, ihi, np.sort(inner))
+        elif ihi - ilo > 1:
+            half = (ilo + ihi) // 2
+            yield from block(ilo, half)
+            yield from block(half, ihi)
+        else:
+            yield from alone(ilo, inner)
+
+    def alone(ilo: int, inner: np.ndarray):
+        """A row of many inner values that meet few columns each: some at a time, counts of equal columns added."""
+        before = np.concatenate([[0], np.cumsum(degree[inner])])
+        lo, parts = 0, []
+        while lo < len(inner):
+            size = len(inner) - lo
+            while size > 1 and size * (before[lo + size] - before[lo]) > most:
+                size = (size + 1) // 2
+            parts += packed(ilo, ilo + 1, np.zeros(size, np.int64), np.arange(size), inner[lo : lo + size])
+            lo += size
+        met, code = np.unique(np.concatenate([j for _, j, _ in parts]), return_inverse=True)
+        number = np.bincount(code, np.concatenate([x for _, _, x in parts])).astype(np.int64)
+        yield np.full(len(met), name[ilo]), met, number
+
+    ilo, size, left = 0, 0, 0
+    while ilo < n:
+        if not left:
+            sizes = {min(side, 1 << b) for b in range(side.bit_length())} if not size else {max(1, size // 2), size, min(side, 2 * size)}
+            size, left = min(sorted(sizes), key=lambda x: price(ilo, x)), SAME
+        yield from block(ilo, min(ilo + size, n))
+        ilo, left = ilo + size, left - 1
+
 
 def _dense_at(multiply, ri: np.ndarray, kx: np.ndarray, ky: np.ndarray, cj: np.ndarray, mi: np.ndarray, mj: np.ndarray, side: int) -> int:
     """The sum of counts at the pairs (mi, mj), a piece of at most `side` rows and columns at a time.
@@ -344,7 +502,7 @@ def _piece(multiply, r: np.ndarray, k1: np.ndarray, k2: np.ndarray, c: np.ndarra
         m1, m2 = np.zeros((rows, len(part)), np.int8), np.zeros((len(part), cols), np.int8)
         m1[r[in_a], a[in_a]] = 1
         m2[b[in_b], c[in_b]] = 1
-        out += multiply(m1, m2)
+        out += multiply(m1, m2).astype(np.int64, copy=False)
     return out
 
 
