@@ -72,31 +72,31 @@ def _bitset_meets(a: np.ndarray, b: np.ndarray) -> np.ndarray:
 
 
 def _recursive(a: np.ndarray, b: np.ndarray) -> np.ndarray:
-    """Seven half-size products in place of eight, down to a cutoff; the public textbook identities."""
-    n = 1 << max(0, max(*a.shape, b.shape[1]) - 1).bit_length()
-    x, y = np.zeros((n, n), np.int64), np.zeros((n, n), np.int64)
-    x[: a.shape[0], : a.shape[1]] = a
-    y[: b.shape[0], : b.shape[1]] = b
+    """Seven half-size products in place of eight, until a dimension is down to a cutoff; the public textbook identities."""
+
+    def even(x: np.ndarray) -> np.ndarray:
+        return np.pad(x, [(0, n % 2) for n in x.shape]) if any(n % 2 for n in x.shape) else x
 
     def go(p: np.ndarray, q: np.ndarray) -> np.ndarray:
-        k = len(p)
-        if k <= CUTOFF:
-            return np.rint(p.astype(np.float64) @ q.astype(np.float64)).astype(np.int64)
-        h = k // 2
-        (p1, p2), (p3, p4) = (p[:h, :h], p[:h, h:]), (p[h:, :h], p[h:, h:])
-        (q1, q2), (q3, q4) = (q[:h, :h], q[:h, h:]), (q[h:, :h], q[h:, h:])
+        if min(*p.shape, q.shape[1]) <= CUTOFF:
+            return p @ q
+        m, n = len(p), q.shape[1]
+        p, q = even(p), even(q)
+        i, k, j = len(p) // 2, len(q) // 2, q.shape[1] // 2
+        (p1, p2), (p3, p4) = (p[:i, :k], p[:i, k:]), (p[i:, :k], p[i:, k:])
+        (q1, q2), (q3, q4) = (q[:k, :j], q[:k, j:]), (q[k:, :j], q[k:, j:])
         diagonal = go(p1 + p4, q1 + q4)
         low, high = go(p3 + p4, q1), go(p1, q2 - q4)
         turn, wide = go(p4, q3 - q1), go(p1 + p2, q4)
         first, last = go(p3 - p1, q1 + q2), go(p2 - p4, q3 + q4)
-        out = np.empty((k, k), np.int64)
-        out[:h, :h] = diagonal + turn - wide + last
-        out[:h, h:] = high + wide
-        out[h:, :h] = low + turn
-        out[h:, h:] = diagonal - low + high + first
-        return out
-
-    return go(x, y)[: a.shape[0], : b.shape[1]]
+        out = np.empty((2 * i, 2 * j))
+        out[:i, :j] = diagonal + turn - wide + last
+        out[:i, j:] = high + wide
+        out[i:, :j] = low + turn
+        out[i:, j:] = diagonal - low + high + first
+        return out[:m, :n]
+
+    return np.ascontiguousarray(go(a.astype(np.float64, copy=False), b.astype(np.float64, copy=False)))
 
 
 KERNELS = {
