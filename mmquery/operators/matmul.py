@@ -11,7 +11,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.pandas.types import to_arrow_schema
-from pyspark.sql.types import LongType, StructField, StructType
+from pyspark.sql.types import IntegerType, LongType, StringType, StructField, StructType
 
 from ..sources.tables import cut
 
@@ -158,14 +158,16 @@ def _tiled(r: DataFrame, s: DataFrame, inner: list[str], group: list[str], kerne
     left = [c for c in r.columns if c not in (*inner, *group)]
     right = [c for c in s.columns if c not in (*inner, *group)]
     on = [*group, *inner]
-    n = {"i": _bands(r), "j": _bands(s)}
+    (n_i, plain_l), (n_j, plain_r) = _bands(r, [*group, *left] if at is None else []), _bands(s, right if at is None else [])
+    n = {"i": n_i, "j": n_j}
 
     def band_of(cols: list[str], salt: int, d: str):
         return F.pmod(F.xxhash64(*cols, F.lit(salt)), F.lit(n[d])).cast("int")
 
     def lists(df: DataFrame, cols: list[str], salt: int, d: str, other: str, name: str) -> DataFrame:
         band = band_of(cols, salt, d)
-        entry = F.struct(*cols) if cols else F.struct(F.lit(0).alias("__one"))
+        plain = plain_l if d == "i" else plain_r
+        entry = F.col(plain) if plain else F.struct(*cols) if cols else F.struct(F.lit(0).alias("__one"))
         out = df.dropna(subset=on).select(F.struct(*on).alias("__k"), band.alias(f"__{d}"), entry.alias("__v")).groupBy("__k", f"__{d}").agg(F.collect_set("__v").alias(name))
         out = out.withColumn(f"__{other}", F.explode(F.sequence(F.lit(0), F.lit(n[other] - 1))))
         return out.select((F.col("__i") * n["j"] + F.col("__j")).cast("int").alias("__t"), F.lit(0 if d == "i" else 1).alias("__side"), "__k", name)
@@ -190,8 +192,8 @@ def _tiled(r: DataFrame, s: DataFrame, inner: list[str], group: list[str], kerne
 
     def product(x: list[pa.RecordBatch], y: list[pa.RecordBatch]):
         (kx, ky), _ = _codes([_fields(x, "__k"), _fields(y, "__k")], on)
-        rows, kx = _entries(x, "__l", kx)
-        cols, ky = _entries(y, "__r", ky)
+        rows, kx = _entries(x, "__l", kx, plain_l)
+        cols, ky = _entries(y, "__r", ky, plain_r)
         some = np.isin(kx, ky)
         rows, kx = rows.filter(pa.array(some)), kx[some]
         if not len(kx):
@@ -248,10 +250,11 @@ def _tiled(r: DataFrame, s: DataFrame, inner: list[str], group: list[str], kerne
     return dealt.mapInArrow(work, schema)
 
 
-def _bands(df: DataFrame) -> int:
-    """Bands of about TILE_ROWS rows; small relations get a few more, so that tasks share the work."""
-    rows = df.count()
-    return max(1, -(-rows // TILE_ROWS), min(FEW_BANDS, rows // LEAST_ROWS))
+def _bands(df: DataFrame, cols: list[str]) -> tuple[int, str | None]:
+    """Bands of about TILE_ROWS rows; small relations get a few more, so that tasks share the work. Beside them the only one of the columns, if it's plain and never null."""
+    one = cols[0] if len(cols) == 1 and isinstance(df.schema[cols[0]].dataType, (LongType, IntegerType, StringType)) else None
+    rows, nulls = df.agg(F.count("*"), F.count_if(F.col(one).isNull()) if one else F.lit(0)).first()
+    return max(1, -(-rows // TILE_ROWS), min(FEW_BANDS, rows // LEAST_ROWS)), one if not nulls else None
 
 
 def _fields(batches: list[pa.RecordBatch], name: str) -> pa.Table:
@@ -259,12 +262,13 @@ def _fields(batches: list[pa.RecordBatch], name: str) -> pa.Table:
     return pa.table({f.name: pa.chunked_array([b[name].field(i) for b in batches]) for i, f in enumerate(batches[0][name].type)})
 
 
-def _entries(batches: list[pa.RecordBatch], name: str, k: np.ndarray) -> tuple[pa.Table, np.ndarray]:
-    """The values of all lists as a table, and the inner value's number of each."""
+def _entries(batches: list[pa.RecordBatch], name: str, k: np.ndarray, plain: str | None = None) -> tuple[pa.Table, np.ndarray]:
+    """The values of all lists as a table, and the inner value's number of each; lists of structs, or of the plain column."""
     lists = pa.chunked_array([b[name] for b in batches])
     flat = [c.flatten() for c in lists.chunks]
     many = np.concatenate([c.value_lengths().to_numpy(zero_copy_only=False) for c in lists.chunks]).astype(np.int64)
-    return pa.table({f.name: pa.chunked_array([c.field(i) for c in flat]) for i, f in enumerate(flat[0].type)}), np.repeat(k, many)
+    fields = {plain: flat} if plain else {f.name: [c.field(i) for c in flat] for i, f in enumerate(flat[0].type)}
+    return pa.table({c: pa.chunked_array(v) for c, v in fields.items()}), np.repeat(k, many)
 
 
 def _gathered(found):
@@ -523,9 +527,9 @@ def _codes(tables: list[pa.Table], cols: list[str]) -> tuple[list[np.ndarray], n
     for c in cols:
         values = pa.chunked_array([chunk for t in tables for chunk in t[c].chunks], tables[0][c].type).combine_chunks()
         if pa.types.is_nested(values.type):  # a fused dimension
-            flat = [f.dictionary_encode().indices.to_numpy(zero_copy_only=False) for f in values.flatten()]
+            flat = [f.dictionary_encode(null_encoding="encode").indices.to_numpy(zero_copy_only=False) for f in values.flatten()]
         else:
-            flat = [values.dictionary_encode().indices.to_numpy(zero_copy_only=False)]
+            flat = [values.dictionary_encode(null_encoding="encode").indices.to_numpy(zero_copy_only=False)]
         for f in flat:
             code = np.unique(code * (int(f.max(initial=0)) + 1) + f, return_inverse=True)[1]
     _, place = np.unique(code, return_index=True)
